@@ -41,7 +41,7 @@ def _found(kind: str) -> Column:
     return F.expr(
         f"""filter(
               aggregate(
-                arrays_zip(slice(g_{kind}, 1, size(m_{kind})) AS g, m_{kind} AS m),
+                zip_with(slice(g_{kind}, 1, size(m_{kind})), m_{kind}, (g, m) -> named_struct('g', g, 'm', m)),
                 named_struct('at', 0L, 'out', CAST(array() AS ARRAY<STRUCT<start: BIGINT, end: BIGINT, score: DOUBLE, ok: BOOLEAN>>)),
                 (acc, x) -> named_struct(
                   'at', acc.at + length(x.g) + length(x.m),

@@ -103,7 +103,7 @@ def near_links(spark: SparkSession, fps: DataFrame, bucket_limit: int = 64) -> D
 
 
 def components(spark: SparkSession, edges: DataFrame, most_rounds: int = 60) -> DataFrame:
-    """node, root for every node of the edges (u, v): alternating large-star and small-star steps, each written out.
+    """node, root for every node of the edges (u, v) that is not its component's least: alternating large-star and small-star steps, each written out.
 
     Each step joins edges with the least neighbour of each node, so no neighbour list is ever gathered.
     """
