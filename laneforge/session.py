@@ -44,14 +44,14 @@ def shared_root(spark: SparkSession) -> str:
     return _LOCAL_ROOTS[key]
 
 
-def written(spark: SparkSession, df: DataFrame, label: str) -> DataFrame:
+def written(spark: SparkSession, df: DataFrame, label: str, compression: str = "snappy") -> DataFrame:
     """The rows of df, written as Parquet in the shared folder and read back.
 
     This cuts the lineage: an executor lost later costs a read, not the work before. The folder goes when the
     driver's file system closes.
     """
     path = f"{shared_root(spark)}/laneforge/{label}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    df.write.option("compression", compression).parquet(path)
     jvm = spark.sparkContext._jvm
     target = jvm.org.apache.hadoop.fs.Path(path)
     target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(target)
