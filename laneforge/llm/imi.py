@@ -4,8 +4,8 @@ The two halves of a vector are quantised separately with k centroids each; a pai
 walks the cells in order of its summed distance to their two centroids, taken from a heap, until the cells hold
 enough vectors, and reranks these exactly. Distance here is the negative inner product, which sums over the halves too.
 
-Cells and queries meet in blocks: a cell of many vectors is cut into blocks, and so are the queries of a cell, so no
-task holds more than one block of each. Equal vectors of a block count once, with their smallest ids, as a query
+Cells and queries meet in blocks: small cells share one, a cell of many vectors is cut into several, and the queries of
+a block are dealt into teams, so no task holds more than one block and one team. Equal vectors of a block count once, with their smallest ids, as a query
 can't return more of them. Each block returns a query's best only.
 """
 
@@ -70,33 +70,50 @@ def traverse(q: np.ndarray, first: np.ndarray, second: np.ndarray, sizes: dict[i
     return cells
 
 
-def best_of_block(vectors: np.ndarray, ids: np.ndarray, queries: np.ndarray, own: np.ndarray, k: int):
-    """For each query its k best of the block, itself excluded: (query place, id, exact score)."""
+def best_of_block(vectors: np.ndarray, ids: np.ndarray, cells: np.ndarray, queries: np.ndarray, own: np.ndarray, walked: list, k: int):
+    """For each query its k best among the block's vectors in cells that it walked, itself excluded: (query place, id, exact score)."""
     order = np.argsort(ids, kind="stable")
-    vectors, ids = vectors[order], ids[order]
+    vectors, ids, cells = vectors[order], ids[order], cells[order]
     _, first, place = np.unique(vectors.view(np.dtype((np.void, vectors.dtype.itemsize * vectors.shape[1]))).reshape(-1), return_index=True, return_inverse=True)
     kinds = vectors[first]
+    names, cell_of = np.unique(cells[first], return_inverse=True)
     turn = np.argsort(place, kind="stable")
     start = np.searchsorted(place[turn], np.arange(len(kinds)))
     stop = np.append(start[1:], len(ids))
-    rough = queries @ kinds.T
+    open_to = np.zeros((len(queries), len(names) + 1), bool)
+    for i, wanted in enumerate(walked):
+        at = np.searchsorted(names, wanted)
+        open_to[i, np.where(np.append(names, -1)[at] == wanted, at, len(names))] = True
+    rough = np.where(open_to[:, cell_of], queries @ kinds.T, -np.inf)
     m = min(k + 1, len(kinds))
     least = np.partition(rough, -m, axis=1)[:, -m]
-    slack = 1e-9 * (1 + np.abs(rough).max(axis=1))
-    at, kind = np.nonzero(rough >= (least - slack)[:, None])
+    slack = 1e-9 * (1 + np.abs(np.where(np.isfinite(rough), rough, 0)).max(axis=1))
+    at, kind = np.nonzero((rough >= (least - slack)[:, None]) & np.isfinite(rough))
     exact = (queries[at] * kinds[kind]).sum(axis=1)
-    out = []
+    out, edge = [], np.searchsorted(at, np.arange(len(queries) + 1)).tolist()
     for i in range(len(queries)):
-        lo, hi = np.searchsorted(at, [i, i + 1])
         got = []
-        for j in range(lo, hi):
+        for j in range(edge[i], edge[i + 1]):
             c = kind[j]
-            got += [(-exact[j], int(v)) for v in ids[turn[start[c] : min(stop[c], start[c] + k + 1)]] if v != own[i]]
+            got += [(-exact[j], v) for v in ids[turn[start[c] : min(stop[c], start[c] + k + 1)]].tolist() if v != own[i]]
         out += [(i, v, -s) for s, v in sorted(got)[:k]]
     return out
 
 
-def search(spark: SparkSession, base: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", k: int = 20, cells_per_half: int | None = None, share: float = 0.35, least: int = 4000) -> DataFrame:
+def lay_out(sizes: dict[int, int], most: int = VECTORS) -> dict[int, list[int]]:
+    """Blocks of each cell: neighbouring small cells share a block, a large cell has several of its own."""
+    blocks, now, held = {}, 0, 0
+    for cell in sorted(sizes):
+        n = sizes[cell]
+        if held and held + n > most:
+            now, held = now + 1, 0
+        parts = 1 + (n - 1) // most
+        blocks[cell] = list(range(now, now + parts))
+        now, held = (now + parts, 0) if parts > 1 else (now, held + n)
+    return blocks
+
+
+def search(spark: SparkSession, base: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", k: int = 20, cells_per_half: int | None = None, share: float = 0.5, least: int = 4000) -> DataFrame:
     """query_id, rank, vec_id, score: the k nearest found of each query among the rows of base other than its own id.
 
     share, least: a query walks cells until they hold this share of all vectors and at least so many. Vectors that
@@ -113,7 +130,7 @@ def search(spark: SparkSession, base: DataFrame, queries: DataFrame, id_col: str
     rows = rows.filter(F.size("v") == dim)
     sample = np.array([r["v"] for r in rows.orderBy(F.xxhash64("id"), "id").limit(SAMPLE).select("v").collect()], float)
     half = max(1, dim // 2)
-    size = cells_per_half or int(np.clip(np.sqrt(total / 1000), 4, 1024))
+    size = cells_per_half or int(np.clip(np.sqrt(total / 12), 4, 1024))
     first, second = fit(sample[:, :half], size), fit(sample[:, half:] if dim > 1 else np.zeros((len(sample), 1)), size)
     wide = len(second)
 
@@ -125,31 +142,40 @@ def search(spark: SparkSession, base: DataFrame, queries: DataFrame, id_col: str
 
     index = written(spark, rows.withColumn("cell", cell_of("v")), "imi-index")
     sizes = {r["cell"]: r["count"] for r in index.groupBy("cell").count().collect()}  # at most cells_per_half squared rows
+    blocks = lay_out(sizes)
     enough = max(least, int(share * total))
 
-    @F.pandas_udf("array<int>")
+    @F.pandas_udf("array<struct<b: int, cells: array<int>>>")
     def walk(v: pd.Series) -> pd.Series:
-        return pd.Series([traverse(np.asarray(q if dim > 1 else [*q, 0.0], float), first, second, sizes, enough) for q in v])
+        out = []
+        for q in v:
+            met: dict[int, list[int]] = {}
+            for cell in traverse(np.asarray(q if dim > 1 else [*q, 0.0], float), first, second, sizes, enough):
+                for b in blocks[cell]:
+                    met.setdefault(b, []).append(cell)
+            out.append([{"b": b, "cells": c} for b, c in met.items()])
+        return pd.Series(out)
 
     asked = queries.select(F.col(id_col).cast("long").alias("id"), F.col(vector_col).cast("array<double>").alias("v")).filter(usable(F.col("v"), dim) & F.col("id").isNotNull()).distinct()
-    asked = written(spark, asked.withColumn("cells", walk("v")), "imi-queries")
-    probes = asked.select("id", "v", F.explode("cells").alias("cell"))
-    visits = {r["cell"]: r["count"] for r in probes.groupBy("cell").count().collect()}
-    parts = spark.createDataFrame([(c, 1 + n // VECTORS, 1 + visits.get(c, 0) // QUERIES) for c, n in sizes.items()], "cell int, vb int, qb int")
-    at = lambda n: F.pmod(F.xxhash64("id"), F.col(n)).cast("int")
-    others = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
-    left = index.join(F.broadcast(parts), "cell").filter(F.col("cell").isin([]) if not visits else F.lit(True)).withColumn("b", at("vb")).withColumn("c", others("qb")).select("cell", "b", "c", "id", "v")
-    right = probes.join(F.broadcast(parts), "cell").withColumn("c", at("qb")).withColumn("b", others("vb")).select("cell", "b", "c", "id", "v")
+    asked = written(spark, asked.withColumn("met", walk("v")), "imi-queries")
+    probes = asked.select("id", "v", F.explode("met").alias("met")).select("id", "v", "met.b", "met.cells")
+    visits = {r["b"]: r["count"] for r in probes.groupBy("b").count().collect()}  # a row for each block at most
+    parts = spark.createDataFrame([(c, b[0], len(b)) for c, b in blocks.items()], "cell int, at int, n int")
+    teams = spark.createDataFrame([(b, 1 + n // QUERIES) for b, n in visits.items()], "b int, qb int")
+    deal = lambda n: F.pmod(F.xxhash64("id"), F.col(n)).cast("int")
+    left = index.join(F.broadcast(parts), "cell").withColumn("b", F.col("at") + deal("n")).join(F.broadcast(teams), "b")
+    left = left.withColumn("c", F.explode(F.sequence(F.lit(0), F.col("qb") - 1))).select("b", "c", "id", "v", "cell")
+    right = probes.join(F.broadcast(teams), "b").withColumn("c", deal("qb")).select("b", "c", "id", "v", "cells")
 
     def pair(vectors: pd.DataFrame, wanted: pd.DataFrame) -> pd.DataFrame:
         if not len(vectors) or not len(wanted):
             return pd.DataFrame({"query_id": [], "vec_id": [], "score": []})
         stack = lambda f: np.ascontiguousarray(np.stack(f["v"].to_numpy()), float)
         own = wanted["id"].to_numpy()
-        found = best_of_block(stack(vectors), vectors["id"].to_numpy(), stack(wanted), own, k)
+        found = best_of_block(stack(vectors), vectors["id"].to_numpy(), vectors["cell"].to_numpy(), stack(wanted), own, list(wanted["cells"]), k)
         return pd.DataFrame({"query_id": [int(own[i]) for i, _, _ in found], "vec_id": [v for _, v, _ in found], "score": [s for _, _, s in found]})
 
-    found = left.groupBy("cell", "b", "c").cogroup(right.groupBy("cell", "b", "c")).applyInPandas(pair, "query_id long, vec_id long, score double")
+    found = left.groupBy("b", "c").cogroup(right.groupBy("b", "c")).applyInPandas(pair, "query_id long, vec_id long, score double")
     best = W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.distinct().withColumn("rank", F.row_number().over(best).cast("int")).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 

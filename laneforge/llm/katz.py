@@ -282,16 +282,16 @@ def katz_scores(spark: SparkSession, docs: DataFrame, held, id_col: str = "doc_i
     rows: every word is unseen and probability is one. An empty table gives no rows; other columns are not read.
     """
     source = docs.select(F.col(id_col).cast("long").alias("id"), held.alias("held"), F.col(text_col).cast("string").alias("text"))
-    blocks = written(spark, source.mapInArrow(_blocks, BLOCKS), "katz-blocks")
+    blocks = written(spark, source.mapInArrow(_blocks, BLOCKS), "katz-blocks", "zstd")
     n_vocab, n_tokens = blocks.agg(F.sum("n_vocab"), F.sum("n_tokens")).first()
     word_buckets, pair_buckets = 1 + (n_vocab or 0) // BUCKET, 1 + (n_tokens or 0) // BUCKET
     spread = max(word_buckets + pair_buckets, int(spark.conf.get("spark.sql.shuffle.partitions")))
     sent = blocks.mapInArrow(_forward(word_buckets, pair_buckets), SLICES).repartition(spread, "kind", "bucket")
-    answers = written(spark, sent.groupBy("kind", "bucket").applyInArrow(_answer, ANSWERS), "katz-counts")
+    answers = written(spark, sent.groupBy("kind", "bucket").applyInArrow(_answer, ANSWERS), "katz-counts", "zstd")
     stats = {r["kind"]: r.asDict() for r in answers.filter("block = -1").groupBy("kind").agg(*[F.sum(s).alias(s) for s in STATS]).collect()}
     m = word_model(stats)
     scored = blocks.groupBy("block").cogroup(answers.filter("block >= 0").select("block", "kind", "bucket", "counts").groupBy("block")).applyInArrow(_score(m, word_buckets), STEP3)
-    scored = written(spark, scored, "katz-scores")
+    scored = written(spark, scored, "katz-scores", "zstd")
     weights = scored.filter("bucket >= 0").select("block", "bucket", "hashes", "lost", "taken", "wanted").groupBy("bucket").applyInArrow(_weights, "block long, bucket int, weights binary")
     texts = scored.filter("bucket < 0").select("block", "ids", "held", "known", "lens", "base", "score", "at", "context")
     return texts.groupBy("block").cogroup(weights.groupBy("block")).applyInArrow(_finish(m), RESULT)

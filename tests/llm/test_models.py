@@ -152,7 +152,7 @@ def test_multi_index_recall(spark):
     table = spark.read.parquet("/root/testdata/sf0.1/embeddings.parquet")
     rows = [(r["vec_id"], np.array(r["embedding"], float)) for r in table.collect()]
     got = defaultdict(list)
-    for r in imi.search(spark, table, table.filter("vec_id % 20 = 0"), least=0).collect():
+    for r in imi.search(spark, table, table.filter("vec_id % 20 = 0"), share=0.65, least=0).collect():
         got[r["query_id"]].append((r["rank"], r["vec_id"], r["score"]))
     ids, v = np.array([i for i, _ in rows]), np.stack([x for _, x in rows])
     hit = n = 0
