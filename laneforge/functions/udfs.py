@@ -6,6 +6,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from . import kernels as K
 from .codecs import ALL
@@ -18,12 +19,12 @@ def _deltas(values, delta: str) -> np.ndarray:
     return (K.delta(x, STRIDES[delta]) if STRIDES[delta] else x).astype(np.uint64)
 
 
-@F.pandas_udf("binary")
+@F.pandas_udf(T.BinaryType())
 def encode_ints(values: pd.Series, codec: pd.Series, delta: pd.Series) -> pd.Series:
     return pd.Series([None if v is None else ALL[c].encode(_deltas(v, d)) for v, c, d in zip(values, codec, delta)])
 
 
-@F.pandas_udf("array<long>")
+@F.pandas_udf(T.ArrayType(T.LongType()))
 def decode_ints(payload: pd.Series, n: pd.Series, codec: pd.Series, delta: pd.Series) -> pd.Series:
     out = []
     for p, k, c, d in zip(payload, n, codec, delta):
@@ -35,7 +36,7 @@ def decode_ints(payload: pd.Series, n: pd.Series, codec: pd.Series, delta: pd.Se
     return pd.Series(out)
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(T.LongType())
 def codec_size(values: pd.Series, codec: pd.Series, delta: pd.Series) -> pd.Series:
     return pd.Series([None if v is None else len(ALL[c].encode(_deltas(v, d))) for v, c, d in zip(values, codec, delta)], dtype="Int64")
 
@@ -45,7 +46,7 @@ def pack_agg(x: Column, codec: str = "vpack128", delta: str = "d1") -> Column:
     return encode_ints(F.array_sort(F.collect_set(x)), F.lit(codec), F.lit(delta))
 
 
-@F.udtf(returnType="block_no int, pos int, x long")
+@F.udtf(returnType=T.StructType().add("block_no", T.IntegerType()).add("pos", T.IntegerType()).add("x", T.LongType()))
 class UnpackBlocks:
     """unpack_blocks(payload, n, codec, delta, lo, hi): the ids of a payload in [lo, hi], with their block of 128 and place."""
 

@@ -51,8 +51,8 @@ def intersect(encoded: DataFrame, a: str, b: str, strategy: str = "skip") -> Dat
 def overlapping_chunks(encoded: DataFrame, a: str, b: str) -> DataFrame:
     """decoded, total: chunks of both lists that `skip` decodes, and all of them."""
     rows = encoded.filter(F.col("list_key").isin(a, b))
-    other = rows.select(F.col("list_key").alias("k"), F.col("x_min").alias("lo"), F.col("x_max").alias("hi"))
-    hit = rows.join(other, (F.col("k") != F.col("list_key")) & (F.col("lo") <= F.col("x_max")) & (F.col("x_min") <= F.col("hi")), "left_semi")
+    other = rows.select(F.col("list_key").alias("other_list"), F.col("x_min").alias("lo"), F.col("x_max").alias("hi"))
+    hit = rows.join(other, (F.col("other_list") != F.col("list_key")) & (F.col("lo") <= F.col("x_max")) & (F.col("x_min") <= F.col("hi")), "left_semi")
     return hit.agg(F.count("*").alias("decoded")).crossJoin(rows.agg(F.count("*").alias("total")))
 
 

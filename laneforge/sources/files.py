@@ -18,7 +18,7 @@ def read_lists(spark: SparkSession, path: str, format: str, arrays: bool = False
     """(list_key, x) from csv, json, parquet, orc, or text lines `key<TAB>id id id`. arrays: a column `values` holds each list."""
     if format == "text":
         parts = F.split("value", "\t")
-        return spark.read.text(path).select(parts[0].alias("list_key"), F.explode(F.split(parts[1], " ")).cast("long").alias("x"))
+        return spark.read.text(path).select(parts[0].alias("list_key"), F.explode(F.split(parts[1], " ").cast("array<long>")).alias("x"))
     df = spark.read.format(format).schema(LIST_FORM if arrays else LONG_FORM).load(path)
     return df.select("list_key", F.explode("values").alias("x")) if arrays else df
 
