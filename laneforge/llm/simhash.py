@@ -17,7 +17,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from laneforge.session import written
@@ -111,16 +111,16 @@ def components(spark: SparkSession, edges: DataFrame, most_rounds: int = 60) ->
     for _ in range(most_rounds):
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
-        large = both.filter("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v").distinct()
+        large = both.filter("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v")
         down = large.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))
         low = down.groupBy("u").agg(F.min("v").alias("m"))
         small = down.join(low, "u").select(F.col("v").alias("w"), "u", "m")
         step = small.select(F.col("w").alias("u"), F.col("m").alias("v")).unionByName(small.select("u", F.col("m").alias("v"))).filter("u <> v").distinct()
-        now = written(spark, step, "cc")
-        state = now.agg(F.count("*"), F.expr("bit_xor(xxhash64(u, v))"), F.sum(F.pmod(F.xxhash64("v", "u"), F.lit(1 << 30)))).first()
-        if state == before:
+        seen = Observation()
+        now = written(spark, step.observe(seen, F.count("*").alias("n"), F.sum(F.pmod(F.xxhash64("u", "v"), F.lit(1 << 30))).alias("a"), F.sum(F.pmod(F.xxhash64("v", "u"), F.lit(1 << 30))).alias("b")), "cc")
+        if seen.get == before:
             return now.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("root"))
-        before = state
+        before = seen.get
     raise RuntimeError(f"components did not settle in {most_rounds} rounds")
 
 
