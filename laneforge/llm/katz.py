@@ -29,7 +29,7 @@ from .common import crc_part
 from .words import mix, pieces, word_hashes, word_spans
 
 #: Tokens of a block, and entries of a bucket, about.
-BLOCK, BUCKET = 3_000_000, 2_000_000
+BLOCK, BUCKET = 2_000_000, 2_000_000
 K = 5
 #: Counts above K lose this fraction of one count, so every context keeps some mass.
 TAIL = 0.05
@@ -44,12 +44,14 @@ RESULT = "id long, held_out boolean, n_tokens long, n_known long, train_tokens l
 
 
 def planes(a: np.ndarray) -> bytes:
-    """The bytes of an integer array, place by place, so that the empty high places compress away."""
-    return np.ascontiguousarray(a.astype("<u8").view(np.uint8).reshape(-1, 8).T).tobytes()
+    """The bytes of an integer array, place by place, so that the high places compress away; their number goes first."""
+    raw = np.ascontiguousarray(a.astype("<u8").view(np.uint8).reshape(-1, 8).T).tobytes()
+    return len(raw).to_bytes(8, "little") + pa.compress(raw, "zstd", asbytes=True)
 
 
 def unplanes(raw: bytes) -> np.ndarray:
-    return np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(8, -1).T).view("<u8").reshape(-1)
+    flat = pa.decompress(raw[8:], int.from_bytes(raw[:8], "little"), "zstd", asbytes=True)
+    return np.ascontiguousarray(np.frombuffer(flat, np.uint8).reshape(8, -1).T).view("<u8").reshape(-1)
 
 
 def pack_sorted(a: np.ndarray) -> bytes:
@@ -82,7 +84,7 @@ def _blocks(batches):
     def flush():
         nonlocal made, ids, held, lens, tokens, held_tokens
         vocab, local = np.unique(np.concatenate(tokens), return_inverse=True)
-        row = {"block": part << 24 | made, "ids": ids, "held": np.concatenate(held).astype(np.uint8).tobytes(), "lens": np.concatenate(lens).astype("<u4").tobytes(), "vocab": vocab.tobytes(), "tokens": local.astype("<u4").tobytes(), "n_vocab": len(vocab), "n_tokens": len(local)}
+        row = {"block": part << 24 | made, "ids": ids, "held": np.concatenate(held).astype(np.uint8).tobytes(), "lens": np.concatenate(lens).astype("<u4").tobytes(), "vocab": pack_sorted(vocab), "tokens": planes(local), "n_vocab": len(vocab), "n_tokens": len(local)}
         made, ids, held, lens, tokens, held_tokens = made + 1, [], [], [], [], 0
         return _table([row], schema)
 
@@ -110,8 +112,8 @@ class Block:
         self.id, self.ids = row["block"], row["ids"]
         self.held = np.frombuffer(row["held"], np.uint8).astype(bool)
         self.lens = np.frombuffer(row["lens"], "<u4").astype(np.int64)
-        self.vocab = np.frombuffer(row["vocab"], np.uint64)
-        self.tokens = np.frombuffer(row["tokens"], "<u4").astype(np.int64)
+        self.vocab = unpack_sorted(row["vocab"])
+        self.tokens = unplanes(row["tokens"]).astype(np.int64)
         n, v = len(self.tokens), len(self.vocab)
         self.train = np.repeat(~self.held, self.lens)
         self.before = np.empty(n, np.int64)
@@ -149,8 +151,8 @@ def _answer(table: pa.Table) -> pa.Table:
     """Sums a bucket and answers each block: twice the total, plus one where the block owns the entry."""
     rows = table.to_pylist()
     hashes = np.concatenate([unpack_sorted(r["hashes"]) for r in rows])
-    sizes = [len(r["counts"]) // 8 for r in rows]
-    counts = np.concatenate([unplanes(r["counts"]) for r in rows]).astype(np.int64)
+    each = [unplanes(r["counts"]).astype(np.int64) for r in rows]
+    sizes, counts = list(map(len, each)), np.concatenate(each)
     kinds, first, place = np.unique(hashes, return_index=True, return_inverse=True)
     total = np.zeros(len(kinds), np.int64)
     np.add.at(total, place, counts)
