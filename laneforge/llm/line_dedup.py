@@ -18,6 +18,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from laneforge.session import written
 
@@ -117,25 +118,31 @@ def _without(batches):
         yield batch
 
 
+def _deduplicated(spark: SparkSession, docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """text without repeated chunks, rest (a struct of all columns), n_chunks, n_removed."""
+    rows = docs.select(_row_key(id_col, text_col).alias("row"), F.col(text_col).cast("string").alias("text"), F.struct(*[F.col(c) for c in docs.columns if c != text_col], F.lit(0).alias("_none")).alias("rest"))
+    removed = repeated_chunks(spark, rows)
+    schema = T.StructType([*rows.schema.fields, T.StructField("n_chunks", T.IntegerType()), T.StructField("n_removed", T.IntegerType())])
+    return rows.join(removed, "row", "left").mapInArrow(_without, schema)
+
+
+def _columns(docs: DataFrame, text_col: str, but: tuple[str, ...] = ()) -> list:
+    return [F.col("text").alias(c) if c == text_col else F.col("rest")[c].alias(c) for c in docs.columns if c not in but]
+
+
 def drop_repeated_chunks(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """All columns of docs, the text without its repeated chunks, and n_chunks, n_removed.
 
     Null texts stay null; empty texts and texts of one line stay as they are. Rows with a null id come last in the order
-    of first occurrences. Rows that repeat an id and a text are one document. Columns of docs named n_chunks,
-    n_removed, row or gone give way.
+    of first occurrences. Rows that repeat an id and a text are one document. Columns of docs named n_chunks or
+    n_removed give way; other names never clash. An empty table gives no rows.
     """
-    other = [c for c in docs.columns if c not in (id_col, text_col, "n_chunks", "n_removed", "row", "gone")]
-    rows = docs.select(_row_key(id_col, text_col).alias("row"), F.col(text_col).cast("string").alias("text"), F.struct(F.col(id_col), *other).alias("rest"))
-    removed = repeated_chunks(spark, rows)
-    schema = "row binary, text string, rest " + rows.schema["rest"].dataType.simpleString() + ", n_chunks int, n_removed int"
-    out = rows.join(removed, "row", "left").mapInArrow(_without, schema)
-    return out.select(*[F.col("text").alias(c) if c == text_col else F.col("rest")[c].alias(c) for c in docs.columns if c in (id_col, text_col, *other)], "n_chunks", "n_removed")
+    return _deduplicated(spark, docs, id_col, text_col).select(*_columns(docs, text_col, ("n_chunks", "n_removed")), "n_chunks", "n_removed")
 
 
 def line_stage(spark: SparkSession, docs: DataFrame) -> DataFrame:
-    """The documents without repeated chunks; those of which nothing is left go."""
-    out = drop_repeated_chunks(spark, docs)
-    return out.filter("n_removed = 0 OR length(text) > 0").select(*docs.columns)
+    """The documents without repeated chunks, with their own columns; those of which nothing is left go."""
+    return _deduplicated(spark, docs, "doc_id", "text").filter("n_removed = 0 OR length(text) > 0").select(*_columns(docs, "text"))
 
 
 def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -157,10 +157,11 @@ def test_line_dedup(spark, sf):
 def test_line_edges(spark):
     frame = spark.createDataFrame(edge_rows(), SCHEMA)
     out = line_dedup.drop_repeated_chunks(spark, frame)
-    assert out.columns == ["doc_id", "text", "fp", "id", "n_chunks", "n_removed"]
+    assert out.columns == ["doc_id", "text", "fp", "row", "id", "n_chunks", "n_removed"]
     got = out.collect()
     assert len(got) == len(edge_rows())
     assert sum(r["text"] is None for r in got) == 4
+    assert line_dedup.line_stage(spark, frame).columns == frame.columns
     assert line_dedup.drop_repeated_chunks(spark, spark.createDataFrame([], SCHEMA)).count() == 0
 
 
