@@ -59,10 +59,10 @@ class BinaryPacking(Codec):
     def _pack(self, rows, b):
         return K.pack_vertical(rows, b, self.lanes) if self.vertical else K.pack_scalar(rows, b)
 
-    def _unpack(self, words, b):
+    def _unpack(self, words, b, dtype=U64):
         if self.vertical:
-            return K.unpack_vertical(words, b, self.lanes)
-        return K.unpack_horizontal(words, b, self.block) if self.gathers else K.unpack_scalar(words, b, self.block)
+            return K.unpack_vertical(words, b, self.lanes, dtype)
+        return K.unpack_horizontal(words, b, self.block) if self.gathers else K.unpack_scalar(words, b, self.block, dtype)
 
     def pack(self, rows: np.ndarray) -> np.ndarray:
         m = K.or_widths(rows)
@@ -94,6 +94,91 @@ class BinaryPacking(Codec):
         return out, at
 
 
+def _block_starts(offsets: np.ndarray, block: int) -> tuple[np.ndarray, np.ndarray]:
+    """Where the whole blocks of the chunks of a flat buffer begin, and how many each chunk has."""
+    n = np.diff(offsets) // block
+    first = np.repeat(offsets[:-1], n)
+    return first + block * (np.arange(len(first)) - np.repeat(np.cumsum(n) - n, n)), n
+
+
+def _tails(offsets: np.ndarray, block: int) -> tuple[np.ndarray, np.ndarray]:
+    """Places of the values after the whole blocks, and how many each chunk has."""
+    n = np.diff(offsets)
+    rest = n % block
+    start = np.repeat(offsets[1:] - rest, rest)
+    return start + np.arange(len(start)) - np.repeat(np.cumsum(rest) - rest, rest), rest
+
+
+def pack_many(codec: BinaryPacking, d: np.ndarray, offsets: np.ndarray) -> list[bytes]:
+    """Payloads of many chunks at once: all blocks of one width, of whichever chunk, are packed together."""
+    block, group = codec.block, codec.meta // 4
+    starts, count = _block_starts(offsets, block)
+    whole = len(starts) * block == len(d)
+    rows = d.astype(U32).reshape(-1, block) if whole else d.astype(U32)[starts[:, None] + np.arange(block)]
+    m = K.or_widths(rows)
+    size = -(-block * m // 32)
+    heads = -(-count // codec.meta)
+    chunk_first = np.cumsum(count) - count
+    number = np.arange(len(m)) - np.repeat(chunk_first, count)
+    before = np.cumsum(size) - size
+    own = before - np.repeat(np.append(before, size.sum())[chunk_first], count)
+    words = np.add.reduceat(np.append(size, 0), chunk_first) * (count > 0) + heads * group if len(count) else heads
+    base = np.cumsum(words) - words
+    at = np.repeat(base, count) + own + (number // codec.meta + 1) * group
+    out = np.zeros(int(words.sum()), U32)
+    descriptor = out.view(U8)
+    head_at = np.repeat(base, count) + (own[np.arange(len(m)) - number % codec.meta] if len(m) else own) + (number // codec.meta) * group
+    descriptor[4 * head_at + number % codec.meta] = m
+    for b, k in _by_width(m):
+        if b:
+            out[at[k][:, None] + np.arange(size[k[0]])] = codec._pack(rows[k], b)
+    places, rest = _tails(offsets, block)
+    tail = K.vbyte_encode(d[places])
+    ends = np.concatenate([[0], np.cumsum(K.vbyte_sizes(d[places]))])[np.concatenate([[0], np.cumsum(rest)])].tolist()
+    main, tail = out.tobytes(), tail.tobytes()
+    edge = (4 * np.append(base, words.sum())).tolist()
+    return [main[edge[i] : edge[i + 1]] + tail[ends[i] : ends[i + 1]] for i in range(len(count))]
+
+
+def unpack_many(codec: BinaryPacking, payloads: list[bytes], n: np.ndarray) -> np.ndarray:
+    """The flat buffer of many chunks at once."""
+    block, group = codec.block, codec.meta // 4
+    offsets = np.concatenate([[0], np.cumsum(n)])
+    starts, count = _block_starts(offsets, block)
+    mains, tails, heads, base = [], [], [], 0
+    words_of = -(-block * np.arange(33) // 32)
+    each = words_of.tolist()
+    for raw, blocks in zip(payloads, count.tolist()):
+        place = 0
+        for first in range(0, blocks, codec.meta):  # where a meta-block ends depends on its widths
+            heads.append(base + place)
+            width = raw[place : place + min(codec.meta, blocks - first)]
+            place += 4 * (group + (sum(width) * block // 32 if block % 32 == 0 else sum([each[w] for w in width])))
+        mains.append(raw[:place])
+        tails.append(raw[place:])
+        base += place
+    joined = b"".join(mains)
+    number = np.arange(len(starts)) - np.repeat(np.cumsum(count) - count, count)
+    of_meta = np.cumsum(number % codec.meta == 0) - 1
+    head = np.array(heads, np.int64)[of_meta]
+    m = np.frombuffer(joined, U8)[head + number % codec.meta].astype(np.int64)
+    size = words_of[m]
+    before = np.cumsum(size) - size
+    at = head // 4 + group + before - before[np.arange(len(m)) - number % codec.meta]
+    words, out = np.frombuffer(joined, "<u4"), np.zeros(int(offsets[-1]), U32)
+    whole = len(starts) * block == len(out)
+    rows = out.reshape(-1, block) if whole else np.zeros((len(starts), block), U32)
+    for b, own in _by_width(m):
+        if b:
+            gathered = words[at[own][:, None] + np.arange(words_of[b])]
+            rows[own] = codec._unpack(gathered, b, U32)
+    if not whole:
+        out[starts[:, None] + np.arange(block)] = rows
+        places, rest = _tails(offsets, block)
+        out[places] = K.vbyte_decode(np.frombuffer(b"".join(tails), U8), int(rest.sum()))
+    return out
+
+
 def width_counts(rows: np.ndarray) -> np.ndarray:
     """For each block, how many values have each width 0 to 32."""
     width = K.bit_length(rows.reshape(-1))

@@ -8,8 +8,8 @@ U32, U64 = np.uint32, np.uint64
 
 
 def bit_length(v: np.ndarray) -> np.ndarray:
-    """Bits of each unsigned integer below 2^53: the exponent of its exact float64."""
-    return np.frexp(v.astype(np.float64))[1].astype(np.int64)
+    """Bits of each unsigned integer below 2^53: the exponent field of its exact float64; 0 for 0."""
+    return np.maximum((v.astype(np.float64).view(np.int64) >> 52) - 1022, 0)
 
 
 def delta(x: np.ndarray, stride: int = 1, out: np.ndarray | None = None) -> np.ndarray:
@@ -42,63 +42,92 @@ def or_widths(blocks: np.ndarray) -> np.ndarray:
     return bit_length(np.bitwise_or.reduce(blocks, axis=1)) if blocks.size else np.zeros(len(blocks), np.int64)
 
 
+#: Rows that the scalar kernels handle at once: their values stay in the cache.
+ROWS = 2048
+
+
 def pack_scalar(blocks: np.ndarray, b: int, mask: bool = False) -> np.ndarray:
-    """Rows of k values of b bits -> rows of ceil(k b / 32) words; values follow each other and may cross words."""
+    """Rows of k values of b bits -> rows of ceil(k b / 32) words; values follow each other and may cross words.
+
+    The values at one place of all rows of a tile are one contiguous vector.
+    """
     m, k = blocks.shape
-    words = np.zeros((m, -(-k * b // 32)), U64)
-    v = blocks.astype(U64)
-    if mask:
-        v &= U64((1 << b) - 1)
-    for i in range(k if b else 0):
-        w, s = divmod(i * b, 32)
-        words[:, w] |= v[:, i] << U64(s)
-        if s + b > 32:
-            words[:, w + 1] |= v[:, i] >> U64(32 - s)
-    return words.astype(U32)  # keeps the low 32 bits
-
-
-def unpack_scalar(words: np.ndarray, b: int, k: int) -> np.ndarray:
+    out = np.zeros((m, -(-k * b // 32)), U32)
+    for at in range(0, m if b else 0, ROWS):
+        v = np.ascontiguousarray(blocks[at : at + ROWS].T, U32)
+        if mask and b < 32:
+            v &= U32((1 << b) - 1)
+        words = np.zeros((out.shape[1], v.shape[1]), U32)
+        for i in range(k):
+            w, s = divmod(i * b, 32)
+            words[w] |= v[i] << U32(s) if s else v[i]
+            if s + b > 32:
+                words[w + 1] |= v[i] >> U32(32 - s)
+        out[at : at + ROWS] = words.T
+    return out
+
+
+def unpack_scalar(words: np.ndarray, b: int, k: int, dtype=U64) -> np.ndarray:
     m = len(words)
-    out = np.zeros((m, k), U64)
     if not b:
-        return out
-    w64, low = words.astype(U64), U64((1 << b) - 1)
-    for i in range(k):
-        w, s = divmod(i * b, 32)
-        v = w64[:, w] >> U64(s)
-        if s + b > 32:
-            v = v | w64[:, w + 1] << U64(32 - s)
-        out[:, i] = v & low
+        return np.zeros((m, k), dtype)
+    out, low = np.empty((m, k), dtype), U32((1 << b) - 1 if b < 32 else 0xFFFFFFFF)
+    for at in range(0, m, ROWS):
+        w32 = np.ascontiguousarray(words[at : at + ROWS].T, U32)
+        v = np.empty((k, w32.shape[1]), U32)
+        for i in range(k):
+            w, s = divmod(i * b, 32)
+            np.right_shift(w32[w], U32(s), out=v[i])
+            if s + b > 32:
+                v[i] |= w32[w + 1] << U32(32 - s)
+        v &= low
+        out[at : at + ROWS] = v.T
     return out
 
 
+#: Blocks that the vertical kernels handle at once: their values stay in the cache.
+TILE = 512
+
+
 def pack_vertical(blocks: np.ndarray, b: int, lanes: int = 4, mask: bool = False) -> np.ndarray:
-    """Rows of 32 * lanes values -> rows of b * lanes words. Value i lies in lane i mod lanes: all lanes pack alike."""
+    """Rows of 32 * lanes values -> rows of b * lanes words. Value i lies in lane i mod lanes: all lanes pack alike.
+
+    The values of one row of lanes, for all blocks of a tile, are one contiguous vector.
+    """
     m = len(blocks)
-    v = blocks.reshape(m, 32, lanes).astype(U32)
-    words = np.zeros((m, b, lanes), U32)
-    if mask and b < 32:
-        v = v & U32((1 << b) - 1)
-    for r in range(32 if b else 0):
-        w, s = divmod(r * b, 32)
-        words[:, w] |= v[:, r] << U32(s)
-        if s + b > 32:
-            words[:, w + 1] |= v[:, r] >> U32(32 - s)
-    return words.reshape(m, b * lanes)
-
-
-def unpack_vertical(words: np.ndarray, b: int, lanes: int = 4) -> np.ndarray:
+    out = np.empty((m, b * lanes), U32)
+    for at in range(0, m if b else 0, TILE):
+        k = min(TILE, m - at)
+        v = np.ascontiguousarray(blocks[at : at + k].reshape(k, 32, lanes).astype(U32).transpose(1, 0, 2)).reshape(32, -1)
+        if mask and b < 32:
+            v &= U32((1 << b) - 1)
+        words = np.zeros((b, k * lanes), U32)
+        for r in range(32):
+            w, s = divmod(r * b, 32)
+            words[w] |= v[r] << U32(s) if s else v[r]
+            if s + b > 32:
+                words[w + 1] |= v[r] >> U32(32 - s)
+        out[at : at + k] = words.reshape(b, k, lanes).transpose(1, 0, 2).reshape(k, -1)
+    return out
+
+
+def unpack_vertical(words: np.ndarray, b: int, lanes: int = 4, dtype=U64) -> np.ndarray:
     m = len(words)
-    out = np.zeros((m, 32, lanes), U32)
-    if b:
-        w32, low = words.reshape(m, b, lanes), U32((1 << b) - 1 if b < 32 else 0xFFFFFFFF)
+    if not b:
+        return np.zeros((m, 32 * lanes), dtype)
+    out, low = np.empty((m, 32 * lanes), dtype), U32((1 << b) - 1 if b < 32 else 0xFFFFFFFF)
+    for at in range(0, m, TILE):
+        k = min(TILE, m - at)
+        w32 = np.ascontiguousarray(words[at : at + k].reshape(k, b, lanes).transpose(1, 0, 2)).reshape(b, -1)
+        v = np.empty((32, k * lanes), U32)
         for r in range(32):
             w, s = divmod(r * b, 32)
-            v = w32[:, w] >> U32(s)
+            np.right_shift(w32[w], U32(s), out=v[r])
             if s + b > 32:
-                v = v | w32[:, w + 1] << U32(32 - s)
-            out[:, r] = v & low
-    return out.reshape(m, 32 * lanes).astype(U64)
+                v[r] |= w32[w + 1] << U32(32 - s)
+        v &= low
+        out[at : at + k] = v.reshape(32, k, lanes).transpose(1, 0, 2).reshape(k, -1)
+    return out
 
 
 def unpack_horizontal(words: np.ndarray, b: int, k: int) -> np.ndarray:

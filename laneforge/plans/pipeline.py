@@ -1,7 +1,8 @@
 """The byte plane: chunks of a list to payloads and back, in Arrow batches.
 
 A batch of chunk rows is one flat buffer of integers with offsets. Deltas are taken over the whole buffer at once, and so
-are the payloads of all chunks shorter than a block, which are all tail; longer chunks go to their code one by one.
+are binary packing, where blocks of one width are packed together whichever chunk they are of, and the payloads of all
+chunks shorter than a block, which are all tail. Longer chunks go to the other codes one by one.
 """
 
 from __future__ import annotations
@@ -14,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from laneforge.functions import kernels as K
-from laneforge.functions.codecs import ALL
+from laneforge.functions.codecs import ALL, BinaryPacking, pack_many, unpack_many
 from laneforge.functions.layout import CHUNK, LIMIT
 from laneforge.operators.deltas import positions
 
@@ -72,6 +73,8 @@ def batch_undeltas(d: np.ndarray, offsets: np.ndarray, stride: int) -> np.ndarra
 def encode_batch(d: np.ndarray, offsets: np.ndarray, codec: str) -> list[bytes]:
     """Payloads of the chunks of a flat buffer of deltas."""
     c = ALL[codec]
+    if isinstance(c, BinaryPacking):
+        return pack_many(c, d, offsets)
     n = np.diff(offsets)
     out: list[bytes] = [b""] * len(n)
     short = n < c.block if c.block > 1 or codec == "vbyte" else np.zeros(len(n), bool)
@@ -93,6 +96,8 @@ def encode_batch(d: np.ndarray, offsets: np.ndarray, codec: str) -> list[bytes]:
 def decode_batch(payloads: list[bytes], n: np.ndarray, codec: str) -> np.ndarray:
     """The flat buffer of deltas of these payloads."""
     c = ALL[codec]
+    if isinstance(c, BinaryPacking):
+        return unpack_many(c, payloads, np.asarray(n))
     short = np.array(n) < c.block if c.block > 1 and codec != "vbyte" else np.full(len(n), codec == "vbyte")
     offsets = np.concatenate([[0], np.cumsum(n)])
     out = np.zeros(int(offsets[-1]), np.uint64)

@@ -19,6 +19,7 @@ from laneforge.streaming import ingest
 
 from . import measures as M
 from . import pipeline
+from . import workloads as WL
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -333,6 +334,33 @@ add("intersect_query", lambda s, d: setops.conjunctive(enc(s, d, "documents"), t
 add("unmatched_terms", lambda s, d: terms(s, d).join(lists(s, d).select(F.col("list_key").alias("term")), "term", "left_anti").select("session", "term"), f"WITH {TERMS} SELECT session, term FROM tm WHERE term NOT IN (SELECT list_key FROM ls)")
 
 
+# Workloads.
+STEM = "CASE " + " ".join(f"WHEN w LIKE '%{e}' AND length(w) >= {len(e) + 3} THEN left(w, length(w) - {len(e)})" for e in WL.ENDINGS) + " ELSE w END"
+WEB = (
+    "wd AS (SELECT page_id, unnest(string_split_regex(lower(regexp_replace(html, '<[^>]*>', ' ', 'g')), '[^\\p{L}\\p{N}]+')) AS w FROM pages), "
+    f"st AS (SELECT DISTINCT {STEM} AS list_key, page_id AS x FROM wd WHERE w <> '' AND w NOT IN (" + ", ".join(f"'{w}'" for w in WL.STOP_WORDS) + ")), "
+    "fq AS (SELECT list_key FROM st GROUP BY list_key ORDER BY count(*) DESC, list_key LIMIT 500)"
+)
+add("web_postings_top", lambda s, d: WL.web_postings(load(s, d, "pages"), 500).groupBy("list_key").agg(F.count("*").alias("n"), F.sum("x").alias("x_sum")), f"WITH {WEB} SELECT list_key, count(*) AS n, CAST(sum(x) AS BIGINT) AS x_sum FROM st WHERE list_key IN (SELECT list_key FROM fq) GROUP BY list_key")
+add("packing_speeds", lambda s, d: WL.packing_speeds(s))
+PAPER_CODES = [("vpack128", "s4"), ("vpack128", "d1"), ("vpatch", "s4"), ("vpatch", "d1"), ("bytegroup8", "s4"), ("bytegroup8", "d1"), *[(c, "d1") for c in ("linkpatch", "sizedpatch", "bucketpatch", "wordpatch", "pack32", "blockpatch10", "blockpatchopt", "simple8b", "splitvec", "vbyte")]]
+
+
+def code_table(s: SparkSession, d: str) -> DataFrame:
+    return WL.all_codes(written(s, pipeline.build_chunks(P.postings(s, d, "lineitem_line")), "lists"), PAPER_CODES)
+
+
+add("code_table", code_table)
+add("code_frontier", lambda s, d: WL.frontier(written(s, code_table(s, d), "codes")))
+add(
+    "events_in_intervals",
+    lambda s, d: WL.in_intervals(P.postings(s, d, "events_user"), s.range(0, 40).select(F.col("id").alias("name"), (F.col("id") * 60_000).alias("lo"), (F.col("id") * 60_000 + 90_000).alias("hi")), 100_000).groupBy("name").agg(F.count("*").alias("n")),
+    f"SELECT name, count(*) AS n FROM ({P.oracle('events_user')}) JOIN (SELECT range AS name, range * 60000 AS lo, range * 60000 + 90000 AS hi FROM range(40)) ON x BETWEEN lo AND hi GROUP BY name",
+)
+for delta in ("d1", "s4"):
+    add(f"weighted_mean_by_class_{delta}", lambda s, d, m=delta: M.weighted_mean(M.by_class(sizes.encoded_size(rows(s, d, "documents", m), "vpack128")).withColumn("codec", F.lit("vpack128")), M.query_weights(terms(s, d), lists(s, d)), 8 * F.col("bytes") / F.col("ints"), ["codec"]), f"WITH az AS ({size_sql('vpack128', 'documents', delta)}), cl AS (SELECT CAST({bl('n')} - 1 AS INTEGER) AS K, sum(n) AS ints, sum(n_bytes) AS bytes FROM az GROUP BY 1), {TERMS}, {WEIGHTS} SELECT 'vpack128' AS codec, round(sum(w * (8 * bytes / ints)) / sum(w), 6) AS weighted FROM cl JOIN ww ON cl.K = ww.K")
+
+
 # Streams, on the batch.
 def events(s: SparkSession, d: str) -> DataFrame:
     return load(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))

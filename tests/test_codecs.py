@@ -152,7 +152,7 @@ def test_batches():
     for stride in (0, 1, 4):
         d = batch_deltas(x, offsets, stride)
         assert np.array_equal(batch_undeltas(d, offsets, stride), x)
-        for codec in ("vpack128", "vpatch", "vbyte", "simple8b", "raw32"):
+        for codec in ("vpack128", "vpack256", "pack32", "pack8", "horizpack", "vpatch", "vbyte", "simple8b", "raw32"):
             payloads = encode_batch(d, offsets, codec)
             assert payloads == [ALL[codec].encode(d[a:b]) for a, b in zip(offsets[:-1], offsets[1:])]
             assert np.array_equal(decode_batch(payloads, np.diff(offsets), codec), d)
