@@ -13,10 +13,12 @@ import gc
 import hashlib
 from itertools import chain
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: The character of byte 0; every other byte is the character of its number.
 ZERO = "\u0100"
@@ -138,19 +140,30 @@ def _default() -> tuple[str, str]:
     return public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN
 
 
-def encode_ids(docs: DataFrame, text_col: str = "text", path: str | None = None, pattern: str | None = None, out_col: str = "token_ids") -> DataFrame:
-    """All columns of docs and the ids of each whole text as array<int>; a null text has no ids. A column out_col is replaced."""
-    path, pattern = path or _default()[0], pattern or _default()[1]
-    kept = docs.drop(out_col)
+def _encode(path: str, pattern: str, text_col: str, out_col: str):
+    def run(batches):
+        c = codec(path, pattern)
+        gc.disable()
+        for batch in batches:
+            place = batch.schema.get_field_index(text_col)
+            for at in range(0, batch.num_rows, 256):  # few rows at a time: their ids are Python numbers for a moment
+                part = batch.slice(at, 256)
+                ids = []
+                for value in part.column(place):
+                    tokens = c.pieces(value.as_py() or "")
+                    ids.append(np.fromiter(chain.from_iterable(map(c.seen.__getitem__, tokens)), np.int32) - 1)
+                offsets = np.concatenate([[0], np.cumsum([len(x) for x in ids])]).astype(np.int32)
+                yield part.append_column(out_col, pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(ids))))
 
-    @F.pandas_udf("array<int>")
-    def ids(texts):
-        import pandas as pd
+    return run
 
-        c = codec(path, pattern)
-        return pd.Series([c.encode(t or "") for t in texts])
 
-    return kept.withColumn(out_col, ids(F.col(text_col).cast("string")))
+def encode_ids(docs: DataFrame, text_col: str = "text", path: str | None = None, pattern: str | None = None, out_col: str = "token_ids") -> DataFrame:
+    """All columns of docs and the ids of each whole text as array<int>; a null text has no ids. A column out_col is replaced."""
+    path, pattern = path or _default()[0], pattern or _default()[1]
+    kept = docs.drop(out_col).withColumn(text_col, F.col(text_col).cast("string"))
+    schema = T.StructType([*kept.schema.fields, T.StructField(out_col, T.ArrayType(T.IntegerType()))])
+    return kept.mapInArrow(_encode(path, pattern, text_col, out_col), schema)
 
 
 def decode_ids(docs: DataFrame, ids_col: str = "token_ids", path: str | None = None, pattern: str | None = None, out_col: str = "decoded") -> DataFrame:
