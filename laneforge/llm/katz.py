@@ -79,13 +79,13 @@ def _arrow(ddl: str) -> pa.Schema:
 
 def _blocks(batches):
     schema, part, made = _arrow(BLOCKS), TaskContext.get().partitionId(), 0
-    ids, held, lens, tokens, held_tokens = [], [], [], [], 0
+    ids, held, lens, tokens, gathered = [], [], [], [], 0
 
     def flush():
-        nonlocal made, ids, held, lens, tokens, held_tokens
+        nonlocal made, ids, held, lens, tokens, gathered
         vocab, local = np.unique(np.concatenate(tokens), return_inverse=True)
         row = {"block": part << 24 | made, "ids": ids, "held": np.concatenate(held).astype(np.uint8).tobytes(), "lens": np.concatenate(lens).astype("<u4").tobytes(), "vocab": pack_sorted(vocab), "tokens": planes(local), "n_vocab": len(vocab), "n_tokens": len(local)}
-        made, ids, held, lens, tokens, held_tokens = made + 1, [], [], [], [], 0
+        made, ids, held, lens, tokens, gathered = made + 1, [], [], [], [], 0
         return _table([row], schema)
 
     for batch in batches:
@@ -98,8 +98,8 @@ def _blocks(batches):
             held.append(out[at : at + len(n)])
             lens.append(n + 1)
             tokens.append(stream)
-            held_tokens += len(stream)
-            if held_tokens >= BLOCK:
+            gathered += len(stream)
+            if gathered >= BLOCK:
                 yield flush()
     if ids:
         yield flush()

@@ -96,7 +96,7 @@ def near_links(spark: SparkSession, fps: DataFrame, bucket_limit: int = 64) -> D
     x = F.col("u").bitwiseXOR(F.col("v"))
     pairs = left.join(right, "key").filter(F.col("u") < F.col("v")).filter(_in_budget(x)).filter(F.bit_count(x) <= LIMIT).select("u", "v")
     full = crowded.filter(F.col("n") > bucket_limit).select("fp").distinct()
-    around = full.select("fp", F.explode(F.concat(F.array("fp"), F.transform(F.sequence(F.lit(0), F.lit(63)), lambda i: F.col("fp").bitwiseXOR(F.expr("1L")* 0 + F.call_function("shiftleft", F.lit(1).cast("long"), i))))).alias("at"))
+    around = full.select("fp", F.explode(F.concat(F.array("fp"), F.transform(F.sequence(F.lit(0), F.lit(63)), lambda i: F.col("fp").bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), i))))).alias("at"))
     least = around.groupBy("at").agg(F.min("fp").alias("u"), F.count("*").alias("n")).filter("n > 1").drop("n")
     stars = around.join(least, "at").filter("fp <> u").select("u", F.col("fp").alias("v"))
     return pairs.unionByName(stars).distinct()

@@ -75,16 +75,16 @@ def _proper_parts(items: Column, longest: int) -> Column:
 
 
 def judge_by_rules(spark: SparkSession, pages: DataFrame, rules: DataFrame, fallback: str = "allow") -> DataFrame:
-    """page_id, items -> page_id, verdict, confidence: of the rules that hold for a page, the surest; block before allow on ties."""
+    """row, items -> row, verdict, confidence: of the rules that hold for a row, the surest; block before allow on ties."""
     frequency = rules.select(F.explode("antecedent").alias("token")).groupBy("token").agg(F.count("*").alias("uses"))
     filed = rules.withColumn("rule", F.monotonically_increasing_id())
     rarest = filed.select("rule", F.explode("antecedent").alias("token")).join(frequency, "token").groupBy("rule").agg(F.min_by("token", F.struct("uses", "token")).alias("token"))
     index = written(spark, filed.join(rarest, "rule").groupBy("token").agg(F.collect_list(F.struct("antecedent", "verdict", "confidence", "support")).alias("rules")), "url-index")
     side = F.broadcast(index) if index.count() <= BROADCAST_RULES else index
-    met = pages.select("page_id", "row", "items", F.explode("items").alias("token")).join(side, "token")
+    met = pages.select("row", "items", F.explode("items").alias("token")).join(side, "token")
     fits = met.select("row", F.explode(F.filter("rules", lambda r: F.size(F.array_except(r["antecedent"], F.col("items"))) == 0)).alias("r"))
     best = fits.groupBy("row").agg(F.max(F.struct("r.confidence", (F.col("r.verdict") == "block").alias("blocks"), "r.support", "r.verdict")).alias("r"))
-    return pages.select("page_id", "row").join(best, "row", "left").select("row", F.coalesce("r.verdict", F.lit(fallback)).alias("verdict"), F.col("r.confidence").alias("confidence"))
+    return pages.select("row").join(best, "row", "left").select("row", F.coalesce("r.verdict", F.lit(fallback)).alias("verdict"), F.col("r.confidence").alias("confidence"))
 
 
 def matched_rule(host: Column, path: Column, rules=RULES) -> Column:
@@ -106,15 +106,14 @@ def judge(spark: SparkSession, pages: DataFrame, labels: DataFrame, min_support:
     """
     host, path = host_path(F.col("url"))
     rows = pages.select("page_id", F.col("url").cast("string").alias("url")).withColumns({"host": host, "path": path})
-    rows = rows.withColumn("items", tokens(F.col("url"), F.col("host"), F.col("path"))).withColumn("row", F.xxhash64("url"))
+    rows = rows.withColumn("items", tokens(F.col("url"), F.col("host"), F.col("path"))).withColumn("row", F.coalesce("url", F.lit("")))
     known = labels.select(F.col("doc_id").alias("page_id"), F.when((F.col("toxic") == 1) | (F.col("quality") == 0), "block").otherwise("allow").alias("verdict")).filter("page_id IS NOT NULL")
     rules = mine(spark, rows.join(known, "page_id").select("items", "verdict"), min_support, min_confidence)
     # A url is judged once, however many pages share it.
-    urls = rows.groupBy("url").agg(F.first("items").alias("items")).select(F.lit(0).alias("page_id"), F.coalesce("url", F.lit("")).alias("row"), "items")
-    mined = judge_by_rules(spark, urls.dropDuplicates(["row"]), rules)
+    urls = rows.groupBy("row").agg(F.first("items").alias("items"))
+    mined = judge_by_rules(spark, urls, rules)
     fixed = matched_rule(F.col("host"), F.col("path"))
-    rows = rows.withColumn("fixed", fixed).withColumn("row", F.coalesce("url", F.lit("")))
-    return rows.join(mined, "row", "left").select("page_id", "host", "path", F.col("fixed.rule").alias("rule"), F.coalesce("fixed.verdict", "verdict", F.lit("allow")).alias("verdict"), F.when(F.col("fixed").isNull(), F.col("confidence")).alias("confidence"))
+    return rows.withColumn("fixed", fixed).join(mined, "row", "left").select("page_id", "host", "path", F.col("fixed.rule").alias("rule"), F.coalesce("fixed.verdict", "verdict", F.lit("allow")).alias("verdict"), F.when(F.col("fixed").isNull(), F.col("confidence")).alias("confidence"))
 
 
 def op1_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
