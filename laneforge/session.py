@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import os
 import shutil
 import tempfile
 import uuid
@@ -25,6 +26,14 @@ def local_session(cpus: int = 8, partitions: int = 8, memory: str = "8g") -> Spa
     )
 
 
+def workers_find_package(spark: SparkSession) -> None:
+    """Python workers on this machine look for the package where the driver found it; on a cluster it is installed or shipped with --py-files."""
+    top = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    known = spark.sparkContext.environment.get("PYTHONPATH", "")
+    if top not in known.split(os.pathsep):
+        spark.sparkContext.environment["PYTHONPATH"] = os.pathsep.join(x for x in (top, known) if x)
+
+
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """The given table, read by Spark only: the folder may be in a store that nothing else reaches."""
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
