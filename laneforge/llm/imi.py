@@ -113,7 +113,7 @@ def lay_out(sizes: dict[int, int], most: int = VECTORS) -> dict[int, list[int]]:
     return blocks
 
 
-def search(spark: SparkSession, base: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", k: int = 20, cells_per_half: int | None = None, share: float = 0.5, least: int = 4000) -> DataFrame:
+def search(spark: SparkSession, base: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", k: int = 20, cells_per_half: int | None = None, share: float = 0.6, least: int = 4000) -> DataFrame:
     """query_id, rank, vec_id, score: the k nearest found of each query among the rows of base other than its own id.
 
     share, least: a query walks cells until they hold this share of all vectors and at least so many. Vectors that
