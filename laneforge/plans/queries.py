@@ -201,7 +201,7 @@ def size_agreement(s: SparkSession, d: str) -> DataFrame:
     return out
 
 
-add("size_agreement", size_agreement, "SELECT '' AS codec, '' AS delta_mode, '' AS list_key, 0 AS real, 0 AS n_bytes WHERE false")
+add("size_agreement", size_agreement, "SELECT '' AS codec, '' AS delta_mode, '' AS list_key, CAST(0 AS BIGINT) AS real, CAST(0 AS BIGINT) AS n_bytes WHERE false")
 
 
 def zigzag_columns(s: SparkSession, d: str) -> DataFrame:
