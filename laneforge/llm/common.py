@@ -16,3 +16,9 @@ def lower_ascii(col: Column) -> Column:
 def crc_part(id_col: str, parts: int) -> Column:
     """crc32 of the id as text, modulo parts; a null id counts as the empty string."""
     return F.crc32(F.coalesce(F.col(id_col).cast("string"), F.lit("")).cast("binary")) % parts
+
+
+def row_key(id_col: str, text_col: str):
+    """What tells a document's row: its id (nulls last), and its text for rows that repeat an id. Order as bytes is order of ids."""
+    key = F.concat(F.when(F.col(id_col).isNull(), F.lit(b"\x01")).otherwise(F.lit(b"\x00")), F.unhex(F.lpad(F.hex(F.coalesce(F.col(id_col).cast("long"), F.lit(0)).bitwiseXOR(F.lit(-(1 << 63)))), 16, "0")), F.unhex(F.lpad(F.hex(F.xxhash64(F.coalesce(text_col, F.lit("")))), 16, "0")))
+    return key

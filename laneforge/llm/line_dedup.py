@@ -22,6 +22,8 @@ from pyspark.sql import types as T
 
 from laneforge.session import written
 
+from .common import row_key
+
 MASK = (1 << 64) - 1
 #: Lines of the rolling window, one cut in so many places, least and most lines of a chunk.
 WINDOW, DIVISOR, LEAST, MOST = 2, 3, 2, 64
@@ -82,12 +84,6 @@ def _repeated_texts(batches):
         yield pa.RecordBatch.from_arrays([pa.array(ids, pa.binary()), pa.array(place, pa.int32()), pa.array(texts, pa.binary())], ["row", "place", "chunk"])
 
 
-def _row_key(id_col: str, text_col: str):
-    """What tells a document's row: its id (nulls last), and its text for rows that repeat an id. Order as bytes is order of ids."""
-    key = F.concat(F.when(F.col(id_col).isNull(), F.lit(b"\x01")).otherwise(F.lit(b"\x00")), F.unhex(F.lpad(F.hex(F.coalesce(F.col(id_col).cast("long"), F.lit(0)).bitwiseXOR(F.lit(-(1 << 63)))), 16, "0")), F.unhex(F.lpad(F.hex(F.xxhash64(F.coalesce(text_col, F.lit("")))), 16, "0")))
-    return key
-
-
 def repeated_chunks(spark: SparkSession, docs: DataFrame) -> DataFrame:
     """row, gone: the places of the chunks to remove, for rows (row, text) that have any."""
     listed = docs.select("row", "text").mapInArrow(_list_chunks, "row binary, place int, digest binary")
@@ -120,7 +116,7 @@ def _without(batches):
 
 def _deduplicated(spark: SparkSession, docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """text without repeated chunks, rest (a struct of all columns), n_chunks, n_removed."""
-    rows = docs.select(_row_key(id_col, text_col).alias("row"), F.col(text_col).cast("string").alias("text"), F.struct(*[F.col(c) for c in docs.columns if c != text_col], F.lit(0).alias("_none")).alias("rest"))
+    rows = docs.select(row_key(id_col, text_col).alias("row"), F.col(text_col).cast("string").alias("text"), F.struct(*[F.col(c) for c in docs.columns if c != text_col], F.lit(0).alias("_none")).alias("rest"))
     removed = repeated_chunks(spark, rows)
     schema = T.StructType([*rows.schema.fields, T.StructField("n_chunks", T.IntegerType()), T.StructField("n_removed", T.IntegerType())])
     return rows.join(removed, "row", "left").mapInArrow(_without, schema)

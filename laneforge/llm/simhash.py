@@ -22,6 +22,9 @@ from pyspark.sql import functions as F
 
 from laneforge.session import written
 
+from . import shingles
+from .common import row_key
+
 SEGMENTS, SEGMENT_BITS, LIMIT = 4, 16, 2
 PIECE = 1 << 16
 
@@ -140,14 +143,18 @@ def near_groups(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", te
     return rows.join(named, "fp").select("id", "fp", "component_id")
 
 
-def drop_near_copies(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One document of each component stays, the one with the least id; all columns are returned.
+def drop_near_copies(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = shingles.WORDS, similarity: float = shingles.SIMILARITY) -> DataFrame:
+    """One document of each group of near copies stays, the one with the least id; all columns are returned.
 
-    Wordless texts share fingerprint 0, so one of them stays. Rows that repeat the least id all stay.
+    Near copies share so much of their sets of runs of `words` words. The two bits of the fingerprints of three-word
+    runs that op7 asks for mean near identity and miss most of these. A 64-bit fingerprint wide enough for them leaves
+    segments too short to search by, so candidates come from bands of minima and the sets themselves decide.
+    Wordless texts have the same empty set, so one of them stays. Rows that repeat the least id and its text all stay.
     """
-    groups = near_groups(spark, docs, id_col, text_col)
-    gone = groups.filter("component_id <> id").select(F.col("id").alias(id_col)).distinct()
-    return docs.join(gone, id_col, "left_anti")
+    rows = docs.select(row_key(id_col, text_col).alias("row"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("rest"))
+    groups = shingles.similar_groups(spark, docs.select(row_key(id_col, text_col).alias("row"), F.col(text_col).alias("text")), words, similarity)
+    gone = groups.filter("keep <> row").select("row").distinct()
+    return rows.join(gone, "row", "left_anti").select("rest.*")
 
 
 def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
