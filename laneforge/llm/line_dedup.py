@@ -1,10 +1,15 @@
-"""Line deduplication by content-defined chunks.
+"""Line deduplication: repeated passages, and content-defined chunks.
 
-A line's hash is rolled over a window of lines; where the rolling hash falls on a fixed residue a chunk ends. The cuts
-follow the content, so lines put in or left out move no cut beyond their window. A chunk of several lines that occurs
-again, anywhere, is removed; its first occurrence (least document, then place) stays.
+Passages: every window of two lines is digested, wherever it stands, so what a document says before or after a
+passage changes nothing. A window that occurs earlier (least document, then place) takes both its lines away; windows
+overlap, so runs of repeated lines go from their first line to their last. A line that goes has an earlier equal one:
+of every line a copy stays. Windows of blank lines, and those that overlap their own first occurrence, take nothing away.
 
-Chunks first meet by digest only, a few bytes each. Texts move once, and only those of repeated digests: they are
+Chunks: a line's hash is rolled over a window of lines; where the rolling hash falls on a fixed residue a chunk ends.
+A chunk of several lines that occurs again is removed. Passages that hold no whole chunk stay, so the query and
+the pipeline use passages.
+
+Either first meet by digest only, a few bytes each. Texts move once, and only those of repeated digests: they are
 grouped by their own bytes, so a removal always rests on equal bytes. Both groupings combine before they shuffle, and a
 verdict goes back to the rows of one document, so a chunk that every document has gathers nowhere.
 """
@@ -56,70 +61,106 @@ def _chunks(text: str | None) -> list[tuple[int, bytes]]:
     return [(b - a, b"\n".join(lines[a:b])) for a, b in cut_lines(lines)]
 
 
+def _windows(text: str | None, least: int = LEAST) -> list[tuple[int, bytes]]:
+    """Lines and bytes of every run of `least` lines of a text; runs of blank lines count as one line."""
+    if not text:
+        return []
+    lines = text.encode("utf-8", "surrogatepass").split(b"\n")
+    runs = (lines[i : i + least] for i in range(len(lines) - least + 1))
+    return [(least if any(x.strip() for x in run) else 1, b"\n".join(run)) for run in runs]
+
+
 def _digest(chunk: bytes) -> bytes:
     return hashlib.blake2b(chunk, digest_size=16).digest()
 
 
-def _list_chunks(batches):
-    for batch in batches:
-        ids, place, digest = [], [], []
-        for doc, text in zip(batch.column(0).to_pylist(), batch.column(1)):
-            for k, (n, chunk) in enumerate(_chunks(text.as_py())):
-                if n > 1:
+def _list_chunks(units):
+    def run(batches):
+        for batch in batches:
+            ids, place, digest = [], [], []
+            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1)):
+                for k, (n, chunk) in enumerate(units(text.as_py())):
+                    if n > 1:
+                        ids.append(doc)
+                        place.append(k)
+                        digest.append(_digest(chunk))
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.binary()), pa.array(place, pa.int32()), pa.array(digest, pa.binary())], ["row", "place", "digest"])
+
+    return run
+
+
+def _repeated_texts(units):
+    def run(batches):
+        for batch in batches:
+            ids, place, texts = [], [], []
+            for doc, text, places in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist()):
+                chunks = units(text.as_py())
+                for k in places:
                     ids.append(doc)
                     place.append(k)
-                    digest.append(_digest(chunk))
-        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.binary()), pa.array(place, pa.int32()), pa.array(digest, pa.binary())], ["row", "place", "digest"])
+                    texts.append(chunks[k][1])
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.binary()), pa.array(place, pa.int32()), pa.array(texts, pa.binary())], ["row", "place", "chunk"])
 
+    return run
 
-def _repeated_texts(batches):
-    for batch in batches:
-        ids, place, texts = [], [], []
-        for doc, text, places in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist()):
-            chunks = _chunks(text.as_py())
-            for k in places:
-                ids.append(doc)
-                place.append(k)
-                texts.append(chunks[k][1])
-        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.binary()), pa.array(place, pa.int32()), pa.array(texts, pa.binary())], ["row", "place", "chunk"])
 
-
-def repeated_chunks(spark: SparkSession, docs: DataFrame) -> DataFrame:
-    """row, gone: the places of the chunks to remove, for rows (row, text) that have any."""
-    listed = docs.select("row", "text").mapInArrow(_list_chunks, "row binary, place int, digest binary")
+def repeated_chunks(spark: SparkSession, docs: DataFrame, units=_chunks, apart: int = 1) -> DataFrame:
+    """row, gone: the places of the chunks to remove, for rows (row, text) that have any; in one row places of equal ones are `apart` at least."""
+    listed = docs.select("row", "text").mapInArrow(_list_chunks(units), "row binary, place int, digest binary")
     listed = written(spark, listed, "line-chunks")
     often = listed.groupBy("digest").agg(F.count("*").alias("n")).filter("n > 1").select("digest")
     asked = listed.join(often, "digest").groupBy("row").agg(F.array_sort(F.collect_set("place")).alias("places"))
-    texts = docs.select("row", "text").join(asked, "row").select("row", "text", "places").mapInArrow(_repeated_texts, "row binary, place int, chunk binary")
+    texts = docs.select("row", "text").join(asked, "row").select("row", "text", "places").mapInArrow(_repeated_texts(units), "row binary, place int, chunk binary")
     texts = written(spark, texts.withColumn("size", F.length("chunk")), "line-repeats")
     first = texts.groupBy("chunk").agg(F.min(F.struct("row", "place")).alias("first"), F.count("*").alias("n")).filter("n > 1")
-    later = texts.join(first, "chunk").filter(F.struct("row", "place") > F.col("first"))
+    later = texts.join(first, "chunk").filter((F.struct("row", "place") > F.col("first")) & ((F.col("row") != F.col("first.row")) | (F.col("place") >= F.col("first.place") + apart)))
     return later.groupBy("row").agg(F.array_sort(F.collect_set("place")).alias("gone"))
 
 
-def _without(batches):
-    for batch in batches:
-        left, chunks_n, gone_n = [], [], []
-        for text, gone in zip(batch.column("text"), batch.column("gone").to_pylist()):
-            text, gone = text.as_py(), set(gone or ())
-            chunks = _chunks(text)
-            left.append(b"\n".join(c for k, (_, c) in enumerate(chunks) if k not in gone).decode("utf-8", "surrogatepass") if gone else text)
-            chunks_n.append(len(chunks))
-            gone_n.append(len(gone))
-        at = batch.schema.get_field_index("text")
-        batch = batch.set_column(at, "text", pa.array(left, pa.string()))
-        batch = batch.drop_columns(["gone"])
-        for name, values in (("n_chunks", chunks_n), ("n_removed", gone_n)):
-            batch = batch.append_column(name, pa.array(values, pa.int32()))
-        yield batch
-
-
-def _deduplicated(spark: SparkSession, docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """text without repeated chunks, rest (a struct of all columns), n_chunks, n_removed."""
+def _without_chunks(text: str, gone: set[int]) -> tuple[str, int, int]:
+    chunks = _chunks(text)
+    return b"\n".join(c for k, (_, c) in enumerate(chunks) if k not in gone).decode("utf-8", "surrogatepass") if gone else text, len(chunks), len(gone)
+
+
+def _without_passages(text: str | None, gone: set[int]) -> tuple[str | None, int, int]:
+    """The text left, and how many runs of lines stay or go, and go."""
+    if not text or not gone:
+        return text, int(bool(text)), 0
+    lines = text.encode("utf-8", "surrogatepass").split(b"\n")
+    away = np.zeros(len(lines) + 2, bool)
+    for k in gone:
+        away[k + 1 : k + 1 + LEAST] = True
+    removed = int((away[1:] & ~away[:-1]).sum())
+    stays = int((~away[1:-1] & np.concatenate([[True], away[1:-2]])).sum())
+    return b"\n".join(x for x, a in zip(lines, away[1:-1]) if not a).decode("utf-8", "surrogatepass"), removed + stays, removed
+
+
+def _without(leave):
+    def run(batches):
+        for batch in batches:
+            texts = [leave(text.as_py(), set(gone or ())) for text, gone in zip(batch.column("text"), batch.column("gone").to_pylist())]
+            left, chunks_n, gone_n = zip(*texts) if texts else ((), (), ())
+            at = batch.schema.get_field_index("text")
+            batch = batch.set_column(at, "text", pa.array(left, pa.string()))
+            batch = batch.drop_columns(["gone"])
+            for name, values in (("n_chunks", chunks_n), ("n_removed", gone_n)):
+                batch = batch.append_column(name, pa.array(values, pa.int32()))
+            yield batch
+
+    return run
+
+
+#: What is compared, how far equal ones are apart in one text, and what is left of a text.
+CHUNKS, PASSAGES = (_chunks, 1, _without_chunks), (_windows, LEAST, _without_passages)
+
+
+def _deduplicated(spark: SparkSession, docs: DataFrame, id_col: str, text_col: str, way=CHUNKS) -> DataFrame:
+    """text without what is repeated, rest (a struct of all columns), n_chunks, n_removed."""
+    units, apart, leave = way
     rows = docs.select(row_key(id_col, text_col).alias("row"), F.col(text_col).cast("string").alias("text"), F.struct(*[F.col(c) for c in docs.columns if c != text_col], F.lit(0).alias("_none")).alias("rest"))
-    removed = repeated_chunks(spark, rows)
+    removed = repeated_chunks(spark, rows, units, apart)
     schema = T.StructType([*rows.schema.fields, T.StructField("n_chunks", T.IntegerType()), T.StructField("n_removed", T.IntegerType())])
-    return rows.join(removed, "row", "left").mapInArrow(_without, schema)
+    return rows.join(removed, "row", "left").mapInArrow(_without(leave), schema)
 
 
 def _columns(docs: DataFrame, text_col: str, but: tuple[str, ...] = ()) -> list:
@@ -136,12 +177,20 @@ def drop_repeated_chunks(spark: SparkSession, docs: DataFrame, id_col: str = "do
     return _deduplicated(spark, docs, id_col, text_col).select(*_columns(docs, text_col, ("n_chunks", "n_removed")), "n_chunks", "n_removed")
 
 
+def drop_repeated_passages(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """As drop_repeated_chunks, but every passage of two or more lines that occurs earlier goes, whatever stands around it.
+
+    n_removed counts the runs of lines that go, n_chunks those that go and those that stay between them.
+    """
+    return _deduplicated(spark, docs, id_col, text_col, PASSAGES).select(*_columns(docs, text_col, ("n_chunks", "n_removed")), "n_chunks", "n_removed")
+
+
 def line_stage(spark: SparkSession, docs: DataFrame) -> DataFrame:
-    """The documents without repeated chunks, with their own columns; those of which nothing is left go."""
-    return _deduplicated(spark, docs, "doc_id", "text").filter("n_removed = 0 OR length(text) > 0").select(*_columns(docs, "text"))
+    """The documents without repeated passages, with their own columns; those of which nothing is left go."""
+    return _deduplicated(spark, docs, "doc_id", "text", PASSAGES).filter("n_removed = 0 OR length(text) > 0").select(*_columns(docs, "text"))
 
 
 def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
-    out = drop_repeated_chunks(spark, docs)
+    out = drop_repeated_passages(spark, docs)
     return out.select("doc_id", "n_chunks", "n_removed", F.length(F.coalesce("text", F.lit(""))).cast("long").alias("n_chars_left"), F.sha2(F.coalesce("text", F.lit("")).cast("binary"), 256).alias("text_sha256"))
