@@ -11,13 +11,21 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 _LOCAL = "A-Za-z0-9._%+-"
+#: Countries by the length of their IBANs.
+IBAN = {
+    15: "NO", 16: "BE", 18: "DK|FI|FK|FO|GL|NL|SD", 19: "MK|SI", 20: "AT|BA|EE|KZ|LT|LU|MN|XK", 21: "CH|HR|LI|LV", 22: "BG|BH|CR|DE|GB|GE|IE|ME|RS|VA",
+    23: "AE|GI|IL|IQ|OM|SO|TL", 24: "AD|CZ|ES|MD|PK|RO|SA|SE|SK|TN|VG", 25: "LY|PT|ST", 26: "IS|TR", 27: "BI|DJ|FR|GR|IT|MC|SM", 28: "AL|AZ|BY|CY|DO|GT|HN|HU|LB|NI|PL|SV",
+    29: "BR|EG|PS|QA|UA", 30: "JO|KW|MU|YE", 31: "MT|SC", 32: "LC", 33: "RU",
+}
+#: The length of a known country ends the span, so a word in capitals or digits after it is not swallowed; other countries take all they can.
+_IBAN = "|".join([rf"(?:{c})[0-9]{{2}}(?:\x20?[A-Z0-9]){{{n - 4}}}+" for n, c in IBAN.items()] + [rf"(?!{'|'.join(IBAN.values())})[A-Z]{{2}}[0-9]{{2}}(?:\x20?[A-Z0-9]){{11,30}}+"])
 #: Kind: what a text must hold, the pattern, the check of a match m, the score without and with a context word.
 KINDS = {
     "email": ("contains(t, '@')", rf"(?:(?<![{_LOCAL}])|\G)[{_LOCAL}]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++", "true", 0.9, 1.0),
     "ip": ("contains(t, '.')", r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}", "forall(split(m, '[.]'), p -> length(ltrim('0', p)) <= 3 AND CAST(concat('0', right(ltrim('0', p), 3)) AS INT) <= 255)", 0.6, 0.9),
     "card": ("true", r"[0-9](?:[\x20-]?[0-9]){12,}+", "length(replace(replace(m, ' ', ''), '-', '')) <= 19 AND luhn_check(replace(replace(m, ' ', ''), '-', ''))", 0.7, 1.0),
     "phone": ("contains(t, '+')", r"\+[0-9][\x20().0-9-]+[0-9]", "length(regexp_replace(m, '[^0-9]', '')) BETWEEN 9 AND 15", 0.6, 0.9),
-    "iban": ("true", r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?:\x20?[A-Z0-9]){11,30}+(?![A-Za-z0-9])", "aggregate(split(concat(substr(replace(m, ' ', ''), 5), left(m, 4)), ''), 0, (a, c) -> CASE WHEN c = '' THEN a WHEN c >= 'A' THEN (a * 100 + ascii(c) - 55) % 97 ELSE (a * 10 + CAST(c AS INT)) % 97 END) = 1", 0.8, 1.0),
+    "iban": ("true", rf"(?<![A-Za-z0-9])(?:{_IBAN})(?![A-Za-z0-9])", "aggregate(split(concat(substr(replace(m, ' ', ''), 5), left(m, 4)), ''), 0, (a, c) -> CASE WHEN c = '' THEN a WHEN c >= 'A' THEN (a * 100 + ascii(c) - 55) % 97 ELSE (a * 10 + CAST(c AS INT)) % 97 END) = 1", 0.8, 1.0),
     "secret": ("true", r"(?i)(?<![a-z0-9])(?:api[_-]?key|token|secret|password)['\x22]?\x20{0,3}[=:]\x20{0,3}['\x22]?[a-z0-9+/_=-]{16,}+", "true", 0.8, 1.0),
     "ssn": ("contains(t, '-')", r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])", "left(m, 3) NOT IN ('000', '666') AND left(m, 1) <> '9'", 0.3, 0.8),
 }
