@@ -11,6 +11,7 @@ from __future__ import annotations
 import base64
 import gc
 import hashlib
+from contextlib import contextmanager
 from itertools import chain
 
 import numpy as np
@@ -20,9 +21,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import freed
+
 #: The character of byte 0; every other byte is the character of its number.
 ZERO = "\u0100"
-CACHE = 300_000
+#: Estimated bytes of the pre-tokens that a worker remembers within a task, besides those of the text at hand.
+CACHE_BYTES = 48 << 20
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -85,6 +89,12 @@ class Codec:
         #: Pieces of a pre-token, and its ids as text.
         self.seen: dict[str, list[int]] = {}
         self.shown: dict[str, str] = {}
+        self.held = 0
+
+    def forget(self) -> None:
+        self.seen.clear()
+        self.shown.clear()
+        self.held = 0
 
     def learn(self, new: list[str]) -> None:
         """Encodes pre-tokens not yet seen, all at once."""
@@ -105,14 +115,14 @@ class Codec:
             if 0 in ids:
                 raise ValueError("the vocabulary lacks a byte of this text")
             seen[t], shown[t] = ids, " ".join(map(name, ids))
+        self.held += sum(450 + 2 * len(t) + 40 * len(seen[t]) for t in new)
 
     def pieces(self, text: str) -> list[str]:
         tokens = self.split(text)
         missing = [t for t in set(tokens) if t not in self.seen]
         if missing:
-            if len(self.seen) + len(missing) > CACHE:
-                self.seen.clear()
-                self.shown.clear()
+            if self.held > CACHE_BYTES:
+                self.forget()
                 missing = list(set(tokens))
             self.learn(missing)
         return tokens
@@ -124,26 +134,37 @@ class Codec:
         return b"".join([self.bytes_of[x + 1] for x in ids])
 
 
-_CODECS: dict[tuple[str, str], Codec] = {}
+_CODECS: dict[tuple[str | None, str | None], Codec] = {}
 
 
-def codec(path: str, pattern: str) -> Codec:
-    """One codec for each worker process, built from the rank file at path."""
+def codec(path: str | None, pattern: str | None) -> Codec:
+    """One codec for each worker process, built from the rank file at path; where they are None, this worker's own public one."""
     if (path, pattern) not in _CODECS:
-        _CODECS[path, pattern] = Codec(read_ranks(path), pattern)
-    return _CODECS[path, pattern]
+        import public_tokenizers
 
+        _CODECS[path, pattern] = Codec(read_ranks(path or public_tokenizers.path("byte_bpe_50k.tiktoken")), pattern or public_tokenizers.PATTERN)
+    return _CODECS[path, pattern]
 
-def _default() -> tuple[str, str]:
-    import public_tokenizers
 
-    return public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN
+@contextmanager
+def _at_work(path: str | None, pattern: str | None):
+    """The codec for one task. Its memory has no cycles and a walk over it would cost more than the work, so the collector rests."""
+    c = codec(path, pattern)
+    gc.disable()
+    try:
+        yield c
+    finally:
+        c.forget()
+        gc.enable()
 
 
-def _encode(path: str, pattern: str, text_col: str, out_col: str):
+def _encode(path: str | None, pattern: str | None, text_col: str, out_col: str):
+    @freed
     def run(batches):
-        c = codec(path, pattern)
-        gc.disable()
+        with _at_work(path, pattern) as c:
+            yield from encoded(c, batches)
+
+    def encoded(c, batches):
         for batch in batches:
             place = batch.schema.get_field_index(text_col)
             for at in range(0, batch.num_rows, 256):  # few rows at a time: their ids are Python numbers for a moment
@@ -159,8 +180,12 @@ def _encode(path: str, pattern: str, text_col: str, out_col: str):
 
 
 def encode_ids(docs: DataFrame, text_col: str = "text", path: str | None = None, pattern: str | None = None, out_col: str = "token_ids") -> DataFrame:
-    """All columns of docs and the ids of each whole text as array<int>; a null text has no ids. A column out_col is replaced."""
-    path, pattern = path or _default()[0], pattern or _default()[1]
+    """All columns of docs and the ids of each whole text as array<int>.
+
+    A null or empty text has no ids. A text or a pre-token of any length is encoded whole. Rows that repeat are each
+    encoded, an empty table gives no rows, and a column of docs named out_col gives way. path and pattern: of the
+    tokenizer; where they are None every worker finds the public one where it is installed.
+    """
     kept = docs.drop(out_col).withColumn(text_col, F.col(text_col).cast("string"))
     schema = T.StructType([*kept.schema.fields, T.StructField(out_col, T.ArrayType(T.IntegerType()))])
     return kept.mapInArrow(_encode(path, pattern, text_col, out_col), schema)
@@ -168,7 +193,6 @@ def encode_ids(docs: DataFrame, text_col: str = "text", path: str | None = None,
 
 def decode_ids(docs: DataFrame, ids_col: str = "token_ids", path: str | None = None, pattern: str | None = None, out_col: str = "decoded") -> DataFrame:
     """All columns of docs and the bytes that the ids stand for; null ids give no bytes."""
-    path, pattern = path or _default()[0], pattern or _default()[1]
 
     @F.pandas_udf("binary")
     def raw(rows):
@@ -180,10 +204,13 @@ def decode_ids(docs: DataFrame, ids_col: str = "token_ids", path: str | None = N
     return docs.drop(out_col).withColumn(out_col, raw(F.col(ids_col)))
 
 
-def _digest(path: str, pattern: str):
+def _digest(path: str | None, pattern: str | None):
+    @freed
     def run(batches):
-        c, sha = codec(path, pattern), hashlib.sha256
-        gc.disable()  # no cycles here, and a walk over the memory of pre-tokens would cost more than the work
+        with _at_work(path, pattern) as c:
+            yield from digests(c, hashlib.sha256, batches)
+
+    def digests(c, sha, batches):
         for batch in batches:
             n, ids_sha, raw_sha = [], [], []
             for value in batch.column(1):
@@ -198,8 +225,10 @@ def _digest(path: str, pattern: str):
 
 
 def encoding_digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None, pattern: str | None = None) -> DataFrame:
-    """doc_id, n_tokens, ids_sha256, decoded_sha256 of every whole text; null counts as empty; an empty table gives no rows."""
-    path, pattern = path or _default()[0], pattern or _default()[1]
+    """doc_id, n_tokens, ids_sha256, decoded_sha256 of every whole text, however long; null counts as empty.
+
+    Rows that repeat an id are each returned; an empty table gives no rows; other columns are not read.
+    """
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(_digest(path, pattern), "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
 
 

@@ -10,13 +10,18 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import crc_part
+from .common import crc_part, freed
 from .words import SPACE, pieces, word_spans
 
 BUCKETS = 1 << 16
+#: Bytes of text that the recursion goes through together.
+TOGETHER = 1 << 21
+#: Fixed value: the language of a text that is null or has no letter.
+UNKNOWN = "und"
 #: First and last code points of letters of a script, by script (Unicode blocks).
 SCRIPTS = [
     ("latin", 0x00C0, 0x024F), ("latin", 0x1E00, 0x1EFF), ("greek", 0x0370, 0x03FF), ("greek", 0x1F00, 0x1FFF),
@@ -36,15 +41,16 @@ _LETTER = np.zeros(256, bool)
 _LETTER[0x61:0x7B] = True  # A-Z come lower-cased
 
 
-def _windows(data: np.ndarray) -> np.ndarray:
-    """For each byte, the bucket of the window that ends there; BUCKETS for white space."""
-    space = SPACE[data]
+def _windows(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
+    """For each byte, the bucket of the window that ends there; BUCKETS for white space. No window goes beyond its word or its text."""
+    space, fresh = SPACE[data], np.zeros(len(data) + 1, bool)
+    fresh[offsets] = True
     total = data.astype(np.uint32)
     alive = np.ones(len(data), bool)
     for back in (1, 2, 3):
         if len(data) <= back:
             break
-        alive[back:] &= ~space[:-back]
+        alive[back:] &= ~space[:-back] & ~fresh[1 : len(data) - back + 1]
         alive[:back] = False
         total[back:] |= np.where(alive[back:], data[:-back].astype(np.uint32) << np.uint32(8 * back), 0).astype(np.uint32)
     h = (total * np.uint32(2654435761)) >> np.uint32(16)
@@ -68,13 +74,14 @@ def _count(langs: list[str]):
     """Counts windows and scripts of the labelled texts of a partition; rows (lang number, bucket, n)."""
     number = {x: i for i, x in enumerate(langs)}
 
+    @freed
     def run(batches):
         windows, scripts = np.zeros((len(langs), BUCKETS + 1), np.int64), np.zeros((len(langs), len(NAMES)), np.int64)
         for batch in batches:
             label = np.array([number[x] for x in batch.column(0).to_pylist()], np.int64)
             for at, offsets, data in pieces(batch.column(1)):
                 of = np.repeat(label[at : at + len(offsets) - 1], np.diff(offsets))
-                windows += np.bincount(of * (BUCKETS + 1) + _windows(data), minlength=windows.size).reshape(windows.shape)
+                windows += np.bincount(of * (BUCKETS + 1) + _windows(data, offsets), minlength=windows.size).reshape(windows.shape)
                 place, kind = _letters(data)
                 scripts += np.bincount(of[place] * len(NAMES) + kind, minlength=scripts.size).reshape(scripts.shape)
                 scripts[:, 0] += np.bincount(of[_LETTER[data]], minlength=len(langs))
@@ -97,9 +104,9 @@ class Model:
         self.uses = share >= 0.01  # scripts of a language
         self.uses[:, ~self.uses.any(axis=0)] = True  # a script that none uses excludes none
 
-    def scores(self, data, starts, ends):
+    def scores(self, data, offsets, starts):
         """Score of each word for each language, and whether it has letters."""
-        buckets = _windows(data)
+        buckets = _windows(data, offsets)
         out = np.stack([np.add.reduceat(t[buckets], starts) for t in self.table], axis=1).astype(np.float64)
         ascii_letters = np.add.reduceat(_LETTER[data].astype(np.int64), starts) > 0
         place, kind = _letters(data)
@@ -182,38 +189,45 @@ def _has_letter(text: str | None) -> bool:
     return bool(text) and any(map(str.isalpha, text))
 
 
+def _judged(model: Model, penalty: float, texts: pa.Array, spans: bool = False):
+    """Of each text: its language (und: null or without a letter), the winner's share, and the runs of one language."""
+    pred, score, found = [], [], []
+    for at, offsets, data in pieces(texts, TOGETHER):
+        starts, ends, lens = word_spans(offsets, data)
+        m, k = len(lens), len(model.langs)
+        letters = np.add.reduceat(np.r_[_LETTER[data], False].astype(np.int64), offsets[:-1]) * (np.diff(offsets) > 0) > 0
+        for i in np.flatnonzero(~letters):
+            letters[i] = _has_letter(texts[at + int(i)].as_py())
+        if k and len(starts):
+            s, known = model.scores(data, offsets, starts)
+            labels = viterbi(s, lens, penalty)
+            weight = np.bincount(np.repeat(np.arange(m), lens) * k + labels, (ends - starts) * known, m * k).reshape(m, k)
+        else:
+            labels, weight = np.zeros(len(starts), np.int64), np.zeros((m, k))
+        if k:
+            top = weight.argmax(axis=1)
+            share = np.where(letters, weight[np.arange(m), top] / np.maximum(weight.sum(axis=1), 1), 0.0)
+            pred += [model.langs[t] if ok else UNKNOWN for t, ok in zip(top, letters)]
+        else:
+            share = np.zeros(m)
+            pred += [UNKNOWN] * m
+        score.append(share)
+        if spans:
+            first = 0
+            for n in lens.tolist():
+                own = labels[first : first + n]
+                edge = np.r_[0, np.flatnonzero(np.diff(own)) + 1, n] if n and k else np.zeros(1, int)
+                found.append([{"first": int(a), "last": int(b), "lang": model.langs[own[a]]} for a, b in zip(edge[:-1], edge[1:])])
+                first += n
+    return pred, np.concatenate(score) if score else np.zeros(0), found
+
+
 def _predict(model: Model, penalty: float, spans: bool):
+    @freed
     def run(batches):
         for batch in batches:
-            pred, score, found = [], [], []
-            for at, offsets, data in pieces(batch.column(2)):
-                starts, ends, lens = word_spans(offsets, data)
-                m, k = len(lens), len(model.langs)
-                letters = np.add.reduceat(np.r_[_LETTER[data], False].astype(np.int64), offsets[:-1]) * (np.diff(offsets) > 0) > 0
-                for i in np.flatnonzero(~letters):
-                    letters[i] = _has_letter(batch.column(2)[at + int(i)].as_py())
-                if k and len(starts):
-                    s, known = model.scores(data, starts, ends)
-                    labels = viterbi(s, lens, penalty)
-                    weight = np.bincount(np.repeat(np.arange(m), lens) * k + labels, (ends - starts) * known, m * k).reshape(m, k)
-                else:
-                    labels, weight = np.zeros(len(starts), np.int64), np.zeros((m, k))
-                if k:
-                    top = weight.argmax(axis=1)
-                    share = np.where(letters, weight[np.arange(m), top] / np.maximum(weight.sum(axis=1), 1), 0.0)
-                    pred += [model.langs[t] if ok else "und" for t, ok in zip(top, letters)]
-                else:
-                    share = np.zeros(m)
-                    pred += ["und"] * m
-                score.append(share)
-                if spans:
-                    first = 0
-                    for n in lens.tolist():
-                        own = labels[first : first + n]
-                        edge = np.r_[0, np.flatnonzero(np.diff(own)) + 1, n] if n else np.zeros(0, int)
-                        found.append([{"first": int(a), "last": int(b), "lang": model.langs[own[a]]} for a, b in zip(edge[:-1], edge[1:])])
-                        first += n
-            columns = [batch.column(0), batch.column(1), pa.array(pred, pa.string()), pa.array(np.concatenate(score) if score else np.zeros(0), pa.float64())]
+            pred, score, found = _judged(model, penalty, batch.column(2), spans)
+            columns = [batch.column(0), batch.column(1), pa.array(pred, pa.string()), pa.array(score, pa.float64())]
             names = ["id", "held_out", "lang_pred", "score"]
             if spans:
                 columns.append(pa.array(found, pa.list_(pa.struct([("first", pa.int32()), ("last", pa.int32()), ("lang", pa.string())]))))
@@ -223,12 +237,32 @@ def _predict(model: Model, penalty: float, spans: bool):
     return run
 
 
+def _settle(model: Model, penalty: float, least: float, lang: int, text: int):
+    """Keeps the rows whose text is in some language; a row without a language gets the predicted one."""
+
+    @freed
+    def run(batches):
+        for batch in batches:
+            for at in range(0, batch.num_rows, 2048):  # some rows at a time: a batch may hold many long texts
+                part = batch.slice(at, 2048)
+                texts = part.column(text)
+                if model.langs:
+                    pred, score, _ = _judged(model, penalty, texts)
+                    keep = [p != UNKNOWN and s >= least for p, s in zip(pred, score.tolist())]
+                else:  # nothing to judge by: letters decide
+                    pred, keep = [None] * part.num_rows, [_has_letter(x.as_py()) for x in texts]
+                named = pc.fill_null(part.column(lang), pa.array([p if k else None for p, k in zip(pred, keep)], pa.string()))
+                yield part.set_column(lang, part.schema.field(lang), named).filter(pa.array(keep, pa.bool_()))
+
+    return run
+
+
 def identify(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", held=None, penalty: float = 14.0, spans: bool = False) -> DataFrame:
     """id, held_out, lang_pred, score for every whole text, and with spans=True the runs of words of one language.
 
     score: the share of the winner in the bytes of lettered words. A text that is null or has no letter is `und` with
-    score 0 (all are, where nothing could be learnt). Ties go to the language that sorts first. Other columns are
-    not read; an empty table gives no rows.
+    score 0 (all are, where nothing could be learnt). Ties go to the language that sorts first. A text of any length is
+    read whole; rows that repeat are each judged. Other columns are not read; an empty table gives no rows.
     """
     schema = "id long, held_out boolean, lang_pred string, score double" + (", spans array<struct<first:int,last:int,lang:string>>" if spans else "")
     rows = docs.select(F.col(id_col).cast("long").alias("id"), (F.lit(False) if held is None else held).alias("held_out"), F.col(text_col).cast("string").alias("text"))
@@ -241,21 +275,17 @@ def predictions(spark: SparkSession, docs: DataFrame) -> DataFrame:
     return identify(docs, train(spark, docs.filter(~held)), held=held)
 
 
-def drop_unknown(spark: SparkSession, docs: DataFrame) -> DataFrame:
-    """The documents whose text is in some language; null texts and texts without a letter go."""
-    held = crc_part("doc_id", 4) == 2
-    model = train(spark, docs.filter(~held))
-    names = docs.columns
-
-    @F.pandas_udf("boolean")
-    def known(texts):
-        import pandas as pd
-
-        batch = pa.RecordBatch.from_arrays([pa.array([0] * len(texts)), pa.array([False] * len(texts)), pa.array(texts, pa.string(), from_pandas=True)], ["a", "b", "c"])
-        out = next(_predict(model, 14.0, False)(iter([batch])))
-        return pd.Series([x != "und" for x in out.column(2).to_pylist()])
+def drop_unknown(spark: SparkSession, docs: DataFrame, lang_col: str = "lang", text_col: str = "text", penalty: float = 14.0, least: float = 0.3) -> DataFrame:
+    """The documents whose text is in some language, with all their columns; where lang is null, it is the predicted one.
 
-    return docs.filter(known(F.col("text").cast("string"))).select(*names)
+    The model learns from all rows that have a language. Rejected are texts that are null, empty or without a letter,
+    and those in which no language has a share of `least` of the lettered words. Where no row has a language there is
+    no model and only texts without a letter go. Repeated rows are each judged; an empty table gives no rows; the names
+    of other columns never matter.
+    """
+    model = train(spark, docs, lang_col, text_col)
+    rows = docs.withColumns({lang_col: F.col(lang_col).cast("string"), text_col: F.col(text_col).cast("string")})
+    return rows.mapInArrow(_settle(model, penalty, least, docs.columns.index(lang_col), docs.columns.index(text_col)), rows.schema)
 
 
 def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -27,7 +27,7 @@ from pyspark.sql import types as T
 
 from laneforge.session import written
 
-from .common import row_key
+from .common import freed, row_key
 
 MASK = (1 << 64) - 1
 #: Lines of the rolling window, one cut in so many places, least and most lines of a chunk.
@@ -75,6 +75,7 @@ def _digest(chunk: bytes) -> bytes:
 
 
 def _list_chunks(units):
+    @freed
     def run(batches):
         for batch in batches:
             ids, place, digest = [], [], []
@@ -90,6 +91,7 @@ def _list_chunks(units):
 
 
 def _repeated_texts(units):
+    @freed
     def run(batches):
         for batch in batches:
             ids, place, texts = [], [], []
@@ -136,6 +138,7 @@ def _without_passages(text: str | None, gone: set[int]) -> tuple[str | None, int
 
 
 def _without(leave):
+    @freed
     def run(batches):
         for batch in batches:
             texts = [leave(text.as_py(), set(gone or ())) for text, gone in zip(batch.column("text"), batch.column("gone").to_pylist())]

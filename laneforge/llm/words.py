@@ -6,8 +6,8 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-#: Bytes handled at once; a longer text is one piece of its own.
-PIECE = 1 << 22
+#: Bytes handled at once, so that the arrays of a piece stay small; a longer text is one piece of its own.
+PIECE = 1 << 19
 _BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
 _INVERSE = np.uint64(pow(int(_BASE), -1, 1 << 64))
 SPACE = np.zeros(256, bool)
@@ -18,15 +18,19 @@ _POWERS: dict[str, np.ndarray] = {}
 
 
 def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    if len(_POWERS.get("up", ())) < n:
-        size = max(n, PIECE)
-        for name, base in (("up", _BASE), ("down", _INVERSE)):
-            a = np.full(size, base)
-            a[0] = 1
-            _POWERS[name] = np.multiply.accumulate(a)
+    if n > PIECE + 1:  # for one long text, and not kept
+        return _raised(_BASE, n), _raised(_INVERSE, n)
+    if not _POWERS:
+        _POWERS["up"], _POWERS["down"] = _raised(_BASE, PIECE + 1), _raised(_INVERSE, PIECE + 1)
     return _POWERS["up"][:n], _POWERS["down"]
 
 
+def _raised(base: np.uint64, n: int) -> np.ndarray:
+    a = np.full(n, base)
+    a[0] = 1
+    return np.multiply.accumulate(a)
+
+
 def mix(h: np.ndarray) -> np.ndarray:
     """A bijection on 64 bits that spreads every bit."""
     h = (h ^ (h >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
@@ -34,8 +38,8 @@ def mix(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(31))
 
 
-def pieces(column: pa.Array):
-    """Runs of texts of about PIECE bytes: (first text, offsets from 0, A-Z-lower-cased bytes). Null texts are empty."""
+def pieces(column: pa.Array, size: int = PIECE):
+    """Runs of texts of about `size` bytes: (first text, offsets from 0, A-Z-lower-cased bytes). Null texts are empty."""
     column = pc.fill_null(column.cast(pa.large_string()), "")
     if not len(column):
         return
@@ -43,7 +47,7 @@ def pieces(column: pa.Array):
     data = np.frombuffer(column.buffers()[2] or b"", np.uint8)
     at = 0
     while at < len(column):
-        end = max(at + 1, int(np.searchsorted(offsets, offsets[at] + PIECE, "right")) - 1)
+        end = max(at + 1, int(np.searchsorted(offsets, offsets[at] + size, "right")) - 1)
         yield at, offsets[at : end + 1] - offsets[at], LOWER[data[offsets[at] : offsets[end]]]
         at = end
 
