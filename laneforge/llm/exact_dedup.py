@@ -20,10 +20,13 @@ from pyspark.sql import functions as F
 
 from laneforge.session import written
 
+from .common import freed, kept_rows, row_key
+
 KEY = ["sha", "check", "n_bytes"]
 DIGEST_SCHEMA = "id long, sha binary, check binary, n_bytes long"
 
 
+@freed
 def _digests(batches):
     for batch in batches:
         sha, check, size = [], [], []
@@ -33,27 +36,28 @@ def _digests(batches):
             check.append(hashlib.blake2b(raw, digest_size=16).digest())
             size.append(len(raw))
         yield pa.RecordBatch.from_arrays(
-            [batch.column(0), pa.array(sha, pa.binary()), pa.array(check, pa.binary()), pa.array(size, pa.int64())],
-            ["id", "sha", "check", "n_bytes"],
+            [batch.column(0), pa.array(sha, pa.binary()), pa.array(check, pa.binary()), pa.array(size, pa.int64()), *batch.columns[2:]],
+            ["id", "sha", "check", "n_bytes", *batch.schema.names[2:]],
         )
 
 
-def text_digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, both digests and the length of every A-Z-lower-cased text; null counts as empty."""
-    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")).mapInArrow(_digests, DIGEST_SCHEMA)
+def text_digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", row_col: str | None = None) -> DataFrame:
+    """id, both digests and the length of every whole A-Z-lower-cased text; null counts as empty. With row_col that binary column as row."""
+    more = [F.col(row_col).alias("row")] if row_col else []
+    return docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"), *more).mapInArrow(_digests, DIGEST_SCHEMA + (", row binary" if row_col else ""))
 
 
-def exact_groups(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "min", fan_in: int = 8, rounds: int = 2) -> DataFrame:
-    """One row per input row: id, keep_id, group_size, kept, text_sha256 (hex).
+def exact_groups(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "min", fan_in: int = 8, rounds: int = 2, row_col: str | None = None) -> DataFrame:
+    """One row per input row: id, keep_id, group_size, kept, text_sha256 (hex), and with row_col that binary column as row.
 
     keep: whether the smallest or the largest id of equal texts stays. Null and empty texts are equal. A row with
     a null id counts in its group; it stays only where the group has no other id. Rows that repeat an id and text are
-    each returned, with the same verdict. An empty table gives no rows; other columns are not read.
+    each returned, with the same verdict. Texts of any length are read whole. An empty table gives no rows; other columns are not read.
     """
     if keep not in ("min", "max"):
         raise ValueError("keep is 'min' or 'max'")
     best = F.min if keep == "min" else F.max
-    rows = written(spark, text_digests(docs, id_col, text_col), "digests")
+    rows = written(spark, text_digests(docs, id_col, text_col, row_col), "digests")
     rows = rows.withColumn("run", F.pmod(F.xxhash64("id"), F.lit(fan_in**rounds)).cast("int"))
     # An aggregate over a struct is a sorted one: each side is a sorted run, each exchange a multiway merge.
     levels = [rows.groupBy("run", *KEY).agg(best(F.struct("id")).alias("best"), F.count("*").alias("n"))]
@@ -73,13 +77,23 @@ def exact_groups(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", t
         F.coalesce("group_size", F.lit(1)).cast("long").alias("group_size"),
         keep_id.eqNullSafe(F.col("id")).alias("kept"),
         F.lower(F.hex("sha")).alias("text_sha256"),
+        *(["row"] if row_col else []),
     )
 
 
 def drop_exact_copies(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "min") -> DataFrame:
-    """The documents that stay, with all their columns."""
-    gone = exact_groups(spark, docs, id_col, text_col, keep).filter("NOT kept").select(F.col("id").alias(id_col)).distinct()
-    return docs.join(gone, id_col, "left_anti")
+    """One row of each group of equal texts, with all its columns.
+
+    It is a row of the group's smallest (keep="max": largest) id; a row with a null id only where the group has no
+    other. Of several rows with that id one stays: the one whose text sorts first by its hash, then any. Rows that share
+    an id but not the text are in groups of their own. An empty table gives no rows.
+    """
+    key = row_key(id_col, F.col(text_col))
+    found = exact_groups(spark, docs.withColumn("_row", key), id_col, text_col, keep, row_col="_row")
+    best = found.groupBy("text_sha256").agg(F.min(F.when(F.col("kept"), F.col("row"))).alias("best"))
+    verdict = found.join(best, "text_sha256").groupBy("row").agg(F.first(F.col("row") != F.col("best")).alias("gone"), F.count("*").alias("n"))
+    verdict = written(spark, verdict.filter("gone OR n > 1"), "digest-verdicts")
+    return kept_rows(docs, key, verdict.filter("gone").select("row"), verdict.filter("NOT gone").select("row"))
 
 
 def op3_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

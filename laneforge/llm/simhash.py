@@ -1,10 +1,11 @@
 """SimHash near-duplicates: fingerprints, pigeonring candidate search, Hamming check, components.
 
-The 64 bits are a ring of four 16-bit segments. If two fingerprints differ in at most two bits, some chain of
-consecutive segments starts where the segment is equal and never exceeds its proportional budget: after j segments at most
-j * 2 / 4 differences. For three segments that allows one difference, so one of the two that follow the start is
-equal too: a candidate shares the start and one of the next two segments, 32 bits. Those are the bucket keys; the
-chain condition prunes what a bucket yields before the full Hamming check.
+The 64 bits are a ring of segments. If two fingerprints differ in at most `limit` bits, some chain of consecutive
+segments, wherever it starts, never exceeds its proportional budget: after j of m segments at most j * limit / m
+differences, rounded down. Its first segments have a budget below one, so they are equal: these are a bucket key, one for
+each start. For two bits and five segments a key has two neighbouring segments, 25 or 26 bits, and there are five
+keys where equal segments in any places would need ten. What a bucket yields is pruned by the rest of the chain from the
+same start (at most one difference up to the fourth segment) before the full Hamming check.
 
 A bucket of more than `bucket_limit` fingerprints is not paired up. Its members go another exact way: two
 fingerprints differ in at most two bits exactly if they share a neighbour at distance at most one, so each member is
@@ -23,9 +24,10 @@ from pyspark.sql import functions as F
 from laneforge.session import written
 
 from . import shingles
-from .common import row_key
+from .common import freed, kept_rows, row_key
 
-SEGMENTS, SEGMENT_BITS, LIMIT = 4, 16, 2
+#: Segments of the ring, and the most bits that linked fingerprints differ in.
+SEGMENTS, LIMIT = 5, 2
 PIECE = 1 << 16
 
 
@@ -49,6 +51,7 @@ def fingerprint(text: str | None, words: int = 3, seed: int = 42) -> int:
 
 
 def _fingerprints(words: int, seed: int):
+    @freed
     def run(batches):
         for batch in batches:
             found = np.array([fingerprint(x.as_py(), words, seed) for x in batch.column(1)], dtype=np.uint64).view(np.int64)
@@ -63,41 +66,48 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 
 def _segment(fp: Column, i: int) -> Column:
-    return F.shiftrightunsigned(fp, SEGMENT_BITS * (SEGMENTS - 1 - i % SEGMENTS)).bitwiseAND(F.lit((1 << SEGMENT_BITS) - 1))
+    edges = [64 * k // SEGMENTS for k in range(SEGMENTS + 1)]
+    low, high = edges[i % SEGMENTS], edges[i % SEGMENTS + 1]
+    return F.shiftrightunsigned(fp, 64 - high).bitwiseAND(F.lit((1 << (high - low)) - 1))
 
 
-def _keys(fp: Column) -> Column:
-    """The two-segment keys: the start of a chain with either of the next two segments."""
-    pairs = sorted({tuple(sorted((i, (i + d) % SEGMENTS))) for i in range(SEGMENTS) for d in (1, 2)})
-    return F.array(*[F.shiftleft(F.shiftleft(F.lit(k).cast("long"), SEGMENT_BITS).bitwiseOR(_segment(fp, a)), SEGMENT_BITS).bitwiseOR(_segment(fp, b)) for k, (a, b) in enumerate(pairs)])
+#: The differences that a chain may have gathered after each of its segments.
+BUDGETS = [j * LIMIT // SEGMENTS for j in range(1, SEGMENTS + 1)]
 
 
-def _in_budget(x: Column) -> Column:
-    """Whether some chain of three segments of the differences x keeps every proportional budget."""
-    d = [F.bit_count(_segment(x, i)) for i in range(SEGMENTS)]
-    chains = []
+def _keys(fp: Column) -> Column:
+    """For each start: the start and the segments from there that a chain in budget has equal, in one number."""
+    out = []
+    for start in range(SEGMENTS):
+        key = F.lit(start).cast("long")
+        for j in range(BUDGETS.count(0)):
+            key = F.shiftleft(key, -(-64 // SEGMENTS)).bitwiseOR(_segment(fp, start + j))
+        out.append(key)
+    return F.array(*out)
+
+
+def _chain(x: Column, start: Column) -> Column:
+    """Whether the chain of the differences x from `start` keeps its budget at every segment but the last, which is the Hamming check."""
+    out = F.lit(False)
     for i in range(SEGMENTS):
-        total, ok = None, None
-        for j in range(3):
-            total = d[(i + j) % SEGMENTS] if total is None else total + d[(i + j) % SEGMENTS]
-            here = total * SEGMENTS <= (j + 1) * LIMIT
-            ok = here if ok is None else ok & here
-        chains.append(ok)
-    out = chains[0]
-    for c in chains[1:]:
-        out = out | c
+        total, ok = F.lit(0), F.lit(True)
+        for j in range(SEGMENTS - 1):
+            total = total + F.bit_count(_segment(x, i + j))
+            if BUDGETS[j]:  # the key holds the others
+                ok = ok & (total <= BUDGETS[j])
+        out = F.when(start == i, ok).otherwise(out)
     return out
 
 
-def near_links(spark: SparkSession, fps: DataFrame, bucket_limit: int = 64) -> DataFrame:
+def near_links(spark: SparkSession, fps: DataFrame, bucket_limit: int = 512) -> DataFrame:
     """Edges (u < v) between distinct fingerprints that give the components of `at most two bits apart`."""
-    keyed = fps.select("fp", F.explode(_keys(F.col("fp"))).alias("key"))
+    keyed = fps.select("fp", F.posexplode(_keys(F.col("fp"))).alias("start", "key"))
     sizes = keyed.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1")
     crowded = written(spark, keyed.join(sizes, "key"), "simhash-buckets")
     small = crowded.filter(F.col("n") <= bucket_limit)
-    left, right = small.select("key", F.col("fp").alias("u")), small.select("key", F.col("fp").alias("v"))
+    left, right = small.select("key", "start", F.col("fp").alias("u")), small.select("key", F.col("fp").alias("v"))
     x = F.col("u").bitwiseXOR(F.col("v"))
-    pairs = left.join(right, "key").filter(F.col("u") < F.col("v")).filter(_in_budget(x)).filter(F.bit_count(x) <= LIMIT).select("u", "v")
+    pairs = left.join(right, "key").filter(F.col("u") < F.col("v")).filter(_chain(x, F.col("start"))).filter(F.bit_count(x) <= LIMIT).select("u", "v")
     full = crowded.filter(F.col("n") > bucket_limit).select("fp").distinct()
     around = full.select("fp", F.explode(F.concat(F.array("fp"), F.transform(F.sequence(F.lit(0), F.lit(63)), lambda i: F.col("fp").bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), i))))).alias("at"))
     least = around.groupBy("at").agg(F.min("fp").alias("u"), F.count("*").alias("n")).filter("n > 1").drop("n")
@@ -127,12 +137,12 @@ def components(spark: SparkSession, edges: DataFrame, most_rounds: int = 60) ->
     raise RuntimeError(f"components did not settle in {most_rounds} rounds")
 
 
-def near_groups(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, bucket_limit: int = 64) -> DataFrame:
+def near_groups(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = 3, bucket_limit: int = 512) -> DataFrame:
     """One row per document: id, fp, component_id (the least id that links of at most two bits reach).
 
     A null or wordless text has fingerprint 0 and links like any other. Equal texts have equal fingerprints; a
     fingerprint takes part once, however many rows share it. Rows with a null id count for links but never name a
-    component unless it has no other id. An empty table gives no rows; other columns are not read.
+    component unless it has no other id. Texts of any length are read whole. An empty table gives no rows; other columns are not read.
     """
     rows = written(spark, fingerprints(docs, id_col, text_col, words), "fingerprints")
     fps = written(spark, rows.groupBy("fp").agg(F.min("id").alias("least_id")), "fps")
@@ -149,12 +159,13 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, id_col: str = "doc_id
     Near copies share so much of their sets of runs of `words` words. The two bits of the fingerprints of three-word
     runs that op7 asks for mean near identity and miss most of these. A 64-bit fingerprint wide enough for them leaves
     segments too short to search by, so candidates come from bands of minima and the sets themselves decide.
-    Wordless texts have the same empty set, so one of them stays. Rows that repeat the least id and its text all stay.
+    Wordless texts have the same empty set, so one of them stays, and so does one of the rows that repeat an id and
+    its text. Rows that share an id but not the text are told apart; null ids come last. An empty table gives no rows.
     """
-    rows = docs.select(row_key(id_col, text_col).alias("row"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("rest"))
-    groups = shingles.similar_groups(spark, docs.select(row_key(id_col, text_col).alias("row"), F.col(text_col).alias("text")), words, similarity)
-    gone = groups.filter("keep <> row").select("row").distinct()
-    return rows.join(gone, "row", "left_anti").select("rest.*")
+    key = row_key(id_col, F.col(text_col))
+    groups = shingles.similar_groups(spark, docs.select(key.alias("row"), F.col(text_col).alias("text")), words, similarity)
+    rows = written(spark, groups.groupBy("row").agg(F.min("keep").alias("keep"), F.count("*").alias("n")).filter("keep <> row OR n > 1"), "shingle-verdicts")
+    return kept_rows(docs, key, rows.filter("keep <> row").select("row"), rows.filter("keep = row").select("row"))
 
 
 def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
