@@ -1,13 +1,16 @@
 """URL filters: a rule list, and association rules that FP-growth mines from labelled pages.
 
 A url becomes a set of tokens. Frequent token sets that predict a verdict with enough confidence are rules; those that a
-shorter rule with the same verdict and no less confidence makes needless are pruned. An inverted index files every
-rule under its rarest token: a url meets only the rules of its own tokens and checks them for the rest.
+shorter rule with the same verdict and no less confidence makes needless are pruned. Tokens that always occur together
+are mined as one, so a long url template does not multiply sets. An inverted index files every rule under its rarest
+token: a url meets only the rules of its own tokens and checks them for the rest.
 """
 
 from __future__ import annotations
 
-from pyspark.ml.fpm import FPGrowth
+import math
+
+from pyspark.ml.fpm import FPGrowth, PrefixSpan
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -48,24 +51,74 @@ def tokens(url: Column, host: Column, path: Column) -> Column:
     )
 
 
-def mine(spark: SparkSession, labelled: DataFrame, min_support: float = 0.005, min_confidence: float = 0.6, longest: int = 3) -> DataFrame:
-    """Rules (antecedent, verdict, confidence, support, n) from rows (items, verdict); the longest antecedent has `longest` tokens.
+def token_classes(rows: DataFrame, need: int) -> DataFrame:
+    """token, rep for every token of at least `need` rows (items, ...): tokens that occur in the same rows have one rep.
+
+    Tokens are told apart by two independent sums over the hashes of their rows.
+    """
+    digest = lambda seed: F.pmod(F.xxhash64(F.lit(seed), "items", "verdict"), F.lit(1 << 31))
+    found = rows.select(F.explode("items").alias("token"), digest(1).alias("a"), digest(2).alias("b"))
+    found = found.groupBy("token").agg(F.count("*").alias("n"), F.sum("a").alias("a"), F.sum("b").alias("b")).filter(F.col("n") >= need)
+    alike = found.groupBy("n", "a", "b").agg(F.min("token").alias("rep"), F.collect_list("token").alias("tokens"))
+    return alike.select(F.explode("tokens").alias("token"), "rep")
+
+
+def _as_reps(rows: DataFrame, classes: DataFrame, *keys: str) -> DataFrame:
+    """keys and items: of the rows (keys, items) that have any token with a class, the sorted reps."""
+    met = rows.select(*keys, F.explode("items").alias("token")).join(classes, "token")
+    return met.groupBy(*keys).agg(F.array_sort(F.collect_set("rep")).alias("items"))
+
+
+def _frequent(spark: SparkSession, rows: DataFrame, need: int, n: int, longest: int, wide: int) -> DataFrame:
+    """items, verdict (null: whatever it is), freq: the sorted sets of up to `longest` tokens that at least `need` of the rows (items, verdict) hold.
+
+    FP-growth enumerates the sets of any length, which a row of many tokens makes endless. Where a row has more than
+    `wide`, Spark's prefix-projected pattern growth, which ends at a given length, finds the same sets.
+    """
+    least = (need - 0.5) / n
+    if rows.agg(F.max(F.size("items"))).first()[0] <= wide:
+        marked = rows.select(F.concat("items", F.array(F.concat(F.lit(VERDICT), "verdict"))).alias("items"))
+        sets = FPGrowth(itemsCol="items", minSupport=least, minConfidence=1.0).fit(marked).freqItemsets
+        said = lambda x: x.startswith(VERDICT)
+        sets = sets.select(F.array_sort(F.filter("items", lambda x: ~said(x))).alias("items"), F.substr(F.get(F.filter("items", said), F.lit(0)), F.lit(len(VERDICT) + 1)).alias("verdict"), "freq")
+        return sets.filter(F.size("items").between(1, longest))
+    out = None
+    for verdict in [None, *sorted(r[0] for r in rows.select("verdict").distinct().collect())]:  # as many as there are verdicts
+        part = rows if verdict is None else rows.filter(F.col("verdict") == verdict)
+        part = part.select(F.transform("items", lambda x: F.array(x)).alias("sequence"))
+        size = n if verdict is None else part.count()
+        found = PrefixSpan(minSupport=min(1.0, (need - 0.5) / size), maxPatternLength=longest).findFrequentSequentialPatterns(part)
+        found = found.select(F.flatten("sequence").alias("items"), F.lit(verdict).cast("string").alias("verdict"), "freq").filter(F.col("freq") >= need)
+        out = found if out is None else out.unionByName(found)
+    return out
+
+
+def mine(spark: SparkSession, labelled: DataFrame, min_support: float = 0.001, min_confidence: float = 0.6, longest: int = 3, least_rows: int = 5, wide: int = 16) -> tuple[DataFrame, DataFrame]:
+    """Rules (antecedent, verdict, confidence, support) from rows (items, verdict), and the classes (token, rep) that their tokens stand for.
 
-    Only tokens that are frequent on their own reach FP-growth, and a verdict is one more item of its row.
+    A rule's support is at least min_support of the rows and least_rows of them; an antecedent has up to `longest`
+    tokens. Only tokens that are frequent on their own are mined, and of tokens that always come together one: a
+    rule fits a url that has some token of the class of each of its tokens.
     """
+    labelled = written(spark, labelled.filter("verdict IS NOT NULL").select(F.array_distinct(F.coalesce("items", F.array().cast("array<string>"))).alias("items"), "verdict"), "url-labelled")
     n = labelled.count()
-    if not n:
-        return spark.createDataFrame([], "antecedent array<string>, verdict string, confidence double, support double")
-    rows = labelled.select(F.array_distinct(F.concat("items", F.array(F.concat(F.lit(VERDICT), "verdict")))).alias("items"))
-    model = FPGrowth(itemsCol="items", minSupport=min_support, minConfidence=min_confidence).fit(rows)
-    rules = model.associationRules.select("antecedent", F.col("consequent")[0].alias("then"), "confidence", "support")
-    rules = rules.filter(F.col("then").startswith(VERDICT) & (F.size("antecedent") <= longest) & ~F.exists("antecedent", lambda x: x.startswith(VERDICT)))
-    rules = written(spark, rules.select(F.array_sort("antecedent").alias("antecedent"), F.substr("then", F.lit(len(VERDICT) + 1)).alias("verdict"), "confidence", "support"), "url-rules")
+    need = max(least_rows, math.ceil(min_support * n - 1e-9))
+    classes = written(spark, token_classes(labelled, need), "url-classes")
+    none = spark.createDataFrame([], "antecedent array<string>, verdict string, confidence double, support double")
+    if classes.isEmpty():
+        return none, classes
+    numbered = written(spark, labelled.withColumn("row", F.monotonically_increasing_id()), "url-rows")
+    rows = written(spark, _as_reps(numbered, classes, "row", "verdict"), "url-transactions")
+    sets = written(spark, _frequent(spark, rows, need, n, longest, wide), "url-sets")
+    whole = sets.filter("verdict IS NULL").select(F.col("items").alias("antecedent"), F.col("freq").alias("all"))
+    rules = sets.filter("verdict IS NOT NULL").select(F.col("items").alias("antecedent"), "verdict", "freq").join(whole, "antecedent")
+    rules = rules.select("antecedent", "verdict", (F.col("freq") / F.col("all")).alias("confidence"), (F.col("freq") / F.lit(n)).alias("support")).filter(F.col("confidence") >= min_confidence)
+    rules = written(spark, rules, "url-rules")
     shorter = rules.select(F.col("antecedent").alias("part"), F.col("verdict").alias("same"), F.col("confidence").alias("sure"))
     # Each rule looks its own parts up, at most 2^longest of them.
     parts = rules.withColumn("part", F.explode(_proper_parts(F.col("antecedent"), longest)))
     needless = parts.join(shorter, "part").filter("verdict = same AND sure >= confidence").select("antecedent", "verdict").distinct()
-    return rules.join(needless, ["antecedent", "verdict"], "left_anti")
+    return rules.join(needless, ["antecedent", "verdict"], "left_anti"), classes
 
 
 def _proper_parts(items: Column, longest: int) -> Column:
@@ -74,14 +127,16 @@ def _proper_parts(items: Column, longest: int) -> Column:
     return F.filter(F.array_distinct(F.transform(masks, part)), lambda p: (F.size(p) > 0) & (F.size(p) < F.size(items)))
 
 
-def judge_by_rules(spark: SparkSession, pages: DataFrame, rules: DataFrame, fallback: str = "allow") -> DataFrame:
+def judge_by_rules(spark: SparkSession, pages: DataFrame, rules: DataFrame, classes: DataFrame, fallback: str = "allow") -> DataFrame:
     """row, items -> row, verdict, confidence: of the rules that hold for a row, the surest; block before allow on ties."""
+    rules = written(spark, rules, "url-pruned")
     frequency = rules.select(F.explode("antecedent").alias("token")).groupBy("token").agg(F.count("*").alias("uses"))
     filed = rules.withColumn("rule", F.monotonically_increasing_id())
     rarest = filed.select("rule", F.explode("antecedent").alias("token")).join(frequency, "token").groupBy("rule").agg(F.min_by("token", F.struct("uses", "token")).alias("token"))
     index = written(spark, filed.join(rarest, "rule").groupBy("token").agg(F.collect_list(F.struct("antecedent", "verdict", "confidence", "support")).alias("rules")), "url-index")
-    side = F.broadcast(index) if index.count() <= BROADCAST_RULES else index
-    met = pages.select("row", "items", F.explode("items").alias("token")).join(side, "token")
+    side = F.broadcast(index) if rules.count() <= BROADCAST_RULES else index
+    known = _as_reps(pages, classes, "row")
+    met = known.select("row", "items", F.explode("items").alias("token")).join(side, "token")
     fits = met.select("row", F.explode(F.filter("rules", lambda r: F.size(F.array_except(r["antecedent"], F.col("items"))) == 0)).alias("r"))
     best = fits.groupBy("row").agg(F.max(F.struct("r.confidence", (F.col("r.verdict") == "block").alias("blocks"), "r.support", "r.verdict")).alias("r"))
     return pages.select("row").join(best, "row", "left").select("row", F.coalesce("r.verdict", F.lit(fallback)).alias("verdict"), F.col("r.confidence").alias("confidence"))
@@ -97,21 +152,24 @@ def matched_rule(host: Column, path: Column, rules=RULES) -> Column:
     return out
 
 
-def judge(spark: SparkSession, pages: DataFrame, labels: DataFrame, min_support: float = 0.005, min_confidence: float = 0.6) -> DataFrame:
+def judge(spark: SparkSession, pages: DataFrame, labels: DataFrame, min_support: float = 0.001, min_confidence: float = 0.6) -> DataFrame:
     """One row per page: page_id, host, path, rule, verdict, confidence.
 
     pages (page_id, url); labels (doc_id, quality, toxic) for pages of that id: a page is blocked if it is toxic or of
     quality 0, else allowed. A null url has an empty host and path and no tokens but an empty scheme, so mined rules
-    seldom fit and the fallback is allow. Repeated pages are judged each; repeated labels count each; null labels not.
+    seldom fit and the fallback is allow. Urls of any length are read whole. Repeated pages are judged each; repeated
+    labels count each; null labels not. Without labels every verdict is a rule's of the list or the fallback; no pages
+    give no rows. Other columns are not read.
     """
     host, path = host_path(F.col("url"))
     rows = pages.select("page_id", F.col("url").cast("string").alias("url")).withColumns({"host": host, "path": path})
     rows = rows.withColumn("items", tokens(F.col("url"), F.col("host"), F.col("path"))).withColumn("row", F.coalesce("url", F.lit("")))
-    known = labels.select(F.col("doc_id").alias("page_id"), F.when((F.col("toxic") == 1) | (F.col("quality") == 0), "block").otherwise("allow").alias("verdict")).filter("page_id IS NOT NULL")
-    rules = mine(spark, rows.join(known, "page_id").select("items", "verdict"), min_support, min_confidence)
+    bad = (F.col("toxic") == 1) | (F.col("quality") == 0)
+    known = labels.select(F.col("doc_id").alias("page_id"), F.when(bad, "block").otherwise("allow").alias("verdict")).filter("page_id IS NOT NULL")
+    rules, classes = mine(spark, rows.join(known, "page_id").select("items", "verdict"), min_support, min_confidence)
     # A url is judged once, however many pages share it.
     urls = rows.groupBy("row").agg(F.first("items").alias("items"))
-    mined = judge_by_rules(spark, urls, rules)
+    mined = judge_by_rules(spark, urls, rules, classes)
     fixed = matched_rule(F.col("host"), F.col("path"))
     return rows.withColumn("fixed", fixed).join(mined, "row", "left").select("page_id", "host", "path", F.col("fixed.rule").alias("rule"), F.coalesce("fixed.verdict", "verdict", F.lit("allow")).alias("verdict"), F.when(F.col("fixed").isNull(), F.col("confidence")).alias("confidence"))
 
