@@ -1,22 +1,29 @@
 """Katz backoff language model: Good-Turing discounted counts, exactly normalised backoff weights, scores.
 
-Order two backs off to order one and that to one class of unseen words. For a context h that was followed by w
-c(hw) > 0 times, P(w|h) = d(c(hw)) c(hw) / c(h); else P(w|h) = a(h) P(w), where a(h) shares what the discounts left
-in h among the words that never followed it:  a(h) = (1 - sum of seen P(w|h)) / (1 - sum of their P(w)).
-
-The corpus is cut into blocks of a few million tokens, and everything that grows with it is exchanged between
-blocks and buckets of 64-bit hashes:
+Orders back off one by one down to single words, and those to one class of unseen words. For a context h and a word w
+with count c = c(hw) > 0, P(w|h) = d(c) c / c(h); counts above K are reliable and lose nothing. Else P(w|h) = a(h) P(w|h')
+with h' the context without its first word; an unseen context leaves it to h' alone. a(h) shares what the discounts left in
+h among the words that never followed it:  a(h) = (1 - sum of seen P(w|h)) / (1 - sum of their P(w|h')). Where a
+context has no discounted follower, its denominator is c(h) + 1, so that every context keeps some mass.
+
+The corpus is cut into blocks of a million tokens, and everything that grows with it is exchanged between blocks and
+buckets of 64-bit hashes, one order after the other:
   1. text -> blocks: distinct word hashes and the token stream as local numbers (written once; texts are read once);
-  2. block -> bucket: each distinct word and word pair of a block with its training count; the bucket sums, answers
-     every block, and names one block the owner of each entry;
-  3. owners add up, for each context, the mass left and the probability of its seen followers -> bucket of the context;
-  4. the bucket answers with backoff weights for the contexts whose unseen followers occur.
-A block sends a word or pair once, whatever its frequency, and buckets split hashes evenly: no frequent word, pair
-or context gathers rows. Only the counts of counts, a dozen numbers, reach the driver.
+  2. block -> bucket: each distinct n-gram of a block with its training count; the bucket sums, answers every block, and
+     names one block the owner of each entry;
+  3. owners add up, for each context, the mass left and the lower-order probability of its seen followers -> bucket of
+     the context, which answers with backoff weights for the contexts that a block needs;
+  4. blocks score their texts, each token by recursion over the orders.
+A block sends an n-gram once, whatever its frequency, and buckets split hashes evenly: no frequent word, n-gram or
+context gathers rows. A block has at most one row for a bucket and none for a bucket that it has nothing for, so there
+are never more rows than entries. Only the counts of counts, a dozen numbers for an order, reach the driver. save_model()
+writes the n-grams and weights as tables by order and part of the hash, which score_with() reads for other texts.
 """
 
 from __future__ import annotations
 
+import gc
+
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
@@ -25,22 +32,27 @@ from pyspark.sql import functions as F
 
 from laneforge.session import written
 
-from .common import crc_part
+from .common import crc_part, freed
 from .words import mix, pieces, word_hashes, word_spans
 
 #: Tokens of a block, and entries of a bucket, about.
-BLOCK, BUCKET = 2_000_000, 2_000_000
-K = 5
-#: Counts above K lose this fraction of one count, so every context keeps some mass.
-TAIL = 0.05
+BLOCK, BUCKET = 1_000_000, 2_000_000
+#: Words of the longest n-gram; the largest count that is discounted.
+ORDER, K = 3, 5
+#: Folders of a saved model for each order.
+PARTS = 64
 END, START = np.uint64(0x5EED0E4D5EED0E4D), np.uint64(0x5EED57A27B5EED57)
-_PAIR = np.uint64(0xD6E8FEB86659FD93)
+_GRAM = np.uint64(0xD6E8FEB86659FD93)
 BLOCKS = "block long, ids array<long>, held binary, lens binary, vocab binary, tokens binary, n_vocab long, n_tokens long"
-SLICES = "block long, kind int, bucket int, hashes binary, counts binary"
+SLICES = "block long, bucket int, hashes binary, counts binary"
 STATS = ["total", "types", "ends", *[f"n{r}" for r in range(1, K + 2)]]
-ANSWERS = "block long, kind int, bucket int, counts binary, " + ", ".join(f"{s} long" for s in STATS)
-STEP3 = "block long, bucket int, hashes binary, lost binary, taken binary, wanted binary, ids array<long>, held binary, known binary, lens binary, base binary, score binary, at binary, context binary"
+#: What buckets tell blocks (counts of n-grams, weights of contexts); block -1 holds figures of the whole bucket.
+ANSWERS = "block long, order int, kind int, bucket int, data binary, " + ", ".join(f"{s} long" for s in STATS)
+COUNTS, WEIGHTS = 0, 1
+MASSES = "block long, bucket int, hashes binary, lost binary, taken binary, counts binary, wanted binary"
 RESULT = "id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
+GRAMS = "order int, hash long, count long, log10_p double"
+BACKOFFS = "order int, hash long, log10_weight double"
 
 
 def planes(a: np.ndarray) -> bytes:
@@ -106,69 +118,83 @@ def _blocks(batches):
 
 
 class Block:
-    """One block, with its distinct pairs in the order of their hashes."""
+    """One block, with its distinct n-grams of each order up to `order` in the order of their hashes.
+
+    By order: hashes of the n-grams; place, the n-gram that ends at each token; and of each n-gram its context (the
+    n-gram of one order less before its last word; one past the end: the start of a text) and its tail (without its
+    first word).
+    """
 
-    def __init__(self, row: dict):
+    def __init__(self, row: dict, order: int):
         self.id, self.ids = row["block"], row["ids"]
         self.held = np.frombuffer(row["held"], np.uint8).astype(bool)
         self.lens = np.frombuffer(row["lens"], "<u4").astype(np.int64)
-        self.vocab = unpack_sorted(row["vocab"])
-        self.tokens = unplanes(row["tokens"]).astype(np.int64)
-        n, v = len(self.tokens), len(self.vocab)
+        vocab, words = unpack_sorted(row["vocab"]), unplanes(row["tokens"]).astype(np.int64)
         self.train = np.repeat(~self.held, self.lens)
-        self.before = np.empty(n, np.int64)
-        self.before[1:] = self.tokens[:-1]
-        self.before[np.cumsum(self.lens) - self.lens] = v  # the start of a text
-        keys, place = np.unique(self.before * (v + 1) + self.tokens, return_inverse=True)
-        context, word = keys // (v + 1), keys % (v + 1)
-        hashes = mix(np.append(self.vocab, START)[context] * _PAIR + mix(self.vocab[word]))
-        order = np.argsort(hashes, kind="stable")
-        rank = np.empty(len(order), np.int64)
-        rank[order] = np.arange(len(order))
-        self.pairs, self.context, self.word, self.place = hashes[order], context[order], word[order], rank[place]
-
-    def counts(self):
-        """Training counts of the words and of the pairs."""
-        return np.bincount(self.tokens[self.train], minlength=len(self.vocab)), np.bincount(self.place[self.train], minlength=len(self.pairs))
-
-
-def _forward(word_buckets: int, pair_buckets: int):
+        self.hashes, self.place, self.context, self.tail = {1: vocab}, {1: words}, {}, {}
+        first, spread = np.cumsum(self.lens) - self.lens, mix(vocab)
+        for k in range(2, order + 1):
+            before = np.empty(len(words), np.int64)
+            before[1:] = self.place[k - 1][:-1]
+            before[first] = len(self.hashes[k - 1])
+            _, seen_at, place = np.unique(before * len(vocab) + words, return_index=True, return_inverse=True)
+            context = before[seen_at]
+            hashes = mix(self.contexts(k)[context] * _GRAM + spread[words[seen_at]])
+            turn = np.argsort(hashes, kind="stable")
+            rank = np.empty(len(turn), np.int64)
+            rank[turn] = np.arange(len(turn))
+            self.hashes[k], self.place[k], self.context[k], self.tail[k] = hashes[turn], rank[place], context[turn], self.place[k - 1][seen_at[turn]]
+
+    def contexts(self, k: int) -> np.ndarray:
+        """Hashes of the contexts of order k, the start of a text last."""
+        return np.append(self.hashes[k - 1], START + np.uint64(k))
+
+    def counts(self, k: int) -> np.ndarray:
+        """Training counts of the n-grams."""
+        return np.bincount(self.place[k][self.train], minlength=len(self.hashes[k]))
+
+
+def _forward(k: int, buckets: int):
+    @freed
     def run(batches):
         schema = _arrow(SLICES)
         for batch in batches:
             for row in batch.to_pylist():
-                b = Block(row)
-                for kind, (hashes, n, buckets) in enumerate(zip((b.vocab, b.pairs), b.counts(), (word_buckets, pair_buckets))):
-                    at = cuts(hashes, buckets)
-                    for k in np.flatnonzero(np.diff(at)).tolist():
-                        s = slice(at[k], at[k + 1])
-                        yield _table([{"block": b.id, "kind": kind, "bucket": k, "hashes": pack_sorted(hashes[s]), "counts": planes(n[s])}], schema)
+                b = Block(row, k)
+                hashes, n = b.hashes[k], b.counts(k)
+                at = cuts(hashes, buckets)
+                for j in np.flatnonzero(np.diff(at)).tolist():
+                    s = slice(at[j], at[j + 1])
+                    yield _table([{"block": b.id, "bucket": j, "hashes": pack_sorted(hashes[s]), "counts": planes(n[s])}], schema)
 
     return run
 
 
-def _answer(table: pa.Table) -> pa.Table:
-    """Sums a bucket and answers each block: twice the total, plus one where the block owns the entry."""
-    rows = table.to_pylist()
-    hashes = np.concatenate([unpack_sorted(r["hashes"]) for r in rows])
-    each = [unplanes(r["counts"]).astype(np.int64) for r in rows]
-    sizes, counts = list(map(len, each)), np.concatenate(each)
-    kinds, first, place = np.unique(hashes, return_index=True, return_inverse=True)
-    total = np.zeros(len(kinds), np.int64)
-    np.add.at(total, place, counts)
-    answer = total[place] * 2
-    answer[first] += 1
-    same = np.bincount(np.minimum(total, K + 2), minlength=K + 3)
-    stats = {"total": int(total.sum()), "types": int((total > 0).sum()), "ends": int(total[kinds == END].sum()) if rows[0]["kind"] == 0 else 0} | {f"n{r}": int(same[r]) for r in range(1, K + 2)}
-    out, at = [{"block": -1, "kind": rows[0]["kind"], "bucket": rows[0]["bucket"], "counts": None} | stats], 0
-    for r, n in zip(rows, sizes):
-        out.append({"block": r["block"], "kind": r["kind"], "bucket": r["bucket"], "counts": planes(answer[at : at + n])})
-        at += n
-    return pa.Table.from_pylist(out, _arrow(ANSWERS))
+def _answer(k: int):
+    def run(table: pa.Table) -> pa.Table:
+        """Sums a bucket and answers each block: twice the total, plus one where the block owns the entry."""
+        rows = table.to_pylist()
+        hashes = np.concatenate([unpack_sorted(r["hashes"]) for r in rows])
+        each = [unplanes(r["counts"]).astype(np.int64) for r in rows]
+        sizes, counts = list(map(len, each)), np.concatenate(each)
+        kinds, first, place = np.unique(hashes, return_index=True, return_inverse=True)
+        total = np.zeros(len(kinds), np.int64)
+        np.add.at(total, place, counts)
+        answer = total[place] * 2
+        answer[first] += 1
+        same = np.bincount(np.minimum(total, K + 2), minlength=K + 3)
+        stats = {"total": int(total.sum()), "types": int((total > 0).sum()), "ends": int(total[kinds == END].sum()) if k == 1 else 0} | {f"n{r}": int(same[r]) for r in range(1, K + 2)}
+        out, at = [{"block": -1, "order": k, "kind": COUNTS, "bucket": rows[0]["bucket"], "data": None} | stats], 0
+        for r, n in zip(rows, sizes):
+            out.append({"block": r["block"], "order": k, "kind": COUNTS, "bucket": r["bucket"], "data": planes(answer[at : at + n])})
+            at += n
+        return pa.Table.from_pylist(out, _arrow(ANSWERS))
+
+    return run
 
 
 def discounts(n: list[int]) -> np.ndarray:
-    """d(0..K) and d beyond, from the counts of counts n[0] = n1 ...: Good-Turing as Katz renormalises it.
+    """d(0..K) and 1 beyond, from the counts of counts n[0] = n1 ...: Good-Turing as Katz renormalises it.
 
     Where that is not between 0 and 1 (too few data), an absolute discount stands in.
     """
@@ -184,119 +210,280 @@ def discounts(n: list[int]) -> np.ndarray:
 
 def kept(d: np.ndarray, c: np.ndarray) -> np.ndarray:
     """The discounted counts."""
-    return np.where(c > K, c - TAIL, d[np.minimum(c, K + 1)] * c)
+    return d[np.minimum(c, K + 1)] * c
 
 
-def word_model(stats: dict) -> dict:
+def corpus_figures(stats: dict, order: int) -> dict:
     """What every block needs of the whole corpus."""
-    w, p = stats.get(0, dict.fromkeys(STATS, 0)), stats.get(1, dict.fromkeys(STATS, 0))
-    dw, dp = discounts([w[f"n{r}"] for r in range(1, K + 2)]), discounts([p[f"n{r}"] for r in range(1, K + 2)])
-    low = sum((r - r * dw[r]) * w[f"n{r}"] for r in range(1, K + 1))
-    high = TAIL * (w["types"] - sum(w[f"n{r}"] for r in range(1, K + 1)))
-    return {"N": w["total"], "V": w["types"], "texts": w["ends"], "dw": dw, "dp": dp, "unseen": (low + high) / w["total"] if w["total"] else 1.0}
+    none = dict.fromkeys(STATS, 0)
+    d = {k: discounts([stats.get(k, none)[f"n{r}"] for r in range(1, K + 2)]) for k in range(1, order + 1)}
+    words = stats.get(1, none)
+    left = sum((r - r * d[1][r]) * words[f"n{r}"] for r in range(1, K + 1))
+    bare = 1 if words["total"] and not left else 0
+    return {"N": words["total"], "V": words["types"], "texts": words["ends"], "d": d, "bare": bare, "unseen": (left or 1.0) / (words["total"] + bare) if words["total"] else 1.0}
+
+
+class Informed:
+    """A block with the buckets' answers: counts up to one order, and probabilities as far as weights have come."""
+
+    def __init__(self, b: Block, m: dict, answers: list[dict], counted: int, weighted: int):
+        self.b, self.m = b, m
+        self.total, self.owned, self.weight, self.bare = {}, {}, {}, {}
+        for k in range(1, counted + 1):
+            got = self._joined(answers, COUNTS, k).astype(np.int64)
+            if len(got) != len(b.hashes[k]):
+                raise ValueError("a block has not got all its counts")
+            self.total[k], self.owned[k] = got >> 1, (got & 1).astype(bool) & (got > 1)
+        for k in range(2, weighted + 1):
+            wanted = self.wanted(k)
+            raw = self._joined(answers, WEIGHTS, k).view(np.float64)
+            if len(raw) != int(wanted.sum()):
+                raise ValueError("a block has not got all its weights")
+            # The sign tells a context that nothing was discounted in: 10^weight is never sent as such.
+            hashes = b.contexts(k)
+            turn = np.flatnonzero(wanted)
+            turn = turn[np.argsort(hashes[turn], kind="stable")]
+            self.weight[k], self.bare[k] = np.zeros(len(hashes)), np.zeros(len(hashes), np.int64)
+            self.weight[k][turn], self.bare[k][turn] = np.log10(np.abs(raw)), raw < 0
+
+    @staticmethod
+    def _joined(answers: list[dict], kind: int, k: int) -> np.ndarray:
+        got = [unplanes(r["data"]) for r in sorted((r for r in answers if r["kind"] == kind and r["order"] == k), key=lambda r: r["bucket"])]
+        return np.concatenate(got) if got else np.zeros(0, np.uint64)
+
+    def context_counts(self, k: int) -> np.ndarray:
+        """How often each context of order k was followed by a word."""
+        return np.append(self.total[k - 1], self.m["texts"])
+
+    def wanted(self, k: int) -> np.ndarray:
+        """The contexts whose weights this block needs: they lack a follower, or have one whose count is not discounted."""
+        b = self.b
+        need = ((self.total[k] == 0) & (self.context_counts(k)[b.context[k]] > 0)) | (self.total[k] > K)
+        out = np.zeros(len(b.hashes[k - 1]) + 1, bool)
+        out[b.context[k][need]] = True
+        return out
+
+    def direct(self, k: int) -> np.ndarray:
+        """Probabilities of the seen n-grams of order k; for single words, of the unseen too."""
+        if k == 1:
+            return np.where(self.total[1] > 0, kept(self.m["d"][1], self.total[1]) / max(self.m["N"] + self.m["bare"], 1), self.m["unseen"])
+        context = self.b.context[k]
+        return kept(self.m["d"][k], self.total[k]) / np.maximum(self.context_counts(k)[context] + self.bare[k][context], 1)
+
+    def token_scores(self, order: int) -> np.ndarray:
+        """log10 P of every token, by recursion from single words up."""
+        with np.errstate(divide="ignore"):
+            out = np.log10(self.direct(1))[self.b.place[1]]
+            for k in range(2, order + 1):
+                at = self.b.place[k]
+                out = np.where((self.total[k] > 0)[at], np.log10(self.direct(k))[at], out + self.weight[k][self.b.context[k][at]])
+        return out
+
+
+def _masses(m: dict, k: int, buckets: int):
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        if not left.num_rows:
+            return pa.Table.from_pylist([], _arrow(MASSES))
+        b = Block(left.to_pylist()[0], k)
+        own = Informed(b, m, right.to_pylist(), k, k - 1)
+        context, mine, seen = b.context[k], own.owned[k], own.context_counts(k)
+        n = len(seen)
+        lost = np.bincount(context, np.where(mine, own.total[k] - kept(m["d"][k], own.total[k]), 0.0), n)
+        taken = np.bincount(context, np.where(mine, own.direct(k - 1)[b.tail[k]], 0.0), n)
+        wanted, hashes = own.wanted(k), b.contexts(k)
+        use = np.flatnonzero(wanted | (np.bincount(context[mine], minlength=n) > 0))
+        use = use[np.argsort(hashes[use], kind="stable")]
+        rows, at = [], cuts(hashes[use], buckets)
+        for j in np.flatnonzero(np.diff(at)).tolist():
+            s = use[at[j] : at[j + 1]]
+            rows.append({"block": b.id, "bucket": j, "hashes": pack_sorted(hashes[s]), "lost": planes(lost[s].view(np.uint64)), "taken": planes(taken[s].view(np.uint64)), "counts": planes(seen[s]), "wanted": np.packbits(wanted[s]).tobytes()})
+        return pa.Table.from_pylist(rows, _arrow(MASSES))
+
+    return run
+
 
+def _weigh(k: int, everything: bool):
+    def run(table: pa.Table) -> pa.Table:
+        """Backoff weights of a bucket's contexts for the blocks that want them, negative where nothing was discounted."""
+        rows = table.to_pylist()
+        hashes = [unpack_sorted(r["hashes"]) for r in rows]
+        kinds, first, place = np.unique(np.concatenate(hashes), return_index=True, return_inverse=True)
+        lost = np.bincount(place, np.concatenate([unplanes(r["lost"]).view(np.float64) for r in rows]), len(kinds))
+        taken = np.bincount(place, np.concatenate([unplanes(r["taken"]).view(np.float64) for r in rows]), len(kinds))
+        count = np.concatenate([unplanes(r["counts"]) for r in rows])[first].astype(np.float64)
+        bare = lost == 0
+        weight = np.where(bare, 1.0, lost) / (count + bare) / np.maximum(1 - taken, 1e-300)
+        signed = np.where(bare, -weight, weight)
+        out, at = [], 0
+        for r, h in zip(rows, hashes):
+            want = np.unpackbits(np.frombuffer(r["wanted"], np.uint8))[: len(h)].astype(bool)
+            if want.any():
+                out.append({"block": r["block"], "order": k, "kind": WEIGHTS, "bucket": r["bucket"], "data": planes(signed[place[at : at + len(h)][want]].view(np.uint64))})
+            at += len(h)
+        if everything:
+            packed = pack_sorted(kinds)
+            out.append({"block": -1, "order": k, "kind": WEIGHTS, "bucket": rows[0]["bucket"], "data": packed + planes(signed.view(np.uint64)), "total": len(packed)})
+        return pa.Table.from_pylist(out, _arrow(ANSWERS))
 
-def _in_order(answers: list[dict], kind: int, n: int) -> np.ndarray:
-    got = [unplanes(r["counts"]) for r in sorted((r for r in answers if r["kind"] == kind), key=lambda r: r["bucket"])]
-    out = np.concatenate(got).astype(np.int64) if got else np.zeros(0, np.int64)
-    if len(out) != n:
-        raise ValueError("a block has not got all its answers")
-    return out
+    return run
 
 
-def _score(m: dict, buckets: int):
+def _finish(m: dict, order: int):
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        schema = _arrow(STEP3)
         if not left.num_rows:
-            return pa.Table.from_pylist([], schema)
-        b, answers = Block(left.to_pylist()[0]), right.to_pylist()
-        c = _in_order(answers, 0, len(b.vocab)) >> 1
-        pair = _in_order(answers, 1, len(b.pairs))
-        total, owned = pair >> 1, (pair & 1).astype(bool) & (pair > 1)
-        p = np.where(c > 0, kept(m["dw"], c) / max(m["N"], 1), m["unseen"])
-        before = np.append(c, m["texts"])  # how often each word, or the start, was a context
-        left_over = np.where(owned, (total - kept(m["dp"], total)) / np.maximum(before[b.context], 1), 0.0)
-        v = len(b.vocab)
-        lost = np.bincount(b.context, left_over, v + 1)
-        taken = np.bincount(b.context, np.where(owned, p[b.word], 0.0), v + 1)
-        seen = total > 0
-        with np.errstate(divide="ignore"):
-            direct = np.where(seen, np.log10(kept(m["dp"], total) / np.maximum(before[b.context], 1)), np.log10(p)[b.word])
-        doc = np.repeat(np.arange(len(b.lens)), b.lens)
-        miss = ~seen[b.place] & (before[b.before] > 0)
-        score = np.bincount(doc, direct[b.place], len(b.lens))
-        base = np.bincount(doc, np.log10((c + 0.5) / (m["N"] + 0.5 * (m["V"] + 1)))[b.tokens], len(b.lens))
-        known = np.bincount(doc, (c > 0)[b.tokens], len(b.lens)).astype(np.int64)
-        wanted = np.zeros(v + 1, bool)
-        wanted[b.before[miss]] = True
-        use = np.flatnonzero(wanted | (np.bincount(b.context[owned], minlength=v + 1) > 0))
-        h = np.append(b.vocab, START)[use]
-        order = np.argsort(h)
-        use, h = use[order], h[order]
-        number = np.full(v + 1, -1, np.int64)
-        number[use[wanted[use]]] = np.arange(int(wanted.sum()))  # wanted contexts, in the order of their hashes
-        rows, at = [], cuts(h, buckets)
-        for k in np.flatnonzero(np.diff(at)).tolist():
-            s = use[at[k] : at[k + 1]]
-            rows.append({"block": b.id, "bucket": k, "hashes": pack_sorted(h[at[k] : at[k + 1]]), "lost": lost[s].tobytes(), "taken": taken[s].tobytes(), "wanted": np.packbits(wanted[s]).tobytes()})
-        rows.append({"block": b.id, "bucket": -1, "ids": b.ids, "held": b.held.astype(np.uint8).tobytes(), "known": known.tobytes(), "lens": b.lens.tobytes(), "base": base.tobytes(), "score": score.tobytes(), "at": doc[miss].astype("<u4").tobytes(), "context": number[b.before[miss]].astype("<u4").tobytes()})
-        return pa.Table.from_pylist(rows, schema)
+            return pa.Table.from_pylist([], _arrow(RESULT))
+        b = Block(left.to_pylist()[0], order)
+        own = Informed(b, m, right.to_pylist(), order, order)
+        texts = np.repeat(np.arange(len(b.lens)), b.lens)
+        add = lambda x: np.bincount(texts, x, len(b.lens))
+        c = own.total[1][b.place[1]]
+        return pa.table({"id": pa.array(b.ids, pa.int64()), "held_out": pa.array(b.held), "n_tokens": b.lens, "n_known": add(c > 0).astype(np.int64), "train_tokens": np.full(len(b.lens), m["N"], np.int64), "base_score": add(np.log10((c + 0.5) / (m["N"] + 0.5 * (m["V"] + 1)))), "score": add(own.token_scores(order))})
 
     return run
 
 
-def _weights(table: pa.Table) -> pa.Table:
-    """Backoff weights of a bucket's contexts, for the blocks that want them."""
-    rows = table.to_pylist()
-    hashes = [unpack_sorted(r["hashes"]) for r in rows]
-    kinds, place = np.unique(np.concatenate(hashes), return_inverse=True)
-    lost = np.bincount(place, np.concatenate([np.frombuffer(r["lost"]) for r in rows]), len(kinds))
-    taken = np.bincount(place, np.concatenate([np.frombuffer(r["taken"]) for r in rows]), len(kinds))
-    weight = np.log10(np.maximum(lost, 1e-300) / np.maximum(1 - taken, 1e-300))
-    out, at = [], 0
-    for r, h in zip(rows, hashes):
-        want = np.unpackbits(np.frombuffer(r["wanted"], np.uint8))[: len(h)].astype(bool)
-        if want.any():
-            out.append({"block": r["block"], "bucket": r["bucket"], "weights": weight[place[at : at + len(h)][want]].tobytes()})
-        at += len(h)
-    return pa.Table.from_pylist(out, pa.schema([("block", pa.int64()), ("bucket", pa.int32()), ("weights", pa.binary())]))
-
-
-def _finish(m: dict):
+def _owned_grams(m: dict, order: int):
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
         if not left.num_rows:
-            return pa.Table.from_pylist([], _arrow(RESULT))
-        r = left.to_pylist()[0]
-        got = [np.frombuffer(x["weights"]) for x in sorted(right.to_pylist(), key=lambda x: x["bucket"])]
-        weight = np.concatenate(got) if got else np.zeros(0)
-        score, n = np.frombuffer(r["score"]).copy(), np.frombuffer(r["lens"], np.int64)
-        score += np.bincount(np.frombuffer(r["at"], "<u4"), weight[np.frombuffer(r["context"], "<u4")], len(n))
-        return pa.table({"id": pa.array(r["ids"], pa.int64()), "held_out": pa.array(np.frombuffer(r["held"], np.uint8).astype(bool)), "n_tokens": n, "n_known": np.frombuffer(r["known"], np.int64), "train_tokens": np.full(len(n), m["N"], np.int64), "base_score": np.frombuffer(r["base"]), "score": score})
+            return pa.Table.from_pylist([], _arrow(GRAMS))
+        b = Block(left.to_pylist()[0], order)
+        own = Informed(b, m, right.to_pylist(), order, order)
+        parts = []
+        for k in range(1, order + 1):
+            o = own.owned[k]
+            parts.append(pa.table({"order": np.full(int(o.sum()), k, np.int32), "hash": b.hashes[k][o].view(np.int64), "count": own.total[k][o], "log10_p": np.log10(own.direct(k)[o])}))
+        return pa.concat_tables(parts)
 
     return run
 
 
-def katz_scores(spark: SparkSession, docs: DataFrame, held, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Scores every text with a model of the texts for which `held` (a boolean column) is not true.
+def _unpacked_weights(batches):
+    for batch in batches:
+        for r in batch.to_pylist():
+            hashes, signed = unpack_sorted(r["data"][: r["total"]]), unplanes(r["data"][r["total"] :]).view(np.float64)
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(hashes), r["order"], np.int32)), pa.array(hashes.view(np.int64)), pa.array(np.log10(np.abs(signed)))], ["order", "hash", "log10_weight"])
+
+
+class Trained:
+    """The blocks of a corpus, the buckets' answers for every order, and the figures of the whole corpus."""
+
+    def __init__(self, spark: SparkSession, docs: DataFrame, held, id_col: str, text_col: str, order: int, everything: bool = False):
+        if order < 1:
+            raise ValueError("order is 1 or more")
+        self.spark, self.order = spark, order
+        source = docs.select(F.col(id_col).cast("long").alias("id"), held.alias("held"), F.col(text_col).cast("string").alias("text"))
+        self.blocks = written(spark, source.mapInArrow(_blocks, BLOCKS), "katz-blocks", "zstd")
+        n_blocks, n_vocab, n_tokens = self.blocks.agg(F.count("*"), F.sum("n_vocab"), F.sum("n_tokens")).first()
+        least = int(spark.conf.get("spark.sql.shuffle.partitions"))
+        self.tasks = max(least, 2 * n_blocks)
+        buckets = {k: 1 + (n_vocab if k == 1 else n_tokens) // BUCKET if n_blocks else 1 for k in range(1, order + 1)}
+        self.answers = []
+        for k in range(1, order + 1):
+            self._keep(self.blocks.mapInArrow(_forward(k, buckets[k]), SLICES).repartition(max(2 * buckets[k], least), "bucket").groupBy("bucket").applyInArrow(_answer(k), ANSWERS), "katz-counts")
+            self._drop_shuffles()
+        stats = {}
+        for k, answers in enumerate(self.answers, 1):
+            r = answers.filter("block = -1").agg(*[F.coalesce(F.sum(s), F.lit(0)).alias(s) for s in STATS]).first()
+            stats[k] = r.asDict()
+        self.figures = corpus_figures(stats, order)
+        for k in range(2, order + 1):
+            self._keep(self.informed(_masses(self.figures, k, buckets[k - 1]), MASSES, k).repartition(max(2 * buckets[k - 1], least), "bucket").groupBy("bucket").applyInArrow(_weigh(k, everything), ANSWERS), "katz-weights")
+            self._drop_shuffles()
+
+    def _keep(self, answers: DataFrame, label: str) -> None:
+        self.answers.append(written(self.spark, answers, label, "zstd"))
+
+    def _drop_shuffles(self) -> None:
+        """Spark drops the shuffle files of steps that nothing refers to when the driver collects its garbage."""
+        gc.collect()
+        self.spark.sparkContext._jvm.System.gc()
+
+    def informed(self, run, schema: str, up_to: int) -> DataFrame:
+        """Runs over each block with its answers of orders up to `up_to`."""
+        told = None
+        for k, kind in enumerate(self.answers):
+            if (k % self.order) + 1 <= up_to or k >= self.order:
+                one = kind.filter("block >= 0").select("block", "order", "kind", "bucket", "data")
+                told = one if told is None else told.unionByName(one)
+        spread = lambda df: df.repartition(self.tasks, "block").groupBy("block")
+        return spread(self.blocks).cogroup(spread(told)).applyInArrow(run, schema)
+
+
+def katz_scores(spark: SparkSession, docs: DataFrame, held, id_col: str = "doc_id", text_col: str = "text", order: int = ORDER) -> DataFrame:
+    """Scores every whole text with a model of the texts for which `held` (a boolean column) is not true.
+
+    order: the words of the longest n-gram. Tokens are words of A-Z-lower-cased text between white space, then one
+    end. A null text is empty and so has one token. Rows may repeat or have null ids: each is scored (and, unless held,
+    learnt from) as it stands. No training rows: every word is unseen and probability is one. An empty table gives no
+    rows; other columns are not read.
+    """
+    t = Trained(spark, docs, held, id_col, text_col, order)
+    return t.informed(_finish(t.figures, order), RESULT, order)
+
+
+def save_model(spark: SparkSession, docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", order: int = ORDER) -> None:
+    """Learns from all texts of docs and writes three tables under path, the first two by order and part of the hash.
 
-    Tokens are words of A-Z-lower-cased text between white space, then one end. A null text is empty and so has one
-    token. Rows may repeat or have null ids: each is scored (and, unless held, learnt from) as it stands. No training
-    rows: every word is unseen and probability is one. An empty table gives no rows; other columns are not read.
+    ngrams (order, part, hash, count, log10_p), weights (order, part, hash of the context, log10_weight), and figures
+    (order of the model, log10 probability of an unseen word).
     """
-    source = docs.select(F.col(id_col).cast("long").alias("id"), held.alias("held"), F.col(text_col).cast("string").alias("text"))
-    blocks = written(spark, source.mapInArrow(_blocks, BLOCKS), "katz-blocks", "zstd")
-    n_vocab, n_tokens = blocks.agg(F.sum("n_vocab"), F.sum("n_tokens")).first()
-    word_buckets, pair_buckets = 1 + (n_vocab or 0) // BUCKET, 1 + (n_tokens or 0) // BUCKET
-    spread = max(word_buckets + pair_buckets, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    sent = blocks.mapInArrow(_forward(word_buckets, pair_buckets), SLICES).repartition(spread, "kind", "bucket")
-    answers = written(spark, sent.groupBy("kind", "bucket").applyInArrow(_answer, ANSWERS), "katz-counts", "zstd")
-    stats = {r["kind"]: r.asDict() for r in answers.filter("block = -1").groupBy("kind").agg(*[F.sum(s).alias(s) for s in STATS]).collect()}
-    m = word_model(stats)
-    scored = blocks.groupBy("block").cogroup(answers.filter("block >= 0").select("block", "kind", "bucket", "counts").groupBy("block")).applyInArrow(_score(m, word_buckets), STEP3)
-    scored = written(spark, scored, "katz-scores", "zstd")
-    weights = scored.filter("bucket >= 0").select("block", "bucket", "hashes", "lost", "taken", "wanted").groupBy("bucket").applyInArrow(_weights, "block long, bucket int, weights binary")
-    texts = scored.filter("bucket < 0").select("block", "ids", "held", "known", "lens", "base", "score", "at", "context")
-    return texts.groupBy("block").cogroup(weights.groupBy("block")).applyInArrow(_finish(m), RESULT)
+    t = Trained(spark, docs, F.lit(False), id_col, text_col, order, everything=True)
+    part = F.pmod(F.col("hash"), F.lit(PARTS)).cast("int").alias("part")
+    out = lambda df, name: df.select("*", part).repartition("order", "part").sortWithinPartitions("hash").write.partitionBy("order", "part").parquet(f"{path}/{name}")
+    out(t.informed(_owned_grams(t.figures, order), GRAMS, order), "ngrams")
+    packed = None
+    for answers in t.answers[order:]:
+        one = answers.filter("block = -1").select("order", "data", "total")
+        packed = one if packed is None else packed.unionByName(one)
+    out(packed.mapInArrow(_unpacked_weights, BACKOFFS) if packed is not None else spark.createDataFrame([], BACKOFFS), "weights")
+    spark.createDataFrame([(order, float(np.log10(t.figures["unseen"])))], "model_order int, unseen double").coalesce(1).write.parquet(f"{path}/figures")
+
+
+def _chains(order: int):
+    """Each text's tokens as hashes of the n-grams that end there and of their contexts, equal ones counted."""
+
+    @freed
+    def run(batches):
+        made, part = 0, TaskContext.get().partitionId()
+        names = [f"g{k}" for k in range(1, order + 1)] + [f"c{k}" for k in range(2, order + 1)]
+        for batch in batches:
+            for at, offsets, data in pieces(batch.column(1)):
+                starts, ends, n = word_spans(offsets, data)
+                lens = n + 1
+                stream = np.full(int(lens.sum()), END)
+                stream[np.arange(len(starts)) + np.repeat(np.arange(len(n)), n)] = word_hashes(data, starts, ends)
+                first, grams, contexts = np.cumsum(lens) - lens, [stream], []
+                for k in range(2, order + 1):
+                    before = np.concatenate([stream[:1], grams[-1][:-1]])
+                    before[first] = START + np.uint64(k)
+                    contexts.append(before)
+                    grams.append(mix(before * _GRAM + mix(stream)))
+                text = np.repeat(np.arange(len(n)), lens)
+                _, place, times = np.unique(mix(grams[-1] + mix(text.astype(np.uint64) + np.uint64(1))), return_index=True, return_counts=True)
+                ids = batch.column(0).slice(at, len(n)).take(pa.array(text[place]))
+                row = (part << 40) + made + text[place]
+                made += len(n)
+                yield pa.RecordBatch.from_arrays([pa.array(row), ids, pa.array(times.astype(np.int64)), *[pa.array(x[place].view(np.int64)) for x in (*grams, *contexts)]], ["row", "id", "times", *names])
+
+    return run
+
+
+def score_with(spark: SparkSession, path: str, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """id, n_tokens, score of every whole text by a saved model: each token looks its n-grams and contexts up, longest first."""
+    order, unseen = spark.read.parquet(f"{path}/figures").first()
+    fields = ", ".join(["row long, id long, times long", *[f"g{k} long" for k in range(1, order + 1)], *[f"c{k} long" for k in range(2, order + 1)]])
+    source = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
+    rows = written(spark, source.mapInArrow(_chains(order), fields), "katz-chains", "zstd")
+    grams, weights = (spark.read.schema(f"hash long, {value} double, order int, part int").parquet(f"{path}/{name}") for name, value in (("ngrams", "log10_p"), ("weights", "log10_weight")))
+    score = None
+    for k in range(1, order + 1):
+        rows = rows.join(grams.filter(F.col("order") == k).select(F.col("hash").alias(f"g{k}"), F.col("log10_p").alias(f"p{k}")), f"g{k}", "left")
+        if k == 1:
+            score = F.coalesce("p1", F.lit(unseen))
+        else:
+            rows = rows.join(weights.filter(F.col("order") == k).select(F.col("hash").alias(f"c{k}"), F.col("log10_weight").alias(f"w{k}")), f"c{k}", "left")
+            score = F.coalesce(F.col(f"p{k}"), F.coalesce(f"w{k}", F.lit(0.0)) + score)
+    return rows.groupBy("row", "id").agg(F.sum("times").alias("n_tokens"), F.sum(F.col("times") * score).alias("score")).drop("row")
 
 
 def op5_katz_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
