@@ -29,7 +29,7 @@ KINDS = {
     "secret": ("true", r"(?i)(?<![a-z0-9])(?:api[_-]?key|token|secret|password)['\x22]?\x20{0,3}[=:]\x20{0,3}['\x22]?[a-z0-9+/_=-]{16,}+", "true", 0.8, 1.0),
     "ssn": ("contains(t, '-')", r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])", "left(m, 3) NOT IN ('000', '666') AND left(m, 1) <> '9'", 0.3, 0.8),
 }
-#: Words that make a kind likelier when they come shortly before a span.
+#: Words that make a kind likelier when they come shortly before or after a span.
 CONTEXT = {
     "email": "mail|e-mail|contact|write|kontakt|correo|courriel",
     "ip": "ip|address|host|server|adresse|direcci",
@@ -41,51 +41,90 @@ CONTEXT = {
 }
 #: The kinds whose confirmed spans always count; others count from this score on.
 BASE, THRESHOLD, NEAR = ("email", "ip", "card", "phone"), 0.5, 40
+#: Matches whose positions are summed together.
+RUN = 128
 
 
-def _found(kind: str) -> Column:
-    """array<struct<start, end, score>> of a kind, from the columns of its matches and gaps."""
+def _matches(kind: str) -> Column:
+    """array<struct<g, m, ok, score>> of a kind, from the columns of its matches and gaps: a match m, the gap g before it, whether it counts.
+
+    The words near a match are those of the NEAR characters before it, earlier matches among them, and after it.
+    """
     _, _, check, plain, near = KINDS[kind]
     return F.expr(
-        f"""filter(
-              aggregate(
+        f"""transform(
+              transform(
                 zip_with(slice(g_{kind}, 1, size(m_{kind})), m_{kind}, (g, m) -> named_struct('g', g, 'm', m)),
-                named_struct('at', 0L, 'out', CAST(array() AS ARRAY<STRUCT<start: BIGINT, end: BIGINT, score: DOUBLE, ok: BOOLEAN>>)),
+                (x, i) -> named_struct('g', x.g, 'm', x.m, 'near', lower(concat(
+                  right(concat(array_join(zip_with(
+                    slice(g_{kind}, greatest(i - 2, 1), least(i, 3)), slice(m_{kind}, greatest(i - 2, 1), least(i, 3)), (g, m) -> concat(right(g, {NEAR}), m)), ''), x.g), {NEAR}),
+                  ' ', left(g_{kind}[i + 1], {NEAR}))))),
+              x -> named_struct('g', x.g, 'm', x.m,
+                'ok', transform(array(x.m), m -> {check})[0] AND ({str(kind in BASE).lower()} OR CASE WHEN rlike(x.near, '{CONTEXT[kind]}') THEN {near}D ELSE {plain}D END >= {THRESHOLD}D),
+                'score', CASE WHEN rlike(x.near, '{CONTEXT[kind]}') THEN {near}D ELSE {plain}D END))"""
+    )
+
+
+def _found(kind: str) -> Column:
+    """array<struct<start, end, score, ok>> of the matches of a kind that count.
+
+    Positions are running sums of lengths. They are taken over the matches of a run of RUN, and over the runs, so that a
+    text of very many matches does not copy a growing list once for each.
+    """
+    chunks = f"sequence(0, greatest(size(x_{kind}) - 1, 0) div {RUN})"
+    return F.expr(
+        f"""filter(flatten(zip_with(
+              {chunks},
+              aggregate(
+                transform({chunks}, k -> aggregate(slice(x_{kind}, k * {RUN} + 1, {RUN}), 0L, (a, x) -> a + length(x.g) + length(x.m))),
+                named_struct('at', 0L, 'out', CAST(array() AS ARRAY<BIGINT>)),
+                (acc, n) -> named_struct('at', acc.at + n, 'out', concat(acc.out, array(acc.at))),
+                acc -> acc.out),
+              (k, first) -> aggregate(
+                slice(x_{kind}, k * {RUN} + 1, {RUN}),
+                named_struct('at', first, 'out', CAST(array() AS ARRAY<STRUCT<start: BIGINT, end: BIGINT, score: DOUBLE, ok: BOOLEAN>>)),
                 (acc, x) -> named_struct(
                   'at', acc.at + length(x.g) + length(x.m),
-                  'out', concat(acc.out, array(named_struct(
-                    'start', acc.at + length(x.g), 'end', acc.at + length(x.g) + length(x.m),
-                    'score', CASE WHEN rlike(lower(right(x.g, {NEAR})), '{CONTEXT[kind]}') THEN {near}D ELSE {plain}D END,
-                    'ok', transform(array(x.m), m -> {check})[0])))),
-                acc -> acc.out),
-              s -> s.ok AND ({str(kind in BASE).lower()} OR s.score >= {THRESHOLD}D))"""
+                  'out', concat(acc.out, array(named_struct('start', acc.at + length(x.g), 'end', acc.at + length(x.g) + length(x.m), 'score', x.score, 'ok', x.ok)))),
+                acc -> acc.out))), s -> s.ok)"""
     )
 
 
+def _with_matches(rows: DataFrame, kinds) -> DataFrame:
+    """Columns x_<kind> of _matches() for a text column t."""
+    none = F.array().cast("array<string>")
+    rows = rows.withColumns({f"m_{kind}": F.when(F.expr(KINDS[kind][0]), F.regexp_extract_all("t", F.lit(KINDS[kind][1]), F.lit(0))).otherwise(none) for kind in kinds})
+    rows = rows.withColumns({f"g_{kind}": F.when(F.size(f"m_{kind}") > 0, F.split("t", KINDS[kind][1], -1)).otherwise(none) for kind in kinds})
+    return rows.withColumns({f"x_{kind}": _matches(kind) for kind in kinds})
+
+
 def spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """id and, for each kind, array<struct<start, end, score, ok>> in code points, end exclusive, in order of start.
 
-    A null or empty text has no spans. Rows with null or repeated ids are returned as they stand; other columns are
+    A null or empty text has no spans; a text of any length is read whole. Rows with null or repeated ids are returned as they stand; other columns are
     not read; an empty table gives no rows.
     """
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("t"))
-    none = F.array().cast("array<string>")
-    for kind, (holds, pattern, *_) in KINDS.items():
-        rows = rows.withColumn(f"m_{kind}", F.when(F.expr(holds), F.regexp_extract_all("t", F.lit(pattern), F.lit(0))).otherwise(none))
-    rows = rows.withColumns({f"g_{kind}": F.when(F.size(f"m_{kind}") > 0, F.split("t", KINDS[kind][1], -1)).otherwise(none) for kind in KINDS})
-    return rows.select("id", *[_found(kind).alias(kind) for kind in KINDS])
+    return _with_matches(rows, KINDS).select("id", *[_found(kind).alias(kind) for kind in KINDS])
 
 
 def _listed(kinds) -> Column:
     return F.concat_ws(",", *[F.transform(kind, lambda s, k=kind: F.concat_ws(":", F.lit(k), s["start"], s["end"])) for kind in kinds])
 
 
-def redact(docs: DataFrame, text_col: str = "text", out_col: str = "redacted") -> DataFrame:
-    """All columns and the text with every match of the base kinds' patterns replaced by its kind in brackets, checks included where a pattern alone is too broad."""
-    out = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    for kind in ("email", "phone", "card", "ip"):
-        out = F.regexp_replace(out, F.lit(KINDS[kind][1]), F.lit(f"[{kind}]"))
-    return docs.withColumn(out_col, out)
+def redact(docs: DataFrame, text_col: str = "text", out_col: str = "redacted", kinds=tuple(KINDS)) -> DataFrame:
+    """All columns and the text with every confirmed span of the kinds replaced by its kind in brackets, one kind after the other.
+
+    A match that fails its check, or that no context makes likely enough, stays. A null text becomes empty. A column
+    out_col gives way; rows that repeat are each done; an empty table gives no rows.
+    """
+    whole = F.struct(*[F.col(f"`{c}`") for c in docs.columns if c != out_col])
+    rows = docs.select(whole.alias("doc"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("t"))
+    for kind in kinds:
+        rows = _with_matches(rows, [kind])
+        done = F.expr(f"concat(array_join(transform(x_{kind}, x -> concat(x.g, CASE WHEN x.ok THEN '[{kind}]' ELSE x.m END)), ''), element_at(g_{kind}, -1))")
+        rows = rows.withColumn("t", F.when(F.size(f"m_{kind}") > 0, done).otherwise(F.col("t"))).select("doc", "t")
+    return rows.select("doc.*", F.col("t").alias(out_col))
 
 
 def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
