@@ -3,6 +3,8 @@
 The two halves of a vector are quantised separately with k centroids each; a pair of centroids is a cell. A query
 walks the cells in order of its summed distance to their two centroids, taken from a heap, until the cells hold
 enough vectors, and reranks these exactly. Distance here is the negative inner product, which sums over the halves too.
+How many vectors are enough is measured: a bounded number of probes is searched exactly over all rows, and the share of
+the vectors is the least that would have found the asked part of their neighbours.
 
 Cells and queries meet in blocks: small cells share one, a cell of many vectors is cut into several, and the queries of
 a block are dealt into teams, so no task holds more than one block and one team. Equal vectors of a block count once, with their smallest ids, as a query
@@ -23,7 +25,13 @@ from laneforge.session import written
 
 #: Rows that the centroids are fitted on at most; all rows are indexed.
 SAMPLE = 20_000
-VECTORS, QUERIES = 4096, 1024
+#: Rows of that sample which the share is measured on at most.
+PROBES = 128
+#: Centroids of a half at most; so there are at most this squared cells, whatever the table holds.
+CENTROIDS = 512
+#: Vectors and queries that a task compares at most, and queries at a time.
+VECTORS, QUERIES, AT_ONCE = 4096, 8192, 512
+BROADCAST_BLOCKS = 100_000
 
 
 def usable(col: Column, dim: int | None = None) -> Column:
@@ -70,6 +78,42 @@ def traverse(q: np.ndarray, first: np.ndarray, second: np.ndarray, sizes: dict[i
     return cells
 
 
+def needed_share(probes: np.ndarray, found: list[list[int]], first: np.ndarray, second: np.ndarray, sizes: dict[int, int], recall: float) -> float:
+    """The least share of the vectors in the cells that the probes walk first that holds the part `recall` of their neighbours.
+
+    found: the cells of each probe's true neighbours. All cells of a probe are put in order here; there is a bounded
+    number of probes and of cells.
+    """
+    half, cells = first.shape[1], np.array(sorted(sizes))
+    held, need = np.array([sizes[c] for c in cells.tolist()], float), []
+    for q, own in zip(probes, found):
+        order = np.argsort(-((first @ q[:half])[cells // len(second)] + (second @ q[half:])[cells % len(second)]), kind="stable")
+        upto = np.empty(len(cells))
+        upto[order] = np.cumsum(held[order])
+        need += (upto[np.searchsorted(cells, own)] / held.sum()).tolist()
+    need.sort()
+    return need[min(len(need) - 1, int(np.ceil(recall * len(need))) - 1)] if need else 1.0
+
+
+def _near_probes(probes: np.ndarray, own: np.ndarray, k: int):
+    """Of a partition's rows (id, v, cell) the k nearest of each probe: rows (probe, id, cell, score)."""
+
+    def run(frames):
+        best = pd.DataFrame({"probe": [], "id": [], "cell": [], "score": []})
+        for f in frames:
+            if not len(f):
+                continue
+            score, ids = probes @ np.stack(f["v"].to_numpy()).astype(float).T, f["id"].to_numpy()
+            score[own[:, None] == ids[None, :]] = -np.inf
+            m = min(k, score.shape[1])
+            at = np.argpartition(-score, m - 1, axis=1)[:, :m]
+            rows = pd.DataFrame({"probe": np.repeat(np.arange(len(probes)), m), "id": ids[at].reshape(-1), "cell": f["cell"].to_numpy()[at].reshape(-1), "score": np.take_along_axis(score, at, axis=1).reshape(-1)})
+            best = pd.concat([best, rows[np.isfinite(rows["score"])]]).sort_values("score", ascending=False, kind="stable").groupby("probe").head(k)
+        yield best.astype({"probe": "int32", "id": "int64", "cell": "int32", "score": "float64"})
+
+    return run
+
+
 def best_of_block(vectors: np.ndarray, ids: np.ndarray, cells: np.ndarray, queries: np.ndarray, own: np.ndarray, walked: list, k: int):
     """For each query its k best among the block's vectors in cells that it walked, itself excluded: (query place, id, exact score)."""
     order = np.argsort(ids, kind="stable")
@@ -113,13 +157,13 @@ def lay_out(sizes: dict[int, int], most: int = VECTORS) -> dict[int, list[int]]:
     return blocks
 
 
-def search(spark: SparkSession, base: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", k: int = 20, cells_per_half: int | None = None, share: float = 0.6, least: int = 4000) -> DataFrame:
+def search(spark: SparkSession, base: DataFrame, queries: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", k: int = 20, cells_per_half: int | None = None, recall: float = 0.94, share: float | None = None) -> DataFrame:
     """query_id, rank, vec_id, score: the k nearest found of each query among the rows of base other than its own id.
 
-    share, least: a query walks cells until they hold this share of all vectors and at least so many. Vectors that
-    are null, zero, of another length than most, or hold null or non-finite components take no part, and neither do
-    null ids. Equal scores go to the smaller id; rows that repeat an id and vector count once. No rows where base or
-    queries have none.
+    A query walks cells until they hold `share` of all vectors; where that is None, the share that finds the part
+    `recall` of the neighbours of up to PROBES rows of the table. Vectors that are null, zero, of another length than
+    most, or hold null or non-finite components take no part, and neither do null ids. Equal scores go to the smaller
+    id; rows that repeat an id and vector count once. No rows where base or queries have none; other columns are not read.
     """
     schema = "query_id long, rank int, vec_id long, score double"
     rows = base.select(F.col(id_col).cast("long").alias("id"), F.col(vector_col).cast("array<double>").alias("v")).filter(usable(F.col("v")) & F.col("id").isNotNull())
@@ -128,9 +172,10 @@ def search(spark: SparkSession, base: DataFrame, queries: DataFrame, id_col: str
         return spark.createDataFrame([], schema)
     dim, total = lengths[0]["d"], lengths[0]["count"]
     rows = rows.filter(F.size("v") == dim)
-    sample = np.array([r["v"] for r in rows.orderBy(F.xxhash64("id"), "id").limit(SAMPLE).select("v").collect()], float)
+    taken = rows.orderBy(F.xxhash64("id"), "id").limit(SAMPLE).collect()
+    sample = np.array([r["v"] for r in taken], float)
     half = max(1, dim // 2)
-    size = cells_per_half or int(np.clip(np.sqrt(total / 12), 4, 1024))
+    size = min(cells_per_half or int(np.clip(np.sqrt(total / 12), 4, CENTROIDS)), CENTROIDS)
     first, second = fit(sample[:, :half], size), fit(sample[:, half:] if dim > 1 else np.zeros((len(sample), 1)), size)
     wide = len(second)
 
@@ -143,7 +188,15 @@ def search(spark: SparkSession, base: DataFrame, queries: DataFrame, id_col: str
     index = written(spark, rows.withColumn("cell", cell_of("v")), "imi-index")
     sizes = {r["cell"]: r["count"] for r in index.groupBy("cell").count().collect()}  # at most cells_per_half squared rows
     blocks = lay_out(sizes)
-    enough = max(least, int(share * total))
+    if share is None:
+        probes, own = sample[:PROBES], np.array([r["id"] for r in taken[:PROBES]])
+        ranked = index.select("id", "v", "cell").mapInPandas(_near_probes(probes, own, k), "probe int, id long, cell int, score double")
+        ranked = ranked.withColumn("r", F.row_number().over(W.partitionBy("probe").orderBy(F.desc("score"), "id"))).filter(F.col("r") <= k)
+        met = ranked.groupBy("probe").agg(F.collect_list("cell").alias("cells")).collect()  # k cells of each probe
+        wide_probes = probes if dim > 1 else np.concatenate([probes, np.zeros((len(probes), 1))], axis=1)
+        share = needed_share(wide_probes[[r["probe"] for r in met]], [r["cells"] for r in met], first, second, sizes, recall)
+    enough = max(k + 1, int(np.ceil(share * total)))
+    tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))
 
     @F.pandas_udf("array<struct<b: int, cells: array<int>>>")
     def walk(v: pd.Series) -> pd.Series:
@@ -156,24 +209,29 @@ def search(spark: SparkSession, base: DataFrame, queries: DataFrame, id_col: str
             out.append([{"b": b, "cells": c} for b, c in met.items()])
         return pd.Series(out)
 
-    asked = queries.select(F.col(id_col).cast("long").alias("id"), F.col(vector_col).cast("array<double>").alias("v")).filter(usable(F.col("v"), dim) & F.col("id").isNotNull()).distinct()
+    asked = queries.select(F.col(id_col).cast("long").alias("id"), F.col(vector_col).cast("array<double>").alias("v")).filter(usable(F.col("v"), dim) & F.col("id").isNotNull()).distinct().repartition(tasks, "id")
     asked = written(spark, asked.withColumn("met", walk("v")), "imi-queries")
-    probes = asked.select("id", "v", F.explode("met").alias("met")).select("id", "v", "met.b", "met.cells")
-    visits = {r["b"]: r["count"] for r in probes.groupBy("b").count().collect()}  # a row for each block at most
+    visited = asked.select("id", "v", F.explode("met").alias("met")).select("id", "v", "met.b", "met.cells")
+    visits = {r["b"]: r["count"] for r in visited.groupBy("b").count().collect()}  # a row for each block at most
+    # One row a cell, and there are CENTROIDS squared of them at most.
     parts = spark.createDataFrame([(c, b[0], len(b)) for c, b in blocks.items()], "cell int, at int, n int")
     teams = spark.createDataFrame([(b, 1 + n // QUERIES) for b, n in visits.items()], "b int, qb int")
+    teams = F.broadcast(teams) if len(visits) <= BROADCAST_BLOCKS else teams
     deal = lambda n: F.pmod(F.xxhash64("id"), F.col(n)).cast("int")
-    left = index.join(F.broadcast(parts), "cell").withColumn("b", F.col("at") + deal("n")).join(F.broadcast(teams), "b")
+    left = index.join(F.broadcast(parts), "cell").withColumn("b", F.col("at") + deal("n")).join(teams, "b")
     left = left.withColumn("c", F.explode(F.sequence(F.lit(0), F.col("qb") - 1))).select("b", "c", "id", "v", "cell")
-    right = probes.join(F.broadcast(teams), "b").withColumn("c", deal("qb")).select("b", "c", "id", "v", "cells")
+    right = visited.join(teams, "b").withColumn("c", deal("qb")).select("b", "c", "id", "v", "cells")
 
     def pair(vectors: pd.DataFrame, wanted: pd.DataFrame) -> pd.DataFrame:
         if not len(vectors) or not len(wanted):
             return pd.DataFrame({"query_id": [], "vec_id": [], "score": []})
         stack = lambda f: np.ascontiguousarray(np.stack(f["v"].to_numpy()), float)
-        own = wanted["id"].to_numpy()
-        found = best_of_block(stack(vectors), vectors["id"].to_numpy(), vectors["cell"].to_numpy(), stack(wanted), own, list(wanted["cells"]), k)
-        return pd.DataFrame({"query_id": [int(own[i]) for i, _, _ in found], "vec_id": [v for _, v, _ in found], "score": [s for _, _, s in found]})
+        own, have, asks, walked = wanted["id"].to_numpy(), stack(vectors), stack(wanted), list(wanted["cells"])
+        found = []
+        for at in range(0, len(own), AT_ONCE):
+            s = slice(at, at + AT_ONCE)
+            found += [(int(own[at + i]), v, x) for i, v, x in best_of_block(have, vectors["id"].to_numpy(), vectors["cell"].to_numpy(), asks[s], own[s], walked[s], k)]
+        return pd.DataFrame(found, columns=["query_id", "vec_id", "score"])
 
     found = left.groupBy("b", "c").cogroup(right.groupBy("b", "c")).applyInPandas(pair, "query_id long, vec_id long, score double")
     best = W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
