@@ -11,6 +11,8 @@ tokens fit. Prefix sums run in two steps, over bins of the digest and within a b
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -31,9 +33,13 @@ def _weight(level: str, weights: dict) -> Column:
     return out.cast("long")
 
 
-def leaf_budgets(leaves: DataFrame, total: Column, tree=TREE, weights=WEIGHTS) -> DataFrame:
-    """Leaves (tree columns, tokens, capacity) with their budget of the total, in whole tokens."""
-    nodes = leaves.withColumn("budget", F.least(total, F.sum("capacity").over(W.partitionBy())).cast("long"))
+def leaf_budgets(leaves: DataFrame, total: int, tree=TREE, weights=WEIGHTS) -> DataFrame:
+    """Leaves (tree columns, tokens, capacity) with their budget of the total, in whole tokens.
+
+    A task orders the children of one node of the tree, a row each; documents are not among them.
+    """
+    capacity = leaves.agg(F.sum("capacity")).first()[0] or 0
+    nodes = leaves.withColumn("budget", F.lit(min(total, capacity)).cast("long"))
     for depth, level in enumerate(tree):
         above, here = list(tree[:depth]), list(tree[: depth + 1])
         level_nodes = nodes.groupBy(*here).agg(F.sum("capacity").alias("c"), F.first("budget").alias("b")).withColumn("w", _weight(level, weights))
@@ -67,8 +73,9 @@ def select_mix(spark: SparkSession, docs: DataFrame, domain: Column, weights=WEI
     rows = docs.select(F.struct(*own).alias("doc"), domain.alias("domain"), F.col("lang"), F.col("source"), F.col(id_col).cast("string").alias("id"), F.greatest(F.lit(1), F.expr(f"(octet_length(coalesce({text_col}, '')) + 3) div 4")).cast("long").alias("tokens"))
     light = rows.select(*TREE, "id", "tokens")
     leaves = light.groupBy(*TREE).agg(F.sum("tokens").alias("tokens")).withColumn("capacity", F.col("tokens") * epochs)
-    total = F.floor(F.sum("tokens").over(W.partitionBy()) * F.lit(share)).cast("long")
-    leaves = written(spark, leaf_budgets(leaves.withColumn("total", total), F.col("total"), weights=weights).select(*TREE, F.col("tokens").alias("leaf_tokens"), "budget"), "mix-leaves")
+    leaves = written(spark, leaves, "mix-tree")
+    total = math.floor((leaves.agg(F.sum("tokens")).first()[0] or 0) * share)
+    leaves = written(spark, leaf_budgets(leaves, total, weights=weights).select(*TREE, F.col("tokens").alias("leaf_tokens"), "budget"), "mix-leaves")
     small = leaves.count() <= BROADCAST_LEAVES
     key = lambda d: d.withColumn("whole", F.expr("budget div leaf_tokens")).withColumn("key", F.md5(F.concat_ws(":", F.lit(seed), F.col("whole").cast("string"), F.coalesce("id", F.lit("")), F.col("tokens").cast("string")).cast("binary"))).withColumn("bin", F.left("key", F.lit(BIN_DIGITS)))
     keyed = key(_null_safe_join(light, leaves, list(TREE), small))

@@ -1,17 +1,16 @@
 """Language identification, language model, tokenizer, search, rules and mixing against plain versions."""
 
-import math
 import random
-import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import public_tokenizers
 import pytest
 from pyspark.sql import functions as F
 
-from laneforge.llm import bpe, imi, katz, langid, mixing, pii, url_rules
-from laneforge.llm.common import crc_part
+from laneforge.llm import bpe, imi, langid, mixing, pii, url_rules
 
+PUBLIC = public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN
 EDGES = [(None, None), (900001, ""), (900002, " \t\n"), (900003, "Zzyzx unseen wörds"), (900003, "Zzyzx unseen wörds"), (900004, "12 34 !!"), (900005, "word " * 20000)]
 
 
@@ -19,63 +18,6 @@ def documents(spark, sf):
     return [tuple(r) for r in spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").collect()]
 
 
-def plain_katz(rows, held):
-    def tokens(text):
-        return [*(text or "").encode().lower().split(), "end"]
-
-    words, pairs, contexts = Counter(), Counter(), Counter()
-    for (_, text), h in zip(rows, held):
-        if not h:
-            t = tokens(text)
-            words.update(t)
-            pairs.update(zip(["start", *t[:-1]], t))
-            contexts.update(["start", *t[:-1]])
-    total, types = sum(words.values()), len(words)
-    of = lambda c: [sum(1 for x in c.values() if x == r) for r in range(1, katz.K + 2)]
-    dw, dp = katz.discounts(of(words)), katz.discounts(of(pairs))
-    cut = lambda d, r: r - katz.TAIL if r > katz.K else d[r] * r
-    p = {w: cut(dw, r) / total for w, r in words.items()}
-    unseen = 1 - sum(p.values()) if total else 1.0
-    followers = defaultdict(list)
-    for (h, w), r in pairs.items():
-        followers[h].append((w, cut(dp, r) / contexts[h]))
-    out = []
-    for (_, text), h in zip(rows, held):
-        t, score, base = tokens(text), 0.0, 0.0
-        for a, b in zip(["start", *t[:-1]], t):
-            if pairs[a, b]:
-                score += math.log10(cut(dp, pairs[a, b]) / contexts[a])
-            else:
-                if contexts[a]:
-                    score += math.log10((1 - sum(x for _, x in followers[a])) / (1 - sum(p[w] for w, _ in followers[a])))
-                score += math.log10(p.get(b, unseen))
-            base += math.log10((words[b] + 0.5) / (total + 0.5 * (types + 1)))
-        out.append((len(t), sum(words[x] > 0 for x in t), total, base, score))
-    # Exactly normalised: what a context leaves is what its backoff words get.
-    for h in list(followers)[:50]:
-        left = (1 - sum(x for _, x in followers[h])) / (1 - sum(p[w] for w, _ in followers[h]))
-        assert sum(x for _, x in followers[h]) + left * (unseen + sum(v for w, v in p.items() if not pairs[h, w])) == pytest.approx(1)
-    return out
-
-
-@pytest.mark.parametrize("block", [400, 3_000_000])
-def test_katz(spark, sf, monkeypatch, block):
-    rows = documents(spark, sf)[:120] + EDGES
-    held = [zlib.crc32(str("" if i is None else i).encode()) % 5 == 1 for i, _ in rows]
-    want = Counter((i, h, n, k, t, round(b, 5), round(s, 5)) for (i, _), h, (n, k, t, b, s) in zip(rows, held, plain_katz(rows, held)))
-    monkeypatch.setattr(katz, "BLOCK", block)
-    frame = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
-    got = katz.katz_scores(spark, frame, crc_part("doc_id", 5) == 1).collect()
-    assert Counter((r["id"], r["held_out"], r["n_tokens"], r["n_known"], r["train_tokens"], round(r["base_score"], 5), round(r["score"], 5)) for r in got) == want
-
-
-def test_katz_without_training(spark):
-    frame = spark.createDataFrame([(1, "a b"), (2, None)], "doc_id long, text string")
-    got = {r["id"]: (r["n_tokens"], r["n_known"], r["train_tokens"], r["base_score"], r["score"]) for r in katz.katz_scores(spark, frame, F.lit(True)).collect()}
-    assert got == {1: (3, 0, 0, 0.0, 0.0), 2: (1, 0, 0, 0.0, 0.0)}
-    assert katz.katz_scores(spark, frame.limit(0), F.lit(False)).count() == 0
-
-
 def test_language_accuracy(spark):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     got = langid.predictions(spark, docs).join(docs.select(F.col("doc_id").alias("id"), "lang"), "id").filter("held_out").collect()
@@ -119,7 +61,7 @@ def test_viterbi_is_the_best_path():
 def test_bpe_equals_reference(spark, sf):
     import tiktoken
 
-    path, pattern = bpe._default()
+    path, pattern = PUBLIC
     c = bpe.Codec(bpe.read_ranks(path), pattern)
     real = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=c.ranks, special_tokens={})
     rng = random.Random(1)
@@ -134,7 +76,7 @@ def test_bpe_equals_reference(spark, sf):
 def test_bpe_digests(spark, sf):
     import hashlib
 
-    path, pattern = bpe._default()
+    path, pattern = PUBLIC
     c = bpe.Codec(bpe.read_ranks(path), pattern)
     rows = documents(spark, sf)[:40] + EDGES
     frame = spark.createDataFrame(rows, "doc_id long, text string")
@@ -152,7 +94,7 @@ def test_multi_index_recall(spark):
     table = spark.read.parquet("/root/testdata/sf0.1/embeddings.parquet")
     rows = [(r["vec_id"], np.array(r["embedding"], float)) for r in table.collect()]
     got = defaultdict(list)
-    for r in imi.search(spark, table, table.filter("vec_id % 20 = 0"), share=0.65, least=0).collect():
+    for r in imi.search(spark, table, table.filter("vec_id % 20 = 0")).collect():
         got[r["query_id"]].append((r["rank"], r["vec_id"], r["score"]))
     ids, v = np.array([i for i, _ in rows]), np.stack([x for _, x in rows])
     hit = n = 0
@@ -209,26 +151,61 @@ def test_url_rules(spark):
     assert url_rules.judge(spark, pages.limit(0), labels.limit(0)).count() == 0
 
 
-def test_mined_rules(spark):
+def plain_rules(rows, need, confidence, longest=3):
+    """All rules of up to `longest` tokens that no shorter one makes needless: {(tokens, verdict): (confidence, support)}."""
+    from itertools import combinations
+
+    whole, by = Counter(), Counter()
+    for items, verdict in rows:
+        for k in range(1, longest + 1):
+            for s in combinations(sorted(set(items)), k):
+                whole[s] += 1
+                by[s, verdict] += 1
+    want = {(s, v): (n / whole[s], n / len(rows)) for (s, v), n in by.items() if n >= need and n / whole[s] >= confidence}
+    return {(s, v): x for (s, v), x in want.items() if not any(want.get((p, v), (0,))[0] >= x[0] for k in range(1, len(s)) for p in combinations(s, k))}
+
+
+def expanded(rules, classes):
+    """Rules over classes of tokens as rules over tokens."""
+    from itertools import product
+
+    members = defaultdict(list)
+    for r in classes.collect():
+        members[r["rep"]].append(r["token"])
+    return {(tuple(sorted(s)), r["verdict"]): (pytest.approx(r["confidence"]), pytest.approx(r["support"])) for r in rules.collect() for s in product(*[members[t] for t in r["antecedent"]])}
+
+
+@pytest.mark.parametrize("wide", [16, 1])
+def test_mined_rules(spark, wide):
+    """FP-growth, and with wide=1 the growth of bounded length, against counting all sets."""
     good = [["host:a", "path:x"]] * 30 + [["host:a", "path:y"]] * 30
-    bad = [["host:b", "path:x"]] * 30 + [["host:a", "path:spam", "query:id"]] * 10
+    bad = [["host:b", "host:c", "path:x"]] * 30 + [["host:a", "path:spam", "query:id"]] * 10
+    rng = random.Random(5)
     rows = [(i, "allow") for i in good] + [(i, "block") for i in bad]
-    labelled = spark.createDataFrame(rows, "items array<string>, verdict string")
-    rules = url_rules.mine(spark, labelled, 0.05, 0.9)
-    found = {(tuple(r["antecedent"]), r["verdict"]): (r["confidence"], r["support"]) for r in rules.collect()}
-    want = {}
-    tokens = sorted({t for i, _ in rows for t in i})
-    sets = [(t,) for t in tokens] + [(s, t) for s in tokens for t in tokens if s < t] + [(r, s, t) for r in tokens for s in tokens for t in tokens if r < s < t]
-    for s in sets:
-        for v in ("allow", "block"):
-            both, one = sum(set(s) <= set(i) and x == v for i, x in rows), sum(set(s) <= set(i) for i, _ in rows)
-            if one and both / len(rows) >= 0.05 and both / one >= 0.9:
-                want[s, v] = (both / one, both / len(rows))
-    want = {k: x for k, x in want.items() if not any(set(o) < set(k[0]) and v == k[1] and y[0] >= x[0] for (o, v), y in want.items())}
-    assert {k: (pytest.approx(c), pytest.approx(s)) for k, (c, s) in want.items()} == found
-    pages = spark.createDataFrame([(1, 1, ["host:b", "zzz"]), (2, 2, ["path:spam", "host:a"]), (3, 3, ["zzz"])], "page_id long, row long, items array<string>")
-    got = {r["row"]: r["verdict"] for r in url_rules.judge_by_rules(spark, pages, rules).collect()}
-    assert got == {1: "block", 2: "block", 3: "allow"}
+    rows += [(rng.sample(["t1", "t2", "t3", "t4", "t5", "path:x", "host:a"], rng.randint(1, 6)), rng.choice(["allow", "block", "block"])) for _ in range(60)]
+    labelled = spark.createDataFrame([*rows, (["host:a"], None), (None, "allow")], "items array<string>, verdict string")
+    rules, classes = url_rules.mine(spark, labelled, 0.03, 0.7, wide=wide)
+    want = plain_rules([*rows, ([], "allow")], 5, 0.7)
+    assert len(want) > 10 and max(len(s) for s, _ in want) == 3
+    assert expanded(rules, classes) == want
+    pages = spark.createDataFrame([(1, 1, ["host:c", "zzz"]), (2, 2, ["path:spam", "host:a"]), (3, 3, ["zzz"]), (4, 4, None)], "page_id long, row long, items array<string>")
+    got = {r["row"]: r["verdict"] for r in url_rules.judge_by_rules(spark, pages, rules, classes).collect()}
+    assert got == {1: "block", 2: "block", 3: "allow", 4: "allow"}
+
+
+def test_long_urls_end(spark):
+    """Urls of 200 tokens: templates that many share, parts at random, and chains of prefixes."""
+    import time
+
+    rng = random.Random(6)
+    words = [f"w{i}" for i in range(200)]
+    rows = [(words, "block")] * 20 + [([f"x{i}" for i in range(200)], "allow")] * 8
+    rows += [(words[: rng.choice([40, 60, 80])] + [f"own{i}"], "allow") for i in range(40)]
+    rows += [(rng.sample([f"r{i}" for i in range(30)], 25), "allow") for _ in range(40)]
+    start = time.time()
+    rules, classes = url_rules.mine(spark, spark.createDataFrame(rows, "items array<string>, verdict string"))
+    assert rules.count() > 0 and {r["verdict"] for r in rules.collect()} == {"allow", "block"}
+    assert time.time() - start < 90
 
 
 def luhn(d):
@@ -292,5 +269,5 @@ def test_mixing_edges(spark):
 def test_budgets_water_fill(spark):
     """Shortage goes to siblings first: source b of (x, en) can't use its half, so source a takes it, not language de."""
     leaves = spark.createDataFrame([("x", "en", "a", 1000), ("x", "en", "b", 10), ("x", "de", "c", 1000), ("y", "en", "d", 50)], "domain string, lang string, source string, capacity long")
-    got = {r["source"]: r["budget"] for r in mixing.leaf_budgets(leaves, F.lit(400), weights={}).collect()}
+    got = {r["source"]: r["budget"] for r in mixing.leaf_budgets(leaves, 400, weights={}).collect()}
     assert got == {"d": 50, "c": 175, "b": 10, "a": 165}

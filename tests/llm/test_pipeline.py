@@ -4,36 +4,42 @@ from collections import Counter
 
 import corpus_pipeline
 from laneforge.llm import bpe, mixing
-from tests.llm.test_dedup import plain_components, plain_fingerprint, plain_lines
+from tests.llm.test_language import Plain as Language
+from tests.llm.test_passages import plain_passages
+from tests.llm.test_shingles import plain_near
 
+GERMAN = "der Hund und die Katze sind nicht auf dem Tisch, aber das ist auch gut so und wird nicht anders "
 EXTRA = [
     (900_001, None, "en", "src1", 0),
     (900_002, "", None, None, 0),
     (900_003, "123 !!", "en", "src2", 6),
     (900_004, "one line\ntwo lines here\nthree lines there\nfour", "en", "src3", 40),
     (900_005, "one line\ntwo lines here\nthree lines there\nfour", "en", "src3", 40),
+    (900_006, GERMAN * 3, None, "src4", 300),
+    (900_007, "own start\none line\ntwo lines here\nown end", None, "src5", 40),
 ]
 
 
 def plain_pipeline(rows):
     import duckdb
     import pandas as pd
+    import public_tokenizers
     import tiktoken
 
-    rows = [r for r in rows if r[1] and any(map(str.isalpha, r[1]))]
-    lines = plain_lines([(r[0], r[1]) for r in rows])
-    rows = [(r[0], lines[r[0]][2], *r[2:]) for r in rows if not lines[r[0]][1] or lines[r[0]][2]]
-    fps = [plain_fingerprint(r[1]) for r in rows]
-    root, least = plain_components(fps), {}
-    for r, f in zip(rows, fps):
-        least[root[f]] = min(least.get(root[f], r[0]), r[0])
-    rows = [r for r, f in zip(rows, fps) if least[root[f]] == r[0]]
+    model, known = Language([(r[2], r[1]) for r in rows]), []
+    for r in rows:
+        lang, score = model.predict(r[1])
+        if lang != "und" and score >= 0.3:
+            known.append((r[0], r[1], r[2] or lang, *r[3:]))
+    lines = plain_passages([(r[0], r[1]) for r in known])
+    rows = [(r[0], "\n".join(lines[r[0]]), *r[2:]) for r in known if "\n".join(lines[r[0]])]
+    rows = [r for r, least in zip(rows, plain_near([(r[0], r[1]) for r in rows])) if r[0] == least]
     con = duckdb.connect()
     con.register("frame", pd.DataFrame(rows, columns=["doc_id", "text", "lang", "source", "n_chars"]).astype({"lang": object, "source": object}))
     con.sql("CREATE VIEW documents AS SELECT * FROM frame")
     copies = {r[0]: r[-1] for r in con.sql(f"SELECT doc_id, copies FROM ({mixing.ORACLE})").fetchall()}
-    path, pattern = bpe._default()
-    real = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=bpe.read_ranks(path), special_tokens={})
+    ranks = bpe.read_ranks(public_tokenizers.path("byte_bpe_50k.tiktoken"))
+    real = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
     out = Counter()
     for r in rows:
         if copies[r[0]]:
