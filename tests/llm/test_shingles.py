@@ -2,9 +2,12 @@
 
 from collections import Counter, defaultdict
 
+import random
+
+import pytest
 from pyspark.sql import functions as F
 
-from laneforge.llm import simhash
+from laneforge.llm import exact_dedup, shingles, simhash
 
 
 def plain_near(rows, words=5, similarity=0.8):
@@ -51,3 +54,32 @@ def test_ordinary_near_copies_go(spark):
     want = [key for (key, _), least in zip(rows, plain_near(rows)) if key == least]
     assert sorted(r["doc_id"] for r in kept.collect()) == want == [1, 4, 5, 7, 8]
     assert simhash.drop_near_copies(spark, frame.limit(0)).count() == 0
+
+
+@pytest.mark.parametrize("chunk", [3, 256])
+def test_borderline_groups(spark, monkeypatch, chunk):
+    """Many variants of one text, about as similar as the limit: those that no other is near enough to stay."""
+    monkeypatch.setattr(shingles, "CHUNK", chunk)
+    rng, base = random.Random(3), [f"w{i}" for i in range(150)]
+    rows = []
+    for k in range(70):
+        words = list(base)
+        for at in rng.sample(range(150), rng.choice([1, 2, 3, 5, 9])):
+            words[at] = f"x{k}{at}"
+        rows.append((k, " ".join(words)))
+    want = [key for (key, _), least in zip(rows, plain_near(rows)) if key == least]
+    assert 5 < len(want) < 60
+    assert sorted(r["doc_id"] for r in simhash.drop_near_copies(spark, spark.createDataFrame(rows, "doc_id long, text string").repartition(4)).collect()) == want
+
+
+def test_rows_are_told_apart(spark):
+    """Rows that share an id but not the text, null ids, and rows that repeat."""
+    a, b = "a text of some words that is here twice", "quite another text with words of its own in it"
+    rows = [(1, a), (5, a), (5, b), (None, a), (5, b), (None, None), (None, ""), (2, None)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    assert sorted(tuple(r) for r in simhash.drop_near_copies(spark, frame).filter("text <> ''").collect()) == [(1, a), (5, b)]
+    assert simhash.drop_near_copies(spark, frame).count() == 3
+    for keep, first in (("min", 1), ("max", 5)):
+        kept = exact_dedup.drop_exact_copies(spark, frame, keep=keep).collect()
+        assert sorted((r["doc_id"], r["text"]) for r in kept if r["text"]) == sorted([(first, a), (5, b)])
+        assert len(kept) == 3 and [r["doc_id"] for r in kept if not r["text"]] == [2]
