@@ -12,7 +12,6 @@ import base64
 import gc
 import hashlib
 from contextlib import contextmanager
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -26,7 +25,7 @@ from .common import freed
 #: The character of byte 0; every other byte is the character of its number.
 ZERO = "\u0100"
 #: Estimated bytes of the pre-tokens that a worker remembers within a task, besides those of the text at hand.
-CACHE_BYTES = 48 << 20
+CACHE_BYTES = 64 << 20
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -81,24 +80,22 @@ class Codec:
         self.bytes_of = [b""] * (max(ranks.values(), default=-1) + 1)
         for t, r in ranks.items():
             self.bytes_of[r] = t
-        #: By piece, so one more than the rank.
-        self.bytes_of.insert(0, b"")
+        #: Decimal ids by piece, which is one more than the rank.
         self.names = ["", *map(str, range(len(self.bytes_of)))]
+        self.raw_of = {str(r): t for t, r in ranks.items()}
         self.model = sentencepiece.SentencePieceProcessor(model_proto=model_proto(ranks))
         self.split = regex.compile(pattern).findall
-        #: Pieces of a pre-token, and its ids as text.
-        self.seen: dict[str, list[int]] = {}
+        #: The ids of a pre-token, as text.
         self.shown: dict[str, str] = {}
         self.held = 0
 
     def forget(self) -> None:
-        self.seen.clear()
         self.shown.clear()
         self.held = 0
 
     def learn(self, new: list[str]) -> None:
         """Encodes pre-tokens not yet seen, all at once."""
-        seen, shown, rank = self.seen, self.shown, self.ranks.get
+        shown, rank = self.shown, self.ranks.get
         rest, spelled = [], []
         for t in new:
             raw = t.encode("utf-8", "surrogatepass")
@@ -107,31 +104,36 @@ class Codec:
                 rest.append(t)
                 spelled.append(raw.decode("latin-1"))
             else:
-                seen[t], shown[t] = (r + 1,), str(r)
+                shown[t] = str(r)
         if "\0" in "".join(spelled):
             spelled = [x.replace("\0", ZERO) for x in spelled]
         name = self.names.__getitem__
         for t, ids in zip(rest, self.model.encode(spelled, out_type=int, num_threads=1) if rest else ()):
             if 0 in ids:
                 raise ValueError("the vocabulary lacks a byte of this text")
-            seen[t], shown[t] = ids, " ".join(map(name, ids))
-        self.held += sum(450 + 2 * len(t) + 40 * len(seen[t]) for t in new)
+            shown[t] = " ".join(map(name, ids))
+        self.held += 210 * len(new) + 2 * sum(map(len, new)) + sum(map(len, map(shown.__getitem__, new)))
 
-    def pieces(self, text: str) -> list[str]:
+    def ids_text(self, text: str) -> str:
+        """The ids of a whole text in decimal, with one space between them."""
         tokens = self.split(text)
-        missing = [t for t in set(tokens) if t not in self.seen]
+        missing = [t for t in set(tokens) if t not in self.shown]
         if missing:
             if self.held > CACHE_BYTES:
                 self.forget()
                 missing = list(set(tokens))
             self.learn(missing)
-        return tokens
+        return " ".join(map(self.shown.__getitem__, tokens))
 
     def encode(self, text: str) -> list[int]:
-        return [x - 1 for x in chain.from_iterable(map(self.seen.__getitem__, self.pieces(text)))]
+        return [int(x) for x in self.ids_text(text).split()]
 
     def decode(self, ids) -> bytes:
-        return b"".join([self.bytes_of[x + 1] for x in ids])
+        return b"".join(map(self.bytes_of.__getitem__, ids))
+
+    def decode_text(self, ids: str) -> bytes:
+        """The bytes that ids in decimal stand for."""
+        return b"".join(map(self.raw_of.__getitem__, ids.split()))
 
 
 _CODECS: dict[tuple[str | None, str | None], Codec] = {}
@@ -171,8 +173,7 @@ def _encode(path: str | None, pattern: str | None, text_col: str, out_col: str):
                 part = batch.slice(at, 256)
                 ids = []
                 for value in part.column(place):
-                    tokens = c.pieces(value.as_py() or "")
-                    ids.append(np.fromiter(chain.from_iterable(map(c.seen.__getitem__, tokens)), np.int32) - 1)
+                    ids.append(np.fromstring(c.ids_text(value.as_py() or ""), np.int32, sep=" "))
                 offsets = np.concatenate([[0], np.cumsum([len(x) for x in ids])]).astype(np.int32)
                 yield part.append_column(out_col, pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(ids))))
 
@@ -214,11 +215,10 @@ def _digest(path: str | None, pattern: str | None):
         for batch in batches:
             n, ids_sha, raw_sha = [], [], []
             for value in batch.column(1):
-                tokens = c.pieces(value.as_py() or "")
-                ids = list(chain.from_iterable(map(c.seen.__getitem__, tokens)))  # pieces: ids plus one
-                n.append(len(ids))
-                ids_sha.append(sha(" ".join(map(c.shown.__getitem__, tokens)).encode()).hexdigest())
-                raw_sha.append(sha(b"".join(map(c.bytes_of.__getitem__, ids))).hexdigest())
+                ids = c.ids_text(value.as_py() or "")
+                n.append(ids.count(" ") + 1 if ids else 0)
+                ids_sha.append(sha(ids.encode()).hexdigest())
+                raw_sha.append(sha(c.decode_text(ids)).hexdigest())
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(raw_sha, pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
     return run
