@@ -197,3 +197,17 @@ def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     out = drop_repeated_passages(spark, docs)
     return out.select("doc_id", "n_chunks", "n_removed", F.length(F.coalesce("text", F.lit(""))).cast("long").alias("n_chars_left"), F.sha2(F.coalesce("text", F.lit("")).cast("binary"), 256).alias("text_sha256"))
+
+
+ORACLE = r"""
+WITH l AS (SELECT doc_id, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) - 1 AS k FROM documents WHERE text <> ''),
+w AS (SELECT doc_id, k, line || chr(10) || after AS c FROM (SELECT *, lead(line) OVER (PARTITION BY doc_id ORDER BY k) AS after FROM l) WHERE after IS NOT NULL AND regexp_matches(line || after, '[^ \t\n\r\x0b\x0c]')),
+f AS (SELECT doc_id, k, first_value(doc_id) OVER o AS first_doc, first_value(k) OVER o AS first_k FROM w WINDOW o AS (PARTITION BY c ORDER BY doc_id, k)),
+g AS (SELECT doc_id, k FROM f WHERE doc_id <> first_doc OR k >= first_k + 2),
+gg AS (SELECT doc_id, k FROM g UNION SELECT doc_id, k + 1 FROM g),
+b AS (SELECT l.doc_id, l.k, line, gg.k IS NOT NULL AS gone FROM l LEFT JOIN gg ON gg.doc_id = l.doc_id AND gg.k = l.k),
+r AS (SELECT *, coalesce(lag(gone) OVER (PARTITION BY doc_id ORDER BY k), NOT gone) <> gone AS fresh FROM b),
+t AS (SELECT doc_id, count(*) FILTER (gone AND fresh) AS removed, count(*) FILTER (fresh) AS runs, string_agg(line, chr(10) ORDER BY k) FILTER (NOT gone) AS rest FROM r GROUP BY doc_id),
+o AS (SELECT d.doc_id, coalesce(removed, 0) AS removed, coalesce(runs, 0) AS runs, coalesce(CASE WHEN removed > 0 THEN rest ELSE text END, '') AS rest FROM documents d LEFT JOIN t USING (doc_id))
+SELECT doc_id, CAST(runs AS INTEGER) AS n_chunks, CAST(removed AS INTEGER) AS n_removed, length(rest) AS n_chars_left, sha256(rest) AS text_sha256 FROM o
+"""

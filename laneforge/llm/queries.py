@@ -17,4 +17,4 @@ QUERIES = {
     "op10_byte_bpe": bpe.op10_byte_bpe,
 }
 
-ORACLES = {"op3_exact_dedup": exact_dedup.ORACLE, "op9_mixing": mixing.ORACLE}
+ORACLES = {"op1_url_rules": url_rules.ORACLE, "op3_exact_dedup": exact_dedup.ORACLE, "op4_line_dedup": line_dedup.ORACLE, "op9_mixing": mixing.ORACLE}

@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from laneforge.session import written
 
-from .common import lower_ascii
+from .common import UPPER, lower_ascii
 
 #: Fixed values of the query: verdict and rule.
 RULES = [("block", "net/"), ("allow", "example.net/en/"), ("block", "example.com/de/"), ("allow", "org/fr/")]
@@ -176,3 +176,36 @@ def judge(spark: SparkSession, pages: DataFrame, labels: DataFrame, min_support:
 
 def op1_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge(spark, spark.read.parquet(f"{sf_dir}/pages.parquet"), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
+def _oracle(min_support: float = 0.001, min_confidence: float = 0.6, least_rows: int = 5) -> str:
+    """All sets of up to three tokens are counted; of those that hold for a page the surest is its verdict. Rules that a shorter one makes needless never change it."""
+    fixed = sorted(RULES, key=lambda r: -len(r[1]))
+    fits = lambda rule: "(host = '{0}' OR ends_with(host, '.{0}')) AND starts_with(path, '/{1}')".format(*rule.split("/", 1))
+    case = lambda column: "CASE " + " ".join(f"WHEN {fits(r[1])} THEN '{r[column]}'" for r in fixed) + " END"
+    sets = lambda rows, key: f"SELECT {key}, t AS a, '' AS b, '' AS c FROM {rows} UNION ALL SELECT x.{key}, x.t, y.t, '' FROM {rows} x JOIN {rows} y ON x.{key} = y.{key} AND x.t < y.t UNION ALL SELECT x.{key}, x.t, y.t, z.t FROM {rows} x JOIN {rows} y ON x.{key} = y.{key} AND x.t < y.t JOIN {rows} z ON z.{key} = y.{key} AND y.t < z.t"
+    return rf"""
+WITH u AS (SELECT page_id, url, CASE WHEN strpos(url, '://') > 0 THEN substr(url, strpos(url, '://') + 3) END AS rest FROM pages),
+hp AS (SELECT page_id, url, translate(coalesce(regexp_extract(rest, '^([^/?#]*)', 1), ''), '{UPPER}', '{UPPER.lower()}') AS host, coalesce(regexp_extract(rest, '^[^/?#]*([^?#]*)', 1), '') AS path FROM u),
+lb AS (SELECT *, list_filter(string_split(host, '.'), x -> x <> '') AS labels FROM hp),
+tk AS (SELECT page_id, host, path, list_distinct(list_concat(
+    ['scheme:' || lower(coalesce(regexp_extract(url, '^([A-Za-z][A-Za-z0-9+.-]*)://', 1), ''))],
+    list_transform(range(1, len(labels) + 1), i -> 'host:' || array_to_string(labels[len(labels) + 1 - i:], '.')),
+    list_transform(list_filter(string_split_regex(regexp_replace(lower(path), '[0-9]+', '0', 'g'), '[^a-z0-9]+'), x -> x <> ''), x -> 'path:' || x),
+    coalesce(list_transform(list_filter(string_split(regexp_extract(url, '\?([^#]*)', 1), '&'), x -> x <> ''), x -> 'query:' || string_split(x, '=')[1]), []))) AS items FROM lb),
+kn AS (SELECT row_number() OVER () AS rid, items, CASE WHEN toxic = 1 OR quality = 0 THEN 'block' ELSE 'allow' END AS verdict FROM tk JOIN labels ON doc_id = page_id),
+nn AS (SELECT count(*) AS n, greatest({least_rows}, ceil({min_support} * count(*) - 1e-9)) AS need FROM kn),
+fr AS (SELECT t FROM (SELECT unnest(items) AS t FROM kn) GROUP BY t HAVING count(*) >= (SELECT need FROM nn)),
+kt AS (SELECT rid, t FROM (SELECT rid, unnest(items) AS t FROM kn) WHERE t IN (SELECT t FROM fr)),
+ks AS ({sets("kt", "rid")}),
+cn AS (SELECT a, b, c, verdict, count(*) AS both_n FROM ks JOIN kn USING (rid) GROUP BY ALL),
+rl AS (SELECT a, b, c, verdict, both_n / sum(both_n) OVER (PARTITION BY a, b, c) AS confidence, both_n FROM cn),
+ok AS (SELECT * FROM rl WHERE both_n >= (SELECT need FROM nn) AND confidence >= {min_confidence}),
+pt AS (SELECT page_id, t FROM (SELECT page_id, unnest(items) AS t FROM tk) WHERE t IN (SELECT t FROM fr)),
+ps AS ({sets("pt", "page_id")}),
+best AS (SELECT page_id, verdict, confidence FROM (SELECT page_id, verdict, confidence, row_number() OVER (PARTITION BY page_id ORDER BY confidence DESC, verdict = 'block' DESC, both_n DESC) AS rn FROM ps JOIN ok USING (a, b, c)) WHERE rn = 1)
+SELECT tk.page_id, host, path, {case(1)} AS rule, coalesce({case(0)}, best.verdict, 'allow') AS verdict, CASE WHEN ({case(1)}) IS NULL THEN confidence END AS confidence FROM tk LEFT JOIN best USING (page_id)
+"""
+
+
+ORACLE = _oracle()
