@@ -1,15 +1,16 @@
 """Line deduplication: repeated passages, and content-defined chunks.
 
-Passages: every window of two lines is digested, wherever it stands, so what a document says before or after a
-passage changes nothing. A window that occurs earlier (least document, then place) takes both its lines away; windows
-overlap, so runs of repeated lines go from their first line to their last. A line that goes has an earlier equal one:
-of every line a copy stays. Windows of blank lines, and those that overlap their own first occurrence, take nothing away.
+A line's hash is rolled over a window of lines, so what a document says before or after a passage changes nothing.
 
-Chunks: a line's hash is rolled over a window of lines; where the rolling hash falls on a fixed residue a chunk ends.
-A chunk of several lines that occurs again is removed. Passages that hold no whole chunk stay, so the query and
-the pipeline use passages.
+Passages: the rolling hash of two lines is taken at every line, and the boundaries of what goes are where it stops to
+repeat. A window that occurs earlier (least document, then place) takes both its lines away; windows overlap, so runs of
+repeated lines go from their first line to their last. A line that goes has an earlier equal one: of every line a copy
+stays. Windows of blank lines, and those that overlap their own first occurrence, take nothing away.
 
-Either first meet by digest only, a few bytes each. Texts move once, and only those of repeated digests: they are
+Chunks: where the rolling hash falls on a fixed residue a chunk ends. A chunk of several lines that occurs again is
+removed. Passages that hold no whole chunk stay, so the query and the pipeline use passages.
+
+Either first meet by hash only, a few bytes each. Texts move once, and only those of repeated hashes: they are
 grouped by their own bytes, so a removal always rests on equal bytes. Both groupings combine before they shuffle, and a
 verdict goes back to the rows of one document, so a chunk that every document has gathers nowhere.
 """
@@ -29,7 +30,8 @@ from laneforge.session import written
 
 from .common import freed, row_key
 
-MASK = (1 << 64) - 1
+MASK, WIDE = (1 << 64) - 1, (1 << 128) - 1
+BASE = 0x9E3779B97F4A7C15F39CC0605CEDC835
 #: Lines of the rolling window, one cut in so many places, least and most lines of a chunk.
 WINDOW, DIVISOR, LEAST, MOST = 2, 3, 2, 64
 
@@ -62,29 +64,43 @@ def _chunks(text: str | None) -> list[tuple[int, bytes]]:
 
 
 def _windows(text: str | None, least: int = LEAST) -> list[tuple[int, bytes]]:
-    """Lines and bytes of every run of `least` lines of a text; runs of blank lines count as one line."""
+    """Lines and bytes of every run of `least` lines of a text."""
     if not text:
         return []
     lines = text.encode("utf-8", "surrogatepass").split(b"\n")
-    runs = (lines[i : i + least] for i in range(len(lines) - least + 1))
-    return [(least if any(x.strip() for x in run) else 1, b"\n".join(run)) for run in runs]
+    return [(least, b"\n".join(lines[i : i + least])) for i in range(len(lines) - least + 1)]
+
+
+def _chunk_keys(text: str | None) -> list[tuple[int, bytes]]:
+    """Place and digest of every chunk of several lines."""
+    return [(k, hashlib.blake2b(chunk, digest_size=16).digest()) for k, (n, chunk) in enumerate(_chunks(text)) if n > 1]
 
 
-def _digest(chunk: bytes) -> bytes:
-    return hashlib.blake2b(chunk, digest_size=16).digest()
+def _window_keys(text: str | None, least: int = LEAST) -> list[tuple[int, bytes]]:
+    """Place and rolling hash, over the hashes of its lines, of every run of `least` lines that are not all blank."""
+    if not text:
+        return []
+    lines = text.encode("utf-8", "surrogatepass").split(b"\n")
+    hashes, blank = [xxhash.xxh3_128_intdigest(x) for x in lines], [not x.strip() for x in lines]
+    leaves, rolled, out = pow(BASE, least, 1 << 128), 0, []
+    for i, h in enumerate(hashes):
+        rolled = (rolled * BASE + h - (hashes[i - least] * leaves if i >= least else 0)) & WIDE
+        first = i + 1 - least
+        if first >= 0 and not all(blank[first : i + 1]):
+            out.append((first, rolled.to_bytes(16, "little")))
+    return out
 
 
-def _list_chunks(units):
+def _list_chunks(keys):
     @freed
     def run(batches):
         for batch in batches:
             ids, place, digest = [], [], []
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1)):
-                for k, (n, chunk) in enumerate(units(text.as_py())):
-                    if n > 1:
-                        ids.append(doc)
-                        place.append(k)
-                        digest.append(_digest(chunk))
+                for k, key in keys(text.as_py()):
+                    ids.append(doc)
+                    place.append(k)
+                    digest.append(key)
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.binary()), pa.array(place, pa.int32()), pa.array(digest, pa.binary())], ["row", "place", "digest"])
 
     return run
@@ -106,9 +122,9 @@ def _repeated_texts(units):
     return run
 
 
-def repeated_chunks(spark: SparkSession, docs: DataFrame, units=_chunks, apart: int = 1) -> DataFrame:
+def repeated_chunks(spark: SparkSession, docs: DataFrame, units=_chunks, keys=_chunk_keys, apart: int = 1) -> DataFrame:
     """row, gone: the places of the chunks to remove, for rows (row, text) that have any; in one row places of equal ones are `apart` at least."""
-    listed = docs.select("row", "text").mapInArrow(_list_chunks(units), "row binary, place int, digest binary")
+    listed = docs.select("row", "text").mapInArrow(_list_chunks(keys), "row binary, place int, digest binary")
     listed = written(spark, listed, "line-chunks")
     often = listed.groupBy("digest").agg(F.count("*").alias("n")).filter("n > 1").select("digest")
     asked = listed.join(often, "digest").groupBy("row").agg(F.array_sort(F.collect_set("place")).alias("places"))
@@ -153,15 +169,15 @@ def _without(leave):
     return run
 
 
-#: What is compared, how far equal ones are apart in one text, and what is left of a text.
-CHUNKS, PASSAGES = (_chunks, 1, _without_chunks), (_windows, LEAST, _without_passages)
+#: What is compared, by which keys it meets, how far equal ones are apart in one text, and what is left of a text.
+CHUNKS, PASSAGES = (_chunks, _chunk_keys, 1, _without_chunks), (_windows, _window_keys, LEAST, _without_passages)
 
 
 def _deduplicated(spark: SparkSession, docs: DataFrame, id_col: str, text_col: str, way=CHUNKS) -> DataFrame:
     """text without what is repeated, rest (a struct of all columns), n_chunks, n_removed."""
-    units, apart, leave = way
+    units, keys, apart, leave = way
     rows = docs.select(row_key(id_col, text_col).alias("row"), F.col(text_col).cast("string").alias("text"), F.struct(*[F.col(c) for c in docs.columns if c != text_col], F.lit(0).alias("_none")).alias("rest"))
-    removed = repeated_chunks(spark, rows, units, apart)
+    removed = repeated_chunks(spark, rows, units, keys, apart)
     schema = T.StructType([*rows.schema.fields, T.StructField("n_chunks", T.IntegerType()), T.StructField("n_removed", T.IntegerType())])
     return rows.join(removed, "row", "left").mapInArrow(_without(leave), schema)
 
@@ -189,7 +205,11 @@ def drop_repeated_passages(spark: SparkSession, docs: DataFrame, id_col: str = "
 
 
 def line_stage(spark: SparkSession, docs: DataFrame) -> DataFrame:
-    """The documents without repeated passages, with their own columns; those of which nothing is left go."""
+    """The documents without repeated passages, with their own columns; those of which nothing is left go.
+
+    Null, empty and one-line texts stay as they are; texts of any length are read whole. Rows that repeat an id and a text
+    are one document, and keep or lose the same lines. An empty table gives no rows; names of other columns never clash.
+    """
     return _deduplicated(spark, docs, "doc_id", "text", PASSAGES).filter("n_removed = 0 OR length(text) > 0").select(*_columns(docs, "text"))
 
 

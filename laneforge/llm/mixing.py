@@ -96,7 +96,11 @@ def source_domain() -> Column:
 
 
 def mix_stage(spark: SparkSession, docs: DataFrame) -> DataFrame:
-    """The documents of the mix, each as often as it is taken."""
+    """The documents of the mix, each as often as it is taken, with their own columns whatever their names.
+
+    Null and empty texts weigh one token; rows that repeat an id and text tie and are taken in any order; an empty table
+    gives no rows.
+    """
     mixed = select_mix(spark, docs, source_domain())
     return mixed.filter("_copies > 0").withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*docs.columns)
 

@@ -109,7 +109,8 @@ def spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
 
 
 def _listed(kinds) -> Column:
-    return F.concat_ws(",", *[F.transform(kind, lambda s, k=kind: F.concat_ws(":", F.lit(k), s["start"], s["end"])) for kind in kinds])
+    shown = lambda kind: F.transform(kind, lambda s: F.concat_ws(":", F.lit(kind), s["start"], s["end"]))
+    return F.concat_ws(",", *map(shown, kinds))
 
 
 def redact(docs: DataFrame, text_col: str = "text", out_col: str = "redacted", kinds=tuple(KINDS)) -> DataFrame:

@@ -187,12 +187,12 @@ def _oracle(min_support: float = 0.001, min_confidence: float = 0.6, least_rows:
     return rf"""
 WITH u AS (SELECT page_id, url, CASE WHEN strpos(url, '://') > 0 THEN substr(url, strpos(url, '://') + 3) END AS rest FROM pages),
 hp AS (SELECT page_id, url, translate(coalesce(regexp_extract(rest, '^([^/?#]*)', 1), ''), '{UPPER}', '{UPPER.lower()}') AS host, coalesce(regexp_extract(rest, '^[^/?#]*([^?#]*)', 1), '') AS path FROM u),
-lb AS (SELECT *, list_filter(string_split(host, '.'), x -> x <> '') AS labels FROM hp),
+lb AS (SELECT *, list_filter(string_split(host, '.'), lambda x: x <> '') AS labels FROM hp),
 tk AS (SELECT page_id, host, path, list_distinct(list_concat(
     ['scheme:' || lower(coalesce(regexp_extract(url, '^([A-Za-z][A-Za-z0-9+.-]*)://', 1), ''))],
-    list_transform(range(1, len(labels) + 1), i -> 'host:' || array_to_string(labels[len(labels) + 1 - i:], '.')),
-    list_transform(list_filter(string_split_regex(regexp_replace(lower(path), '[0-9]+', '0', 'g'), '[^a-z0-9]+'), x -> x <> ''), x -> 'path:' || x),
-    coalesce(list_transform(list_filter(string_split(regexp_extract(url, '\?([^#]*)', 1), '&'), x -> x <> ''), x -> 'query:' || string_split(x, '=')[1]), []))) AS items FROM lb),
+    list_transform(range(1, len(labels) + 1), lambda i: 'host:' || array_to_string(labels[len(labels) + 1 - i:], '.')),
+    list_transform(list_filter(string_split_regex(regexp_replace(lower(path), '[0-9]+', '0', 'g'), '[^a-z0-9]+'), lambda x: x <> ''), lambda x: 'path:' || x),
+    coalesce(list_transform(list_filter(string_split(regexp_extract(url, '\?([^#]*)', 1), '&'), lambda x: x <> ''), lambda x: 'query:' || string_split(x, '=')[1]), []))) AS items FROM lb),
 kn AS (SELECT row_number() OVER () AS rid, items, CASE WHEN toxic = 1 OR quality = 0 THEN 'block' ELSE 'allow' END AS verdict FROM tk JOIN labels ON doc_id = page_id),
 nn AS (SELECT count(*) AS n, greatest({least_rows}, ceil({min_support} * count(*) - 1e-9)) AS need FROM kn),
 fr AS (SELECT t FROM (SELECT unnest(items) AS t FROM kn) GROUP BY t HAVING count(*) >= (SELECT need FROM nn)),

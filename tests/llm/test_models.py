@@ -84,7 +84,8 @@ def test_bpe_digests(spark, sf):
     for i, t in rows:
         ids = c.encode(t or "")
         want[i, len(ids), hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256((t or "").encode()).hexdigest()] += 1
-    assert Counter(tuple(r) for r in bpe.encoding_digests(frame).collect()) == want
+    assert Counter(tuple(r) for r in bpe.encoding_digests(frame.withColumn("n_tokens", F.lit("clash"))).collect()) == want
+    assert bpe.encoding_digests(frame.limit(0)).count() == 0
     back = bpe.decode_ids(bpe.encode_ids(frame.withColumn("token_ids", F.lit("clash")))).collect()
     assert all(bytes(r["decoded"]) == (r["text"] or "").encode() for r in back)
     assert bpe.encode_ids(frame.limit(0)).count() == 0
@@ -249,6 +250,27 @@ def test_pii(spark, sf):
     del hashlib
 
 
+def test_pii_context_and_many_matches(spark):
+    """Words on both sides count, through earlier matches; a text of very many matches ends; positions are exact."""
+    many = "".join(f"u{i}@x.org " for i in range(20_000))
+    texts = {1: "SSN: 123-45-6789, 234-56-7890", 2: "123-45-6789 (SSN)", 3: "part 123-45-6789 of 234-56-7890", 4: many, 5: "é😀 a@b.cd x@y.zz é 9.9.9.9"}
+    frame = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    got = {r["id"]: r for r in pii.spans(frame).collect()}
+    assert [len(got[i]["ssn"]) for i in (1, 2, 3)] == [2, 1, 0]
+    assert [many[s["start"] : s["end"]] for s in got[4]["email"]] == many.split()
+    assert [texts[5][s["start"] : s["end"]] for k in ("email", "ip") for s in got[5][k]] == ["a@b.cd", "x@y.zz", "9.9.9.9"]
+
+
+def test_redact(spark):
+    """What is confirmed goes, what fails its check or has no context stays."""
+    rows = [(1, "mail a@b.cd, card 4111 1111 1111 1111 not 4111 1111 1111 1112, ip 1.2.3.4 and 300.1.1.1 end"), (2, None), (3, "part 123-45-6789"), (4, "ssn 123-45-6789"), (5, "IBAN DE89370400440532013000 Bitte"), (6, "nothing")]
+    out = pii.redact(spark.createDataFrame([(*r, "clash") for r in rows], "doc_id long, text string, redacted string"))
+    assert out.columns == ["doc_id", "text", "redacted"]
+    got = {r["doc_id"]: r["redacted"] for r in out.collect()}
+    assert got == {1: "mail [email], card [card] not 4111 1111 1111 1112, ip [ip] and 300.1.1.1 end", 2: "", 3: "part 123-45-6789", 4: "ssn [ssn]", 5: "IBAN [iban] Bitte", 6: "nothing"}
+    assert pii.redact(out.limit(0)).count() == 0
+
+
 def test_mixing_edges(spark):
     rows = [(i, f"text {i}" * (i % 9 + 1), ["en", "de", None][i % 3], ["src1", "src2", "s", None][i % 4], "c") for i in range(400)] + [(5, None, "en", "src1", "c"), (5, None, "en", "src1", "c"), (None, "", None, None, "c")]
     frame = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, domain string")
