@@ -48,6 +48,21 @@ class Codec:
         values, used = self.unpack(data, full // self.block) if full else (np.zeros((0, self.block), U64), 0)
         return np.concatenate([values.reshape(-1), K.vbyte_decode(data[used:], n - full)])
 
+    def encode_many(self, d: np.ndarray, offsets: np.ndarray) -> list[bytes]:
+        """Payloads of the chunks of a flat buffer; here one after the other."""
+        return [self.encode(d[a:b]) for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist())]
+
+    def decode_many(self, payloads: list[bytes], n: np.ndarray) -> np.ndarray:
+        """The flat buffer of many chunks."""
+        parts = [self.decode(p, int(k)) for p, k in zip(payloads, n)]
+        return np.concatenate(parts) if parts else np.zeros(0, U64)
+
+
+def _cut(raw: np.ndarray, edges: np.ndarray) -> list[bytes]:
+    """The bytes between neighbouring edges."""
+    data, at = raw.tobytes(), edges.tolist()
+    return [data[a:b] for a, b in zip(at[:-1], at[1:])]
+
 
 class BinaryPacking(Codec):
     """Each block at the width of its largest value; a descriptor of widths goes before each meta-block."""
@@ -59,11 +74,17 @@ class BinaryPacking(Codec):
     def _pack(self, rows, b):
         return K.pack_vertical(rows, b, self.lanes) if self.vertical else K.pack_scalar(rows, b)
 
-    def _unpack(self, words, b, dtype=U64):
+    def _unpack(self, words, b, dtype=U64, running=False):
         if self.vertical:
-            return K.unpack_vertical(words, b, self.lanes, dtype)
+            return K.unpack_vertical(words, b, self.lanes, dtype, running)
         return K.unpack_horizontal(words, b, self.block) if self.gathers else K.unpack_scalar(words, b, self.block, dtype)
 
+    def encode_many(self, d, offsets):
+        return pack_many(self, d, offsets)
+
+    def decode_many(self, payloads, n):
+        return unpack_many(self, payloads, np.asarray(n))
+
     def pack(self, rows: np.ndarray) -> np.ndarray:
         m = K.or_widths(rows)
         size = -(-self.block * m // 32)
@@ -140,8 +161,19 @@ def pack_many(codec: BinaryPacking, d: np.ndarray, offsets: np.ndarray) -> list[
     return [main[edge[i] : edge[i + 1]] + tail[ends[i] : ends[i + 1]] for i in range(len(count))]
 
 
-def unpack_many(codec: BinaryPacking, payloads: list[bytes], n: np.ndarray) -> np.ndarray:
-    """The flat buffer of many chunks at once."""
+def _carried(rows: np.ndarray, count: np.ndarray, stride: int) -> np.ndarray:
+    """Adds to each block's running sums what the blocks of its chunk before it come to; the sums of each chunk's lanes."""
+    last = rows[:, rows.shape[1] - stride :].copy()
+    total = np.cumsum(last, axis=0, dtype=U32)
+    before = np.concatenate([np.zeros((1, stride), U32), total])
+    first = np.cumsum(count) - count
+    carry = before[:-1] - np.repeat(before[first], count, axis=0)
+    rows += np.tile(carry, (1, rows.shape[1] // stride))
+    return before[first + count] - before[first]
+
+
+def unpack_many(codec: BinaryPacking, payloads: list[bytes], n: np.ndarray, stride: int = 0) -> np.ndarray:
+    """The flat buffer of many chunks at once. With a stride, of their running sums instead of the differences, made in the same pass."""
     block, group = codec.block, codec.meta // 4
     offsets = np.concatenate([[0], np.cumsum(n)])
     starts, count = _block_starts(offsets, block)
@@ -171,11 +203,22 @@ def unpack_many(codec: BinaryPacking, payloads: list[bytes], n: np.ndarray) -> n
     for b, own in _by_width(m):
         if b:
             gathered = words[at[own][:, None] + np.arange(words_of[b])]
-            rows[own] = codec._unpack(gathered, b, U32)
+            rows[own] = codec._unpack(gathered, b, U32, running=codec.vertical and stride == codec.lanes)
+    sums = None
+    if stride:
+        if not (codec.vertical and stride == codec.lanes):
+            lanes = rows.reshape(len(rows), -1, stride)
+            np.cumsum(lanes, axis=1, dtype=U32, out=lanes)
+        sums = _carried(rows, count, stride) if len(rows) else np.zeros((len(count), stride), U32)
     if not whole:
         out[starts[:, None] + np.arange(block)] = rows
         places, rest = _tails(offsets, block)
-        out[places] = K.vbyte_decode(np.frombuffer(b"".join(tails), U8), int(rest.sum()))
+        tail = K.vbyte_decode(np.frombuffer(b"".join(tails), U8), int(rest.sum()))
+        if stride:
+            ends = np.concatenate([[0], np.cumsum(rest)])
+            chunk = np.repeat(np.arange(len(rest)), rest)
+            tail = K.undelta_many(tail, ends, stride) + sums[chunk, (np.arange(len(chunk)) - ends[chunk]) % stride]
+        out[places] = tail
     return out
 
 
@@ -203,105 +246,195 @@ def choose_widths(rows: np.ndarray, location_bits: int = LOCATION_BITS):
     return best, m, c[at, best], cost[at, best]
 
 
-class PagePatched(Codec):
+class Paged(Codec):
+    """A code of whole blocks whose pages are coded together.
+
+    pack_rows(rows, count) -> the bytes of each page's blocks; unpack_rows(pages, count) -> all rows, and the bytes used
+    of each page. count: the blocks of each page, none of them 0.
+    """
+
+    block = BLOCK
+
+    def pack(self, rows: np.ndarray) -> np.ndarray:
+        return np.frombuffer(self.pack_rows(rows, np.array([len(rows)]))[0], U8)
+
+    def encode_many(self, d, offsets):
+        return pack_pages(self, d, offsets)
+
+    def decode_many(self, payloads, n):
+        return unpack_pages(self, payloads, np.asarray(n))
+
+    def unpack(self, raw: np.ndarray, blocks: int) -> tuple[np.ndarray, int]:
+        rows, used = self.unpack_rows([raw.tobytes()], np.array([blocks]))
+        return rows.astype(U64), used[0]
+
+
+def pack_pages(codec: Paged, d: np.ndarray, offsets: np.ndarray) -> list[bytes]:
+    """Payloads of many chunks at once."""
+    starts, count = _block_starts(offsets, codec.block)
+    own = count > 0
+    rows = d.astype(U64)[starts[:, None] + np.arange(codec.block)]
+    mains = iter(codec.pack_rows(rows, count[own]) if own.any() else [])
+    places, rest = _tails(offsets, codec.block)
+    tail = K.vbyte_encode(d[places]).tobytes()
+    ends = np.concatenate([[0], np.cumsum(K.vbyte_sizes(d[places]))])[np.concatenate([[0], np.cumsum(rest)])].tolist()
+    return [(next(mains) if has else b"") + tail[a:b] for has, a, b in zip(own.tolist(), ends[:-1], ends[1:])]
+
+
+def unpack_pages(codec: Paged, payloads: list[bytes], n: np.ndarray) -> np.ndarray:
+    """The flat buffer of many chunks at once."""
+    offsets = np.concatenate([[0], np.cumsum(n)])
+    starts, count = _block_starts(offsets, codec.block)
+    own = count > 0
+    pages = [p for p, has in zip(payloads, own.tolist()) if has]
+    rows, used = codec.unpack_rows(pages, count[own]) if pages else (np.zeros((0, codec.block), U32), [])
+    out, cut = np.zeros(int(offsets[-1]), U64), iter(used)
+    out[starts[:, None] + np.arange(codec.block)] = rows
+    places, rest = _tails(offsets, codec.block)
+    tails = [p[next(cut) :] if has else p for p, has in zip(payloads, own.tolist())]
+    out[places] = K.vbyte_decode(np.frombuffer(b"".join(tails), U8), int(rest.sum()))
+    return out
+
+
+def _low_words(rows: np.ndarray, b: np.ndarray, pack) -> bytes:
+    """Blocks of 128 at b bits each, one after the other."""
+    start = 4 * (np.cumsum(b) - b)
+    low = np.zeros(4 * int(b.sum()), U32)
+    for w, at in _by_width(b):
+        if w:
+            low[start[at][:, None] + np.arange(4 * w)] = pack(rows[at], w)
+    return _bytes(low).tobytes()
+
+
+def _low_rows(words: np.ndarray, start: np.ndarray, b: np.ndarray, unpack) -> np.ndarray:
+    """Blocks of 128 of b bits each whose words begin at `start`."""
+    out = np.zeros((len(b), BLOCK), U32)
+    for w, k in _by_width(b):
+        if w:
+            out[k] = unpack(words[start[k][:, None] + np.arange(4 * w)], w)
+    return out
+
+
+class PagePatched(Paged):
     """Low bits of all blocks, then per block widths and exception places, then the high bits of the page's exceptions.
 
     High bits go to one packed array per number of bits (`words=False`), or all to one Simple-8b array. The vertical
     version packs both parts in lanes, pads arrays to 128 values and starts packed data on 16 bytes.
     """
 
-    block = BLOCK
-
     def __init__(self, name: str, vertical: bool = False, words: bool = False):
         self.name, self.vertical, self.words = name, vertical, words
         self.align = 16 if vertical else 4
         self.unit = BLOCK if vertical else 32
+        self.head = 4 + _pad(4, self.align)
 
     def _pack(self, rows, b, mask=False):
         return K.pack_vertical(rows, b, mask=mask) if self.vertical else K.pack_scalar(rows, b, mask=mask)
 
     def _unpack(self, words, b, k):
-        return K.unpack_vertical(words, b) if self.vertical else K.unpack_scalar(words, b, k)
+        return K.unpack_vertical(words, b, dtype=U32) if self.vertical else K.unpack_scalar(words, b, k, U32)
 
-    def pack(self, rows: np.ndarray) -> np.ndarray:
+    def pack_rows(self, rows, count):
         b, m, c, _ = choose_widths(rows)
-        start = 4 * (np.cumsum(b) - b)
-        low = np.zeros(4 * int(b.sum()), U32)
-        for w, at in _by_width(b):
-            if w:
-                low[start[at][:, None] + np.arange(4 * w)] = self._pack(rows[at], w, mask=True)
-        width = K.bit_length(rows.reshape(-1)).reshape(rows.shape)
-        block, place = np.nonzero(width > b[:, None])
+        low = _low_words(rows, b, lambda r, w: self._pack(r, w, mask=True))
+        block, place = np.nonzero(K.bit_length(rows.reshape(-1)).reshape(rows.shape) > b[:, None])
         patched = m > b
         sizes = 2 + patched * (1 + c)
         ends = np.cumsum(sizes)
+        head, before = ends - sizes, np.cumsum(c) - c
         notes = np.zeros(int(ends[-1]), U8)
-        head = ends - sizes
         notes[head], notes[head + 1] = b, m
         notes[head[patched] + 2] = c[patched]
-        before = np.cumsum(c) - c
         notes[head[block] + 3 + np.arange(len(block)) - before[block]] = place
         high = rows[block, place] >> b[block].astype(U64)
-        parts = [_bytes(low)]
-        head_size = 4 + _pad(4, self.align)
-        parts.insert(0, np.concatenate([_number(head_size + len(parts[0])), np.zeros(head_size - 4, U8)]))
-        tail = [_number(len(notes)), notes, np.zeros(_pad(len(notes), 4), U8)]
-        if self.words:
-            coded = np.frombuffer(Simple8b().encode(high), U8)
-            tail += [_number(len(high)), coded]
-        else:
-            bucket = (m - b)[block]
-            used = np.unique(bucket)
-            tail.append(_number(sum(1 << (int(k) - 1) for k in used)))
-            tail.append(np.zeros(_pad(sum(map(len, tail)), self.align), U8))
-            for k in used.tolist():
-                own = high[bucket == k]
-                padded = np.concatenate([own, np.zeros(_pad(len(own), self.unit), U64)]).reshape(-1, self.unit)
-                tail += [_number(len(own)), np.zeros(_pad(4, self.align), U8), _bytes(self._pack(padded, k))]
-        return np.concatenate(parts + tail)
+        edge = np.concatenate([[0], np.cumsum(count)])
+        page = np.searchsorted(edge, block, "right") - 1
+        cut = lambda a: np.concatenate([[0], np.cumsum(a)])[edge].tolist()
+        low_at, note_at, high_at = cut(16 * b), cut(sizes), cut(c)
+        buckets = [] if self.words else self._buckets(high, (m - b)[block], page, len(count))
+        notes, out = notes.tobytes(), []
+        for i in range(len(count)):
+            own, note = low[low_at[i] : low_at[i + 1]], notes[note_at[i] : note_at[i + 1]]
+            parts = [(self.head + len(own)).to_bytes(4, "little"), bytes(self.head - 4), own, len(note).to_bytes(4, "little"), note, bytes(_pad(len(note), 4))]
+            if self.words:
+                parts += [(high_at[i + 1] - high_at[i]).to_bytes(4, "little"), Simple8b().encode(high[high_at[i] : high_at[i + 1]])]
+            else:
+                parts.append(sum(1 << (k - 1) for k, _, _ in buckets[i]).to_bytes(4, "little"))
+                parts.append(bytes(_pad(sum(map(len, parts[3:])), self.align)))
+                for _, size, raw in buckets[i]:
+                    parts += [size.to_bytes(4, "little"), bytes(_pad(4, self.align)), raw]
+            out.append(b"".join(parts))
+        return out
 
-    def unpack(self, raw: np.ndarray, blocks: int) -> tuple[np.ndarray, int]:
-        number = lambda at: int.from_bytes(raw[at : at + 4].tobytes(), "little")
-        head_size = 4 + _pad(4, self.align)
-        at = number(0)
-        size = number(at)
-        notes = raw[at + 4 : at + 4 + size].tolist()
-        tail_start, at = at, at + 4 + size + _pad(size, 4)
-        b, m, block, place, i = [], [], [], [], 0
-        for j in range(blocks):
-            b.append(notes[i])
-            m.append(notes[i + 1])
-            i += 2
-            if m[-1] > b[-1]:
-                c = notes[i]
-                place += notes[i + 1 : i + 1 + c]
-                block += [j] * c
-                i += 1 + c
-        b, m, block, place = (np.array(x, np.int64) for x in (b, m, block, place))
-        high = np.zeros(len(block), U64)
-        if self.words:
-            n = number(at)
-            high, used = Simple8b().read(raw[at + 4 :], n)
-            at += 4 + used
-        else:
-            set_of, at = number(at), at + 4
-            at += _pad(at - tail_start, self.align)
-            bucket = (m - b)[block] if len(block) else block
-            for k in range(1, 33):
-                if set_of >> (k - 1) & 1:
-                    n, at = number(at), at + 4 + _pad(4, self.align)
-                    groups = -(-n // self.unit)
-                    span = 4 * groups * -(-self.unit * k // 32)
-                    high[bucket == k] = self._unpack(_words(raw[at : at + span]).reshape(groups, -1), k, self.unit).reshape(-1)[:n]
-                    at += span
-        low = _words(raw[head_size : head_size + 16 * int(b.sum())])
-        start, out = 4 * (np.cumsum(b) - b), np.zeros((blocks, BLOCK), U64)
-        for w, k in _by_width(b):
-            if w:
-                out[k] = self._unpack(low[start[k][:, None] + np.arange(4 * w)], w, BLOCK)
+    def _buckets(self, high, bucket, page, pages):
+        """(bits, values, bytes) of every page's arrays of high parts; those of all pages are packed together."""
+        out = [[] for _ in range(pages)]
+        for k in np.unique(bucket).tolist():
+            own = np.flatnonzero(bucket == k)
+            n = np.bincount(page[own], minlength=pages)
+            rows = -(-n // self.unit)
+            first = self.unit * (np.cumsum(rows) - rows)
+            padded = np.zeros(self.unit * int(rows.sum()), U64)
+            padded[first[page[own]] + np.arange(len(own)) - np.repeat(np.cumsum(n) - n, n)] = high[own]
+            words = self._pack(padded.reshape(-1, self.unit), k)
+            raw, span = _bytes(words).tobytes(), 4 * words.shape[1]
+            at = (first // self.unit * span).tolist()
+            for i in np.flatnonzero(n).tolist():
+                out[i].append((k, int(n[i]), raw[at[i] : at[i] + int(rows[i]) * span]))
+        return out
+
+    def unpack_rows(self, pages, count):
+        b, m, places, patched, lows, used = [], [], [], [], [], []
+        arrays: dict[int, list] = {}
+        for raw, blocks in zip(pages, count.tolist()):
+            number = lambda at: int.from_bytes(raw[at : at + 4], "little")  # noqa: B023, E731
+            at = number(0)
+            lows.append(raw[self.head : at])
+            size, tail_start = number(at), at
+            i = at = at + 4
+            for _ in range(blocks):
+                low, top = raw[i], raw[i + 1]
+                b.append(low)
+                m.append(top)
+                i += 2
+                if top > low:
+                    c = raw[i]
+                    patched.append(c)
+                    places.append(raw[i + 1 : i + 1 + c])
+                    i += 1 + c
+                else:
+                    patched.append(0)
+            at += size + _pad(size, 4)
+            if self.words:
+                values, length = Simple8b().read(np.frombuffer(raw, U8)[at + 4 :], number(at))
+                arrays.setdefault(0, []).append(values)
+                at += 4 + length
+            else:
+                set_of, at = number(at), at + 4
+                at += _pad(at - tail_start, self.align)
+                for k in range(1, 33):
+                    if set_of >> (k - 1) & 1:
+                        n, at = number(at), at + self.head
+                        span = 4 * -(-n // self.unit) * -(-self.unit * k // 32)
+                        arrays.setdefault(k, []).append((n, raw[at : at + span]))
+                        at += span
+            used.append(at)
+        b, m, c = (np.array(x, np.int64) for x in (b, m, patched))
+        words = np.frombuffer(b"".join(lows), "<u4")
+        out = _low_rows(words, 4 * (np.cumsum(b) - b), b, lambda w, k: self._unpack(w, k, BLOCK))
+        block, place = np.repeat(np.arange(len(b)), c), np.frombuffer(b"".join(places), U8)
         if len(block):
-            out[block, place] |= high << b[block].astype(U64)
-        return out, at
+            high, bucket = np.zeros(len(block), U32), (m - b)[block]
+            for k, own in arrays.items():
+                if self.words:
+                    high[:] = np.concatenate(own)
+                    continue
+                n = np.array([x for x, _ in own])
+                rows = self._unpack(np.frombuffer(b"".join(x for _, x in own), "<u4").reshape(-1, -(-self.unit * k // 32)), k, self.unit).reshape(-1)
+                first = self.unit * (np.cumsum(-(-n // self.unit)) - -(-n // self.unit))
+                high[bucket == k] = rows[np.repeat(first, n) + np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)]
+            out[block, place] |= high << b[block].astype(U32)
+        return out, used
 
 
 class LinkPatched(Codec):
@@ -329,23 +462,27 @@ class LinkPatched(Codec):
 
     def pack(self, rows: np.ndarray) -> np.ndarray:
         b = self.page_width(rows)
-        reach = 1 << b
-        kept, first, so_far, values, n = rows.copy(), np.full(len(rows), 255, np.int64), np.zeros(len(rows), np.int64), [], 0
-        big = rows >= U64(reach) if b < 32 else np.zeros(rows.shape, bool)
-        for j in np.flatnonzero(big.any(axis=1)).tolist():
-            natural, chain = np.flatnonzero(big[j]).tolist(), []
-            for place in natural:
-                while chain and place - chain[-1] > reach:
-                    chain.append(chain[-1] + reach)
-                chain.append(place)
-            first[j], so_far[j] = chain[0], n
-            values.append(rows[j, chain])
-            kept[j, chain] = np.append(np.diff(chain) - 1, 0)
-            n += len(chain)
-        so_far[first == 255] = n
-        exceptions = np.concatenate(values) if values else np.zeros(0, U64)
+        reach, kept = 1 << b, rows.copy()
+        block, place = np.nonzero(rows >= U64(reach)) if b < 32 else (np.zeros(0, np.int64), np.zeros(0, np.int64))
+        # Links that are too long get steps of the full reach in between; all blocks at once.
+        gap = np.diff(place, prepend=0)
+        fresh = np.diff(block, prepend=-1) != 0
+        extra = np.where(fresh, 0, (gap - 1) // reach)
+        ends = np.cumsum(extra + 1)
+        chain_block, back = np.repeat(block, extra + 1), np.repeat(ends, extra + 1) - 1 - np.arange(int(ends[-1]) if len(ends) else 0)
+        before = place - gap
+        chain = np.where(back == 0, np.repeat(place, extra + 1), np.repeat(before, extra + 1) + reach * (np.repeat(extra, extra + 1) - back + 1))
+        n = len(chain)
+        exceptions = rows[chain_block, chain]
+        same = np.append(chain_block[1:] == chain_block[:-1], False) if n else np.zeros(0, bool)
+        kept[chain_block, chain] = np.where(same, np.append(np.diff(chain), 0) - 1, 0) if n else 0
+        so_far = np.searchsorted(chain_block, np.arange(len(rows)))
+        first = np.full(len(rows), 255, np.int64)
+        has = np.append(so_far, n)[1:] > so_far
+        first[has] = chain[so_far[has]]
+        so_far[~has] = n
         size = 4
-        if self.sized and len(exceptions):
+        if self.sized and n:
             size = next(s for s in (1, 2, 4) if int(exceptions.max()) < 1 << 8 * s)
         entry = np.stack([first, so_far & 255, so_far >> 8 & 255, so_far >> 16 & 255], axis=1).astype(U8)
         raw = np.ascontiguousarray(exceptions, "<u8").view(U8).reshape(-1, 8)[:, :size]
@@ -376,64 +513,176 @@ class LinkPatched(Codec):
         return out, at + size * total
 
 
-class BlockPatched(Codec):
+def _ranges(first: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """first[0], first[0] + 1, ... n[0] numbers, then those from first[1], and so on."""
+    return np.repeat(first - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
+
+
+class BlockPatched(Paged):
     """Each block patched on its own: [b, c, words of the exceptions, 0][block at b bits][Simple-8b of gaps and high parts].
 
     The fast rule takes the least width with at most a tenth of exceptions; `optimal` tries every width for the
-    least bytes, the larger on ties.
+    least bytes, the larger on ties. The exceptions of all blocks, and of all widths tried, are coded together.
     """
 
-    block = BLOCK
+    #: Blocks whose widths are tried together.
+    TRIED = 256
 
     def __init__(self, name: str, optimal: bool):
         self.name, self.optimal = name, optimal
 
-    def _exceptions(self, row: np.ndarray, b: int) -> bytes:
-        place = np.flatnonzero(row >> U64(b)) if b < 32 else np.zeros(0, np.int64)
-        if not len(place):
-            return b""
-        gaps = np.diff(place, prepend=-1) - 1
-        return Simple8b().encode(np.concatenate([gaps.astype(U64), row[place] >> U64(b)]))
+    @staticmethod
+    def _exceptions(rows, width, at, b):
+        """Gaps and high parts of the blocks `at` at widths b, laid end to end, and where each begins."""
+        seg, place = np.nonzero(width[at] > b[:, None])
+        c = np.bincount(seg, minlength=len(at))
+        gaps = np.diff(place, prepend=0) - 1
+        fresh = np.diff(seg, prepend=-1) != 0
+        gaps[fresh] = place[fresh]
+        ends = np.concatenate([[0], np.cumsum(2 * c)])
+        own = np.arange(len(seg)) - (np.cumsum(c) - c)[seg]
+        flat = np.zeros(int(ends[-1]), U64)
+        flat[ends[seg] + own] = gaps
+        flat[ends[seg] + c[seg] + own] = rows[at[seg], place] >> b[seg].astype(U64)
+        return flat, ends, c
+
+    def _best(self, rows, width, m):
+        out = np.zeros(len(rows), np.int64)
+        for at in range(0, len(rows), self.TRIED):
+            top = m[at : at + self.TRIED] + 1
+            block, b = np.repeat(np.arange(len(top)), top), _ranges(np.zeros(len(top), np.int64), top)
+            flat, ends, _ = self._exceptions(rows, width, at + block, b)
+            size = 16 * b + 8 * np.diff(simple8b_starts(K.bit_length(flat), ends)[1])
+            order = np.lexsort((-b, size, block))
+            out[at : at + len(top)] = b[order[np.cumsum(top) - top]]
+        return out
 
-    def pack(self, rows: np.ndarray) -> np.ndarray:
+    def pack_rows(self, rows, count):
         counts = width_counts(rows)
+        width = K.bit_length(rows.reshape(-1)).reshape(rows.shape)
         above = np.concatenate([counts[:, ::-1].cumsum(axis=1)[:, ::-1][:, 1:], np.zeros((len(rows), 1), np.int64)], axis=1)
-        m = np.where(counts > 0, np.arange(33), 0).max(axis=1)
-        parts, chosen, coded = [], (above * 10 <= EXCEPTION_TENTHS * BLOCK).argmax(axis=1), {}
-        if self.optimal:
-            for j in range(len(rows)):
-                best = None
-                for b in range(int(m[j]), -1, -1):
-                    if best is not None and 16 * b + 8 >= best[0] and above[j, b] == 0:
-                        continue
-                    extra = self._exceptions(rows[j], b)
-                    size = 16 * b + len(extra)
-                    if best is None or size < best[0]:
-                        best = (size, b, extra)
-                chosen[j], coded[j] = best[1], best[2]
-        packed = {}
-        for b, at in _by_width(chosen):
-            words = K.pack_scalar(rows[at], b, mask=True)
-            packed |= {int(j): words[i] for i, j in enumerate(at)}
-        for j in range(len(rows)):
-            b = int(chosen[j])
-            extra = np.frombuffer(coded[j] if j in coded else self._exceptions(rows[j], b), U8)
-            parts += [np.array([b, above[j, b], len(extra) // 8, 0], U8), _bytes(packed[j]), extra]
-        return np.concatenate(parts)
-
-    def unpack(self, raw: np.ndarray, blocks: int) -> tuple[np.ndarray, int]:
-        out, at = np.zeros((blocks, BLOCK), U64), 0
-        for j in range(blocks):
-            b, c, words = (int(x) for x in raw[at : at + 3])
-            at += 4
-            out[j] = K.unpack_scalar(_words(raw[at : at + 16 * b]).reshape(1, -1), b, BLOCK)[0]
-            at += 16 * b
-            if c:
-                both, _ = Simple8b().read(raw[at : at + 8 * words], 2 * c)
-                place = np.cumsum(both[:c].astype(np.int64) + 1) - 1
-                out[j, place] |= both[c:] << U64(b)
-            at += 8 * words
-        return out, at
+        b = self._best(rows, width, width.max(axis=1)) if self.optimal else (above * 10 <= EXCEPTION_TENTHS * BLOCK).argmax(axis=1)
+        flat, ends, c = self._exceptions(rows, width, np.arange(len(rows)), b)
+        words, per = simple8b_words(flat, ends)
+        number = np.diff(per)
+        low = np.frombuffer(_low_words(rows, b, lambda r, w: K.pack_scalar(r, w, mask=True)), "<u4")
+        size = 1 + 4 * b + 2 * number
+        start = np.cumsum(size) - size
+        out = np.zeros(int(size.sum()), U32)
+        out.view(U8).reshape(-1, 4)[start] = np.stack([b, c, number, np.zeros(len(b), np.int64)], axis=1)
+        out[_ranges(start + 1, 4 * b)] = low
+        out[_ranges(start + 1 + 4 * b, 2 * number)] = words.view("<u4")
+        raw, edge = out.tobytes(), (4 * np.concatenate([[0], np.cumsum(size)])[np.concatenate([[0], np.cumsum(count)])]).tolist()
+        return [raw[i:j] for i, j in zip(edge[:-1], edge[1:])]
+
+    def unpack_rows(self, pages, count):
+        b, c, number, start, mains, used, base = [], [], [], [], [], [], 0
+        for raw, blocks in zip(pages, count.tolist()):
+            at = 0
+            for _ in range(blocks):
+                low, n = raw[at], raw[at + 2]
+                b.append(low)
+                c.append(raw[at + 1])
+                number.append(n)
+                start.append(base + at)
+                at += 4 + 16 * low + 8 * n
+            mains.append(raw[:at])
+            used.append(at)
+            base += at
+        words = np.frombuffer(b"".join(mains), "<u4")
+        b, c, number, start = (np.array(x, np.int64) for x in (b, c, number, start))
+        start //= 4
+        out = _low_rows(words, start + 1, b, lambda w, k: K.unpack_scalar(w, k, BLOCK, U32))
+        if c.any():
+            coded = np.ascontiguousarray(words[_ranges(start + 1 + 4 * b, 2 * number)]).view("<u8")
+            both = simple8b_values(coded, np.concatenate([[0], np.cumsum(number)]), 2 * c)
+            at = np.cumsum(2 * c) - 2 * c
+            gaps, high = both[_ranges(at, c)].astype(np.int64) + 1, both[_ranges(at + c, c)].astype(U32)
+            total = np.concatenate([[0], np.cumsum(gaps)])
+            block, first = np.repeat(np.arange(len(c)), c), np.cumsum(c) - c
+            place = total[1:] - np.repeat(total[first], c) - 1
+            out[block, place] |= high << b[block].astype(U32)
+        return out, used
+
+
+_COUNTS = np.array([c for c, _ in WORD_LAYOUTS])
+_BITS = np.array([b for _, b in WORD_LAYOUTS])
+
+
+def simple8b_starts(width: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Where the words of each segment begin, how many words came before each segment, and the words' selectors. Segments lie end to end; ends has their edges from 0."""
+    n, size = len(width), np.diff(ends)
+    far, stop = np.arange(n), np.repeat(ends[1:], size)
+    least, most = (int(width.min()), int(width.max())) if n else (0, 0)
+    pick = np.full(n, int(np.flatnonzero(_BITS >= most)[0]), np.int64)  # all values fit in its words
+    for s in range(int(pick[0]) - 1 if n else -1, -1, -1):
+        if _BITS[s] < least:
+            break
+        bad = np.append(np.where(width > _BITS[s], far, n), n)
+        until = np.minimum(np.minimum.accumulate(bad[::-1])[::-1][:n], stop)  # next value that does not fit
+        pick[(until - far >= _COUNTS[s]) | (until == stop)] = s
+    starts, per = _followed(far + _COUNTS[pick], ends)
+    return starts, per, pick[starts]
+
+
+#: Segments of more values are followed one by one.
+LONG_SEGMENT = 2048
+
+
+def _followed(step: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The places that one meets by going from i to step[i], from each segment's beginning to its end, and how many come before each segment."""
+    size = np.diff(ends)
+    found, per = [], np.zeros(len(size), np.int64)
+    for j in np.flatnonzero(size > LONG_SEGMENT).tolist():
+        i, stop, own, go = 0, int(size[j]), [], (step[ends[j] : ends[j + 1]] - ends[j]).tolist()
+        while i < stop:
+            own.append(i)
+            i = go[i]
+        found.append(np.array(own) + ends[j])
+        per[j] = len(own)
+    segment = np.flatnonzero((size > 0) & (size <= LONG_SEGMENT))
+    at = ends[segment]
+    while len(at):  # one step in every segment that is not done
+        found.append(at)
+        per[segment] += 1
+        at = step[at]
+        live = at < ends[segment + 1]
+        at, segment = at[live], segment[live]
+    return np.sort(np.concatenate(found)) if found else np.zeros(0, np.int64), np.concatenate([[0], np.cumsum(per)])
+
+
+def simple8b_words(v: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The words of segments of values, and where each segment's words begin. A segment's last word is padded with zeros."""
+    width = K.bit_length(v)
+    if len(v) and int(width.max()) > 60:
+        raise ValueError("a value needs more than 60 bits")
+    starts, per, chosen = simple8b_starts(width, ends)
+    stop = ends[np.repeat(np.arange(1, len(ends)), np.diff(per))]
+    padded = np.concatenate([v.astype(U64), np.zeros(240, U64)])
+    words = chosen.astype(U64)
+    for s in np.unique(chosen).tolist():
+        count, b = WORD_LAYOUTS[s]
+        at = np.flatnonzero(chosen == s)
+        if b:
+            place = starts[at][:, None] + np.arange(count)
+            own = padded[place] << (4 + b * np.arange(count)).astype(U64)
+            own[place >= stop[at][:, None]] = 0
+            words[at] |= np.bitwise_or.reduce(own, axis=1)
+    return words.astype("<u8"), per
+
+
+def simple8b_values(words: np.ndarray, per: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """The first n values of each segment of words, end to end; per: where each segment's words begin."""
+    chosen = (words & U64(15)).astype(np.int64)
+    counts = _COUNTS[chosen]
+    ends = np.concatenate([[0], np.cumsum(counts)])
+    out = np.zeros(int(ends[-1]), U64)
+    for s in np.unique(chosen).tolist():
+        count, b = WORD_LAYOUTS[s]
+        at = np.flatnonzero(chosen == s)
+        if b:
+            out[ends[at][:, None] + np.arange(count)] = words[at][:, None] >> (4 + b * np.arange(count)).astype(U64) & U64((1 << b) - 1)
+    return out[_ranges(ends[per[:-1]], n)]
 
 
 class Simple8b(Codec):
@@ -442,52 +691,22 @@ class Simple8b(Codec):
     name = "simple8b"
 
     def encode(self, v: np.ndarray) -> bytes:
-        n = len(v)
-        if not n:
-            return b""
-        width = K.bit_length(v)
-        if int(width.max()) > 60:
-            raise ValueError("a value needs more than 60 bits")
-        pick = np.full(n, 15, np.int64)
-        far = np.arange(n)
-        for s in range(14, -1, -1):
-            count, b = WORD_LAYOUTS[s]
-            bad = np.append(np.where(width > b, far, n), n)
-            until = np.minimum.accumulate(bad[::-1])[::-1][:n]  # next value that does not fit
-            ok = (until - far >= count) | (until == n)
-            pick[ok] = s
-        starts, i, picks = [], 0, pick.tolist()
-        steps = [c for c, _ in WORD_LAYOUTS]
-        while i < n:
-            starts.append(i)
-            i += steps[picks[i]]
-        starts = np.array(starts)
-        chosen = pick[starts]
-        padded = np.concatenate([v.astype(U64), np.zeros(240, U64)])
-        words = chosen.astype(U64)
-        for s in np.unique(chosen).tolist():
-            count, b = WORD_LAYOUTS[s]
-            at = np.flatnonzero(chosen == s)
-            for k in range(count if b else 0):
-                words[at] |= padded[starts[at] + k] << U64(4 + k * b)
-        return words.astype("<u8").tobytes()
+        return simple8b_words(v, np.array([0, len(v)]))[0].tobytes() if len(v) else b""
+
+    def encode_many(self, d, offsets):
+        words, per = simple8b_words(d, offsets)
+        return _cut(words.view(U8), 8 * per)
+
+    def decode_many(self, payloads, n):
+        per = np.concatenate([[0], np.cumsum([len(p) // 8 for p in payloads])])
+        return simple8b_values(np.frombuffer(b"".join(payloads), "<u8"), per, np.asarray(n))
 
     def read(self, raw: np.ndarray, n: int) -> tuple[np.ndarray, int]:
         if not n:
             return np.zeros(0, U64), 0
         words = np.frombuffer(raw[: len(raw) - len(raw) % 8].tobytes(), "<u8")
-        chosen = (words & U64(15)).astype(np.int64)
-        counts = np.array([c for c, _ in WORD_LAYOUTS])[chosen]
-        ends = np.cumsum(counts)
-        used = int(np.searchsorted(ends, n)) + 1
-        out = np.zeros(int(ends[used - 1]), U64)
-        starts = ends - counts
-        for s in np.unique(chosen[:used]).tolist():
-            count, b = WORD_LAYOUTS[s]
-            at = np.flatnonzero(chosen[:used] == s)
-            for k in range(count if b else 0):
-                out[starts[at] + k] = (words[at] >> U64(4 + k * b)) & U64((1 << b) - 1)
-        return out[:n], used * 8
+        used = int(np.searchsorted(np.cumsum(_COUNTS[(words & U64(15)).astype(np.int64)]), n)) + 1
+        return simple8b_values(words[:used], np.array([0, used]), np.array([n])), used * 8
 
     def decode(self, raw: bytes, n: int) -> np.ndarray:
         return self.read(np.frombuffer(raw, U8), n)[0]
@@ -502,6 +721,12 @@ class VariableByte(Codec):
     def decode(self, raw, n):
         return K.vbyte_decode(np.frombuffer(raw, U8), n)
 
+    def encode_many(self, d, offsets):
+        return _cut(K.vbyte_encode(d), np.concatenate([[0], np.cumsum(K.vbyte_sizes(d))])[offsets])
+
+    def decode_many(self, payloads, n):
+        return K.vbyte_decode(np.frombuffer(b"".join(payloads), U8), int(np.sum(n)))
+
 
 def _byte_lengths(v: np.ndarray) -> np.ndarray:
     return np.maximum(1, (K.bit_length(v) + 7) // 8)
@@ -549,40 +774,41 @@ class ByteGroup8(Codec):
 
     name = "bytegroup8"
 
-    def encode(self, v):
-        n = len(v)
-        if not n:
-            return b""
-        ends = np.cumsum(_byte_lengths(v))
-        before = np.concatenate([[0], ends])
-        after = np.searchsorted(ends, before[:-1] + 8, "right").tolist()
-        starts, i = [], 0
-        while i < n:
-            starts.append(i)
-            i = after[i]
-        starts = np.array(starts)
-        group = np.searchsorted(starts, np.arange(n), "right") - 1
-        size = _byte_lengths(v)
-        place = before[:-1] - before[starts][group]
+    def encode_many(self, d, offsets):
+        size = _byte_lengths(d)
+        ends = np.concatenate([[0], np.cumsum(size)])
+        # The value that holds each byte, and so the first that does not end within eight bytes.
+        holder = np.append(np.repeat(np.arange(len(d)), size), np.full(8, len(d)))
+        after = np.minimum(holder[ends[:-1] + 8], np.repeat(offsets[1:], np.diff(offsets)))
+        starts, per = _followed(after, offsets)
+        group = np.repeat(np.arange(len(starts)), np.diff(np.append(starts, len(d))))
+        place = ends[:-1] - ends[starts][group]
         out = np.zeros((len(starts), 9), U8)
-        np.bitwise_or.at(out[:, 0], group, (1 << (place + size - 1)).astype(U8))
+        out[:, 0] = np.add.reduceat((1 << (place + size - 1)), starts) if len(starts) else 0
+        v = d.astype(U64)
         for k in range(4):
             has = size > k
-            out[group[has], 1 + place[has] + k] = (v[has].astype(U64) >> U64(8 * k)) & U64(255)
-        return out.tobytes()
+            out[group[has], 1 + place[has] + k] = (v[has] >> U64(8 * k)) & U64(255)
+        return _cut(out.reshape(-1), 9 * per)
 
-    def decode(self, raw, n):
-        if not n:
-            return np.zeros(0, U64)
-        groups = np.frombuffer(raw, U8).reshape(-1, 9)
+    def decode_many(self, payloads, n):
+        groups = np.frombuffer(b"".join(payloads), U8).reshape(-1, 9)
         last = np.unpackbits(groups[:, :1], axis=1, bitorder="little").astype(bool)
         g, end = np.nonzero(last)
-        first = np.where(np.r_[True, g[1:] != g[:-1]], 0, np.r_[0, end[:-1] + 1])
-        size, out = end - first + 1, np.zeros(len(g), U64)
+        fresh = np.append(True, g[1:] != g[:-1])[: len(g)]
+        first = np.where(fresh, 0, np.append(0, end[:-1] + 1)[: len(g)])
+        size, out, data = end - first + 1, np.zeros(len(g), U64), groups[:, 1:].reshape(-1)
+        at = 8 * g + first
         for k in range(4):
-            has = size > k
-            out[has] |= groups[g[has], 1 + first[has] + k].astype(U64) << U64(8 * k)
-        return out[:n]
+            has = np.flatnonzero(size > k)
+            out[has] |= data[at[has] + k].astype(U64) << U64(8 * k)
+        return out
+
+    def encode(self, v):
+        return self.encode_many(v, np.array([0, len(v)]))[0]
+
+    def decode(self, raw, n):
+        return self.decode_many([raw], np.array([n]))
 
 
 class TinyGroups(Codec):
@@ -748,6 +974,46 @@ class Raw32(Codec):
     def decode(self, raw, n):
         return np.frombuffer(raw, "<u4").astype(U64)
 
+    def encode_many(self, d, offsets):
+        return _cut(d.astype("<u4").view(U8), 4 * offsets)
+
+    def decode_many(self, payloads, n):
+        return self.decode(b"".join(payloads), 0)
+
+
+class Raw16(Codec):
+    """Integers below 2^16 in two bytes each: the low halves of ids under one high half."""
+
+    name = "raw16"
+
+    def encode(self, v):
+        if len(v) and int(v.max()) >> 16:
+            raise ValueError("a value needs more than 16 bits")
+        return v.astype("<u2").tobytes()
+
+    def decode(self, raw, n):
+        return np.frombuffer(raw, "<u2").astype(U64)
+
+
+class ParquetDelta(Codec):
+    """What Parquet's own integer coding makes of the values: a file of one uncompressed column, delta or dictionary coded."""
+
+    def __init__(self, name: str, encoding: str | None):
+        self.name, self.encoding = name, encoding
+
+    def encode(self, v):
+        import pyarrow.parquet as pq
+
+        out = pa.BufferOutputStream()
+        options = {"use_dictionary": False, "column_encoding": self.encoding} if self.encoding else {"use_dictionary": True}
+        pq.write_table(pa.table({"v": v.astype("<u4").astype(np.int64)}), out, compression="none", write_statistics=False, store_schema=False, **options)
+        return out.getvalue().to_pybytes()
+
+    def decode(self, raw, n):
+        import pyarrow.parquet as pq
+
+        return pq.read_table(pa.BufferReader(raw)).column(0).to_numpy().astype(U64)
+
 
 ALL: dict[str, Codec] = {
     c.name: c
@@ -777,5 +1043,10 @@ ALL: dict[str, Codec] = {
         RiceCode(),
         *[GenericCompressor(m) for m in ("snappy", "lz4", "zstd", "gzip")],
         Raw32(),
+        Raw16(),
+        ParquetDelta("parquet_delta", "DELTA_BINARY_PACKED"),
+        ParquetDelta("parquet_dictionary", None),
     ]
 }
+#: Codes that take any unsigned 32-bit integer; the others are for comparison or for a narrower range.
+GENERAL = [name for name in ALL if name != "raw16" and not name.startswith("parquet")]

@@ -12,11 +12,20 @@ def bit_length(v: np.ndarray) -> np.ndarray:
     return np.maximum((v.astype(np.float64).view(np.int64) >> 52) - 1022, 0)
 
 
+#: Values that the in-place differences copy at a time.
+PIECE = 1 << 12
+
+
 def delta(x: np.ndarray, stride: int = 1, out: np.ndarray | None = None) -> np.ndarray:
-    """Differences to the value `stride` places before; the first `stride` values stay. In place where out is x."""
+    """Differences to the value `stride` places before; the first `stride` values stay.
+
+    In place where out is x: from the last places down, a piece at a time, so a value is read before it is overwritten
+    and nothing but one piece is ever copied.
+    """
     if out is x:
-        # Work from the last place down: numpy reads the overlapping operand before it is overwritten.
-        x[stride:] -= x[:-stride].copy() if len(x) > stride else x[:0]
+        for end in range(len(x), stride, -PIECE):
+            at = max(stride, end - PIECE)
+            x[at:end] -= x[at - stride : end - stride].copy()
         return x
     d = x.copy()
     d[stride:] -= x[:-stride] if len(x) > stride else x[:0]
@@ -37,6 +46,28 @@ def undelta(d: np.ndarray, stride: int = 1, out: np.ndarray | None = None) -> np
     return x
 
 
+def undelta_many(d: np.ndarray, offsets: np.ndarray, stride: int) -> np.ndarray:
+    """Prefix sums within each chunk of a flat buffer, `stride` lanes side by side.
+
+    Chunks are padded to whole rows of lanes, so that every lane is a column of one running sum.
+    """
+    n = np.diff(offsets)
+    if stride == 1:
+        total = np.concatenate([[0], np.cumsum(d, dtype=np.int64)])
+        return total[1:] - np.repeat(total[offsets[:-1]], n)
+    first = np.concatenate([[0], np.cumsum(-(-n // stride))])
+    padding = len(n) > 1 and bool((n[:-1] % stride).any())
+    place = np.arange(len(d)) + np.repeat(stride * first[:-1] - offsets[:-1], n) if padding else slice(0, len(d))
+    padded = np.zeros(int(first[-1]) * stride, np.int64)
+    padded[place] = d
+    total = np.zeros((int(first[-1]) + 1, stride), np.int64)
+    np.cumsum(padded.reshape(-1, stride), axis=0, out=total[1:])
+    own = total[1:]
+    if len(n) > 1:
+        own = own - np.repeat(total[first[:-1]], np.diff(first), axis=0)
+    return own.reshape(-1)[place]
+
+
 def or_widths(blocks: np.ndarray) -> np.ndarray:
     """Width that all values of each row fit in: one logarithm of the OR of the row."""
     return bit_length(np.bitwise_or.reduce(blocks, axis=1)) if blocks.size else np.zeros(len(blocks), np.int64)
@@ -111,7 +142,8 @@ def pack_vertical(blocks: np.ndarray, b: int, lanes: int = 4, mask: bool = False
     return out
 
 
-def unpack_vertical(words: np.ndarray, b: int, lanes: int = 4, dtype=U64) -> np.ndarray:
+def unpack_vertical(words: np.ndarray, b: int, lanes: int = 4, dtype=U64, running: bool = False) -> np.ndarray:
+    """The inverse of pack_vertical. With `running` each lane is summed up while its tile is in the cache."""
     m = len(words)
     if not b:
         return np.zeros((m, 32 * lanes), dtype)
@@ -126,6 +158,9 @@ def unpack_vertical(words: np.ndarray, b: int, lanes: int = 4, dtype=U64) -> np.
             if s + b > 32:
                 v[r] |= w32[w + 1] << U32(32 - s)
         v &= low
+        if running:
+            for r in range(1, 32):
+                v[r] += v[r - 1]
         out[at : at + k] = v.reshape(32, k, lanes).transpose(1, 0, 2).reshape(k, -1)
     return out
 

@@ -61,6 +61,13 @@ def residual_linear(placed: DataFrame) -> DataFrame:
     return placed.join(fit, CHUNK_KEY).withColumn("residual", zigzag((F.col("x") - F.floor(F.col("start") + F.col("slope") * F.col("i"))).cast("long")))
 
 
+def from_residual_linear(rows: DataFrame, out: str = "x") -> DataFrame:
+    """The ids again, from the residuals and the line (slope, start) that residual_linear() leaves beside them."""
+    from laneforge.functions.exprs import unzigzag
+
+    return rows.withColumn(out, (F.floor(F.col("start") + F.col("slope") * F.col("i")) + unzigzag(F.col("residual"))).cast("long"))
+
+
 def prepared(postings: DataFrame, mode: str = "rank") -> DataFrame:
     """Positions with both kinds of deltas."""
     return delta_strided(delta_strided(positions(postings, mode), 1), 4)

@@ -37,12 +37,26 @@ def value_at(encoded: DataFrame, asked: DataFrame, chunk: int) -> DataFrame:
     return decode_chunks(rows).join(want, ["list_key", "chunk_no"]).select("list_key", "pos", F.element_at("values", (F.col("pos") % chunk + 1).cast("int")).alias("x"))
 
 
+def _meeting(own: DataFrame, other: DataFrame) -> DataFrame:
+    """The chunks of `own` that overlap a chunk of `other` in ids, for chunks of one pair of lists or of many (column `pair`).
+
+    Both sides go to buckets of ids as wide as a chunk is on average, so the join is on equal keys. The chunks of a
+    list are disjoint, so together they touch at most as many buckets as there are, and one more each.
+    """
+    least, most, n = own.select("x_min", "x_max").unionByName(other.select("x_min", "x_max")).agg(F.min("x_min"), F.max("x_max"), F.count("*")).first()
+    width = max(1, ((most or 0) - (least or 0) + 1) // max(n, 1))
+    spread = lambda d: d.withColumn("bucket", F.explode(F.sequence(F.expr(f"x_min div {width}"), F.expr(f"x_max div {width}"))))
+    left = spread(own.select("list_key", "chunk_no", "x_min", "x_max"))
+    right = spread(other.select("x_min", "x_max")).select("bucket", F.col("x_min").alias("lo"), F.col("x_max").alias("hi"))
+    hit = left.join(right, "bucket").filter((F.col("lo") <= F.col("x_max")) & (F.col("x_min") <= F.col("hi"))).select("list_key", "chunk_no").distinct()
+    return own.join(hit, ["list_key", "chunk_no"], "left_semi")
+
+
 def intersect(encoded: DataFrame, a: str, b: str, strategy: str = "skip") -> DataFrame:
     """Ids of both lists. `merge` decodes both; `skip` decodes the chunks of b that overlap a chunk of a, and the reverse."""
     left, right = encoded.filter(F.col("list_key") == a), encoded.filter(F.col("list_key") == b)
     if strategy == "skip":
-        overlap = lambda own, other: own.join(other.select(F.col("x_min").alias("lo"), F.col("x_max").alias("hi")), (F.col("lo") <= F.col("x_max")) & (F.col("x_min") <= F.col("hi")), "left_semi")
-        left, right = overlap(left, right), overlap(right, left)
+        left, right = _meeting(left, right), _meeting(right, left)
     elif strategy != "merge":
         raise ValueError("strategy is 'skip' or 'merge'")
     return to_postings(decode_chunks(left)).select("x").join(to_postings(decode_chunks(right)).select("x"), "x", "left_semi")
@@ -50,19 +64,30 @@ def intersect(encoded: DataFrame, a: str, b: str, strategy: str = "skip") -> Dat
 
 def overlapping_chunks(encoded: DataFrame, a: str, b: str) -> DataFrame:
     """decoded, total: chunks of both lists that `skip` decodes, and all of them."""
-    rows = encoded.filter(F.col("list_key").isin(a, b))
-    other = rows.select(F.col("list_key").alias("other_list"), F.col("x_min").alias("lo"), F.col("x_max").alias("hi"))
-    hit = rows.join(other, (F.col("other_list") != F.col("list_key")) & (F.col("lo") <= F.col("x_max")) & (F.col("x_min") <= F.col("hi")), "left_semi")
-    return hit.agg(F.count("*").alias("decoded")).crossJoin(rows.agg(F.count("*").alias("total")))
+    left, right = encoded.filter(F.col("list_key") == a), encoded.filter(F.col("list_key") == b)
+    hit = _meeting(left, right).unionByName(_meeting(right, left))
+    return hit.agg(F.count("*").alias("decoded")).crossJoin(encoded.filter(F.col("list_key").isin(a, b)).agg(F.count("*").alias("total")))
 
 
-def conjunctive(encoded: DataFrame, terms: DataFrame) -> DataFrame:
-    """(session, x): ids that the lists of all matched terms of a session share. terms: session, term, distinct."""
-    met = terms.select("session", F.col("term").alias("list_key"))
-    lists = decode_chunks(encoded.join(met.select("list_key").distinct(), "list_key", "left_semi"))
-    size = met.join(list_stats(encoded).select("list_key"), "list_key").groupBy("session").agg(F.count("*").alias("need"))
-    hits = met.join(to_postings(lists), "list_key").groupBy("session", "x").agg(F.count("*").alias("have"))
-    return hits.join(size, "session").filter("have = need").select("session", "x")
+def conjunctive(encoded: DataFrame, terms: DataFrame, width: int = 1 << 16) -> DataFrame:
+    """(session, x): ids that the lists of all matched terms of a session share. terms: session, term, distinct.
+
+    A session starts from its shortest list, known from the chunks' columns, and only its ids are looked up in the
+    other lists. Of these only chunks are decoded that may hold such an id: chunks and ids meet by buckets of `width`
+    ids on equal keys. What is emitted is the shortest list times the terms, not all lists of all terms.
+    """
+    lists = list_stats(encoded).select("list_key", "n")
+    met = terms.select("session", F.col("term").alias("list_key")).join(lists, "list_key")
+    start = met.groupBy("session").agg(F.min(F.struct("n", "list_key")).alias("s"), F.count("*").alias("need")).select("session", "need", F.col("s.list_key").alias("first"))
+    firsts = encoded.join(start.select(F.col("first").alias("list_key")).distinct(), "list_key", "left_semi")
+    ids = to_postings(decode_chunks(firsts)).withColumnRenamed("list_key", "first").join(start, "first").select("session", "need", "first", "x")
+    asked = ids.filter("need > 1").join(met.select("session", "list_key"), "session").filter("list_key <> first").select("session", "need", "list_key", "x")
+    wanted = asked.select("list_key", F.expr(f"x div {width}").alias("bucket")).distinct()
+    chunks = encoded.withColumn("bucket", F.explode(F.sequence(F.expr(f"x_min div {width}"), F.expr(f"x_max div {width}"))))
+    needed = chunks.select("list_key", "chunk_no", "bucket").join(wanted, ["list_key", "bucket"], "left_semi").select("list_key", "chunk_no").distinct()
+    others = to_postings(decode_chunks(encoded.join(needed, ["list_key", "chunk_no"], "left_semi")))
+    hits = asked.join(others, ["list_key", "x"], "left_semi").groupBy("session", "x").agg((F.count("*") + 1).alias("have"), F.first("need").alias("need"))
+    return ids.filter("need = 1").select("session", "x").unionByName(hits.filter("have = need").select("session", "x"))
 
 
 def union_lists(encoded: DataFrame, keys: list[str]) -> DataFrame:
@@ -71,9 +96,15 @@ def union_lists(encoded: DataFrame, keys: list[str]) -> DataFrame:
 
 def difference(encoded: DataFrame, a: str, b: str) -> DataFrame:
     """Ids of a that b lacks; chunks of b that overlap no chunk of a are not decoded."""
-    left = encoded.filter(F.col("list_key") == a)
-    right = encoded.filter(F.col("list_key") == b).join(left.select(F.col("x_min").alias("lo"), F.col("x_max").alias("hi")), (F.col("lo") <= F.col("x_max")) & (F.col("x_min") <= F.col("hi")), "left_semi")
-    return to_postings(decode_chunks(left)).select("x").join(to_postings(decode_chunks(right)).select("x"), "x", "left_anti")
+    left, right = encoded.filter(F.col("list_key") == a), encoded.filter(F.col("list_key") == b)
+    return to_postings(decode_chunks(left)).select("x").join(to_postings(decode_chunks(_meeting(right, left))).select("x"), "x", "left_anti")
+
+
+def value_at_cost(encoded: DataFrame, asked: DataFrame, chunk: int) -> DataFrame:
+    """list_key, pos, decoded, total: the integers that value_at() decodes for a place, and those of its list."""
+    want = asked.select("list_key", "pos", F.expr(f"pos div {chunk}").alias("chunk_no"))
+    own = want.join(encoded.select("list_key", "chunk_no", F.col("n").cast("long").alias("decoded")), ["list_key", "chunk_no"])
+    return own.join(list_stats(encoded).select("list_key", F.col("n").alias("total")), "list_key").select("list_key", "pos", "decoded", "total")
 
 
 def floor_lookup(encoded: DataFrame, probes: DataFrame) -> DataFrame:

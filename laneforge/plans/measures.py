@@ -68,26 +68,60 @@ def pareto(df: DataFrame, bits: str = "bits_per_int", speed: str = "decoding_mis
 
 
 def choose_codec(sizes: DataFrame, policy: str = "size", threshold_bits: float = 9.0, fast: str = "bytegroup8") -> DataFrame:
-    """One code for each list from rows (list_key, codec, n, n_bytes).
+    """list_key, n, codec, n_bytes: one code for each list from rows (list_key, codec, n, n_bytes), and its bytes.
 
     `size`: the fewest bytes. `hybrid`: the fast byte code where nothing gets below the threshold of bits, the
-    smallest elsewhere. Ties go to the name that sorts first.
+    smallest elsewhere and where the fast code has no row. Ties go to the name that sorts first.
     """
-    best = sizes.groupBy("list_key").agg(F.min(F.struct("n_bytes", "codec", "n")).alias("b"))
-    best = best.select("list_key", "b.n", F.col("b.codec").alias("codec"), F.col("b.n_bytes").alias("n_bytes"))
-    if policy == "size":
-        return best
-    if policy == "hybrid":
-        return best.withColumn("codec", F.when(8 * F.col("n_bytes") / F.col("n") >= threshold_bits, fast).otherwise(F.col("codec")))
-    raise ValueError("policy is 'size' or 'hybrid'")
+    if policy not in ("size", "hybrid"):
+        raise ValueError("policy is 'size' or 'hybrid'")
+    best = _best_and(sizes, fast)
+    take_fast = F.lit(policy == "hybrid") & F.col("fast_bytes").isNotNull() & (8 * F.col("n_bytes") / F.col("n") >= threshold_bits)
+    return _take(best, take_fast, fast)
+
+
+def _best_and(sizes: DataFrame, fast: str) -> DataFrame:
+    """The smallest code of each list, and the bytes of the fast one beside it, in one pass."""
+    best = sizes.groupBy("list_key").agg(F.min(F.struct("n_bytes", "codec", "n")).alias("b"), F.max(F.when(F.col("codec") == fast, F.col("n_bytes"))).alias("fast_bytes"))
+    return best.select("list_key", "b.n", F.col("b.codec").alias("codec"), F.col("b.n_bytes").alias("n_bytes"), "fast_bytes")
+
+
+def _take(best: DataFrame, take_fast: Column, fast: str) -> DataFrame:
+    return best.select("list_key", "n", F.when(take_fast, fast).otherwise(F.col("codec")).alias("codec"), F.when(take_fast, F.col("fast_bytes")).otherwise(F.col("n_bytes")).alias("n_bytes"))
 
 
 def choose_by_workload(sizes: DataFrame, fetches: DataFrame, hot_share: float = 0.8, fast: str = "vpack128") -> DataFrame:
-    """Lists that together get `hot_share` of all fetches take the fast code, others the smallest. fetches: list_key, queries."""
+    """Lists that together get `hot_share` of all fetches take the fast code, others the smallest, each with its bytes. fetches: list_key, queries."""
     total = fetches.agg(F.sum("queries").alias("all"))
     heat = fetches.groupBy("queries").agg(F.count("*").alias("lists"))
     # Lists are cut by how often they are fetched: one running sum over the few different counts.
     heat = heat.withColumn("before", F.sum(F.col("queries") * F.col("lists")).over(W.partitionBy().orderBy(F.desc("queries"))) - F.col("queries") * F.col("lists"))
     level = heat.crossJoin(F.broadcast(total)).filter(F.col("before") < hot_share * F.col("all")).agg(F.min("queries").alias("least"))
     hot = fetches.crossJoin(F.broadcast(level)).filter("queries >= least").select("list_key", F.lit(True).alias("hot"))
-    return choose_codec(sizes).join(hot, "list_key", "left").withColumn("codec", F.when(F.col("hot"), fast).otherwise(F.col("codec"))).drop("hot")
+    best = _best_and(sizes, fast).join(hot, "list_key", "left")
+    return _take(best, F.coalesce("hot", F.lit(False)) & F.col("fast_bytes").isNotNull(), fast)
+
+
+def weighted_table(by_class: DataFrame, weights: DataFrame) -> DataFrame:
+    """codec, delta_mode, and for bits, coding and decoding speed the mean over all integers and the mean weighted by what queries fetch.
+
+    by_class: rows (codec, delta_mode, K, n_ints, n_bytes, coding_ns, decoding_ns). A class's weight is the share of
+    queries whose list is of that class; its metrics are those of all its integers together.
+    """
+    metrics = {"bits": 8 * F.col("n_bytes") / F.col("n_ints"), "coding_mis": 1000 * F.col("n_ints") / F.col("coding_ns"), "decoding_mis": 1000 * F.col("n_ints") / F.col("decoding_ns")}
+    total = lambda c: F.sum(c)
+    plain = {"bits": 8 * total("n_bytes") / total("n_ints"), "coding_mis": 1000 * total("n_ints") / total("coding_ns"), "decoding_mis": 1000 * total("n_ints") / total("decoding_ns")}
+    met = by_class.join(F.broadcast(weights.select("K", "w")), "K", "left").withColumn("w", F.coalesce("w", F.lit(0.0)))  # at most 33 classes
+    return met.groupBy("codec", "delta_mode").agg(*[x.alias(name) for name, x in plain.items()], *[(F.sum(F.col("w") * x) / F.sum("w")).alias(f"weighted_{name}") for name, x in metrics.items()])
+
+
+def weighting_gap(table: DataFrame) -> DataFrame:
+    """How far the weighted means lie from the plain ones, as a share of these."""
+    gap = lambda m: (F.abs(F.col(f"weighted_{m}") - F.col(m)) / F.col(m)).alias(f"{m}_gap")
+    return table.select("codec", "delta_mode", gap("bits"), gap("coding_mis"), gap("decoding_mis"))
+
+
+def coding_gap(table: DataFrame) -> DataFrame:
+    """How many times slower a code codes than it decodes, and than the fastest coder codes."""
+    fastest = table.agg(F.max("weighted_coding_mis").alias("fastest"))
+    return table.crossJoin(F.broadcast(fastest)).select("codec", "delta_mode", "weighted_coding_mis", "weighted_decoding_mis", (F.col("weighted_decoding_mis") / F.col("weighted_coding_mis")).alias("decoding_per_coding"), (F.col("fastest") / F.col("weighted_coding_mis")).alias("lag"))

@@ -1,8 +1,8 @@
 """The byte plane: chunks of a list to payloads and back, in Arrow batches.
 
 A batch of chunk rows is one flat buffer of integers with offsets. Deltas are taken over the whole buffer at once, and so
-are binary packing, where blocks of one width are packed together whichever chunk they are of, and the payloads of all
-chunks shorter than a block, which are all tail. Longer chunks go to the other codes one by one.
+are binary packing and the patched codes, where blocks of one width are packed together whichever chunk they are of.
+The other codes take the chunks one by one.
 """
 
 from __future__ import annotations
@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from laneforge.functions import kernels as K
-from laneforge.functions.codecs import ALL, BinaryPacking, pack_many, unpack_many
+from laneforge.functions.codecs import ALL, BinaryPacking, unpack_many
 from laneforge.functions.layout import CHUNK, LIMIT
 from laneforge.operators.deltas import positions
 
@@ -59,55 +59,28 @@ def batch_deltas(x: np.ndarray, offsets: np.ndarray, stride: int, check: bool =
 
 def batch_undeltas(d: np.ndarray, offsets: np.ndarray, stride: int) -> np.ndarray:
     """Prefix sums within each chunk: one running sum per lane over the buffer, less what came before the chunk."""
-    if not stride:
-        return d.astype(np.int64)
-    if stride == 1:
-        total = np.concatenate([[0], np.cumsum(d, dtype=np.int64)])
-        return total[1:] - np.repeat(total[offsets[:-1]], np.diff(offsets))
-    out = np.empty(len(d), np.int64)
-    for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist()):
-        out[a:b] = K.undelta(d[a:b].astype(np.int64), stride)
-    return out
+    return K.undelta_many(d, offsets, stride) if stride else d.astype(np.int64)
 
 
 def encode_batch(d: np.ndarray, offsets: np.ndarray, codec: str) -> list[bytes]:
     """Payloads of the chunks of a flat buffer of deltas."""
+    return ALL[codec].encode_many(d, offsets)
+
+
+def decode_fused(payloads: list[bytes], n: np.ndarray, codec: str, stride: int) -> np.ndarray:
+    """Values instead of deltas, in one pass: blocks are summed up as they are unpacked, then get what came before them.
+
+    For binary packing with differences; other codes decode in two passes.
+    """
     c = ALL[codec]
-    if isinstance(c, BinaryPacking):
-        return pack_many(c, d, offsets)
-    n = np.diff(offsets)
-    out: list[bytes] = [b""] * len(n)
-    short = n < c.block if c.block > 1 or codec == "vbyte" else np.zeros(len(n), bool)
-    if codec == "vbyte":
-        short[:] = True
-    if short.any():
-        rows = np.flatnonzero(short)
-        own = np.repeat(short, n)
-        raw = K.vbyte_encode(d[own]).tobytes()
-        ends = np.cumsum(K.vbyte_sizes(d[own]))
-        cut = np.concatenate([[0], ends])[np.concatenate([[0], np.cumsum(n[rows])])].tolist()
-        for r, a, b in zip(rows.tolist(), cut[:-1], cut[1:]):
-            out[r] = raw[a:b]
-    for r in np.flatnonzero(~short).tolist():
-        out[r] = c.encode(d[offsets[r] : offsets[r + 1]])
-    return out
+    if isinstance(c, BinaryPacking) and stride and c.block % stride == 0:
+        return unpack_many(c, payloads, np.asarray(n), stride).astype(np.int64)
+    return batch_undeltas(decode_batch(payloads, n, codec), np.concatenate([[0], np.cumsum(n)]), stride)
 
 
 def decode_batch(payloads: list[bytes], n: np.ndarray, codec: str) -> np.ndarray:
     """The flat buffer of deltas of these payloads."""
-    c = ALL[codec]
-    if isinstance(c, BinaryPacking):
-        return unpack_many(c, payloads, np.asarray(n))
-    short = np.array(n) < c.block if c.block > 1 and codec != "vbyte" else np.full(len(n), codec == "vbyte")
-    offsets = np.concatenate([[0], np.cumsum(n)])
-    out = np.zeros(int(offsets[-1]), np.uint64)
-    if short.any():
-        raw = np.frombuffer(b"".join(p for p, s in zip(payloads, short) if s), np.uint8)
-        own = np.repeat(short, n)
-        out[own] = K.vbyte_decode(raw, int(own.sum()))
-    for r in np.flatnonzero(~short).tolist():
-        out[offsets[r] : offsets[r + 1]] = c.decode(payloads[r], int(n[r]))
-    return out
+    return ALL[codec].decode_many(payloads, n)
 
 
 def encode_chunks(chunks: DataFrame, codec: str, delta: str = "d1") -> DataFrame:
@@ -129,8 +102,8 @@ def encode_chunks(chunks: DataFrame, codec: str, delta: str = "d1") -> DataFrame
     return chunks.select("list_key", "chunk_no", "n", "x_min", "x_max", "values").mapInArrow(run, ENCODED)
 
 
-def decode_chunks(encoded: DataFrame) -> DataFrame:
-    """Encoded rows, of any mixture of codes, -> chunk rows."""
+def decode_chunks(encoded: DataFrame, fused: bool = False) -> DataFrame:
+    """Encoded rows, of any mixture of codes, -> chunk rows: differences first and then their sums, or, `fused`, both in one pass where a code can."""
 
     def run(batches):
         for batch in batches:
@@ -142,7 +115,8 @@ def decode_chunks(encoded: DataFrame) -> DataFrame:
             for codec, delta in dict.fromkeys(kinds):
                 rows = np.array([k == (codec, delta) for k in kinds])
                 own = np.concatenate([[0], np.cumsum(n[rows])])
-                x[np.repeat(rows, n)] = batch_undeltas(decode_batch([p for p, r in zip(payloads, rows) if r], n[rows], codec), own, STRIDES[delta])
+                mine = [p for p, r in zip(payloads, rows) if r]
+                x[np.repeat(rows, n)] = decode_fused(mine, n[rows], codec, STRIDES[delta]) if fused else batch_undeltas(decode_batch(mine, n[rows], codec), own, STRIDES[delta])
             values = pa.ListArray.from_arrays(pa.array(offsets.astype(np.int32)), pa.array(x))
             yield pa.RecordBatch.from_arrays([batch.column(c) for c in ("list_key", "chunk_no", "n", "x_min", "x_max")] + [values], ["list_key", "chunk_no", "n", "x_min", "x_max", "values"])
 
@@ -153,36 +127,64 @@ def to_postings(chunks: DataFrame) -> DataFrame:
     return chunks.select("list_key", F.explode("values").alias("x"))
 
 
-def measure(chunks: DataFrame, codec: str, delta: str = "d1", runs: int = 1) -> DataFrame:
+def timed(x: np.ndarray, offsets: np.ndarray, codec: str, delta: str, runs: int = 1, fused: bool = False) -> tuple[int, int, int, int]:
+    """Bytes, and the best of `runs` kernel times (ns) of coding, of decoding, and of the prefix sums within it. Checks the result."""
+    stride, best, n = STRIDES[delta], [1 << 62] * 3, np.diff(offsets)
+    for _ in range(runs):
+        t = [time.perf_counter_ns()]
+        payloads = encode_batch(batch_deltas(x, offsets, stride), offsets, codec)
+        t.append(time.perf_counter_ns())
+        if fused:
+            back = decode_fused(payloads, n, codec, stride)
+            t += [time.perf_counter_ns()] * 2
+        else:
+            d = decode_batch(payloads, n, codec)
+            t.append(time.perf_counter_ns())
+            back = batch_undeltas(d, offsets, stride)
+            t.append(time.perf_counter_ns())
+        best = [min(a, b) for a, b in zip(best, (t[1] - t[0], t[3] - t[1], t[3] - t[2]))]
+    if not np.array_equal(back, x):
+        raise ValueError(f"{codec}/{delta} did not decode to its input")
+    return sum(map(len, payloads)), *best
+
+
+def payload_bytes(chunks: DataFrame, codes: list[tuple[str, str]]) -> DataFrame:
+    """list_key, codec, delta_mode, n_bytes of every list under every code, in one pass over the chunks."""
+
+    def run(batches):
+        for batch in batches:
+            x, offsets = flat(batch.column("values"))
+            for delta in dict.fromkeys(m for _, m in codes):
+                d = batch_deltas(x, offsets, STRIDES[delta])
+                for codec in (c for c, m in codes if m == delta):
+                    size = list(map(len, encode_batch(d, offsets, codec)))
+                    yield pa.RecordBatch.from_arrays([batch.column("list_key"), pa.array([codec] * len(size)), pa.array([delta] * len(size)), pa.array(size, pa.int64())], ["list_key", "codec", "delta_mode", "n_bytes"])
+
+    found = chunks.select("list_key", "values").mapInArrow(run, "list_key string, codec string, delta_mode string, n_bytes long")
+    return found.groupBy("list_key", "codec", "delta_mode").agg(F.sum("n_bytes").alias("n_bytes"))
+
+
+TIMES = ("n_ints", "n_bytes", "coding_ns", "decoding_ns", "prefix_ns")
+
+
+def measure(chunks: DataFrame, codec: str, delta: str = "d1", runs: int = 1, fused: bool = False) -> DataFrame:
     """One row per batch: integers, bytes, and the best of `runs` kernel times (ns) for coding, decoding and the prefix sums alone.
 
     Times include the differential coding. Every batch is checked to decode to what it was.
     """
-    stride = STRIDES[delta]
 
     def run(batches):
         for batch in batches:
             x, offsets = flat(batch.column("values"))
-            best = [1 << 62] * 3
-            for _ in range(runs):
-                t = [time.perf_counter_ns()]
-                payloads = encode_batch(batch_deltas(x, offsets, stride), offsets, codec)
-                t.append(time.perf_counter_ns())
-                d = decode_batch(payloads, np.diff(offsets), codec)
-                t.append(time.perf_counter_ns())
-                back = batch_undeltas(d, offsets, stride)
-                t.append(time.perf_counter_ns())
-                best = [min(a, b) for a, b in zip(best, (t[1] - t[0], t[3] - t[1], t[3] - t[2]))]
-            if not np.array_equal(back, x):
-                raise ValueError(f"{codec}/{delta} did not decode to its input")
-            yield pa.RecordBatch.from_arrays([pa.array([len(x)]), pa.array([sum(map(len, payloads))]), *[pa.array([b]) for b in best]], ["n_ints", "n_bytes", "coding_ns", "decoding_ns", "prefix_ns"])
-
-    return chunks.select("values").mapInArrow(run, "n_ints long, n_bytes long, coding_ns long, decoding_ns long, prefix_ns long")
-
-
-def measured(chunks: DataFrame, codec: str, delta: str = "d1", runs: int = 1) -> DataFrame:
+            got = timed(x, offsets, codec, delta, runs, fused)
+            yield pa.RecordBatch.from_arrays([pa.array([k], pa.int64()) for k in (len(x), *got)], list(TIMES))
+
+    return chunks.select("values").mapInArrow(run, ", ".join(f"{c} long" for c in TIMES))
+
+
+def measured(chunks: DataFrame, codec: str, delta: str = "d1", runs: int = 1, fused: bool = False) -> DataFrame:
     """codec, delta_mode, n_ints, bits_per_int, ratio, coding_mis, decoding_mis, delta_share."""
-    total = measure(chunks, codec, delta, runs).agg(*[F.sum(c).alias(c) for c in ("n_ints", "n_bytes", "coding_ns", "decoding_ns", "prefix_ns")])
+    total = measure(chunks, codec, delta, runs, fused).agg(*[F.sum(c).alias(c) for c in TIMES])
     return total.select(
         F.lit(codec).alias("codec"),
         F.lit(delta).alias("delta_mode"),
@@ -193,3 +195,30 @@ def measured(chunks: DataFrame, codec: str, delta: str = "d1", runs: int = 1) ->
         (1000 * F.col("n_ints") / F.col("decoding_ns")).alias("decoding_mis"),
         (F.col("prefix_ns") / F.col("decoding_ns")).alias("delta_share"),
     )
+
+
+def measure_classes(chunks: DataFrame, codes: list[tuple[str, str]], runs: int = 1) -> DataFrame:
+    """codec, delta_mode, K, n_ints, n_bytes, coding_ns, decoding_ns, summed over the lists of each class of length.
+
+    All codes are timed in one pass over the chunks, which are laid out by class, so that a batch holds few of them.
+    """
+    from .measures import length_class
+
+    lists = chunks.groupBy("list_key").agg(F.sum("n").cast("long").alias("list_n"))
+    laid = chunks.join(lists, "list_key").select(length_class(F.col("list_n")).alias("K"), "values")
+    laid = laid.withColumn("part", F.xxhash64("values")).repartitionByRange("K", "part").sortWithinPartitions("K")
+
+    def run(batches):
+        for batch in batches:
+            classes = batch.column("K").to_numpy()
+            x, offsets = flat(batch.column("values"))
+            for k in np.unique(classes).tolist():
+                a, b = np.searchsorted(classes, [k, k + 1])
+                own, edges = x[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
+                rows = [(c, m, k, len(own), *timed(own, edges, c, m, runs)[:3]) for c, m in codes]
+                yield pa.RecordBatch.from_arrays([pa.array(column) for column in zip(*rows)], names).cast(schema)
+
+    names = ["codec", "delta_mode", "K", "n_ints", "n_bytes", "coding_ns", "decoding_ns"]
+    schema = pa.schema([("codec", pa.string()), ("delta_mode", pa.string()), ("K", pa.int32()), *[(c, pa.int64()) for c in names[3:]]])
+    found = laid.select("K", "values").mapInArrow(run, "codec string, delta_mode string, K int, n_ints long, n_bytes long, coding_ns long, decoding_ns long")
+    return found.groupBy("codec", "delta_mode", "K").agg(*[F.sum(c).alias(c) for c in names[3:]])

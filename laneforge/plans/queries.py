@@ -5,20 +5,21 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from laneforge.functions.codecs import ALL
+from laneforge.functions.codecs import ALL, GENERAL
 from laneforge.functions.exprs import bit_length, join64, split64, unzigzag, zigzag
 from laneforge.operators import blocks as B
 from laneforge.operators import deltas as D
 from laneforge.operators import dictionary, setops, sizes
 from laneforge.session import load, written
 from laneforge.sources import postings as P
-from laneforge.sources import synth
 from laneforge.streaming import ingest
 
 from . import measures as M
 from . import pipeline
+from . import size_sql as size_sql_of
 from . import workloads as WL
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -82,7 +83,10 @@ for source in ("lineitem_supp", "events_type", "documents", "lineitem_line"):
         add(f"delta{stride}_{source}", lambda s, d, source=source, k=stride: D.delta_strided(D.positions(P.postings(s, d, source)), k).select("list_key", "x", "pos", F.col(f"d{k}").alias("delta")), f"WITH {base(source)} SELECT list_key, x, pos, d{stride} AS delta FROM d")
         add(f"undelta{stride}_{source}", lambda s, d, source=source, k=stride: D.undelta_strided(D.delta_strided(D.positions(P.postings(s, d, source)), k).drop("x"), k).select("list_key", "x"), P.oracle(source))
 add("positions_by_range", lambda s, d: D.positions(P.postings(s, d, "documents"), "range", 256).groupBy("list_key", "chunk_no").agg(F.count("*").alias("c"), F.max("i").alias("last"), F.max("len").alias("len")), f"SELECT list_key, x // 256 AS chunk_no, count(*) AS c, count(*) - 1 AS last, count(*) AS len FROM ({P.oracle('documents')}) GROUP BY ALL")
-add("residual_linear", lambda s, d: D.residual_linear(D.positions(P.postings(s, d, "lineitem_supp"))).groupBy("list_key").agg(F.count("*").alias("n"), F.max(bit_length(F.col("residual"))).alias("m")))
+add("residual_roundtrip", lambda s, d: D.from_residual_linear(D.residual_linear(D.positions(P.postings(s, d, "lineitem_supp"))).drop("x")).select("list_key", "x"), P.oracle("lineitem_supp"))
+add("residual_linear", lambda s, d: D.residual_linear(D.positions(P.postings(s, d, "lineitem_supp"))).groupBy("list_key").agg(F.count("*").alias("n"), F.max(bit_length(F.col("residual"))).alias("m")), f"""WITH {base('lineitem_supp')}, ft AS (SELECT list_key, chunk_no, coalesce(regr_slope(x, i), 0) AS slope, coalesce(regr_intercept(x, i), min(x)) AS start FROM d GROUP BY ALL),
+rs AS (SELECT list_key, CAST(x - floor(start + slope * i) AS BIGINT) AS r FROM d JOIN ft USING (list_key, chunk_no)), zz AS (SELECT list_key, CASE WHEN r < 0 THEN -2 * r - 1 ELSE 2 * r END AS z FROM rs)
+SELECT list_key, count(*) AS n, max({bl('z')}) AS m FROM zz GROUP BY list_key""")
 add(
     "stride_overhead",
     lambda s, d: D.prepared(P.postings(s, d, "lineitem_supp")).agg(F.round(F.avg(bit_length(F.col("d1"))), 6).alias("bits1"), F.round(F.avg(bit_length(F.col("d4"))), 6).alias("bits4")),
@@ -136,13 +140,21 @@ VB, BYTES = f"greatest(1, ({bl('v')} + 6) // 7)", f"greatest(1, ({bl('v')} + 7)
 C = "list_key, chunk_no"
 
 
+GREEDY = {
+    "simple8b": size_sql_of.word_code, "bytegroup8": size_sql_of.byte_group_code, "wordpatch": lambda: size_sql_of.page_word_code(CHOICE), "linkpatch": lambda: size_sql_of.linked_code(False),
+    "sizedpatch": lambda: size_sql_of.linked_code(True), "blockpatch10": lambda: size_sql_of.block_code(False), "blockpatchopt": lambda: size_sql_of.block_code(True), "splitvec": size_sql_of.split_code,
+}
+
+
 def size_sql(codec: str, source: str, delta: str) -> str:
-    block = {"vpack128": 128, "horizpack": 128, "pack32": 32, "pack16": 16, "pack8": 8, "bucketpatch": 128, "vpatch": 128}.get(codec, 128)
+    block = {"vpack256": 256, "vpack512": 512, "pack32": 32, "pack16": 16, "pack8": 8}.get(codec, 128)
     head = values(source, delta, block)
     tail = f"tl AS (SELECT {C}, CAST(sum(CASE WHEN whole THEN 0 ELSE {VB} END) AS BIGINT) AS tail, count(*) AS n FROM v GROUP BY ALL)"
     done = " SELECT list_key, CAST(sum(n) AS BIGINT) AS n, CAST(sum(bytes) AS BIGINT) AS n_bytes FROM z GROUP BY list_key"
-    if codec in ("vpack128", "horizpack", "pack32", "pack16", "pack8"):
-        meta = 16 if block == 128 else 4
+    if codec in GREEDY:
+        return head.replace("WITH ", "WITH RECURSIVE ", 1) + ", " + GREEDY[codec]() + done
+    if codec in ("vpack128", "vpack256", "vpack512", "horizpack", "pack32", "pack16", "pack8"):
+        meta = 16 if block >= 128 else 4
         return head + f", {tail}, m AS (SELECT {C}, block_no, max({bl('v')}) AS m FROM v WHERE whole GROUP BY ALL), s AS (SELECT {C}, sum(4 * (({block} * m + 31) // 32)) AS body FROM m GROUP BY ALL), z AS (SELECT {C}, n, (n // {block} + {meta - 1}) // {meta} * {meta} + coalesce(body, 0) + tail AS bytes FROM tl LEFT JOIN s USING ({C}))" + done
     if codec in ("bucketpatch", "vpatch"):
         a, u = (16, 128) if codec == "vpatch" else (4, 32)
@@ -180,9 +192,13 @@ def encoded(s: SparkSession, d: str, source: str, codec: str, delta: str = "d1")
     return pipeline.encode_chunks(pipeline.build_chunks(P.postings(s, d, source)), codec, delta)
 
 
-for codec in ALL:
+def payload_sizes(s: SparkSession, d: str, source: str, codec: str, delta: str = "d1") -> DataFrame:
+    return encoded(s, d, source, codec, delta).groupBy("list_key").agg(F.sum("n").cast("long").alias("n"), F.sum("n_bytes").alias("n_bytes"))
+
+
+for codec in GENERAL:
     if codec not in sizes.FORMULAS:
-        add(f"size_{codec}_lineitem_supp", lambda s, d, c=codec: encoded(s, d, "lineitem_supp", c).groupBy("list_key").agg(F.sum("n").cast("long").alias("n"), F.sum("n_bytes").alias("n_bytes")))
+        add(f"size_{codec}_lineitem_supp", lambda s, d, c=codec: payload_sizes(s, d, "lineitem_supp", c), size_sql(codec, "lineitem_supp", "d1") if codec in GREEDY else None)
     for delta in ("d1", "s4") if codec in ("vpack128", "vpatch", "bytegroup8") else ("d1",):
         add(f"roundtrip_{codec}_{delta}", lambda s, d, c=codec, m=delta: pipeline.to_postings(pipeline.decode_chunks(encoded(s, d, "lineitem_supp", c, m))), P.oracle("lineitem_supp"))
 for source in ("documents", "events_type", "lineitem_line"):
@@ -191,26 +207,32 @@ for source in ("documents", "events_type", "lineitem_line"):
 
 def size_agreement(s: SparkSession, d: str) -> DataFrame:
     """Lists whose payloads differ from the formula: none."""
-    out = None
     chunks = written(s, pipeline.build_chunks(P.postings(s, d, "lineitem_supp")), "chunks")
-    for codec in sizes.FORMULAS:
-        for delta in ("d1", "s4"):
-            real = pipeline.encode_chunks(chunks, codec, delta).groupBy("list_key").agg(F.sum("n_bytes").alias("real"))
-            bad = real.join(sizes.encoded_size(rows(s, d, "lineitem_supp", delta), codec), "list_key").filter("real <> n_bytes").select(F.lit(codec).alias("codec"), F.lit(delta).alias("delta_mode"), "list_key", "real", "n_bytes")
-            out = bad if out is None else out.unionByName(bad)
-    return out
+    real = pipeline.payload_bytes(chunks, [(c, m) for c in sizes.FORMULAS for m in ("d1", "s4")]).withColumnRenamed("n_bytes", "real")
+    out = None
+    for delta in ("d1", "s4"):
+        placed = written(s, rows(s, d, "lineitem_supp", delta), "rows")
+        for codec in sizes.FORMULAS:
+            one = written(s, sizes.encoded_size(placed, codec).select("list_key", "n_bytes"), "formula")
+            one = one.select("list_key", F.lit(codec).alias("codec"), F.lit(delta).alias("delta_mode"), "n_bytes")
+            out = one if out is None else out.unionByName(one)
+    return out.join(real, ["list_key", "codec", "delta_mode"], "left").filter("real IS NULL OR real <> n_bytes").select("codec", "delta_mode", "list_key", "real", "n_bytes")
 
 
 add("size_agreement", size_agreement, "SELECT '' AS codec, '' AS delta_mode, '' AS list_key, CAST(0 AS BIGINT) AS real, CAST(0 AS BIGINT) AS n_bytes WHERE false")
 
 
 def zigzag_columns(s: SparkSession, d: str) -> DataFrame:
-    """Signed, unsorted values through zig-zag and the code without deltas."""
+    """Signed, unsorted values through zig-zag and the code without deltas, in chunks of ranges of the order they come in."""
     line = load(s, d, "lineitem").select(F.col("l_suppkey").cast("string").alias("list_key"), F.col("l_orderkey").alias("o"), (F.col("l_linenumber") - F.lit(4)).cast("long").alias("v"))
-    packed = line.groupBy("list_key").agg(F.array_sort(F.collect_list(F.struct("o", "v"))).alias("r"))
-    chunks = packed.select("list_key", F.lit(0).cast("long").alias("chunk_no"), F.size("r").alias("n"), F.lit(0).cast("long").alias("x_min"), F.lit(0).cast("long").alias("x_max"), F.transform("r", lambda t: zigzag(t["v"])).alias("values"))
-    back = pipeline.decode_chunks(pipeline.encode_chunks(chunks, "pack32", "none"))
-    return back.select("list_key", F.posexplode("values").alias("pos", "z")).groupBy("list_key").agg(F.count("*").alias("n"), F.sum(unzigzag(F.col("z"))).alias("total"), F.sum(F.col("pos") * unzigzag(F.col("z"))).alias("moment"))
+    packed = line.groupBy("list_key", F.expr("o div 16384").alias("chunk_no")).agg(F.array_sort(F.collect_list(F.struct("o", "v"))).alias("r"))  # an order has at most seven lines
+    none = F.lit(0).cast("long")
+    chunks = packed.select("list_key", "chunk_no", F.size("r").alias("n"), none.alias("x_min"), none.alias("x_max"), F.transform("r", lambda t: zigzag(t["v"])).alias("values"))
+    back = pipeline.decode_chunks(pipeline.encode_chunks(chunks, "pack32", "none")).select("list_key", "chunk_no", "n", F.transform("values", unzigzag).alias("v"))
+    sums = back.select("list_key", "chunk_no", "n", F.aggregate("v", F.lit(0).cast("long"), lambda a, x: a + x).alias("total"), F.posexplode("v").alias("pos", "x")).groupBy("list_key", "chunk_no", "n", "total").agg(F.sum(F.col("pos") * F.col("x")).alias("moment"))
+    before = F.coalesce(F.sum("n").over(W.partitionBy("list_key").orderBy("chunk_no").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    sums = sums.withColumn("moment", F.col("moment") + before * F.col("total"))
+    return sums.groupBy("list_key").agg(F.sum("n").alias("n"), F.sum("total").alias("total"), F.sum("moment").alias("moment"))
 
 
 add("zigzag_columns", zigzag_columns, "WITH a AS (SELECT CAST(l_suppkey AS VARCHAR) AS list_key, l_linenumber - 4 AS v, row_number() OVER (PARTITION BY l_suppkey ORDER BY l_orderkey, l_linenumber) - 1 AS pos FROM lineitem) SELECT list_key, count(*) AS n, CAST(sum(v) AS BIGINT) AS total, CAST(sum(pos * v) AS BIGINT) AS moment FROM a GROUP BY list_key")
@@ -239,11 +261,22 @@ def split64_roundtrip(s: SparkSession, d: str) -> DataFrame:
 
 
 add("split64_roundtrip", split64_roundtrip, "SELECT DISTINCT o_orderkey * 1000003 + o_custkey AS id FROM orders")
+
+
+def split16(s: SparkSession, d: str) -> DataFrame:
+    """Ids as 16-bit halves: each high half of a list keeps its low halves in two bytes each."""
+    rows16 = P.postings(s, d, "lineitem_supp").select("list_key", F.expr("x div 65536").alias("chunk_no"), F.expr("x % 65536").alias("low"))
+    grouped = rows16.groupBy("list_key", "chunk_no").agg(F.array_sort(F.collect_list("low")).alias("values"))  # at most 65,536
+    chunks = grouped.select("list_key", "chunk_no", F.size("values").alias("n"), (F.col("chunk_no") * 65536 + F.col("values")[0]).alias("x_min"), (F.col("chunk_no") * 65536 + F.element_at("values", -1)).alias("x_max"), "values")
+    return pipeline.encode_chunks(chunks, "raw16", "none")
+
+
 add(
     "split16_sizes",
-    lambda s, d: P.postings(s, d, "lineitem_supp").groupBy("list_key", F.expr("x div 65536").alias("high")).agg(F.count("*").alias("n")).groupBy("list_key").agg(F.sum("n").alias("n"), F.sum(F.col("n") * 2 + 4).alias("n_bytes")),
+    lambda s, d: split16(s, d).groupBy("list_key").agg(F.sum("n").alias("n"), F.sum(F.col("n_bytes") + 4).alias("n_bytes")),
     f"WITH g AS (SELECT list_key, x // 65536 AS h, count(*) AS n FROM ({P.oracle('lineitem_supp')}) GROUP BY ALL) SELECT list_key, CAST(sum(n) AS BIGINT) AS n, CAST(sum(n * 2 + 4) AS BIGINT) AS n_bytes FROM g GROUP BY list_key",
 )
+add("split16_roundtrip", lambda s, d: pipeline.decode_chunks(split16(s, d)).select("list_key", "chunk_no", F.explode("values").alias("low")).select("list_key", (F.col("chunk_no") * 65536 + F.col("low")).alias("x")), P.oracle("lineitem_supp"))
 
 # Measures.
 for source in ("documents", "pages", "lineitem_supp", "events_type"):
@@ -271,25 +304,17 @@ WEIGHTS = f"qw AS (SELECT {bl('n')} - 1 AS K, count(*) AS queries FROM tm JOIN l
 add("query_weights", lambda s, d: M.query_weights(terms(s, d), lists(s, d)), f"WITH {TERMS}, {WEIGHTS} SELECT CAST(K AS INTEGER) AS \"K\", queries, w FROM ww")
 add("query_match_rate", lambda s, d: M.match_rate(terms(s, d), lists(s, d)), f"WITH {TERMS} SELECT count(*) AS terms, count(list_key) AS matched, round(count(list_key) / count(*), 6) AS rate FROM tm LEFT JOIN ls ON term = list_key")
 
-REPORT = ["vpack128", "pack32", "vpatch", "bucketpatch", "vbyte", "groupvarint", "raw32"]
-
-
 def all_sizes(s: SparkSession, d: str, source: str = "documents") -> DataFrame:
-    """list_key, codec, n, n_bytes of the codes of the report; positions and deltas are computed once."""
-    r = written(s, rows(s, d, source), "rows")
-    out = None
-    for codec in REPORT:
-        one = sizes.encoded_size(r, codec).withColumn("codec", F.lit(codec))
-        out = one if out is None else out.unionByName(one)
-    return out
+    """list_key, codec, n, n_bytes of the codes of the report, counted in one layout of the deltas."""
+    return sizes.report(rows(s, d, source))
 
 
 def all_sizes_sql(source: str = "documents") -> str:
-    return " UNION ALL ".join(f"SELECT list_key, n, n_bytes, '{c}' AS codec FROM ({size_sql(c, source, 'd1')})" for c in REPORT)
+    return " UNION ALL ".join(f"SELECT list_key, n, n_bytes, '{c}' AS codec FROM ({size_sql(c, source, 'd1')})" for c in sizes.REPORT)
 
 
-def by_class(s, d):
-    return all_sizes(s, d).groupBy("codec", M.length_class(F.col("n")).alias("K")).agg(F.sum("n").alias("ints"), F.sum("n_bytes").alias("bytes"))
+def by_class(s, d, source="documents"):
+    return all_sizes(s, d, source).groupBy("codec", M.length_class(F.col("n")).alias("K")).agg(F.sum("n").alias("ints"), F.sum("n_bytes").alias("bytes"))
 
 
 CLASSES = f"az AS ({all_sizes_sql()}), cl AS (SELECT codec, CAST({bl('n')} - 1 AS INTEGER) AS K, CAST(sum(n) AS BIGINT) AS ints, CAST(sum(n_bytes) AS BIGINT) AS bytes FROM az GROUP BY 1, 2)"
@@ -298,13 +323,19 @@ add("weighted_bits", lambda s, d: M.weighted_mean(by_class(s, d), M.query_weight
 add("unweighted_bits", lambda s, d: by_class(s, d).groupBy("codec").agg(F.round(8 * F.sum("bytes") / F.sum("ints"), 6).alias("bits")), f"WITH {CLASSES} SELECT codec, round(8 * sum(bytes) / sum(ints), 6) AS bits FROM cl GROUP BY codec")
 add("bits_rollup", lambda s, d: by_class(s, d).rollup("codec", "K").agg(F.sum("ints").alias("ints"), F.sum("bytes").alias("bytes")), f"WITH {CLASSES} SELECT codec, K AS \"K\", CAST(sum(ints) AS BIGINT) AS ints, CAST(sum(bytes) AS BIGINT) AS bytes FROM cl GROUP BY ROLLUP (codec, K)")
 add("codec_choice_size", lambda s, d: M.choose_codec(all_sizes(s, d)), f"WITH az AS ({all_sizes_sql()}), r AS (SELECT *, row_number() OVER (PARTITION BY list_key ORDER BY n_bytes, codec) AS k FROM az) SELECT list_key, n, codec, n_bytes FROM r WHERE k = 1")
-add("codec_choice_hybrid", lambda s, d: M.choose_codec(all_sizes(s, d), "hybrid"), f"WITH az AS ({all_sizes_sql()}), r AS (SELECT *, row_number() OVER (PARTITION BY list_key ORDER BY n_bytes, codec) AS k FROM az) SELECT list_key, n, CASE WHEN 8 * n_bytes / n >= 9 THEN 'bytegroup8' ELSE codec END AS codec, n_bytes FROM r WHERE k = 1")
+BEST = "bs AS (SELECT list_key, min(n_bytes) AS least FROM az GROUP BY list_key), bc AS (SELECT az.list_key, min(codec) AS codec, least FROM az JOIN bs ON az.list_key = bs.list_key AND n_bytes = least GROUP BY az.list_key, least)"
+# Of each list: the code that the policy names, and then the row of that code.
+add(
+    "codec_choice_hybrid",
+    lambda s, d: M.choose_codec(all_sizes(s, d), "hybrid"),
+    f"WITH az AS ({all_sizes_sql()}), {BEST}, nm AS (SELECT bc.list_key, CASE WHEN 8 * least / az.n >= 9 THEN 'bytegroup8' ELSE bc.codec END AS codec FROM bc JOIN az ON az.list_key = bc.list_key AND az.codec = bc.codec) SELECT az.list_key, az.n, az.codec, az.n_bytes FROM nm JOIN az ON az.list_key = nm.list_key AND az.codec = nm.codec",
+)
 add(
     "codec_choice_workload",
     lambda s, d: M.choose_by_workload(all_sizes(s, d), terms(s, d).groupBy(F.col("term").alias("list_key")).agg(F.count("*").alias("queries"))),
-    f"WITH az AS ({all_sizes_sql()}), r AS (SELECT *, row_number() OVER (PARTITION BY list_key ORDER BY n_bytes, codec) AS k FROM az), {TERMS}, f AS (SELECT term, count(*) AS q FROM tm GROUP BY term), "
-    "g AS (SELECT q, count(*) AS c FROM f GROUP BY q), u AS (SELECT q, sum(q * c) OVER (ORDER BY q DESC) - q * c AS before, sum(q * c) OVER () AS total FROM g), lv AS (SELECT min(q) AS least FROM u WHERE before < 0.8 * total) "
-    "SELECT list_key, n, CASE WHEN f.q >= (SELECT least FROM lv) THEN 'vpack128' ELSE codec END AS codec, n_bytes FROM r LEFT JOIN f ON term = list_key WHERE k = 1",
+    f"WITH az AS ({all_sizes_sql()}), {BEST}, {TERMS}, f AS (SELECT term, count(*) AS q FROM tm GROUP BY term), "
+    "g AS (SELECT q, count(*) AS c FROM f GROUP BY q), u AS (SELECT q, sum(q * c) OVER (ORDER BY q DESC) - q * c AS before, sum(q * c) OVER () AS total FROM g), lv AS (SELECT min(q) AS least FROM u WHERE before < 0.8 * total), "
+    "nm AS (SELECT bc.list_key, CASE WHEN f.q >= (SELECT least FROM lv) THEN 'vpack128' ELSE bc.codec END AS codec FROM bc LEFT JOIN f ON term = list_key) SELECT az.list_key, az.n, az.codec, az.n_bytes FROM nm JOIN az ON az.list_key = nm.list_key AND az.codec = nm.codec",
 )
 add("codec_rank", lambda s, d: all_sizes(s, d).groupBy("codec").agg(F.sum("n_bytes").alias("n_bytes")).withColumn("place", F.expr("dense_rank() OVER (ORDER BY n_bytes)")), f"WITH az AS ({all_sizes_sql()}), t AS (SELECT codec, CAST(sum(n_bytes) AS BIGINT) AS n_bytes FROM az GROUP BY codec) SELECT codec, n_bytes, CAST(dense_rank() OVER (ORDER BY n_bytes) AS INTEGER) AS place FROM t")
 add(
@@ -329,6 +360,17 @@ add("difference_query", lambda s, d: setops.difference(enc(s, d), "7", "8"), bot
 add("range_on_compressed", lambda s, d: setops.range_lookup(enc(s, d), 2000, 5000), f"SELECT list_key, x FROM ({LS}) WHERE x BETWEEN 2000 AND 5000")
 add("count_from_stats", lambda s, d: setops.list_stats(enc(s, d)), f"SELECT list_key, count(*) AS n, min(x) AS x_min, max(x) AS x_max FROM ({LS}) GROUP BY list_key")
 add("value_at", lambda s, d: setops.value_at(e := enc(s, d), setops.list_stats(e).select("list_key", F.expr("(n * 2) div 3").alias("pos")), 128), f"WITH {base('lineitem_supp')} SELECT list_key, pos, x FROM q WHERE pos = (n * 2) // 3")
+CHUNKED = f"WITH {base('lineitem_supp')}, ck AS (SELECT list_key, pos // 128 AS chunk_no, count(*) AS c, min(x) AS x_min, max(x) AS x_max FROM q GROUP BY ALL)"
+add(
+    "skip_decoded",
+    lambda s, d: setops.overlapping_chunks(enc(s, d), "7", "8"),
+    CHUNKED + ", pr AS (SELECT * FROM ck WHERE list_key IN ('7', '8')) SELECT (SELECT count(*) FROM pr a WHERE EXISTS (SELECT 1 FROM pr b WHERE b.list_key <> a.list_key AND b.x_min <= a.x_max AND a.x_min <= b.x_max)) AS decoded, (SELECT count(*) FROM pr) AS total",
+)
+add(
+    "value_at_decoded",
+    lambda s, d: setops.value_at_cost(e := enc(s, d), setops.list_stats(e).select("list_key", F.expr("(n * 2) div 3").alias("pos")), 128),
+    CHUNKED + ", t AS (SELECT list_key, count(*) AS total FROM q GROUP BY list_key) SELECT t.list_key, (total * 2) // 3 AS pos, c AS decoded, total FROM t JOIN ck ON ck.list_key = t.list_key AND ck.chunk_no = (total * 2) // 3 // 128",
+)
 add("asof_skip", lambda s, d: setops.floor_lookup(enc(s, d), P.postings(s, d, "lineitem_supp").select("list_key").distinct().withColumn("at", F.lit(4321).cast("long"))), f"SELECT list_key, CAST(4321 AS BIGINT) AS at, max(x) FILTER (x <= 4321) AS x FROM ({LS}) GROUP BY list_key")
 add("intersect_query", lambda s, d: setops.conjunctive(enc(s, d, "documents"), terms(s, d)), f"WITH {TERMS}, p AS ({P.oracle('documents')}), need AS (SELECT session, count(*) AS need FROM tm JOIN ls ON term = list_key GROUP BY session), have AS (SELECT session, x, count(*) AS have FROM tm JOIN p ON term = list_key GROUP BY session, x) SELECT session, x FROM have JOIN need USING (session) WHERE have = need")
 add("unmatched_terms", lambda s, d: terms(s, d).join(lists(s, d).select(F.col("list_key").alias("term")), "term", "left_anti").select("session", "term"), f"WITH {TERMS} SELECT session, term FROM tm WHERE term NOT IN (SELECT list_key FROM ls)")
@@ -350,7 +392,57 @@ def code_table(s: SparkSession, d: str) -> DataFrame:
     return WL.all_codes(written(s, pipeline.build_chunks(P.postings(s, d, "lineitem_line")), "lists"), PAPER_CODES)
 
 
-add("code_table", code_table)
+def with_cycles(table: DataFrame) -> DataFrame:
+    return table.crossJoin(F.broadcast(WL.clock(table.sparkSession))).withColumn("decoding_cycles", WL.cycles(F.col("decoding_mis"), F.col("mhz"))).drop("mhz")
+
+
+add("code_table", lambda s, d: with_cycles(code_table(s, d)))
+add("copy_ceiling", lambda s, d: WL.copy_speed(s))
+add("buffer_memory", lambda s, d: WL.buffer_memory(s, PAPER_CODES))
+
+
+def class_table(s: SparkSession, d: str, source: str) -> DataFrame:
+    """Integers, bytes and times of every code by class of length."""
+    return pipeline.measure_classes(written(s, pipeline.build_chunks(P.postings(s, d, source)), "lists"), PAPER_CODES)
+
+
+def fetched(s: SparkSession, d: str, source: str) -> DataFrame:
+    return M.query_weights(terms(s, d), P.postings(s, d, source).groupBy("list_key").agg(F.count("*").alias("n")))
+
+
+def weighted_table(s: SparkSession, d: str, source: str) -> DataFrame:
+    return written(s, M.weighted_table(class_table(s, d, source), fetched(s, d, source)), "weighted")
+
+
+for source in ("documents", "pages"):
+    speeds = lambda s, d, source=source: class_table(s, d, source).select("codec", "delta_mode", "K", "n_ints", (8 * F.col("n_bytes") / F.col("n_ints")).alias("bits"), (1000 * F.col("n_ints") / F.col("coding_ns")).alias("coding_mis"), (1000 * F.col("n_ints") / F.col("decoding_ns")).alias("decoding_mis"))
+    add(f"speeds_by_class_{source}", speeds)
+    add(f"weighted_table_{source}", lambda s, d, source=source: weighted_table(s, d, source))
+    add(f"weighted_frontier_{source}", lambda s, d, source=source: WL.frontier(weighted_table(s, d, source), "weighted_bits", "weighted_coding_mis", "weighted_decoding_mis"))
+add("weighting_gap", lambda s, d: M.weighting_gap(weighted_table(s, d, "documents")))
+add("coding_gap", lambda s, d: M.coding_gap(weighted_table(s, d, "documents")))
+add(
+    "fused_speeds",
+    lambda s, d: (lambda c: pipeline.measured(c, "vpack128", "s4", 3, fused=True).withColumn("way", F.lit("fused")).unionByName(pipeline.measured(c, "vpack128", "s4", 3).withColumn("way", F.lit("two passes"))).select("way", "delta_mode", "decoding_mis"))(written(s, WL.synthetic(s, "uniform", "long", 64), "synthetic")),
+)
+for delta in ("d1", "s4"):
+    add(f"fused_roundtrip_{delta}", lambda s, d, m=delta: pipeline.to_postings(pipeline.decode_chunks(encoded(s, d, "lineitem_supp", "vpack128", m), fused=True)), P.oracle("lineitem_supp"))
+# Columns of a database under all codes of the report.
+for source in ("orders_cust", "events_user", "lineitem_part", "events_type"):
+    add(
+        f"column_bits_{source}",
+        lambda s, d, source=source: all_sizes(s, d, source).groupBy("codec").agg(F.sum("n").alias("n"), F.sum("n_bytes").alias("n_bytes"), F.round(8 * F.sum("n_bytes") / F.sum("n"), 6).alias("bits")),
+        f"WITH az AS ({all_sizes_sql(source)}) SELECT codec, CAST(sum(n) AS BIGINT) AS n, CAST(sum(n_bytes) AS BIGINT) AS n_bytes, round(8 * sum(n_bytes) / sum(n), 6) AS bits FROM az GROUP BY codec",
+    )
+
+
+def parquet_bits(s: SparkSession, d: str) -> DataFrame:
+    """Bits an integer of long lists of ids in Parquet's own integer codings, beside those of this engine: ids as they are for Parquet, deltas for the others."""
+    chunks = written(s, pipeline.build_chunks(P.postings(s, d, "lineitem_line")), "lists")
+    return WL.all_codes(chunks, [("parquet_delta", "none"), ("parquet_dictionary", "none"), ("vpack128", "d1"), ("vpatch", "d1"), ("vbyte", "d1")]).select("codec", "delta_mode", "n_ints", "bits_per_int", "coding_mis", "decoding_mis")
+
+
+add("parquet_bits", parquet_bits)
 add("code_frontier", lambda s, d: WL.frontier(written(s, code_table(s, d), "codes")))
 add(
     "events_in_intervals",
@@ -361,29 +453,86 @@ for delta in ("d1", "s4"):
     add(f"weighted_mean_by_class_{delta}", lambda s, d, m=delta: M.weighted_mean(M.by_class(sizes.encoded_size(rows(s, d, "documents", m), "vpack128")).withColumn("codec", F.lit("vpack128")), M.query_weights(terms(s, d), lists(s, d)), 8 * F.col("bytes") / F.col("ints"), ["codec"]), f"WITH az AS ({size_sql('vpack128', 'documents', delta)}), cl AS (SELECT CAST({bl('n')} - 1 AS INTEGER) AS K, sum(n) AS ints, sum(n_bytes) AS bytes FROM az GROUP BY 1), {TERMS}, {WEIGHTS} SELECT 'vpack128' AS codec, round(sum(w * (8 * bytes / ints)) / sum(w), 6) AS weighted FROM cl JOIN ww ON cl.K = ww.K")
 
 
-# Streams, on the batch.
-def events(s: SparkSession, d: str) -> DataFrame:
-    return load(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+# Aggregates of every shape, and sketches held against exact answers.
+DAY = "strftime(ts, '%Y-%m-%d')"
+
 
+def daily_events(s: SparkSession, d: str) -> DataFrame:
+    return load(s, d, "events").select("event_type", F.date_format("ts", "yyyy-MM-dd").alias("day"), "user_id", "event_id", "value", "props")
 
-add("stream_daily_encode", lambda s, d: ingest.daily_counts(load(s, d, "events")), "SELECT event_type AS list_key, strftime(ts, '%Y-%m-%d') AS day, count(*) AS n, min(event_id) AS x_min, max(event_id) AS x_max FROM events GROUP BY 1, 2")
+
+add("events_cube", lambda s, d: daily_events(s, d).cube("event_type", "day").agg(F.count("*").alias("n"), F.max("event_id").alias("last")), f"SELECT event_type, {DAY} AS day, count(*) AS n, max(event_id) AS last FROM events GROUP BY CUBE (event_type, {DAY})")
+add("events_grouping_sets", lambda s, d: daily_events(s, d).groupingSets([("event_type",), ("day",)], "event_type", "day").agg(F.count("*").alias("n")), f"SELECT event_type, {DAY} AS day, count(*) AS n FROM events GROUP BY GROUPING SETS ((event_type), ({DAY}))")
+PIVOT = ["vpack128", "vpatch", "vbyte"]
+add(
+    "bits_pivot",
+    lambda s, d: by_class(s, d, "lineitem_supp").groupBy("K").pivot("codec", PIVOT).agg(F.first("bytes")),
+    f"WITH az AS ({all_sizes_sql('lineitem_supp')}) SELECT CAST({bl('n')} - 1 AS INTEGER) AS \"K\", " + ", ".join(f"CAST(sum(n_bytes) FILTER (codec = '{c}') AS BIGINT) AS {c}" for c in PIVOT) + " FROM az GROUP BY 1",
+)
+add(
+    "events_unpivot",
+    lambda s, d: load(s, d, "events").select("event_id", "user_id", F.second("ts").cast("long").alias("second")).unpivot("event_id", ["user_id", "second"], "measure", "v").groupBy("measure").agg(F.count("*").alias("n"), F.sum("v").alias("total")),
+    "SELECT measure, count(*) AS n, CAST(sum(v) AS BIGINT) AS total FROM (SELECT 'user_id' AS measure, user_id AS v FROM events UNION ALL SELECT 'second', extract(second FROM ts) FROM events) GROUP BY measure",
+)
+add("json_postings", lambda s, d: P.postings_from_column(daily_events(s, d), F.get_json_object("props", "$.k"), F.col("event_id")), "SELECT DISTINCT json_extract_string(props, '$.k') AS list_key, event_id AS x FROM events WHERE json_extract_string(props, '$.k') IS NOT NULL")
+
+
+def sketches(s: SparkSession, d: str) -> DataFrame:
+    """Of each source: exact numbers, and whether the sketches come as near as they promise."""
+    out = None
+    for source in ("lineitem_supp", "documents"):
+        ids = P.postings(s, d, source)
+        one = ids.agg(
+            F.count_distinct("x").alias("ids"), F.count_distinct("list_key").alias("lists"), F.approx_count_distinct("x", 0.02).alias("ax"), F.hll_sketch_estimate(F.hll_sketch_agg("list_key", F.lit(14))).alias("al"),
+            F.percentile_approx("x", 0.5, 10_000).alias("am"), F.expr("percentile_disc(0.5) WITHIN GROUP (ORDER BY x)").cast("long").alias("median"), F.max("x").alias("top"),
+        )
+        near = lambda a, b, share: F.abs(F.col(a) - F.col(b)) <= share * F.col(b)
+        one = one.select(F.lit(source).alias("source"), "ids", "lists", near("ax", "ids", 0.1).alias("ids_near"), near("al", "lists", 0.05).alias("lists_near"), (F.abs(F.col("am") - F.col("median")) <= 0.01 * F.col("top")).alias("median_near"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+add("sketches", sketches, " UNION ALL ".join(f"SELECT '{x}' AS source, count(DISTINCT x) AS ids, count(DISTINCT list_key) AS lists, true AS ids_near, true AS lists_near, true AS median_near FROM ({P.oracle(x)})" for x in ("lineitem_supp", "documents")))
+
+
+def payload_checksums(s: SparkSession, d: str) -> DataFrame:
+    """Payloads that are not what their checksum says after they were written and read: none of all."""
+    table = encoded(s, d, "lineitem_supp", "vpatch").withColumn("crc", F.crc32("payload")).withColumn("xx", F.xxhash64("payload"))
+    return written(s, table, "checked").agg(F.count("*").alias("payloads"), F.count_if((F.crc32("payload") != F.col("crc")) | (F.xxhash64("payload") != F.col("xx"))).alias("damaged"))
+
+
+add("payload_checksums", payload_checksums, f"SELECT count(DISTINCT list_key) AS payloads, 0::BIGINT AS damaged FROM ({P.oracle('lineitem_supp')})")
+
+
+# Streams: over the files of the table until nothing is left, and the same functions on the batch.
+def event_files(s: SparkSession, d: str) -> DataFrame:
+    return ingest.event_stream(s, f"{d}/events.parquet")
+
+
+DAILY = "SELECT event_type AS list_key, strftime(ts, '%Y-%m-%d') AS day, count(*) AS n, min(event_id) AS x_min, max(event_id) AS x_max FROM events GROUP BY 1, 2"
+add("daily_counts", lambda s, d: ingest.daily_counts(load(s, d, "events")), DAILY)
+add("stream_daily_counts", lambda s, d: ingest.drained(s, ingest.daily_counts(event_files(s, d)), "daily", "complete"), DAILY)
+add(
+    "daily_encode",
+    lambda s, d: ingest.daily_lists(load(s, d, "events")).groupBy("list_key").agg(F.sum("n").alias("n"), F.min("x_min").alias("x_min"), F.max("x_max").alias("x_max"), F.sum("n_bytes").alias("n_bytes")),
+    size_sql("vpack128", "events_daily", "d1").replace(" SELECT list_key, CAST(sum(n)", ", zz AS (SELECT list_key, CAST(sum(n)") + ") SELECT list_key, n, x_min, x_max, n_bytes FROM zz JOIN (SELECT list_key, min(x) AS x_min, max(x) AS x_max FROM p GROUP BY list_key) USING (list_key)",
+)
 add(
     "stream_sessions",
     lambda s, d: ingest.sessions(load(s, d, "events")).drop("start"),
     "WITH a AS (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events), b AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS sn FROM a) SELECT user_id, count(*) AS n, min(event_id) AS x_min, max(event_id) AS x_max FROM b GROUP BY user_id, sn",
 )
+add(
+    "stream_static_join",
+    lambda s, d: ingest.drained(s, ingest.with_names(event_files(s, d).select("event_id", (F.col("user_id") % 25).cast("int").alias("n_nationkey")), load(s, d, "nation").select("n_nationkey", "n_name"), "n_nationkey").select("event_id", "n_name"), "named").groupBy("n_name").agg(F.count("*").alias("n"), F.sum("event_id").alias("id_sum")),
+    "SELECT n_name, count(*) AS n, CAST(sum(event_id) AS BIGINT) AS id_sum FROM events LEFT JOIN nation ON user_id % 25 = n_nationkey GROUP BY n_name",
+)
+add("stream_distinct", lambda s, d: ingest.drained(s, ingest.distinct_events(event_files(s, d)).select("event_id"), "distinct"), "SELECT DISTINCT event_id FROM events")
 
-# Synthetic sets: sizes only; tests hold them against the published ones.
-for kind, make in (("uniform", synth.gen_uniform), ("clustered", synth.gen_clustered)):
-    def synthetic(s, d, make=make):
-        chunks = written(s, pipeline.build_chunks(make(s, 4, 4096, 1 << 26)), "synthetic")
-        out = None
-        for codec in ("vpack128", "vpatch", "bucketpatch", "wordpatch", "pack32", "linkpatch", "sizedpatch", "blockpatch10", "simple8b", "bytegroup8", "vbyte"):
-            one = pipeline.encode_chunks(chunks, codec).groupBy("codec").agg(F.sum("n").cast("long").alias("n"), F.sum("n_bytes").alias("n_bytes"))
-            out = one if out is None else out.unionByName(one)
-        return out
-
-    add(f"synthetic_{kind}_sizes", synthetic)
+# Synthetic sets at a part of the published size (WL.synthetic with scale 1 is the whole): all codes, both regimes. Tests hold bits against the published ones.
+for kind in ("uniform", "clustered"):
+    for regime, scale in (("short", 256), ("long", 256)):
+        add(f"synthetic_{kind}_{regime}", lambda s, d, kind=kind, regime=regime, k=scale: WL.all_codes(written(s, WL.synthetic(s, kind, regime, k), "synthetic"), [*PAPER_CODES, ("generic_snappy", "d1")]))
 
 
 def flagship(s: SparkSession, d: str) -> DataFrame:

@@ -64,6 +64,85 @@ def packing_speeds(spark: SparkSession, n: int = 1 << 16, runs: int = 3) -> Data
     return spark.range(1, 33).mapInArrow(run, "b int, variant string, pack_mis double, unpack_mis double")
 
 
+def copy_speed(spark: SparkSession, n: int = 1 << 22, runs: int = 5) -> DataFrame:
+    """copy_mis: millions of 32-bit integers a second that a plain copy moves, the ceiling of any decoder here."""
+
+    def run(batches):
+        for _ in batches:
+            a, best = np.arange(n, dtype=np.uint32), 1 << 62
+            b = np.empty_like(a)
+            for _ in range(runs):
+                t = time.perf_counter_ns()
+                np.copyto(b, a)
+                best = min(best, time.perf_counter_ns() - t)
+            yield pa.RecordBatch.from_pydict({"copy_mis": [1000 * n / best]})
+
+    return spark.range(1, numPartitions=1).mapInArrow(run, "copy_mis double")
+
+
+def cycles(mis: Column, mhz: Column) -> Column:
+    """Processor cycles an integer, from millions of integers and of cycles a second."""
+    return mhz / mis
+
+
+def clock(spark: SparkSession) -> DataFrame:
+    """mhz: the clock that a worker's machine states, null where it states none."""
+
+    def run(batches):
+        for _ in batches:
+            found = None
+            try:
+                with open("/proc/cpuinfo") as f:
+                    found = max((float(line.split(":")[1]) for line in f if line.startswith("cpu MHz")), default=None)
+            except OSError:
+                pass
+            yield pa.RecordBatch.from_pydict({"mhz": pa.array([found], pa.float64())})
+
+    return spark.range(1, numPartitions=1).mapInArrow(run, "mhz double")
+
+
+def buffer_memory(spark: SparkSession, codes: list[tuple[str, str]], n: int = 1 << 16) -> DataFrame:
+    """codec, delta_mode, coding_kb, decoding_kb: the most that one page of n integers takes at once besides itself and its payload."""
+
+    def run(batches):
+        import tracemalloc
+
+        for batch in batches:
+            for i in batch.column(0).to_pylist():
+                codec, delta = codes[i]
+                x = np.cumsum(np.random.default_rng(1).integers(1, 200, n))
+                offsets, most = np.array([0, n]), []
+                payloads = pipeline.encode_batch(pipeline.batch_deltas(x, offsets, pipeline.STRIDES[delta]), offsets, codec)
+                for step in (
+                    lambda: pipeline.encode_batch(pipeline.batch_deltas(x, offsets, pipeline.STRIDES[delta]), offsets, codec),  # noqa: B023
+                    lambda: pipeline.batch_undeltas(pipeline.decode_batch(payloads, np.array([n]), codec), offsets, pipeline.STRIDES[delta]),  # noqa: B023
+                ):
+                    tracemalloc.start()
+                    step()
+                    most.append(tracemalloc.get_traced_memory()[1] / 1024)
+                    tracemalloc.stop()
+                yield pa.RecordBatch.from_pydict({"codec": [codec], "delta_mode": [delta], "coding_kb": [most[0]], "decoding_kb": [most[1]]})
+
+    return spark.range(len(codes)).repartition(len(codes), "id").mapInArrow(run, "codec string, delta_mode string, coding_kb double, decoding_kb double")
+
+
+#: Arrays, integers of each, and their range, of the published synthetic sets.
+REGIMES = {"short": (1 << 10, 1 << 15, 1 << 29), "long": (1, 1 << 25, 1 << 29)}
+
+
+def synthetic(spark: SparkSession, kind: str, regime: str, scale: int = 1) -> DataFrame:
+    """Chunks of a synthetic set. scale divides the number of short arrays, or the length and the range of the long one, so gaps stay."""
+    from laneforge.sources import synth
+
+    arrays, n, hi = REGIMES[regime]
+    if regime == "short":
+        arrays = max(1, arrays // scale)
+    else:
+        n, hi = n // scale, hi // scale
+    make = {"uniform": synth.gen_uniform, "clustered": synth.gen_clustered}[kind]
+    return pipeline.build_chunks(make(spark, arrays, n, hi))
+
+
 def all_codes(chunks: DataFrame, codes: list[tuple[str, str]], runs: int = 1) -> DataFrame:
     """codec, delta_mode, bits_per_int, ratio, coding_mis, decoding_mis, delta_share for each code. Cache the chunks first."""
     out = None
@@ -73,10 +152,12 @@ def all_codes(chunks: DataFrame, codes: list[tuple[str, str]], runs: int = 1) ->
     return out
 
 
-def frontier(table: DataFrame) -> DataFrame:
-    """The codes of all_codes() that none beats in both bits and decoding speed, and how far each lags the fastest coder."""
+def frontier(table: DataFrame, bits: str = "bits_per_int", coding: str = "coding_mis", decoding: str = "decoding_mis") -> DataFrame:
+    """The codes of a table that none beats in both bits and decoding speed, and how many times slower than the fastest of all each codes."""
     named = table.withColumn("code", F.concat_ws("/", "codec", "delta_mode"))
-    return measures.pareto(named, name="code").select("code", "bits_per_int", "decoding_mis", "coding_mis")
+    fastest = named.agg(F.max(coding).alias("fastest"))
+    best = measures.pareto(named, bits, decoding, "code").crossJoin(F.broadcast(fastest))
+    return best.select("code", bits, decoding, coding, (F.col("fastest") / F.col(coding)).alias("lag"))
 
 
 def in_intervals(rows: DataFrame, intervals: DataFrame, width: int) -> DataFrame:

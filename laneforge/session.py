@@ -7,6 +7,7 @@ import os
 import shutil
 import tempfile
 import uuid
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -53,15 +54,36 @@ def shared_root(spark: SparkSession) -> str:
     return _LOCAL_ROOTS[key]
 
 
-def written(spark: SparkSession, df: DataFrame, label: str, compression: str = "snappy") -> DataFrame:
+def written(spark: SparkSession, df: DataFrame, label: str, compression: str = "snappy", keep: bool = False) -> DataFrame:
     """The rows of df, written as Parquet in the shared folder and read back.
 
-    This cuts the lineage: an executor lost later costs a read, not the work before. The folder goes when the
-    driver's file system closes.
+    This cuts the lineage: an executor lost later costs a read, not the work before. The folder goes at the end of a
+    scratch() block that it was written in, unless kept, or else when the driver's file system closes.
     """
     path = f"{shared_root(spark)}/laneforge/{label}-{uuid.uuid4().hex}"
     df.write.option("compression", compression).parquet(path)
-    jvm = spark.sparkContext._jvm
-    target = jvm.org.apache.hadoop.fs.Path(path)
-    target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(target)
+    target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    _files(spark, target).deleteOnExit(target)
+    if _OPEN and not keep:
+        _OPEN[-1].append(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+#: Paths written in the scratch() blocks that are open.
+_OPEN: list[list[str]] = []
+
+
+def _files(spark: SparkSession, path):
+    return path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+
+
+@contextmanager
+def scratch(spark: SparkSession):
+    """Tables that written() makes in this block go at its end; write what is still needed with keep=True."""
+    _OPEN.append([])
+    try:
+        yield
+    finally:
+        for path in _OPEN.pop():
+            target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+            _files(spark, target).delete(target, True)

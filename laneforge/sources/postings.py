@@ -69,6 +69,8 @@ def oracle(source: str) -> str:
         text = "text" if source == "documents" else "regexp_replace(html, '<[^>]*>', ' ', 'g')"
         key = "doc_id" if source == "documents" else "page_id"
         return f"SELECT DISTINCT list_key, x FROM (SELECT unnest(string_split_regex(lower({text}), '[^\\p{{L}}\\p{{N}}]+')) AS list_key, {key} AS x FROM {source}) WHERE list_key <> ''"
+    if source == "events_daily":
+        return "SELECT DISTINCT event_type || '/' || strftime(ts, '%Y-%m-%d') AS list_key, event_id AS x FROM events"
     if source == "events_user":
         return "SELECT DISTINCT CAST(user_id AS VARCHAR) AS list_key, date_diff('second', TIMESTAMP '2024-01-01', ts) AS x FROM events"
     table, key, value = _COLUMNS[source]
