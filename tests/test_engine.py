@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from laneforge.functions import udfs
 from laneforge.functions.exprs import unzigzag, zigzag
 from laneforge.operators import deltas, setops, sizes
-from laneforge.plans import measures, pipeline
+from laneforge.plans import measures, pipeline, workloads
 from laneforge.plans.queries import ORACLES, QUERIES
 from laneforge.sources import files, postings, synth
 from laneforge.streaming import ingest
@@ -16,7 +16,11 @@ SAMPLE = [
     "flagship", "postings_documents", "postings_events_user", "dict_codes_shipdate", "delta4_lineitem_supp", "undelta1_events_type", "block_width_by_or_128_lineitem_supp",
     "patch_width_choice_lineitem_supp", "patch_exceptions_lineitem_supp", "packed_words_scalar_lineitem_supp", "packed_words_vertical_events_type", "unpacked_words_vertical_lineitem_supp",
     "size_vpatch_s4_lineitem_supp", "size_bucketpatch_lineitem_supp", "size_golomb_rice_lineitem_supp", "size_agreement", "roundtrip_wordpatch_d1", "zigzag_columns", "entropy_by_class_documents",
-    "weighted_bits", "codec_choice_workload", "intersect_pair", "value_at", "asof_skip", "intersect_query", "stream_sessions",
+    "weighted_bits", "codec_choice_hybrid", "codec_choice_workload", "intersect_pair", "value_at", "asof_skip", "intersect_query", "stream_sessions",
+    "size_vpack256_lineitem_supp", "size_bytegroup8_documents", "size_simple8b_lineitem_supp", "size_wordpatch_lineitem_supp", "size_linkpatch_lineitem_supp", "size_sizedpatch_lineitem_supp",
+    "size_blockpatch10_lineitem_supp", "size_blockpatchopt_lineitem_supp", "size_splitvec_lineitem_supp", "column_bits_orders_cust", "skip_decoded", "value_at_decoded", "residual_roundtrip", "residual_linear",
+    "split16_roundtrip", "fused_roundtrip_d1", "fused_roundtrip_s4", "events_cube", "events_grouping_sets", "bits_pivot", "events_unpivot", "json_postings", "sketches", "payload_checksums",
+    "stream_daily_counts", "daily_encode", "stream_static_join", "stream_distinct",
 ]
 
 
@@ -29,7 +33,7 @@ def test_oracle(spark, sf, name):
     import duckdb
 
     con = duckdb.connect()
-    for t in "customer supplier part orders lineitem events documents pages benchmark conversations".split():
+    for t in "nation customer supplier part orders lineitem events documents pages benchmark conversations".split():
         con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
     got = QUERIES[name](spark, sf)
     want = con.sql(ORACLES[name])
@@ -145,6 +149,110 @@ def test_streams_equal_batch(spark, sf, tmp_path):
     assert sorted(map(tuple, last)) == sorted(tuple(r) for r in ingest.daily_counts(spark.read.parquet(f"{sf}/events.parquet")).select("list_key", "day", "n").collect())
 
 
+def test_sealed_blocks_lose_nothing(spark, sf, tmp_path):
+    """Full chunks as lists fill, side chunks for ids that come late, and the rest once a list is idle."""
+    import time
+
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        folder = tmp_path / "in"
+        query = None
+
+        def put(name, rows):
+            spark.createDataFrame(rows, "list_key string, x long").coalesce(1).write.parquet(f"{tmp_path}/{name}")
+            folder.mkdir(exist_ok=True)
+            for f in (tmp_path / name).glob("part*"):
+                f.rename(folder / f"{name}.parquet")
+
+        def emitted(done, seconds=60):
+            """What has been emitted, as soon as it is enough: a stream with timers always runs, so nothing waits for its end."""
+            stop = time.time() + seconds
+            while True:
+                rows = spark.sql("SELECT * FROM sealed").collect()
+                if done(rows) or time.time() > stop:
+                    return rows
+                time.sleep(0.5)
+
+        put("a", [("k", 2 * i) for i in range(25)] + [("m", 5)])
+        stream = spark.readStream.schema("list_key string, x long").parquet(str(folder))
+        query = ingest.seal_blocks(stream, limit=10, idle_ms=8000).writeStream.format("memory").queryName("sealed").outputMode("append").trigger(processingTime="500 milliseconds").option("checkpointLocation", f"{tmp_path}/cp").start()
+        emitted(lambda rows: len(rows) >= 2)
+        put("b", [("k", 7), ("k", 41), ("k", 60), ("k", 60)])  # late, late beyond the buffer's least, new twice
+        want = sorted([("k", 2 * i) for i in range(25)] + [("m", 5), ("k", 7), ("k", 41), ("k", 60)])
+        rows = emitted(lambda rows: sum(r["n"] for r in rows) == len(want))
+        assert sorted((r["list_key"], x) for r in rows for x in r["values"]) == want
+        assert all(list(r["values"]) == sorted(r["values"]) and r["n"] == len(r["values"]) <= 10 for r in rows)
+        assert [list(r["values"]) for r in rows if r["side"]] == [[7]]
+        assert len({(r["list_key"], r["chunk_no"]) for r in rows}) == len(rows)
+    finally:
+        if query is not None:
+            query.stop()
+        spark.conf.unset("spark.sql.streaming.stateStore.providerClass")
+
+
+def test_choice_has_the_bytes_of_its_code(spark):
+    rows = [("a", "vbyte", 1, 4), ("a", "bytegroup8", 1, 9), ("a", "raw32", 1, 9), ("b", "vbyte", 100, 50), ("b", "bytegroup8", 100, 120), ("c", "vbyte", 1, 8)]
+    sizes_of = spark.createDataFrame([(k, c, n, b) for k, c, n, b in rows], "list_key string, codec string, n long, n_bytes long")
+    assert {tuple(r) for r in measures.choose_codec(sizes_of, "hybrid").collect()} == {("a", 1, "bytegroup8", 9), ("b", 100, "vbyte", 50), ("c", 1, "vbyte", 8)}
+    fetches = spark.createDataFrame([("a", 10), ("b", 1)], "list_key string, queries long")
+    assert {tuple(r) for r in measures.choose_by_workload(sizes_of, fetches, 0.5, "raw32").collect()} == {("a", 1, "raw32", 9), ("b", 100, "vbyte", 50), ("c", 1, "vbyte", 8)}
+
+
+def test_weighted_table(spark, sf):
+    """Speeds and bits of the codes by class, weighted by queries, and what is drawn from them."""
+    chunks = pipeline.build_chunks(postings.postings(spark, sf, "documents")).cache()
+    by_class = pipeline.measure_classes(chunks, [("vpack128", "s4"), ("vpack128", "d1"), ("vbyte", "d1"), ("blockpatchopt", "d1")]).cache()
+    n = chunks.agg(F.sum("n")).first()[0]
+    assert {r[0] for r in by_class.groupBy("codec", "delta_mode").agg(F.sum("n_ints").alias("n")).select("n").collect()} == {n}
+    vbyte = {r["K"]: r["n_bytes"] for r in by_class.filter("codec = 'vbyte'").collect()}
+    placed = deltas.delta_strided(deltas.positions(postings.postings(spark, sf, "documents")), 1, "v")
+    assert vbyte == {r["K"]: r["bytes"] for r in measures.by_class(sizes.encoded_size(placed, "vbyte")).collect()}
+    weights = spark.createDataFrame([(0, 0.25), (3, 0.75)], "K int, w double")
+    table = measures.weighted_table(by_class, weights).cache()
+    rows = {(r["codec"], r["delta_mode"], r["K"]): 8 * r["n_bytes"] / r["n_ints"] for r in by_class.collect()}
+    for r in table.collect():
+        assert r["weighted_bits"] == pytest.approx(0.25 * rows[r["codec"], r["delta_mode"], 0] + 0.75 * rows[r["codec"], r["delta_mode"], 3])
+    assert measures.weighting_gap(table).count() == measures.coding_gap(table).count() == 4
+    best = workloads.frontier(table, "weighted_bits", "weighted_coding_mis", "weighted_decoding_mis").collect()
+    assert best and min(r["lag"] for r in best) >= 1
+    spark.catalog.clearCache()
+
+
+def test_buffers_cycles_copies(spark):
+    got = workloads.buffer_memory(spark, [("vpack128", "d1"), ("vpatch", "d1")], 4096).collect()
+    assert len(got) == 2 and all(r["coding_kb"] > 0 and r["decoding_kb"] > 0 for r in got)
+    assert workloads.copy_speed(spark, 1 << 16).first()["copy_mis"] > 0
+    assert spark.range(1).select(workloads.cycles(F.lit(500.0), F.lit(3400.0))).first()[0] == 6.8
+
+
+def test_generators_are_sets(spark):
+    """Sizes and ranges; the parts of a clustered set partition it, and a uniform set is spread evenly."""
+    for make in (synth.gen_uniform, synth.gen_clustered):
+        got = make(spark, 2, 50_000, 1 << 20).groupBy("list_key").agg(F.count("*").alias("n"), F.count_distinct("x").alias("d"), F.min("x").alias("a"), F.max("x").alias("b")).collect()
+        assert [(r["n"], r["d"]) for r in got] == [(50_000, 50_000)] * 2 and all(0 <= r["a"] and r["b"] < 1 << 20 for r in got)
+    parts = synth.clustered_parts(np.random.default_rng(1), 1 << 16, 0, 1 << 22, 1 << 10)
+    assert sum(p[0] for p in parts) == 1 << 16 and max(p[0] for p in parts) <= 1 << 10 and all(b - a >= n for n, a, b, _ in parts)
+    spans = sorted((a, b) for _, a, b, _ in parts)
+    assert all(x[1] <= y[0] for x, y in zip(spans, spans[1:]))
+    halves = synth.gen_uniform(spark, 1, 40_000, 1 << 24).groupBy((F.col("x") < 1 << 23).alias("low")).count().collect()
+    assert all(abs(r["count"] - 20_000) < 500 for r in halves)
+
+
+def test_intersections_agree(spark, sf):
+    """Pruned look-ups against plain sets, on lists whose ranges hardly meet too."""
+    ids = spark.createDataFrame([("a", x) for x in range(0, 5000, 5)] + [("b", x) for x in range(4000, 9000, 3)] + [("c", x) for x in (1, 2, 4500)], "list_key string, x long")
+    table = pipeline.encode_chunks(pipeline.build_chunks(ids, chunk=64), "vpack128").cache()
+    a, b, c = ({x for k, x in map(tuple, ids.collect()) if k == key} for key in "abc")
+    assert {r["x"] for r in setops.intersect(table, "a", "b").collect()} == a & b
+    assert {r["x"] for r in setops.difference(table, "a", "b").collect()} == a - b
+    few = setops.overlapping_chunks(table, "a", "b").first()
+    assert 0 < few["decoded"] < few["total"]
+    terms = spark.createDataFrame([(1, "a"), (1, "b"), (2, "c"), (3, "a"), (3, "b"), (3, "c"), (4, "none"), (5, "c"), (5, "none")], "session long, term string")
+    want = {(1, x) for x in a & b} | {(2, x) for x in c} | {(3, x) for x in a & b & c} | {(5, x) for x in c}
+    assert {tuple(r) for r in setops.conjunctive(table, terms, 256).collect()} == want
+    table.unpersist()
+
+
 def test_synthetic_sizes(spark):
     """Bits per integer near the published ones: uniform lists of 2^15 in 2^29 (within 0.6), clustered (within 1.5)."""
     published = {"vpack128": (17, 16), "pack32": (17, 15), "vpatch": (16, 15), "bucketpatch": (16, 15), "wordpatch": (16, 15), "simple8b": (18, 16), "vbyte": (19, 17), "bytegroup8": (18, 18), "linkpatch": (17, 18), "sizedpatch": (17, 18), "blockpatch10": (17, 16)}
