@@ -46,22 +46,19 @@ RUN = 128
 
 
 def _matches(kind: str) -> Column:
-    """array<struct<g, m, ok, score>> of a kind, from the columns of its matches and gaps: a match m, the gap g before it, whether it counts.
+    """array<struct<n, m, ok, score>> of a kind: a match m, the length n of the gap before it, whether it counts. From the columns of matches, gaps and ends of gaps.
 
-    The words near a match are those of the NEAR characters before it, earlier matches among them, and after it.
+    The words near a match are those of the NEAR characters before it, up to three earlier matches among them, and after it.
     """
     _, _, check, plain, near = KINDS[kind]
     return F.expr(
         f"""transform(
               transform(
-                zip_with(slice(g_{kind}, 1, size(m_{kind})), m_{kind}, (g, m) -> named_struct('g', g, 'm', m)),
-                (x, i) -> named_struct('g', x.g, 'm', x.m, 'near', lower(concat(
-                  right(concat(array_join(zip_with(
-                    slice(g_{kind}, greatest(i - 2, 1), least(i, 3)), slice(m_{kind}, greatest(i - 2, 1), least(i, 3)), (g, m) -> concat(right(g, {NEAR}), m)), ''), x.g), {NEAR}),
-                  ' ', left(g_{kind}[i + 1], {NEAR}))))),
-              x -> named_struct('g', x.g, 'm', x.m,
-                'ok', transform(array(x.m), m -> {check})[0] AND ({str(kind in BASE).lower()} OR CASE WHEN rlike(x.near, '{CONTEXT[kind]}') THEN {near}D ELSE {plain}D END >= {THRESHOLD}D),
-                'score', CASE WHEN rlike(x.near, '{CONTEXT[kind]}') THEN {near}D ELSE {plain}D END))"""
+                p_{kind},
+                (x, i) -> named_struct('n', x.n, 'm', x.m, 'score', CASE WHEN rlike(
+                  lower(concat(right(concat(aggregate(slice(p_{kind}, greatest(i - 2, 1), least(i, 3)), '', (a, y) -> concat(a, y.end, y.m)), x.end), {NEAR}), ' ', left(g_{kind}[i + 1], {NEAR}))),
+                  '{CONTEXT[kind]}') THEN {near}D ELSE {plain}D END)),
+              x -> named_struct('n', x.n, 'm', x.m, 'ok', transform(array(x.m), m -> {check})[0] AND ({str(kind in BASE).lower()} OR x.score >= {THRESHOLD}D), 'score', x.score))"""
     )
 
 
@@ -76,7 +73,7 @@ def _found(kind: str) -> Column:
         f"""filter(flatten(zip_with(
               {chunks},
               aggregate(
-                transform({chunks}, k -> aggregate(slice(x_{kind}, k * {RUN} + 1, {RUN}), 0L, (a, x) -> a + length(x.g) + length(x.m))),
+                transform({chunks}, k -> aggregate(slice(x_{kind}, k * {RUN} + 1, {RUN}), 0L, (a, x) -> a + x.n + length(x.m))),
                 named_struct('at', 0L, 'out', CAST(array() AS ARRAY<BIGINT>)),
                 (acc, n) -> named_struct('at', acc.at + n, 'out', concat(acc.out, array(acc.at))),
                 acc -> acc.out),
@@ -84,8 +81,8 @@ def _found(kind: str) -> Column:
                 slice(x_{kind}, k * {RUN} + 1, {RUN}),
                 named_struct('at', first, 'out', CAST(array() AS ARRAY<STRUCT<start: BIGINT, end: BIGINT, score: DOUBLE, ok: BOOLEAN>>)),
                 (acc, x) -> named_struct(
-                  'at', acc.at + length(x.g) + length(x.m),
-                  'out', concat(acc.out, array(named_struct('start', acc.at + length(x.g), 'end', acc.at + length(x.g) + length(x.m), 'score', x.score, 'ok', x.ok)))),
+                  'at', acc.at + x.n + length(x.m),
+                  'out', concat(acc.out, array(named_struct('start', acc.at + x.n, 'end', acc.at + x.n + length(x.m), 'score', x.score, 'ok', x.ok)))),
                 acc -> acc.out))), s -> s.ok)"""
     )
 
@@ -95,6 +92,8 @@ def _with_matches(rows: DataFrame, kinds) -> DataFrame:
     none = F.array().cast("array<string>")
     rows = rows.withColumns({f"m_{kind}": F.when(F.expr(KINDS[kind][0]), F.regexp_extract_all("t", F.lit(KINDS[kind][1]), F.lit(0))).otherwise(none) for kind in kinds})
     rows = rows.withColumns({f"g_{kind}": F.when(F.size(f"m_{kind}") > 0, F.split("t", KINDS[kind][1], -1)).otherwise(none) for kind in kinds})
+    ends = lambda kind: F.expr(f"zip_with(slice(g_{kind}, 1, size(m_{kind})), m_{kind}, (g, m) -> named_struct('n', CAST(length(g) AS BIGINT), 'm', m, 'end', right(g, {NEAR})))")
+    rows = rows.withColumns({f"p_{kind}": ends(kind) for kind in kinds})
     return rows.withColumns({f"x_{kind}": _matches(kind) for kind in kinds})
 
 
@@ -123,7 +122,7 @@ def redact(docs: DataFrame, text_col: str = "text", out_col: str = "redacted", k
     rows = docs.select(whole.alias("doc"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("t"))
     for kind in kinds:
         rows = _with_matches(rows, [kind])
-        done = F.expr(f"concat(array_join(transform(x_{kind}, x -> concat(x.g, CASE WHEN x.ok THEN '[{kind}]' ELSE x.m END)), ''), element_at(g_{kind}, -1))")
+        done = F.expr(f"concat(array_join(zip_with(slice(g_{kind}, 1, size(m_{kind})), x_{kind}, (g, x) -> concat(g, CASE WHEN x.ok THEN '[{kind}]' ELSE x.m END)), ''), element_at(g_{kind}, -1))")
         rows = rows.withColumn("t", F.when(F.size(f"m_{kind}") > 0, done).otherwise(F.col("t"))).select("doc", "t")
     return rows.select("doc.*", F.col("t").alias(out_col))
 
