@@ -39,6 +39,17 @@ def kept_rows(docs: DataFrame, key: Column, gone: DataFrame, repeated: DataFrame
     return once.unionByName(first).select("rest.*")
 
 
+def trim() -> None:
+    """Gives memory that this worker no longer uses back to the machine."""
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library keeps its own house
+        pass
+
+
 def freed(run):
     """A function over Arrow batches that gives memory back when its task ends: the worker stays for other tasks, idle or not."""
 
@@ -46,12 +57,6 @@ def freed(run):
         try:
             yield from run(batches)
         finally:
-            import pyarrow as pa
-
-            pa.default_memory_pool().release_unused()
-            try:
-                ctypes.CDLL(None).malloc_trim(0)
-            except (AttributeError, OSError):  # another C library keeps its own house
-                pass
+            trim()
 
     return task

@@ -11,9 +11,9 @@ buckets of 64-bit hashes, one order after the other:
   1. text -> blocks: distinct word hashes and the token stream as local numbers (written once; texts are read once);
   2. block -> bucket: each distinct n-gram of a block with its training count; the bucket sums, answers every block, and
      names one block the owner of each entry;
-  3. owners add up, for each context, the mass left and the lower-order probability of its seen followers -> bucket of
-     the context, which answers with backoff weights for the contexts that a block needs;
-  4. blocks score their texts, each token by recursion over the orders.
+  3. owners count, for each context, its followers by their counts and by those of their tails -> bucket of the context,
+     which answers with the sums for the contexts that a block needs: what its discounts left and its tails take;
+  4. blocks turn these into backoff weights, order by order, and score their texts, each token by recursion.
 A block sends an n-gram once, whatever its frequency, and buckets split hashes evenly: no frequent word, n-gram or
 context gathers rows. A block has at most one row for a bucket and none for a bucket that it has nothing for, so there
 are never more rows than entries. Only the counts of counts, a dozen numbers for an order, reach the driver. save_model()
@@ -32,11 +32,13 @@ from pyspark.sql import functions as F
 
 from laneforge.session import written
 
-from .common import crc_part, freed
+from .common import crc_part, freed, trim
 from .words import mix, pieces, word_hashes, word_spans
 
 #: Tokens of a block, and entries of a bucket, about.
 BLOCK, BUCKET = 1_000_000, 2_000_000
+#: Effort of the compression of what is exchanged.
+LEVEL = 3
 #: Words of the longest n-gram; the largest count that is discounted.
 ORDER, K = 3, 5
 #: Folders of a saved model for each order.
@@ -46,19 +48,18 @@ _GRAM = np.uint64(0xD6E8FEB86659FD93)
 BLOCKS = "block long, ids array<long>, held binary, lens binary, vocab binary, tokens binary, n_vocab long, n_tokens long"
 SLICES = "block long, bucket int, hashes binary, counts binary"
 STATS = ["total", "types", "ends", *[f"n{r}" for r in range(1, K + 2)]]
-#: What buckets tell blocks (counts of n-grams, weights of contexts); block -1 holds figures of the whole bucket.
-ANSWERS = "block long, order int, kind int, bucket int, data binary, " + ", ".join(f"{s} long" for s in STATS)
-COUNTS, WEIGHTS = 0, 1
-MASSES = "block long, bucket int, hashes binary, lost binary, taken binary, counts binary, wanted binary"
+#: What buckets tell blocks (counts of n-grams, sums of contexts); block -1 holds figures of the whole bucket.
+ANSWERS = "block long, order int, kind int, bucket int, data binary, more binary, whole binary, " + ", ".join(f"{s} long" for s in STATS)
+COUNTS, SUMS = 0, 1
+MASSES = "block long, order int, bucket int, hashes binary, seen binary, wanted binary"
 RESULT = "id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
-GRAMS = "order int, hash long, count long, log10_p double"
-BACKOFFS = "order int, hash long, log10_weight double"
+#: Rows of a model: n-grams with their counts and log10 probabilities; contexts, without a count, with their log10 weights.
+MODEL = "order int, hash long, count long, value double"
 
 
 def planes(a: np.ndarray) -> bytes:
     """The bytes of an integer array, place by place, so that the high places compress away; their number goes first."""
-    raw = np.ascontiguousarray(a.astype("<u8").view(np.uint8).reshape(-1, 8).T).tobytes()
-    return len(raw).to_bytes(8, "little") + pa.compress(raw, "zstd", asbytes=True)
+    return squeeze(np.ascontiguousarray(a.astype("<u8").view(np.uint8).reshape(-1, 8).T).tobytes())
 
 
 def unplanes(raw: bytes) -> np.ndarray:
@@ -66,6 +67,44 @@ def unplanes(raw: bytes) -> np.ndarray:
     return np.ascontiguousarray(np.frombuffer(flat, np.uint8).reshape(8, -1).T).view("<u8").reshape(-1)
 
 
+def squeeze(raw: bytes) -> bytes:
+    return len(raw).to_bytes(8, "little") + pa.Codec("zstd", compression_level=LEVEL).compress(raw, asbytes=True)
+
+
+def pack_tokens(local: np.ndarray, size: int) -> bytes:
+    """A stream of numbers below size: the 255 most frequent as one byte each, the rest after them."""
+    top = np.argsort(-np.bincount(local, minlength=size), kind="stable")[:255]
+    rank = np.full(size, 255, np.uint8)
+    rank[top] = np.arange(len(top))
+    code = rank[local]
+    parts = [planes(top), squeeze(code.tobytes()), planes(local[code == 255])]
+    return b"".join(len(p).to_bytes(8, "little") + p for p in parts)
+
+
+def unpack_tokens(raw: bytes) -> np.ndarray:
+    parts, at = [], 0
+    while at < len(raw):
+        n = int.from_bytes(raw[at : at + 8], "little")
+        parts.append(raw[at + 8 : at + 8 + n])
+        at += 8 + n
+    top, code = unplanes(parts[0]), np.frombuffer(pa.decompress(parts[1][8:], int.from_bytes(parts[1][:8], "little"), "zstd", asbytes=True), np.uint8)
+    out = np.append(top, np.zeros(256 - len(top), np.uint64))[code].astype(np.int64)
+    out[code == 255] = unplanes(parts[2])
+    return out
+
+
+def pack_doubles(a: np.ndarray) -> bytes:
+    """The different numbers, and for each place which: sums of a few discounts repeat a lot."""
+    kinds, which = np.unique(a, return_inverse=True)
+    head = planes(kinds.view(np.uint64))
+    return len(head).to_bytes(8, "little") + head + planes(which)
+
+
+def unpack_doubles(raw: bytes) -> np.ndarray:
+    end = 8 + int.from_bytes(raw[:8], "little")
+    return unplanes(raw[8:end]).view(np.float64)[unplanes(raw[end:]).astype(np.int64)]
+
+
 def pack_sorted(a: np.ndarray) -> bytes:
     return planes(np.diff(a, prepend=np.uint64(0)))
 
@@ -96,7 +135,7 @@ def _blocks(batches):
     def flush():
         nonlocal made, ids, held, lens, tokens, gathered
         vocab, local = np.unique(np.concatenate(tokens), return_inverse=True)
-        row = {"block": part << 24 | made, "ids": ids, "held": np.concatenate(held).astype(np.uint8).tobytes(), "lens": np.concatenate(lens).astype("<u4").tobytes(), "vocab": pack_sorted(vocab), "tokens": planes(local), "n_vocab": len(vocab), "n_tokens": len(local)}
+        row = {"block": part << 24 | made, "ids": ids, "held": np.concatenate(held).astype(np.uint8).tobytes(), "lens": np.concatenate(lens).astype("<u4").tobytes(), "vocab": pack_sorted(vocab), "tokens": pack_tokens(local, len(vocab)), "n_vocab": len(vocab), "n_tokens": len(local)}
         made, ids, held, lens, tokens, gathered = made + 1, [], [], [], [], 0
         return _table([row], schema)
 
@@ -129,21 +168,17 @@ class Block:
         self.id, self.ids = row["block"], row["ids"]
         self.held = np.frombuffer(row["held"], np.uint8).astype(bool)
         self.lens = np.frombuffer(row["lens"], "<u4").astype(np.int64)
-        vocab, words = unpack_sorted(row["vocab"]), unplanes(row["tokens"]).astype(np.int64)
+        vocab, words = unpack_sorted(row["vocab"]), unpack_tokens(row["tokens"])
         self.train = np.repeat(~self.held, self.lens)
         self.hashes, self.place, self.context, self.tail = {1: vocab}, {1: words}, {}, {}
-        first, spread = np.cumsum(self.lens) - self.lens, mix(vocab)
+        first, own, ends_here = np.cumsum(self.lens) - self.lens, mix(vocab)[words], vocab[words]
         for k in range(2, order + 1):
-            before = np.empty(len(words), np.int64)
-            before[1:] = self.place[k - 1][:-1]
-            before[first] = len(self.hashes[k - 1])
-            _, seen_at, place = np.unique(before * len(vocab) + words, return_index=True, return_inverse=True)
-            context = before[seen_at]
-            hashes = mix(self.contexts(k)[context] * _GRAM + spread[words[seen_at]])
-            turn = np.argsort(hashes, kind="stable")
-            rank = np.empty(len(turn), np.int64)
-            rank[turn] = np.arange(len(turn))
-            self.hashes[k], self.place[k], self.context[k], self.tail[k] = hashes[turn], rank[place], context[turn], self.place[k - 1][seen_at[turn]]
+            before, hashes = np.empty(len(words), np.int64), np.empty(len(words), np.uint64)
+            before[1:], hashes[1:] = self.place[k - 1][:-1], ends_here[:-1]
+            before[first], hashes[first] = len(self.hashes[k - 1]), START + np.uint64(k)
+            ends_here = mix(hashes * _GRAM + own)
+            self.hashes[k], seen_at, self.place[k] = np.unique(ends_here, return_index=True, return_inverse=True)
+            self.context[k], self.tail[k] = before[seen_at], self.place[k - 1][seen_at]
 
     def contexts(self, k: int) -> np.ndarray:
         """Hashes of the contexts of order k, the start of a text last."""
@@ -172,7 +207,7 @@ def _forward(k: int, buckets: int):
 
 def _answer(k: int):
     def run(table: pa.Table) -> pa.Table:
-        """Sums a bucket and answers each block: twice the total, plus one where the block owns the entry."""
+        """Sums a bucket and answers each block: four times the total, plus two where the block owns the entry, plus one where no other has it."""
         rows = table.to_pylist()
         hashes = np.concatenate([unpack_sorted(r["hashes"]) for r in rows])
         each = [unplanes(r["counts"]).astype(np.int64) for r in rows]
@@ -180,8 +215,8 @@ def _answer(k: int):
         kinds, first, place = np.unique(hashes, return_index=True, return_inverse=True)
         total = np.zeros(len(kinds), np.int64)
         np.add.at(total, place, counts)
-        answer = total[place] * 2
-        answer[first] += 1
+        answer = total[place] * 4 + (np.bincount(place, minlength=len(kinds)) == 1)[place]
+        answer[first] += 2
         same = np.bincount(np.minimum(total, K + 2), minlength=K + 3)
         stats = {"total": int(total.sum()), "types": int((total > 0).sum()), "ends": int(total[kinds == END].sum()) if k == 1 else 0} | {f"n{r}": int(same[r]) for r in range(1, K + 2)}
         out, at = [{"block": -1, "order": k, "kind": COUNTS, "bucket": rows[0]["bucket"], "data": None} | stats], 0
@@ -223,44 +258,83 @@ def corpus_figures(stats: dict, order: int) -> dict:
     return {"N": words["total"], "V": words["types"], "texts": words["ends"], "d": d, "bare": bare, "unseen": (left or 1.0) / (words["total"] + bare) if words["total"] else 1.0}
 
 
+def sums(m: dict, k: int, seen: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """What the discounts left in contexts (0: nothing was discounted), and the discounted counts of their followers' tails without those above K."""
+    counts = np.arange(1, K + 1)
+    return (counts * (1 - m["d"][k][1 : K + 1])) @ seen[:K], (counts * m["d"][k - 1][1 : K + 1]) @ seen[K : 2 * K]
+
+
 class Informed:
-    """A block with the buckets' answers: counts up to one order, and probabilities as far as weights have come."""
+    """A block with the buckets' answers: counts, and where the sums of contexts have come, weights."""
 
-    def __init__(self, b: Block, m: dict, answers: list[dict], counted: int, weighted: int):
-        self.b, self.m = b, m
-        self.total, self.owned, self.weight, self.bare = {}, {}, {}, {}
-        for k in range(1, counted + 1):
-            got = self._joined(answers, COUNTS, k).astype(np.int64)
+    def __init__(self, b: Block, m: dict, answers: list[dict], order: int, everything: bool = False, weighted: bool = True):
+        self.b, self.m, self.order, self.everything = b, m, order, everything
+        self.total, self.owned, self.sole, self.weight, self.bare = {}, {}, {}, {}, {}
+        for k in range(1, order + 1):
+            got = self._joined(answers, COUNTS, k, unplanes).astype(np.int64)
             if len(got) != len(b.hashes[k]):
                 raise ValueError("a block has not got all its counts")
-            self.total[k], self.owned[k] = got >> 1, (got & 1).astype(bool) & (got > 1)
-        for k in range(2, weighted + 1):
-            wanted = self.wanted(k)
-            raw = self._joined(answers, WEIGHTS, k).view(np.float64)
-            if len(raw) != int(wanted.sum()):
-                raise ValueError("a block has not got all its weights")
-            # The sign tells a context that nothing was discounted in: 10^weight is never sent as such.
-            hashes = b.contexts(k)
-            turn = np.flatnonzero(wanted)
+            self.total[k], self.owned[k], self.sole[k] = got >> 2, (got & 2 > 0) & (got > 3), got & 1 > 0
+        #: How often each context of an order was followed by a word.
+        self.followed = {k: np.append(self.total[k - 1], m["texts"]) for k in range(2, order + 1)}
+        self.wanted = self._wanted()
+        #: Contexts that no other block has: all that follows them is here, so their sums are too.
+        self.apart = {k: np.append(self.sole[k - 1], False) for k in range(2, order + 1)}
+        for k in range(2, order + 1 if weighted else 2):
+            hashes, turn = b.contexts(k), np.flatnonzero(self.wanted[k] & ~self.apart[k])
             turn = turn[np.argsort(hashes[turn], kind="stable")]
+            left, taken = (self._joined(answers, SUMS, k, unpack_doubles, field) for field in ("data", "more"))
+            if len(left) != len(turn):
+                raise ValueError("a block has not got all its sums")
+            taken = taken + self._joined(answers, SUMS, k, unplanes, "whole").astype(np.float64)
+            own = np.flatnonzero(self.wanted[k] & self.apart[k])
+            if len(own):
+                mine = self.seen(k)[:, own].astype(np.float64)
+                more = sums(m, k, mine)
+                turn, left, taken = np.append(turn, own), np.append(left, more[0]), np.append(taken, more[1] + mine[2 * K])
+            count, bare = self.followed[k][turn], left == 0
+            if k == 2:
+                below = max(m["N"] + m["bare"], 1)
+            else:
+                tail = self._tails(k)[turn]
+                below = np.maximum(self.followed[k - 1][tail] + self.bare[k - 1][tail], 1)
             self.weight[k], self.bare[k] = np.zeros(len(hashes)), np.zeros(len(hashes), np.int64)
-            self.weight[k][turn], self.bare[k][turn] = np.log10(np.abs(raw)), raw < 0
+            self.weight[k][turn] = np.log10(np.where(bare, 1.0, left) / (count + bare) / np.maximum(1 - taken / below, 1e-300))
+            self.bare[k][turn] = bare
 
     @staticmethod
-    def _joined(answers: list[dict], kind: int, k: int) -> np.ndarray:
-        got = [unplanes(r["data"]) for r in sorted((r for r in answers if r["kind"] == kind and r["order"] == k), key=lambda r: r["bucket"])]
+    def _joined(answers: list[dict], kind: int, k: int, unpack, field: str = "data") -> np.ndarray:
+        got = [unpack(r[field]) for r in sorted((r for r in answers if r["kind"] == kind and r["order"] == k), key=lambda r: r["bucket"])]
         return np.concatenate(got) if got else np.zeros(0, np.uint64)
 
-    def context_counts(self, k: int) -> np.ndarray:
-        """How often each context of order k was followed by a word."""
-        return np.append(self.total[k - 1], self.m["texts"])
+    def _tails(self, k: int) -> np.ndarray:
+        """The context of order k - 1 that each context of order k ends with."""
+        return np.append(self.b.tail[k - 1], len(self.b.hashes[k - 2]))
+
+    def _wanted(self) -> dict:
+        """The contexts whose sums this block needs: they lack a follower, or have one whose count is not discounted, or end a longer one that is needed."""
+        out = {}
+        for k in range(self.order, 1, -1):
+            b, seen = self.b, self.followed[k] > 0
+            if self.everything:
+                out[k] = seen
+                continue
+            need = ((self.total[k] == 0) & seen[b.context[k]]) | (self.total[k] > K)
+            out[k] = np.zeros(len(seen), bool)
+            out[k][b.context[k][need]] = True
+            if k < self.order:
+                out[k][self._tails(k + 1)[out[k + 1]]] = True
+        return out
 
-    def wanted(self, k: int) -> np.ndarray:
-        """The contexts whose weights this block needs: they lack a follower, or have one whose count is not discounted."""
-        b = self.b
-        need = ((self.total[k] == 0) & (self.context_counts(k)[b.context[k]] > 0)) | (self.total[k] > K)
-        out = np.zeros(len(b.hashes[k - 1]) + 1, bool)
-        out[b.context[k][need]] = True
+    def seen(self, k: int) -> np.ndarray:
+        """Of each context of order k, among the n-grams that this block owns: followers of counts 1 to K, those whose tails have counts 1 to K, and the other tails' counts."""
+        context, mine, n = self.b.context[k], self.owned[k], len(self.followed[k])
+        tail = self.total[k - 1][self.b.tail[k]]
+        of = lambda pick, what=None: np.bincount(context[pick], None if what is None else what[pick], n).astype("<u8")
+        out = np.empty((2 * K + 1, n), "<u8")
+        for i, (c, r) in enumerate((c, r) for c in (self.total[k], tail) for r in range(1, K + 1)):
+            out[i] = of(mine & (c == r))
+        out[2 * K] = of(mine & (tail > K), tail)
         return out
 
     def direct(self, k: int) -> np.ndarray:
@@ -268,61 +342,55 @@ class Informed:
         if k == 1:
             return np.where(self.total[1] > 0, kept(self.m["d"][1], self.total[1]) / max(self.m["N"] + self.m["bare"], 1), self.m["unseen"])
         context = self.b.context[k]
-        return kept(self.m["d"][k], self.total[k]) / np.maximum(self.context_counts(k)[context] + self.bare[k][context], 1)
+        return kept(self.m["d"][k], self.total[k]) / np.maximum(self.followed[k][context] + self.bare[k][context], 1)
 
-    def token_scores(self, order: int) -> np.ndarray:
+    def token_scores(self) -> np.ndarray:
         """log10 P of every token, by recursion from single words up."""
         with np.errstate(divide="ignore"):
             out = np.log10(self.direct(1))[self.b.place[1]]
-            for k in range(2, order + 1):
+            for k in range(2, self.order + 1):
                 at = self.b.place[k]
                 out = np.where((self.total[k] > 0)[at], np.log10(self.direct(k))[at], out + self.weight[k][self.b.context[k][at]])
         return out
 
 
-def _masses(m: dict, k: int, buckets: int):
+def _masses(m: dict, order: int, buckets: dict, everything: bool):
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        if not left.num_rows:
-            return pa.Table.from_pylist([], _arrow(MASSES))
-        b = Block(left.to_pylist()[0], k)
-        own = Informed(b, m, right.to_pylist(), k, k - 1)
-        context, mine, seen = b.context[k], own.owned[k], own.context_counts(k)
-        n = len(seen)
-        lost = np.bincount(context, np.where(mine, own.total[k] - kept(m["d"][k], own.total[k]), 0.0), n)
-        taken = np.bincount(context, np.where(mine, own.direct(k - 1)[b.tail[k]], 0.0), n)
-        wanted, hashes = own.wanted(k), b.contexts(k)
-        use = np.flatnonzero(wanted | (np.bincount(context[mine], minlength=n) > 0))
-        use = use[np.argsort(hashes[use], kind="stable")]
-        rows, at = [], cuts(hashes[use], buckets)
-        for j in np.flatnonzero(np.diff(at)).tolist():
-            s = use[at[j] : at[j + 1]]
-            rows.append({"block": b.id, "bucket": j, "hashes": pack_sorted(hashes[s]), "lost": planes(lost[s].view(np.uint64)), "taken": planes(taken[s].view(np.uint64)), "counts": planes(seen[s]), "wanted": np.packbits(wanted[s]).tobytes()})
+        rows = []
+        for row in left.to_pylist():  # one
+            b = Block(row, order)
+            own = Informed(b, m, right.to_pylist(), order, everything, weighted=False)
+            for k in range(2, order + 1):
+                seen, wanted, hashes = own.seen(k), own.wanted[k], b.contexts(k)
+                use = np.flatnonzero((wanted | seen.any(axis=0)) & ~own.apart[k])
+                use = use[np.argsort(hashes[use], kind="stable")]
+                at = cuts(hashes[use], buckets[k - 1])
+                for j in np.flatnonzero(np.diff(at)).tolist():
+                    s = use[at[j] : at[j + 1]]
+                    rows.append({"block": b.id, "order": k, "bucket": j, "hashes": pack_sorted(hashes[s]), "seen": planes(seen[:, s].reshape(-1)), "wanted": np.packbits(wanted[s]).tobytes()})
         return pa.Table.from_pylist(rows, _arrow(MASSES))
 
     return run
 
 
-def _weigh(k: int, everything: bool):
+def _sum_up(m: dict):
     def run(table: pa.Table) -> pa.Table:
-        """Backoff weights of a bucket's contexts for the blocks that want them, negative where nothing was discounted."""
+        """The sums of a bucket's contexts, for the blocks that want them."""
         rows = table.to_pylist()
+        k = rows[0]["order"]
         hashes = [unpack_sorted(r["hashes"]) for r in rows]
-        kinds, first, place = np.unique(np.concatenate(hashes), return_index=True, return_inverse=True)
-        lost = np.bincount(place, np.concatenate([unplanes(r["lost"]).view(np.float64) for r in rows]), len(kinds))
-        taken = np.bincount(place, np.concatenate([unplanes(r["taken"]).view(np.float64) for r in rows]), len(kinds))
-        count = np.concatenate([unplanes(r["counts"]) for r in rows])[first].astype(np.float64)
-        bare = lost == 0
-        weight = np.where(bare, 1.0, lost) / (count + bare) / np.maximum(1 - taken, 1e-300)
-        signed = np.where(bare, -weight, weight)
+        kinds, place = np.unique(np.concatenate(hashes), return_inverse=True)
+        total, at = np.zeros((2 * K + 1, len(kinds))), 0
+        for r, h in zip(rows, hashes):  # a row has a context once, and only one row is unpacked at a time
+            total[:, place[at : at + len(h)]] += unplanes(r["seen"]).reshape(2 * K + 1, -1)
+            at += len(h)
+        left, taken = sums(m, k, total)
         out, at = [], 0
         for r, h in zip(rows, hashes):
-            want = np.unpackbits(np.frombuffer(r["wanted"], np.uint8))[: len(h)].astype(bool)
-            if want.any():
-                out.append({"block": r["block"], "order": k, "kind": WEIGHTS, "bucket": r["bucket"], "data": planes(signed[place[at : at + len(h)][want]].view(np.uint64))})
+            want = place[at : at + len(h)][np.unpackbits(np.frombuffer(r["wanted"], np.uint8))[: len(h)].astype(bool)]
+            if len(want):
+                out.append({"block": r["block"], "order": k, "kind": SUMS, "bucket": r["bucket"], "data": pack_doubles(left[want]), "more": pack_doubles(taken[want]), "whole": planes(total[2 * K][want])})
             at += len(h)
-        if everything:
-            packed = pack_sorted(kinds)
-            out.append({"block": -1, "order": k, "kind": WEIGHTS, "bucket": rows[0]["bucket"], "data": packed + planes(signed.view(np.uint64)), "total": len(packed)})
         return pa.Table.from_pylist(out, _arrow(ANSWERS))
 
     return run
@@ -333,35 +401,50 @@ def _finish(m: dict, order: int):
         if not left.num_rows:
             return pa.Table.from_pylist([], _arrow(RESULT))
         b = Block(left.to_pylist()[0], order)
-        own = Informed(b, m, right.to_pylist(), order, order)
+        own = Informed(b, m, right.to_pylist(), order)
         texts = np.repeat(np.arange(len(b.lens)), b.lens)
         add = lambda x: np.bincount(texts, x, len(b.lens))
         c = own.total[1][b.place[1]]
-        return pa.table({"id": pa.array(b.ids, pa.int64()), "held_out": pa.array(b.held), "n_tokens": b.lens, "n_known": add(c > 0).astype(np.int64), "train_tokens": np.full(len(b.lens), m["N"], np.int64), "base_score": add(np.log10((c + 0.5) / (m["N"] + 0.5 * (m["V"] + 1)))), "score": add(own.token_scores(order))})
+        return pa.table({"id": pa.array(b.ids, pa.int64()), "held_out": pa.array(b.held), "n_tokens": b.lens, "n_known": add(c > 0).astype(np.int64), "train_tokens": np.full(len(b.lens), m["N"], np.int64), "base_score": add(np.log10((c + 0.5) / (m["N"] + 0.5 * (m["V"] + 1)))), "score": add(own.token_scores())})
 
     return run
 
 
-def _owned_grams(m: dict, order: int):
+def _model_rows(m: dict, order: int):
+    """What a block owns: its n-grams, the contexts that are n-grams of its own, and with the end of texts the starts."""
+
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        if not left.num_rows:
-            return pa.Table.from_pylist([], _arrow(GRAMS))
-        b = Block(left.to_pylist()[0], order)
-        own = Informed(b, m, right.to_pylist(), order, order)
-        parts = []
-        for k in range(1, order + 1):
-            o = own.owned[k]
-            parts.append(pa.table({"order": np.full(int(o.sum()), k, np.int32), "hash": b.hashes[k][o].view(np.int64), "count": own.total[k][o], "log10_p": np.log10(own.direct(k)[o])}))
+        parts = [pa.Table.from_pylist([], _arrow(MODEL))]
+        for row in left.to_pylist():
+            b = Block(row, order)
+            own = Informed(b, m, right.to_pylist(), order, everything=True)
+            for k in range(1, order + 1):
+                o = own.owned[k]
+                parts.append(pa.table({"order": np.full(int(o.sum()), k, np.int32), "hash": b.hashes[k][o].view(np.int64), "count": own.total[k][o], "value": np.log10(own.direct(k)[o])}))
+            for k in range(2, order + 1):
+                o = np.append(own.owned[k - 1], own.owned[1][np.searchsorted(b.hashes[1], END)]) & own.wanted[k]
+                parts.append(pa.table({"order": np.full(int(o.sum()), k, np.int32), "hash": b.contexts(k)[o].view(np.int64), "count": pa.nulls(int(o.sum()), pa.int64()), "value": own.weight[k][o]}))
         return pa.concat_tables(parts)
 
     return run
 
 
-def _unpacked_weights(batches):
-    for batch in batches:
-        for r in batch.to_pylist():
-            hashes, signed = unpack_sorted(r["data"][: r["total"]]), unplanes(r["data"][r["total"] :]).view(np.float64)
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(hashes), r["order"], np.int32)), pa.array(hashes.view(np.int64)), pa.array(np.log10(np.abs(signed)))], ["order", "hash", "log10_weight"])
+def _trimmed(run, tables: int = 1):
+    """A function over one or two tables that gives memory back after each group."""
+
+    def one(table: pa.Table) -> pa.Table:
+        try:
+            return run(table)
+        finally:
+            trim()
+
+    def two(left: pa.Table, right: pa.Table) -> pa.Table:
+        try:
+            return run(left, right)
+        finally:
+            trim()
+
+    return one if tables == 1 else two
 
 
 class Trained:
@@ -370,43 +453,43 @@ class Trained:
     def __init__(self, spark: SparkSession, docs: DataFrame, held, id_col: str, text_col: str, order: int, everything: bool = False):
         if order < 1:
             raise ValueError("order is 1 or more")
-        self.spark, self.order = spark, order
+        self.spark = spark
         source = docs.select(F.col(id_col).cast("long").alias("id"), held.alias("held"), F.col(text_col).cast("string").alias("text"))
         self.blocks = written(spark, source.mapInArrow(_blocks, BLOCKS), "katz-blocks", "zstd")
         n_blocks, n_vocab, n_tokens = self.blocks.agg(F.count("*"), F.sum("n_vocab"), F.sum("n_tokens")).first()
         least = int(spark.conf.get("spark.sql.shuffle.partitions"))
         self.tasks = max(least, 2 * n_blocks)
         buckets = {k: 1 + (n_vocab if k == 1 else n_tokens) // BUCKET if n_blocks else 1 for k in range(1, order + 1)}
-        self.answers = []
+        self.answers, stats = [], {}
         for k in range(1, order + 1):
-            self._keep(self.blocks.mapInArrow(_forward(k, buckets[k]), SLICES).repartition(max(2 * buckets[k], least), "bucket").groupBy("bucket").applyInArrow(_answer(k), ANSWERS), "katz-counts")
+            sent = self.blocks.mapInArrow(_forward(k, buckets[k]), SLICES).repartition(max(2 * buckets[k], least), "bucket")
+            self.answers.append(written(spark, sent.groupBy("bucket").applyInArrow(_trimmed(_answer(k)), ANSWERS), "katz-counts", "zstd"))
+            del sent
+            stats[k] = self.answers[-1].filter("block = -1").agg(*[F.coalesce(F.sum(s), F.lit(0)).alias(s) for s in STATS]).first().asDict()
             self._drop_shuffles()
-        stats = {}
-        for k, answers in enumerate(self.answers, 1):
-            r = answers.filter("block = -1").agg(*[F.coalesce(F.sum(s), F.lit(0)).alias(s) for s in STATS]).first()
-            stats[k] = r.asDict()
         self.figures = corpus_figures(stats, order)
-        for k in range(2, order + 1):
-            self._keep(self.informed(_masses(self.figures, k, buckets[k - 1]), MASSES, k).repartition(max(2 * buckets[k - 1], least), "bucket").groupBy("bucket").applyInArrow(_weigh(k, everything), ANSWERS), "katz-weights")
+        if order > 1:
+            masses = self.informed(_masses(self.figures, order, buckets, everything), MASSES).repartition(max(2 * sum(buckets.values()), least), "order", "bucket")
+            self.answers.append(written(spark, masses.groupBy("order", "bucket").applyInArrow(_trimmed(_sum_up(self.figures)), ANSWERS), "katz-sums", "zstd"))
+            del masses
+            self.answers[-1].isEmpty()
             self._drop_shuffles()
 
-    def _keep(self, answers: DataFrame, label: str) -> None:
-        self.answers.append(written(self.spark, answers, label, "zstd"))
-
     def _drop_shuffles(self) -> None:
-        """Spark drops the shuffle files of steps that nothing refers to when the driver collects its garbage."""
-        gc.collect()
-        self.spark.sparkContext._jvm.System.gc()
-
-    def informed(self, run, schema: str, up_to: int) -> DataFrame:
-        """Runs over each block with its answers of orders up to `up_to`."""
+        """Spark drops the shuffle files of steps that nothing refers to when the driver collects its garbage; it refers to a query until the next one ran."""
+        for _ in range(2):
+            self.spark.range(1).collect()
+            gc.collect()
+            self.spark.sparkContext._jvm.System.gc()
+
+    def informed(self, run, schema: str) -> DataFrame:
+        """Runs over each block with its answers so far."""
         told = None
-        for k, kind in enumerate(self.answers):
-            if (k % self.order) + 1 <= up_to or k >= self.order:
-                one = kind.filter("block >= 0").select("block", "order", "kind", "bucket", "data")
-                told = one if told is None else told.unionByName(one)
+        for answers in self.answers:
+            one = answers.filter("block >= 0").select("block", "order", "kind", "bucket", "data", "more", "whole")
+            told = one if told is None else told.unionByName(one)
         spread = lambda df: df.repartition(self.tasks, "block").groupBy("block")
-        return spread(self.blocks).cogroup(spread(told)).applyInArrow(run, schema)
+        return spread(self.blocks).cogroup(spread(told)).applyInArrow(_trimmed(run, 2), schema)
 
 
 def katz_scores(spark: SparkSession, docs: DataFrame, held, id_col: str = "doc_id", text_col: str = "text", order: int = ORDER) -> DataFrame:
@@ -418,7 +501,7 @@ def katz_scores(spark: SparkSession, docs: DataFrame, held, id_col: str = "doc_i
     rows; other columns are not read.
     """
     t = Trained(spark, docs, held, id_col, text_col, order)
-    return t.informed(_finish(t.figures, order), RESULT, order)
+    return t.informed(_finish(t.figures, order), RESULT)
 
 
 def save_model(spark: SparkSession, docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", order: int = ORDER) -> None:
@@ -428,14 +511,10 @@ def save_model(spark: SparkSession, docs: DataFrame, path: str, id_col: str = "d
     (order of the model, log10 probability of an unseen word).
     """
     t = Trained(spark, docs, F.lit(False), id_col, text_col, order, everything=True)
-    part = F.pmod(F.col("hash"), F.lit(PARTS)).cast("int").alias("part")
-    out = lambda df, name: df.select("*", part).repartition("order", "part").sortWithinPartitions("hash").write.partitionBy("order", "part").parquet(f"{path}/{name}")
-    out(t.informed(_owned_grams(t.figures, order), GRAMS, order), "ngrams")
-    packed = None
-    for answers in t.answers[order:]:
-        one = answers.filter("block = -1").select("order", "data", "total")
-        packed = one if packed is None else packed.unionByName(one)
-    out(packed.mapInArrow(_unpacked_weights, BACKOFFS) if packed is not None else spark.createDataFrame([], BACKOFFS), "weights")
+    rows = written(spark, t.informed(_model_rows(t.figures, order), MODEL).withColumn("part", F.pmod(F.col("hash"), F.lit(PARTS)).cast("int")), "katz-model", "zstd")
+    out = lambda df, name: df.repartition("order", "part").sortWithinPartitions("hash").write.partitionBy("order", "part").parquet(f"{path}/{name}")
+    out(rows.filter("count IS NOT NULL").withColumnRenamed("value", "log10_p"), "ngrams")
+    out(rows.filter("count IS NULL").drop("count").withColumnRenamed("value", "log10_weight"), "weights")
     spark.createDataFrame([(order, float(np.log10(t.figures["unseen"])))], "model_order int, unseen double").coalesce(1).write.parquet(f"{path}/figures")
 
 
