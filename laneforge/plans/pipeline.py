@@ -12,12 +12,13 @@ import time
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from laneforge.functions import kernels as K
 from laneforge.functions.codecs import ALL, BinaryPacking, unpack_many
 from laneforge.functions.layout import CHUNK, LIMIT
-from laneforge.operators.deltas import positions
+from laneforge.session import written
 
 STRIDES = {"d1": 1, "s4": 4, "none": 0}
 ENCODED = "list_key string, chunk_no long, codec string, delta_mode string, n int, x_min long, x_max long, n_bytes long, payload binary"
@@ -25,9 +26,23 @@ CHUNKS = "list_key string, chunk_no long, n int, x_min long, x_max long, values
 
 
 def build_chunks(postings: DataFrame, mode: str = "rank", chunk: int = CHUNK) -> DataFrame:
-    """Chunk rows (CHUNKS) of sorted distinct ids. A group is one chunk, so it holds at most `chunk` ids."""
-    placed = positions(postings, mode, chunk)
-    rows = placed.groupBy("list_key", "chunk_no").agg(F.array_sort(F.collect_list("x")).alias("values"))
+    """Chunk rows (CHUNKS) of sorted ids; a list's ids that repeat count once. A group is one bin or chunk, so it holds at most `chunk` ids.
+
+    Ids meet in bins of ranges of `chunk` numbers, as arrays. For chunks of ranks (see positions()) a running sum over the
+    sizes of a list's bins gives each its first position, and the arrays, written in between, are cut where chunks begin:
+    no row for an id is shuffled a second time.
+    """
+    bins = postings.groupBy("list_key", F.expr(f"x div {chunk}").alias("bin")).agg(F.array_sort(F.collect_set("x")).alias("values"))
+    if mode == "range":
+        rows = bins.withColumnRenamed("bin", "chunk_no")
+    else:
+        bins = written(postings.sparkSession, bins, "bins")
+        size = F.size("values").cast("long")
+        starts = bins.select("list_key", "bin", (F.sum(size).over(W.partitionBy("list_key").orderBy("bin")) - size).alias("before"))
+        placed = bins.join(starts, ["list_key", "bin"]).withColumn("chunk_no", F.explode(F.sequence(F.expr(f"before div {chunk}"), F.expr(f"(before + size(values) - 1) div {chunk}"))))
+        skipped = F.greatest(F.col("chunk_no") * chunk - F.col("before"), F.lit(0))
+        part = F.slice("values", (skipped + 1).cast("int"), (F.least((F.col("chunk_no") + 1) * chunk - F.col("before"), size) - skipped).cast("int"))
+        rows = placed.select("list_key", "chunk_no", part.alias("part")).groupBy("list_key", "chunk_no").agg(F.array_sort(F.flatten(F.collect_list("part"))).alias("values"))
     return rows.select("list_key", "chunk_no", F.size("values").alias("n"), F.col("values")[0].alias("x_min"), F.element_at("values", -1).alias("x_max"), "values")
 
 

@@ -401,17 +401,19 @@ add("copy_ceiling", lambda s, d: WL.copy_speed(s))
 add("buffer_memory", lambda s, d: WL.buffer_memory(s, PAPER_CODES))
 
 
-def class_table(s: SparkSession, d: str, source: str) -> DataFrame:
-    """Integers, bytes and times of every code by class of length."""
-    return pipeline.measure_classes(written(s, pipeline.build_chunks(P.postings(s, d, source)), "lists"), PAPER_CODES)
+def chunk_lists(s: SparkSession, d: str, source: str) -> DataFrame:
+    return written(s, pipeline.build_chunks(P.postings(s, d, source, unique=False)), "lists")
 
 
-def fetched(s: SparkSession, d: str, source: str) -> DataFrame:
-    return M.query_weights(terms(s, d), P.postings(s, d, source).groupBy("list_key").agg(F.count("*").alias("n")))
+def class_table(s: SparkSession, d: str, source: str) -> DataFrame:
+    """Integers, bytes and times of every code by class of length."""
+    return pipeline.measure_classes(chunk_lists(s, d, source), PAPER_CODES)
 
 
 def weighted_table(s: SparkSession, d: str, source: str) -> DataFrame:
-    return written(s, M.weighted_table(class_table(s, d, source), fetched(s, d, source)), "weighted")
+    chunks = chunk_lists(s, d, source)
+    fetched = M.query_weights(terms(s, d), chunks.groupBy("list_key").agg(F.sum("n").cast("long").alias("n")))
+    return written(s, M.weighted_table(pipeline.measure_classes(chunks, PAPER_CODES), fetched), "weighted")
 
 
 for source in ("documents", "pages"):

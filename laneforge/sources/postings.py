@@ -17,13 +17,14 @@ def words_of(text: Column) -> Column:
     return F.filter(F.array_distinct(F.split(F.lower(text), WORD_BREAK)), lambda w: w != "")
 
 
-def postings_from_text(df: DataFrame, id_col: str, text: Column) -> DataFrame:
-    """One row per word and document. Words are made distinct within a document before the shuffle."""
-    return df.select(F.explode(words_of(text)).alias("list_key"), F.col(id_col).cast("long").alias("x")).filter("x IS NOT NULL").distinct()
+def postings_from_text(df: DataFrame, id_col: str, text: Column, unique: bool = True) -> DataFrame:
+    """One row per word and document. Words are made distinct within a document before the shuffle; without `unique`, rows repeat where ids do."""
+    rows = df.select(F.explode(words_of(text)).alias("list_key"), F.col(id_col).cast("long").alias("x")).filter("x IS NOT NULL")
+    return rows.distinct() if unique else rows
 
 
-def postings_from_html(df: DataFrame, id_col: str, html: str) -> DataFrame:
-    return postings_from_text(df, id_col, F.regexp_replace(html, TAG, " "))
+def postings_from_html(df: DataFrame, id_col: str, html: str, unique: bool = True) -> DataFrame:
+    return postings_from_text(df, id_col, F.regexp_replace(html, TAG, " "), unique)
 
 
 def postings_from_column(df: DataFrame, key: Column, value: Column) -> DataFrame:
@@ -45,12 +46,12 @@ _COLUMNS = {
 NAMES = ["documents", "pages", *_COLUMNS, "events_user"]
 
 
-def postings(spark: SparkSession, sf_dir: str, source: str) -> DataFrame:
-    """The distinct postings of a source by name."""
+def postings(spark: SparkSession, sf_dir: str, source: str, unique: bool = True) -> DataFrame:
+    """The distinct postings of a source by name. Without `unique` those of texts may repeat, for a reader that counts them once."""
     if source == "documents":
-        return postings_from_text(load(spark, sf_dir, "documents"), "doc_id", F.col("text"))
+        return postings_from_text(load(spark, sf_dir, "documents"), "doc_id", F.col("text"), unique)
     if source == "pages":
-        return postings_from_html(load(spark, sf_dir, "pages"), "page_id", "html")
+        return postings_from_html(load(spark, sf_dir, "pages"), "page_id", "html", unique)
     if source == "events_user":
         return postings_from_column(load(spark, sf_dir, "events"), F.col("user_id"), _seconds())
     table, key, value = _COLUMNS[source]

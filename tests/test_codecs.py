@@ -215,3 +215,42 @@ def test_rejects():
         batch_deltas(np.array([1, 2**32]), np.array([0, 2]), 1)
     with pytest.raises(ValueError, match="sorted"):
         batch_deltas(np.array([5, 2]), np.array([0, 2]), 1)
+
+
+@pytest.mark.parametrize("name", ["splitvec", "linkpatch", "sizedpatch"])
+def test_lists_of_a_batch_are_coded_together(name, monkeypatch):
+    """Thousands of lists need no call for each of them, and come out as they do alone."""
+    rng = np.random.default_rng(12)
+    n = np.concatenate([rng.integers(1, 4, 3000), [0, 128, 700, 256, 5000]])
+    v = (rng.integers(0, 1 << 32, n.sum()) >> rng.integers(0, 33, n.sum())).astype(np.uint64)
+    offsets = np.concatenate([[0], np.cumsum(n)])
+    want = [ALL[name].encode(v[a:b]) for a, b in zip(offsets[:-1], offsets[1:])]
+
+    def alone(self, *_):
+        raise AssertionError("a list was coded alone")
+
+    monkeypatch.setattr(type(ALL[name]), "encode", alone)
+    monkeypatch.setattr(type(ALL[name]), "decode", alone)
+    assert encode_batch(v, offsets, name) == want
+    assert np.array_equal(decode_batch(want, n, name), v)
+
+
+def test_runs_of_long_lists_are_the_cheapest():
+    """Lists of many pieces against one program over the whole list, on widths whose cuts depend on values far away too."""
+    from laneforge.functions.layout import SPLIT_LENGTHS, SPLIT_WIDTHS
+
+    rng = np.random.default_rng(13)
+    for v in (np.zeros(2100, np.uint64), np.full(1500, 7, np.uint64), np.tile(EXAMPLE, 80), (rng.integers(0, 1 << 32, 1801) >> rng.integers(0, 33, 1801)).astype(np.uint64)):
+        width, n = K.bit_length(v).tolist(), len(v)
+        least, pick = [0] * (n + 1), [0] * n
+        for i in range(n - 1, -1, -1):
+            cost = {k: 8 + k * min(w for w in SPLIT_WIDTHS if w >= max(width[i : i + k])) + least[i + k] for k in SPLIT_LENGTHS if i + k <= n}
+            least[i] = min(cost.values())
+            pick[i] = max(k for k in cost if cost[k] == least[i])
+        at, runs = 0, []
+        while at < n:
+            runs.append(SPLIT_LENGTHS.index(pick[at]))
+            at += pick[at]
+        raw = ALL["splitvec"].encode(v)
+        assert int.from_bytes(raw[:4], "little") == len(runs) and [x >> 4 for x in raw[4 : 4 + len(runs)]] == runs
+        assert len(raw) == 4 + len(runs) + -(-(least[0] - 8 * len(runs)) // 8)

@@ -63,6 +63,22 @@ def test_positions_of_a_long_list(spark):
     assert formula == {r["list_key"]: r["b"] for r in real}
 
 
+def test_chunks_of_ids_that_repeat(spark, sf):
+    """Lists over many bins and chunks, with and without repeated ids, against plain lists; texts give the same lists when ids are not made distinct before."""
+    rng = np.random.default_rng(5)
+    lists = {"a": range(0, 900, 7), "b": sorted(rng.choice(3000, 700, replace=False).tolist()), "c": [5], "d": [99, 100, 4_000_000_000]}
+    rows = [(k, int(x)) for k, own in lists.items() for x in own]
+    want = sorted((k, i // 100, list(map(int, own))[i : i + 100]) for k, own in lists.items() for i in range(0, len(own), 100))
+    for frame in (rows, rows + rows[::3]):
+        got = pipeline.build_chunks(spark.createDataFrame(frame, "list_key string, x long"), chunk=100).collect()
+        assert sorted((r["list_key"], r["chunk_no"], list(r["values"])) for r in got) == want
+        assert all((r["n"], r["x_min"], r["x_max"]) == (len(r["values"]), r["values"][0], r["values"][-1]) for r in got)
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    again = docs.unionByName(docs.limit(20))
+    few = lambda df: sorted((r["list_key"], r["chunk_no"], list(r["values"])) for r in pipeline.build_chunks(df).collect())
+    assert few(postings.postings_from_text(again, "doc_id", F.col("text"), unique=False)) == few(postings.postings(spark, sf, "documents"))
+
+
 def test_mixed_codes_and_errors(spark, sf):
     ids = postings.postings(spark, sf, "lineitem_supp")
     chunks = pipeline.build_chunks(ids)
