@@ -215,13 +215,14 @@ def measured(chunks: DataFrame, codec: str, delta: str = "d1", runs: int = 1, fu
 def measure_classes(chunks: DataFrame, codes: list[tuple[str, str]], runs: int = 1) -> DataFrame:
     """codec, delta_mode, K, n_ints, n_bytes, coding_ns, decoding_ns, summed over the lists of each class of length.
 
-    All codes are timed in one pass over the chunks, which are laid out by class, so that a batch holds few of them.
+    All codes are timed in one pass over the chunks. Each task has its share of every class and takes them in order, so
+    that a batch holds few of them and the few long lists, which hold most of the integers, are not one task's.
     """
     from .measures import length_class
 
     lists = chunks.groupBy("list_key").agg(F.sum("n").cast("long").alias("list_n"))
-    laid = chunks.join(lists, "list_key").select(length_class(F.col("list_n")).alias("K"), "values")
-    laid = laid.withColumn("part", F.xxhash64("values")).repartitionByRange("K", "part").sortWithinPartitions("K")
+    laid = chunks.join(lists, "list_key").select(length_class(F.col("list_n")).alias("K"), F.xxhash64("list_key", "chunk_no").alias("part"), "values")
+    laid = laid.repartition("part").sortWithinPartitions("K")
 
     def run(batches):
         for batch in batches:
