@@ -384,7 +384,8 @@ WEB = (
     "fq AS (SELECT list_key FROM st GROUP BY list_key ORDER BY count(*) DESC, list_key LIMIT 500)"
 )
 add("web_postings_top", lambda s, d: WL.web_postings(load(s, d, "pages"), 500).groupBy("list_key").agg(F.count("*").alias("n"), F.sum("x").alias("x_sum")), f"WITH {WEB} SELECT list_key, count(*) AS n, CAST(sum(x) AS BIGINT) AS x_sum FROM st WHERE list_key IN (SELECT list_key FROM fq) GROUP BY list_key")
-add("packing_speeds", lambda s, d: WL.packing_speeds(s))
+# Digests of the orders' keys: their low bits are uniform at every width.
+add("packing_speeds", lambda s, d: WL.packing_speeds(load(s, d, "orders"), F.crc32(F.col("o_orderkey").cast("string"))))
 PAPER_CODES = [("vpack128", "s4"), ("vpack128", "d1"), ("vpatch", "s4"), ("vpatch", "d1"), ("bytegroup8", "s4"), ("bytegroup8", "d1"), *[(c, "d1") for c in ("linkpatch", "sizedpatch", "bucketpatch", "wordpatch", "pack32", "blockpatch10", "blockpatchopt", "simple8b", "splitvec", "vbyte")]]
 
 
@@ -397,8 +398,8 @@ def with_cycles(table: DataFrame) -> DataFrame:
 
 
 add("code_table", lambda s, d: with_cycles(code_table(s, d)))
-add("copy_ceiling", lambda s, d: WL.copy_speed(s))
-add("buffer_memory", lambda s, d: WL.buffer_memory(s, PAPER_CODES))
+add("copy_ceiling", lambda s, d: WL.copy_speed(load(s, d, "lineitem"), F.col("l_orderkey")))
+add("buffer_memory", lambda s, d: WL.buffer_memory(written(s, pipeline.build_chunks(P.postings(s, d, "lineitem_line")), "lists"), PAPER_CODES))
 
 
 def chunk_lists(s: SparkSession, d: str, source: str) -> DataFrame:

@@ -36,13 +36,30 @@ def web_postings(pages: DataFrame, top: int, id_col: str = "page_id", html: str
     return rows.join(frequent.select("list_key"), "list_key", "left_semi")
 
 
-def packing_speeds(spark: SparkSession, n: int = 1 << 16, runs: int = 3) -> DataFrame:
-    """b, variant, pack_mis, unpack_mis for widths 1 to 32 over arrays of 256 KB; one task a width, each checked."""
+def arrays_of(batches, n: int):
+    """The first columns of a task's batches as arrays of n 32-bit integers, the last one shorter."""
+    held, have = [], 0
+    for batch in batches:
+        x = batch.column(0).to_numpy(zero_copy_only=False).astype(np.uint32)
+        while have + len(x) >= n:
+            yield np.concatenate([*held, x[: n - have]])
+            x, held, have = x[n - have :], [], 0
+        held, have = [*held, x], have + len(x)
+    if have:
+        yield np.concatenate(held)
+
+
+def packing_speeds(rows: DataFrame, value: Column, n: int = 1 << 16, runs: int = 3) -> DataFrame:
+    """b, variant, n_ints, pack_mis, unpack_mis for widths 1 to 32 over the values of all rows in arrays of 256 KB, each checked.
+
+    An array is packed at width b as the low b bits of its values. A task's last array is filled up to whole blocks with zeros, which do not count.
+    """
 
     def run(batches):
-        for batch in batches:
-            for b in batch.column(0).to_pylist():
-                v = np.random.default_rng(b).integers(0, 1 << b, n).astype(np.uint32)
+        for x in arrays_of(batches, n):
+            filled = np.concatenate([x, np.zeros(-len(x) % 128, np.uint32)])
+            for b in range(1, 33):
+                v = filled & np.uint32((1 << b) - 1)
                 for name, width, pack, unpack in (
                     ("scalar", 32, K.pack_scalar, K.unpack_scalar),
                     ("scalar_masked", 32, lambda x, b: K.pack_scalar(x, b, mask=True), K.unpack_scalar),
@@ -50,34 +67,36 @@ def packing_speeds(spark: SparkSession, n: int = 1 << 16, runs: int = 3) -> Data
                     ("vertical_masked", 128, lambda x, b: K.pack_vertical(x, b, mask=True), lambda w, b, k: K.unpack_vertical(w, b)),
                     ("horizontal", 128, K.pack_scalar, K.unpack_horizontal),
                 ):
-                    rows, best = v.reshape(-1, width), [1 << 62, 1 << 62]
+                    blocks, best = v.reshape(-1, width), [1 << 62, 1 << 62]
                     for _ in range(runs):
                         t0 = time.perf_counter_ns()
-                        words = pack(rows, b)
+                        words = pack(blocks, b)
                         t1 = time.perf_counter_ns()
                         back = unpack(words, b, width)
                         best = [min(best[0], t1 - t0), min(best[1], time.perf_counter_ns() - t1)]
-                    if not np.array_equal(back, rows):
+                    if not np.array_equal(back, blocks):
                         raise ValueError(f"{name} packing at {b} bits is not exact")
-                    yield pa.RecordBatch.from_pydict({"b": pa.array([b], pa.int32()), "variant": [name], "pack_mis": [1000 * n / best[0]], "unpack_mis": [1000 * n / best[1]]})
+                    yield pa.RecordBatch.from_pydict({"b": pa.array([b], pa.int32()), "variant": [name], "n_ints": [len(x)], "pack_ns": [best[0]], "unpack_ns": [best[1]]})
 
-    return spark.range(1, 33).mapInArrow(run, "b int, variant string, pack_mis double, unpack_mis double")
+    found = rows.select(value.cast("long").alias("x")).filter("x IS NOT NULL").mapInArrow(run, "b int, variant string, n_ints long, pack_ns long, unpack_ns long")
+    mis = lambda ns: 1000 * F.sum("n_ints") / F.sum(ns)
+    return found.groupBy("b", "variant").agg(F.sum("n_ints").alias("n_ints"), mis("pack_ns").alias("pack_mis"), mis("unpack_ns").alias("unpack_mis"))
 
 
-def copy_speed(spark: SparkSession, n: int = 1 << 22, runs: int = 5) -> DataFrame:
-    """copy_mis: millions of 32-bit integers a second that a plain copy moves, the ceiling of any decoder here."""
+def copy_speed(rows: DataFrame, value: Column, n: int = 1 << 22, runs: int = 5) -> DataFrame:
+    """n_ints, copy_mis: all values of a column of 32-bit integers, and how many millions of them a second a plain copy moves, n at once: the ceiling of any decoder here."""
 
     def run(batches):
-        for _ in batches:
-            a, best = np.arange(n, dtype=np.uint32), 1 << 62
-            b = np.empty_like(a)
+        for a in arrays_of(batches, n):
+            b, best = np.empty_like(a), 1 << 62
             for _ in range(runs):
                 t = time.perf_counter_ns()
                 np.copyto(b, a)
                 best = min(best, time.perf_counter_ns() - t)
-            yield pa.RecordBatch.from_pydict({"copy_mis": [1000 * n / best]})
+            yield pa.RecordBatch.from_pydict({"n_ints": [len(a)], "ns": [best]})
 
-    return spark.range(1, numPartitions=1).mapInArrow(run, "copy_mis double")
+    found = rows.select(value.cast("long").alias("x")).filter("x IS NOT NULL").mapInArrow(run, "n_ints long, ns long")
+    return found.agg(F.sum("n_ints").alias("n_ints"), (1000 * F.sum("n_ints") / F.sum("ns")).alias("copy_mis"))
 
 
 def cycles(mis: Column, mhz: Column) -> Column:
@@ -101,29 +120,30 @@ def clock(spark: SparkSession) -> DataFrame:
     return spark.range(1, numPartitions=1).mapInArrow(run, "mhz double")
 
 
-def buffer_memory(spark: SparkSession, codes: list[tuple[str, str]], n: int = 1 << 16) -> DataFrame:
-    """codec, delta_mode, coding_kb, decoding_kb: the most that one page of n integers takes at once besides itself and its payload."""
+def buffer_memory(chunks: DataFrame, codes: list[tuple[str, str]]) -> DataFrame:
+    """codec, delta_mode, pages, coding_kb, decoding_kb: the most that any one of the chunks takes at once besides itself and its payload."""
 
     def run(batches):
         import tracemalloc
 
         for batch in batches:
-            for i in batch.column(0).to_pylist():
-                codec, delta = codes[i]
-                x = np.cumsum(np.random.default_rng(1).integers(1, 200, n))
-                offsets, most = np.array([0, n]), []
-                payloads = pipeline.encode_batch(pipeline.batch_deltas(x, offsets, pipeline.STRIDES[delta]), offsets, codec)
-                for step in (
-                    lambda: pipeline.encode_batch(pipeline.batch_deltas(x, offsets, pipeline.STRIDES[delta]), offsets, codec),  # noqa: B023
-                    lambda: pipeline.batch_undeltas(pipeline.decode_batch(payloads, np.array([n]), codec), offsets, pipeline.STRIDES[delta]),  # noqa: B023
-                ):
-                    tracemalloc.start()
-                    step()
-                    most.append(tracemalloc.get_traced_memory()[1] / 1024)
-                    tracemalloc.stop()
-                yield pa.RecordBatch.from_pydict({"codec": [codec], "delta_mode": [delta], "coding_kb": [most[0]], "decoding_kb": [most[1]]})
-
-    return spark.range(len(codes)).repartition(len(codes), "id").mapInArrow(run, "codec string, delta_mode string, coding_kb double, decoding_kb double")
+            for i in range(batch.num_rows):
+                x, offsets = pipeline.flat(batch.column("values").slice(i, 1))
+                for codec, delta in codes:
+                    stride, most = pipeline.STRIDES[delta], []
+                    payloads = pipeline.encode_batch(pipeline.batch_deltas(x, offsets, stride), offsets, codec)
+                    for step in (
+                        lambda: pipeline.encode_batch(pipeline.batch_deltas(x, offsets, stride), offsets, codec),  # noqa: B023
+                        lambda: pipeline.batch_undeltas(pipeline.decode_batch(payloads, np.diff(offsets), codec), offsets, stride),  # noqa: B023
+                    ):
+                        tracemalloc.start()
+                        step()
+                        most.append(tracemalloc.get_traced_memory()[1] / 1024)
+                        tracemalloc.stop()
+                    yield pa.RecordBatch.from_pydict({"codec": [codec], "delta_mode": [delta], "coding_kb": [most[0]], "decoding_kb": [most[1]]})
+
+    found = chunks.select("values").mapInArrow(run, "codec string, delta_mode string, coding_kb double, decoding_kb double")
+    return found.groupBy("codec", "delta_mode").agg(F.count("*").alias("pages"), F.max("coding_kb").alias("coding_kb"), F.max("decoding_kb").alias("decoding_kb"))
 
 
 #: Arrays, integers of each, and their range, of the published synthetic sets.

@@ -234,13 +234,27 @@ def test_weighted_table(spark, sf):
     spark.catalog.clearCache()
 
 
-def test_buffers_cycles_copies(spark):
-    got = workloads.buffer_memory(spark, [("vpack128", "d1"), ("vpatch", "d1")], 4096).collect()
-    assert len(got) == 2 and all(r["coding_kb"] > 0 and r["decoding_kb"] > 0 for r in got)
-    assert workloads.copy_speed(spark, 1 << 16).first()["copy_mis"] > 0
+def test_buffers_cycles_copies(spark, sf):
+    """Buffers, packing and copies are measured on every row of a given table."""
+    chunks = pipeline.build_chunks(postings.postings(spark, sf, "lineitem_line"), chunk=1024).cache()
+    got = workloads.buffer_memory(chunks, [("vpack128", "d1"), ("vpatch", "d1")]).collect()
+    assert len(got) == 2 and all(r["coding_kb"] > 0 and r["decoding_kb"] > 0 and r["pages"] == chunks.count() for r in got)
+    chunks.unpersist()
+    orders = spark.read.parquet(f"{sf}/orders.parquet")
+    n = orders.count()
+    packed = workloads.packing_speeds(orders, F.crc32(F.col("o_orderkey").cast("string")), n=256, runs=1).collect()
+    assert len({(r["b"], r["variant"]) for r in packed}) == len(packed) == 160 and all(r["n_ints"] == n and r["pack_mis"] > 0 and r["unpack_mis"] > 0 for r in packed)
+    copied = workloads.copy_speed(orders, F.col("o_orderkey"), 1000).first()
+    assert copied["n_ints"] == n and copied["copy_mis"] > 0
+    assert [len(x) for x in workloads.arrays_of(orders.select("o_orderkey").limit(10).toArrow().to_batches(), 4)] == [4, 4, 2]
     assert spark.range(1).select(workloads.cycles(F.lit(500.0), F.lit(3400.0))).first()[0] == 6.8
 
 
+def test_speeds_read_given_tables(spark, sf):
+    for name, table in (("packing_speeds", "orders"), ("copy_ceiling", "lineitem")):
+        assert [f.rsplit("/", 1)[1] for f in QUERIES[name](spark, sf).inputFiles()] == [f"{table}.parquet"]
+
+
 def test_generators_are_sets(spark):
     """Sizes and ranges; the parts of a clustered set partition it, and a uniform set is spread evenly."""
     for make in (synth.gen_uniform, synth.gen_clustered):
