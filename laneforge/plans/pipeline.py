@@ -11,6 +11,7 @@ import time
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -46,6 +47,65 @@ def build_chunks(postings: DataFrame, mode: str = "rank", chunk: int = CHUNK) ->
     return rows.select("list_key", "chunk_no", F.size("values").alias("n"), F.col("values")[0].alias("x_min"), F.element_at("values", -1).alias("x_max"), "values")
 
 
+def build_text_chunks(rows: DataFrame, chunk: int = CHUNK) -> DataFrame:
+    """Chunks of ranks, as build_chunks() makes them, from rows (words array<string>, x): x is in the list of every word of its row.
+
+    A batch of rows turns into lists at once, so no row for a word and an id is made or aggregated. Lists of which all parts
+    together have at most `chunk` ids are one chunk, whose parts meet in one shuffle; the few longer ones take bins.
+    """
+    spark = rows.sparkSession
+    parts = written(spark, rows.select("words", "x").filter("x IS NOT NULL").mapInArrow(_inverted, "list_key string, n int, values array<long>"), "parts")
+    # Written, so that its size is known: at most one list for every `chunk` ids.
+    longer = written(spark, parts.groupBy("list_key").agg(F.sum("n").alias("n")).filter(F.col("n") > chunk).select("list_key"), "longer")
+    short = parts.join(longer, "list_key", "left_anti").select("list_key", "values").repartition("list_key").sortWithinPartitions("list_key").mapInArrow(_merged, CHUNKS)
+    return short.unionByName(build_chunks(parts.join(longer, "list_key", "left_semi").select("list_key", F.explode("values").alias("x")), chunk=chunk))
+
+
+def _inverted(batches):
+    """Every word of a batch with the ids of its rows."""
+    for batch in batches:
+        words = batch.column("words")
+        each = pc.fill_null(pc.list_value_length(words), 0).to_numpy(zero_copy_only=False)
+        coded = words.flatten().dictionary_encode()
+        codes = coded.indices.to_numpy(zero_copy_only=False)
+        n = np.bincount(codes, minlength=len(coded.dictionary))
+        values = np.repeat(batch.column("x").to_numpy(zero_copy_only=False), each)[np.argsort(codes, kind="stable")]
+        offsets = np.concatenate([[0], np.cumsum(n)]).astype(np.int32)
+        yield pa.RecordBatch.from_arrays([coded.dictionary, pa.array(n.astype(np.int32)), pa.ListArray.from_arrays(pa.array(offsets), pa.array(values))], ["list_key", "n", "values"])
+
+
+def _merged(batches):
+    """Parts of lists in the order of their keys -> lists of one chunk. The last list of a batch waits for the next one."""
+    held = None
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        held = pa.Table.from_batches([batch]) if held is None else pa.concat_tables([held, pa.Table.from_batches([batch])])
+        keys = held.column("list_key").combine_chunks()
+        firsts = np.flatnonzero(pc.not_equal(keys[1:], keys[:-1]).to_numpy(zero_copy_only=False)) + 1
+        if len(firsts):
+            yield _one_chunk_lists(held.slice(0, firsts[-1]), np.concatenate([[0], firsts[:-1]]))
+            held = held.slice(firsts[-1])
+    if held is not None:
+        yield _one_chunk_lists(held, np.zeros(1, np.int64))
+
+
+def _one_chunk_lists(parts: pa.Table, firsts: np.ndarray) -> pa.RecordBatch:
+    """One row for the parts from each of `firsts` to the next: their ids, sorted, those that repeat once."""
+    x, offsets = flat(parts.column("values"))
+    of_part = np.zeros(parts.num_rows, np.int64)
+    of_part[firsts[1:]] = 1
+    of = np.repeat(np.cumsum(of_part), np.diff(offsets))
+    if ((of[1:] == of[:-1]) & (x[1:] < x[:-1])).any():
+        x = x[np.lexsort((x, of))]
+    fresh = np.concatenate([[True], (of[1:] != of[:-1]) | (x[1:] != x[:-1])])
+    x, n = x[fresh], np.bincount(of[fresh])
+    ends = np.cumsum(n)
+    keys = parts.column("list_key").combine_chunks().take(pa.array(firsts))
+    values = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]).astype(np.int32)), pa.array(x))
+    return pa.RecordBatch.from_arrays([keys, pa.array(np.zeros(len(n), np.int64)), pa.array(n.astype(np.int32)), pa.array(x[ends - n]), pa.array(x[ends - 1]), values], ["list_key", "chunk_no", "n", "x_min", "x_max", "values"])
+
+
 def flat(column) -> tuple[np.ndarray, np.ndarray]:
     """Values and offsets of a list column."""
     column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
@@ -212,6 +272,12 @@ def measured(chunks: DataFrame, codec: str, delta: str = "d1", runs: int = 1, fu
     )
 
 
+def _tasks(chunks: DataFrame, most: int = 1 << 21, least: int = 1 << 18) -> int:
+    """How many tasks code the chunks: `most` integers for each, fewer where cores would wait, but not below `least`."""
+    ints = chunks.agg(F.sum("n").alias("n")).first()["n"] or 0
+    return max(1, ints // most, min(4 * chunks.sparkSession.sparkContext.defaultParallelism, ints // least))
+
+
 def measure_classes(chunks: DataFrame, codes: list[tuple[str, str]], runs: int = 1) -> DataFrame:
     """codec, delta_mode, K, n_ints, n_bytes, coding_ns, decoding_ns, summed over the lists of each class of length.
 
@@ -222,7 +288,7 @@ def measure_classes(chunks: DataFrame, codes: list[tuple[str, str]], runs: int =
 
     lists = chunks.groupBy("list_key").agg(F.sum("n").cast("long").alias("list_n"))
     laid = chunks.join(lists, "list_key").select(length_class(F.col("list_n")).alias("K"), F.xxhash64("list_key", "chunk_no").alias("part"), "values")
-    laid = laid.repartition("part").sortWithinPartitions("K")
+    laid = laid.repartition(_tasks(chunks), "part").sortWithinPartitions("K")
 
     def run(batches):
         for batch in batches:

@@ -403,7 +403,7 @@ add("buffer_memory", lambda s, d: WL.buffer_memory(written(s, pipeline.build_chu
 
 
 def chunk_lists(s: SparkSession, d: str, source: str) -> DataFrame:
-    return written(s, pipeline.build_chunks(P.postings(s, d, source, unique=False)), "lists")
+    return written(s, pipeline.build_text_chunks(P.words_by_id(s, d, source)), "lists")
 
 
 def class_table(s: SparkSession, d: str, source: str) -> DataFrame:

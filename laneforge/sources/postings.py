@@ -23,6 +23,12 @@ def postings_from_text(df: DataFrame, id_col: str, text: Column, unique: bool =
     return rows.distinct() if unique else rows
 
 
+def words_by_id(spark: SparkSession, sf_dir: str, source: str) -> DataFrame:
+    """words, x: the distinct words of every text of `documents` or `pages`, and its id; ids may repeat."""
+    table, key, text = {"documents": ("documents", "doc_id", F.col("text")), "pages": ("pages", "page_id", F.regexp_replace("html", TAG, " "))}[source]
+    return load(spark, sf_dir, table).select(words_of(text).alias("words"), F.col(key).cast("long").alias("x"))
+
+
 def postings_from_html(df: DataFrame, id_col: str, html: str, unique: bool = True) -> DataFrame:
     return postings_from_text(df, id_col, F.regexp_replace(html, TAG, " "), unique)
 

@@ -5,6 +5,7 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
+from laneforge.functions import codecs
 from laneforge.functions import kernels as K
 from laneforge.functions.codecs import ALL, GENERAL, choose_widths
 from laneforge.plans.pipeline import batch_deltas, batch_undeltas, decode_batch, decode_fused, encode_batch
@@ -192,6 +193,23 @@ def test_word_code_of_segments():
     assert np.array_equal(simple8b_values(words, per, np.array(n)), v)
 
 
+def test_word_patched_pages_share_their_calls(monkeypatch):
+    """The high parts of all pages are coded and decoded together, as if alone; bytes after them are not read as words."""
+    rng = np.random.default_rng(9)
+    n = rng.integers(0, 500, 40)
+    d = (rng.integers(0, 1 << 32, int(n.sum())) >> rng.choice([4, 20, 28, 31], int(n.sum()))).astype(np.uint64)
+    offsets, code = np.concatenate([[0], np.cumsum(n)]), ALL["wordpatch"]
+    alone = [code.encode(d[a:b]) for a, b in zip(offsets[:-1], offsets[1:])]
+    calls = []
+    for name in ("simple8b_words", "simple8b_values"):
+        own = getattr(codecs, name)
+        monkeypatch.setattr(codecs, name, lambda *a, own=own: (calls.append(1), own(*a))[1])
+    payloads = code.encode_many(d, offsets)
+    assert payloads == alone
+    assert np.array_equal(code.decode_many(payloads, n), d)
+    assert len(calls) == 2
+
+
 def test_best_width_is_the_best():
     """The optimal per-block rule against coding every block at every width alone."""
     rng = np.random.default_rng(8)

@@ -79,6 +79,33 @@ def test_chunks_of_ids_that_repeat(spark, sf):
     assert few(postings.postings_from_text(again, "doc_id", F.col("text"), unique=False)) == few(postings.postings(spark, sf, "documents"))
 
 
+def test_text_chunks_are_those_of_postings(spark, sf):
+    """Lists made from batches of texts against those made from rows: long and short ones, repeated ids, texts without words, nulls."""
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select(F.col("doc_id").alias("x"), "text")
+    docs = docs.unionByName(docs.limit(20)).unionByName(spark.createDataFrame([(7, None), (8, ""), (9, " . "), (None, "lost"), (10, "the the end")], "x long, text string")).repartition(3)
+    words = docs.select(postings.words_of(F.col("text")).alias("words"), "x")
+    want = pipeline.build_chunks(postings.postings_from_text(docs, "x", F.col("text")), chunk=50).collect()
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "40")
+    try:
+        got = pipeline.build_text_chunks(words, chunk=50).collect()
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    assert {r["chunk_no"] for r in got} > {0, 1}
+    assert sorted(map(tuple, got)) == sorted(map(tuple, want))
+    assert pipeline.build_text_chunks(words.limit(0)).count() == 0
+    for source in ("documents", "pages"):
+        again = [sorted(map(tuple, c.collect())) for c in (pipeline.build_text_chunks(postings.words_by_id(spark, sf, source)), pipeline.build_chunks(postings.postings(spark, sf, source)))]
+        assert again[0] == again[1]
+
+
+def test_tasks_of_codes(spark):
+    """Tasks grow with the integers, so that none is left to a few tasks, and small tables take few."""
+    chunks = lambda n: spark.range(1).select(F.lit(n).cast("long").alias("n"))
+    cores = spark.sparkContext.defaultParallelism
+    assert [pipeline._tasks(chunks(n)) for n in (None, 1000, 1 << 19, 1 << 40)] == [1, 1, 2, 1 << 19]
+    assert pipeline._tasks(chunks(1 << 24)) == min(64, max(8, 4 * cores))
+
+
 def test_mixed_codes_and_errors(spark, sf):
     ids = postings.postings(spark, sf, "lineitem_supp")
     chunks = pipeline.build_chunks(ids)
