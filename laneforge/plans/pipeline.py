@@ -19,6 +19,7 @@ from pyspark.sql import functions as F
 from laneforge.functions import kernels as K
 from laneforge.functions.codecs import ALL, BinaryPacking, unpack_many
 from laneforge.functions.layout import CHUNK, LIMIT
+from laneforge.functions.words import words as words_of_texts
 from laneforge.session import written
 
 STRIDES = {"d1": 1, "s4": 4, "none": 0}
@@ -49,29 +50,53 @@ def build_chunks(postings: DataFrame, mode: str = "rank", chunk: int = CHUNK) ->
 
 def build_text_chunks(rows: DataFrame, chunk: int = CHUNK) -> DataFrame:
     """Chunks of ranks, as build_chunks() makes them, from rows (words array<string>, x): x is in the list of every word of its row.
+    Rows may have a `text` besides, whose words count too.
 
     A batch of rows turns into lists at once, so no row for a word and an id is made or aggregated. Lists of which all parts
     together have at most `chunk` ids are one chunk, whose parts meet in one shuffle; the few longer ones take bins.
     """
     spark = rows.sparkSession
-    parts = written(spark, rows.select("words", "x").filter("x IS NOT NULL").mapInArrow(_inverted, "list_key string, n int, values array<long>"), "parts")
+    rows = rows.select("x", *[c for c in ("words", "text") if c in rows.columns]).filter("x IS NOT NULL")
+    parts = written(spark, rows.mapInArrow(_inverted, "list_key string, n int, first boolean, values array<long>"), "parts")
+    # A longer list has a part of more than its share of `chunk` ids, so that only lists of such parts are added up, where there are fewer parts of a list than that.
+    share = chunk // max(1, parts.filter("first").count())
+    parts, sums = parts.drop("first"), parts.select("list_key", "n")
+    if share:
+        sums = sums.join(written(spark, sums.filter(F.col("n") > share).select("list_key").distinct(), "large"), "list_key", "left_semi")
     # Written, so that its size is known: at most one list for every `chunk` ids.
-    longer = written(spark, parts.groupBy("list_key").agg(F.sum("n").alias("n")).filter(F.col("n") > chunk).select("list_key"), "longer")
+    longer = written(spark, sums.groupBy("list_key").agg(F.sum("n").alias("n")).filter(F.col("n") > chunk).select("list_key"), "longer")
     short = parts.join(longer, "list_key", "left_anti").select("list_key", "values").repartition("list_key").sortWithinPartitions("list_key").mapInArrow(_merged, CHUNKS)
     return short.unionByName(build_chunks(parts.join(longer, "list_key", "left_semi").select("list_key", F.explode("values").alias("x")), chunk=chunk))
 
 
 def _inverted(batches):
-    """Every word of a batch with the ids of its rows."""
+    """Every word of a batch with the ids of its rows, each once but for rows of one id that are apart; `first` is set in one row of a batch."""
     for batch in batches:
         words = batch.column("words")
-        each = pc.fill_null(pc.list_value_length(words), 0).to_numpy(zero_copy_only=False)
-        coded = words.flatten().dictionary_encode()
-        codes = coded.indices.to_numpy(zero_copy_only=False)
-        n = np.bincount(codes, minlength=len(coded.dictionary))
-        values = np.repeat(batch.column("x").to_numpy(zero_copy_only=False), each)[np.argsort(codes, kind="stable")]
+        found, each = [words.flatten()], [pc.fill_null(pc.list_value_length(words), 0).to_numpy(zero_copy_only=False)]
+        if "text" in batch.schema.names:
+            own, count = words_of_texts(batch.column("text"))
+            found, each = found + own, [*each, count]
+        ids = batch.column("x").to_numpy(zero_copy_only=False)
+        coded = pa.chunked_array(found, pa.string()).dictionary_encode()  # one dictionary for all pieces
+        if not len(coded):
+            continue
+        keys = coded.chunk(0).dictionary
+        codes = np.concatenate([c.indices.to_numpy(zero_copy_only=False) for c in coded.chunks])
+        order = _by_code(codes, len(keys))
+        codes, values = codes[order], np.concatenate([np.repeat(ids, n) for n in each])[order]
+        fresh = np.concatenate([[True], (codes[1:] != codes[:-1]) | (values[1:] != values[:-1])])
+        n, values = np.bincount(codes[fresh], minlength=len(keys)), values[fresh]
         offsets = np.concatenate([[0], np.cumsum(n)]).astype(np.int32)
-        yield pa.RecordBatch.from_arrays([coded.dictionary, pa.array(n.astype(np.int32)), pa.ListArray.from_arrays(pa.array(offsets), pa.array(values))], ["list_key", "n", "values"])
+        yield pa.RecordBatch.from_arrays([keys, pa.array(n.astype(np.int32)), pa.array(np.arange(len(keys)) == 0), pa.ListArray.from_arrays(pa.array(offsets), pa.array(values))], ["list_key", "n", "first", "values"])
+
+
+def _by_code(codes: np.ndarray, many: int) -> np.ndarray:
+    """The stable order of numbers below `many`: sorted by their low 16 bits, and by the rest."""
+    order = np.argsort(codes.astype(np.uint16), kind="stable")
+    if many > 1 << 16:
+        order = order[np.argsort((codes >> 16).astype(np.uint16)[order], kind="stable")]
+    return order
 
 
 def _merged(batches):
@@ -286,8 +311,10 @@ def measure_classes(chunks: DataFrame, codes: list[tuple[str, str]], runs: int =
     """
     from .measures import length_class
 
-    lists = chunks.groupBy("list_key").agg(F.sum("n").cast("long").alias("list_n"))
-    laid = chunks.join(lists, "list_key").select(length_class(F.col("list_n")).alias("K"), F.xxhash64("list_key", "chunk_no").alias("part"), "values")
+    # A list is as long as its chunk, but for the few that have several. Written, so that their number is known.
+    several = chunks.filter("chunk_no > 0").select("list_key").distinct()
+    lists = written(chunks.sparkSession, chunks.join(several, "list_key", "left_semi").groupBy("list_key").agg(F.sum("n").cast("long").alias("list_n")), "several")
+    laid = chunks.join(lists, "list_key", "left").select(length_class(F.coalesce("list_n", F.col("n").cast("long"))).alias("K"), F.xxhash64("list_key", "chunk_no").alias("part"), "values")
     laid = laid.repartition(_tasks(chunks), "part").sortWithinPartitions("K")
 
     def run(batches):

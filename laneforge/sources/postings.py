@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from laneforge.functions.layout import LIMIT
+from laneforge.functions.words import BEYOND
 from laneforge.session import load
 
 #: Whatever is neither a letter nor a number divides words.
@@ -24,9 +25,18 @@ def postings_from_text(df: DataFrame, id_col: str, text: Column, unique: bool =
 
 
 def words_by_id(spark: SparkSession, sf_dir: str, source: str) -> DataFrame:
-    """words, x: the distinct words of every text of `documents` or `pages`, and its id; ids may repeat."""
+    """words, text, x for every text of `documents` or `pages`, and its id; ids may repeat.
+
+    Texts of Latin-1 characters go as they are, with words null, to functions.words; others as their distinct words.
+    """
     table, key, text = {"documents": ("documents", "doc_id", F.col("text")), "pages": ("pages", "page_id", F.regexp_replace("html", TAG, " "))}[source]
-    return load(spark, sf_dir, table).select(words_of(text).alias("words"), F.col(key).cast("long").alias("x"))
+    return split_or_whole(load(spark, sf_dir, table).select(text.alias("text"), F.col(key).cast("long").alias("x")))
+
+
+def split_or_whole(rows: DataFrame) -> DataFrame:
+    """words, text, x from rows (text, x): either the distinct words or the text, the other null."""
+    beyond = F.col("text").rlike(BEYOND)
+    return rows.select(F.when(beyond, words_of(F.col("text"))).alias("words"), F.when(~beyond, F.col("text")).alias("text"), "x")
 
 
 def postings_from_html(df: DataFrame, id_col: str, html: str, unique: bool = True) -> DataFrame:

@@ -272,3 +272,17 @@ def test_runs_of_long_lists_are_the_cheapest():
         raw = ALL["splitvec"].encode(v)
         assert int.from_bytes(raw[:4], "little") == len(runs) and [x >> 4 for x in raw[4 : 4 + len(runs)]] == runs
         assert len(raw) == 4 + len(runs) + -(-(least[0] - 8 * len(runs)) // 8)
+
+
+def test_optimal_rule_sizes_from_widths():
+    """The sizes of blocks at every width come from the widths of their values alone, and the least is taken, the larger width on ties."""
+    code, rng = ALL["blockpatchopt"], np.random.default_rng(3)
+    rows = rng.integers(0, 1 << 32, (300, 128)).astype(np.uint64) >> rng.integers(0, 33, (300, 128)).clip(rng.integers(0, 33, (300, 1))).astype(np.uint64)
+    width = K.bit_length(rows.reshape(-1)).astype(np.uint8).reshape(rows.shape)
+    sizes = np.full((len(rows), 33), 1 << 40)
+    for b in range(33):
+        at = np.flatnonzero(width.max(axis=1) >= b)
+        flat, ends, _ = code._exceptions(rows, width, at, np.full(len(at), b))
+        sizes[at, b] = 16 * b + 8 * np.diff(codecs.simple8b_words(flat, ends)[1])
+        assert code._sizes(width, at, np.full(len(at), b)).tolist() == sizes[at, b].tolist()
+    assert code._best(width).tolist() == (32 - sizes[:, ::-1].argmin(axis=1)).tolist()

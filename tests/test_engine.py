@@ -1,10 +1,12 @@
 """Queries against their oracles, files, streams, functions, synthetic sets."""
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
 from laneforge.functions import udfs
+from laneforge.functions import words as text_words
 from laneforge.functions.exprs import unzigzag, zigzag
 from laneforge.operators import deltas, setops, sizes
 from laneforge.plans import measures, pipeline, workloads
@@ -98,6 +100,30 @@ def test_text_chunks_are_those_of_postings(spark, sf):
         assert again[0] == again[1]
 
 
+def test_words_of_whole_texts(spark, monkeypatch):
+    """Every character of Latin-1 by itself and among others, characters beyond it, empty and null texts; texts of Latin-1 reach the lists unsplit."""
+    texts = [t for i in range(256) for t in (chr(i), f"Ab{chr(i)}Cd {chr(i)}x")] + ["", None, "ÉÀé×÷ª²¼ µß", "\u03a3\u03b1\u03c2 \u0130x \u0152UVRE", "end é", "É", "\u6f22\u5b57 abc", "the the end"]
+    df = spark.createDataFrame([(i // 2, t) for i, t in enumerate(texts)], "x long, text string").repartition(3)
+    rows = postings.split_or_whole(df)
+    assert {(r["words"] is None, r["text"] is None) for r in rows.collect()} == {(True, False), (False, True), (True, True)}
+    want = pipeline.build_chunks(postings.postings_from_text(df, "x", F.col("text")), chunk=50).collect()
+    assert sorted(map(tuple, pipeline.build_text_chunks(rows, chunk=50).collect())) == sorted(map(tuple, want))
+    # The same in pieces of a few bytes.
+    latin = [t for t in texts if t is None or max(map(ord, t), default=0) < 256]
+    batch = pa.RecordBatch.from_arrays([pa.array(range(len(latin))), pa.array(latin), pa.nulls(len(latin), pa.list_(pa.string()))], ["x", "text", "words"])
+    whole = [b.to_pydict() for b in pipeline._inverted([batch])]
+    monkeypatch.setattr(text_words, "PIECE", 7)
+    assert [b.to_pydict() for b in pipeline._inverted([batch])] == whole and sum(whole[0]["first"]) == 1
+
+
+def test_length_of_lists_of_several_chunks(spark):
+    """A class is that of the whole list, however many chunks it has and whatever their numbers."""
+    rows = spark.range(1000).select(F.lit("long").alias("list_key"), F.col("id").alias("x")).unionByName(spark.range(40).select(F.lit("short").alias("list_key"), (F.col("id") + 5000).alias("x")))
+    for mode in ("rank", "range"):
+        got = pipeline.measure_classes(pipeline.build_chunks(rows, mode, chunk=64), [("vbyte", "d1")]).collect()
+        assert sorted((r["K"], r["n_ints"]) for r in got) == [(5, 40), (9, 1000)]
+
+
 def test_tasks_of_codes(spark):
     """Tasks grow with the integers, so that none is left to a few tasks, and small tables take few."""
     chunks = lambda n: spark.range(1).select(F.lit(n).cast("long").alias("n"))
